@@ -1,0 +1,135 @@
+"""Media, secrets and token-id output against plain versions."""
+
+import hashlib
+import io
+import struct
+import zipfile
+import zlib
+
+import public_tokenizers
+from tokenizers import Tokenizer
+
+from linkfactor.llm import media, secrets, tokens
+from linkfactor.llm.cluster import scratch, settle, table
+from linkfactor.llm.queries_text import op4_media, op10_secrets
+from linkfactor.llm.queries_tokens import op6_token_ids
+
+SMALL = "/root/testdata/sf0.001"
+ODD = [(1, None, "a"), (2, "", None), (3, "a  b \n c\u00a0d\t", "x"), (4, "  lead", "x"), (None, "null key", "x"), (5, "same", "x"), (5, "same", "x"), (6, "word " * 5000, "y"), (7, "password: token=abcdef12 AKIA" + "Z9" * 10, "y"), (8, "<|endoftext|> caf\u00e9 \u2581 \u6f22\U0001f389", "z")]
+
+
+def odd(spark):
+    return spark.createDataFrame([(*r, 1) for r in ODD], "doc_id long, text string, source string, media int")
+
+
+def png():
+    def chunk(kind, data):
+        return struct.pack(">I", len(data)) + kind + data + struct.pack(">I", zlib.crc32(kind + data))
+
+    return b"\x89PNG\r\n\x1a\n" + chunk(b"IHDR", struct.pack(">IIBBBBB", 1, 1, 8, 0, 0, 0, 0)) + chunk(b"IDAT", zlib.compress(b"\0\0")) + chunk(b"IEND", b"")
+
+
+def test_sniff_formats():
+    wav = media.wav_bytes(b"abc")
+    assert media.sniff(wav) == [(0, len(wav), "audio/wav")]
+    assert media.wav_payload(wav) == (8000, b"abc")
+    pic = png()
+    assert media.sniff(pic) == [(0, len(pic), "image/png")]
+    assert media.sniff(pic[:-1]) == []
+    archive = io.BytesIO()
+    with zipfile.ZipFile(archive, "w") as z:
+        z.writestr("a.txt", "x")
+        z.writestr("b.txt", "y")
+    z = archive.getvalue()
+    assert media.sniff(z)[0] == (0, len(z), "application/zip")
+    packed = b"xx" + pic + b"BM no" + zlib.compress(b"q") + z
+    assert media.sniff(packed) == [(2, len(pic), "image/png"), (packed.find(b"PK"), len(z), "application/zip")]
+    engine = zlib.compressobj(wbits=31)
+    gz = engine.compress(b"hello") + engine.flush()
+    assert media.sniff(gz + b"tail") == [(0, len(gz), "application/gzip")]
+    gif = b"GIF89a" + struct.pack("<HHBBB", 1, 1, 0x80, 0, 0) + b"\0" * 6 + b"\x2c" + b"\0" * 9 + b"\x02\x02\x44\x01\x00" + b"\x3b"
+    assert media.sniff(gif) == [(0, len(gif), "image/gif")]
+    assert media.sniff(b"GIF89a and then nothing") == []
+    assert media.sniff(None) == [] and media.sniff(b"") == []
+
+
+def test_sniff_media_corrects_declared_types(spark):
+    rows = [(1, png(), "image/gif"), (2, None, "image/png"), (3, b"plain", "text/plain"), (4, media.wav_bytes(b"zz"), "audio/wav")]
+    got = {r.id: r for r in media.sniff_media(spark.createDataFrame(rows, "id long, media binary, declared string")).collect()}
+    assert (got[1].detected, got[1].corrected, got[4].corrected) == ("image/png", True, False)
+    assert got[2].detected is None and got[3].detected == media.UNKNOWN
+
+
+def check_media(rows, texts):
+    for r in rows:
+        raw = (texts[r.doc_id] or "").encode()
+        size = max(1, -(-len(raw) // 192)) * 192
+        full = raw + b" " * (size - len(raw))
+        stored = media.wav_bytes(full)
+        assert (r.n_bytes, r.payload_bytes, r.media_bytes) == (len(raw), size, len(stored))
+        assert (r.payload_sha256, r.tail_crc32, r.media_sha256) == (hashlib.sha256(full).hexdigest(), zlib.crc32(full[-16:]), hashlib.sha256(stored).hexdigest())
+        assert r.feature.startswith("audio/wav;valid=1;")
+
+
+def test_op4(spark):
+    docs = table(spark, SMALL, "documents")
+    rows = op4_media(spark, SMALL).collect()
+    assert len(rows) == docs.count()
+    check_media(rows, {r.doc_id: r.text for r in docs.collect()})
+
+
+def test_op10(spark):
+    docs = table(spark, SMALL, "documents").collect()
+    got = {r.doc_id: r for r in op10_secrets(spark, SMALL).collect()}
+    assert len(got) == len(docs)
+    for r, want in zip(docs, secrets.brute_force([r.text for r in docs]), strict=True):
+        mine = got[r.doc_id]
+        assert (mine.n_assign, mine.n_access, mine.n_hex, mine.base_sha256) == want
+
+
+def test_ledger_scans_each_blob_once(spark):
+    docs = odd(spark)
+    path = scratch(spark, "ledger")
+    first = secrets.extend_ledger(docs, path)
+    assert first.count() == docs.select("text").na.fill("").distinct().count()
+    known = settle(first)
+    assert secrets.pending_blobs(docs, known).count() == 0
+    more = docs.union(spark.createDataFrame([(9, "token=zzzzzz9", "x", 1)], docs.schema))
+    assert secrets.pending_blobs(more, known).count() == 1
+    found = secrets.findings_by_path(more, secrets.extend_ledger(more, path, known), ["doc_id"]).collect()
+    assert len(found) == len(ODD) + 1
+    assert {r.doc_id for r in found if r.spans} == {7, 9}
+    empty = docs.limit(0)
+    assert secrets.findings_by_path(empty, secrets.extend_ledger(empty, scratch(spark, "ledger")), ["doc_id"]).count() == 0
+
+
+def plain_ids(texts):
+    engine = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    engine.encode_special_tokens = True
+    return [e.ids + [2] for e in engine.encode_batch([t or "" for t in texts], add_special_tokens=False)]
+
+
+def crc(ids):
+    return zlib.crc32(struct.pack(f"<{len(ids)}I", *ids))
+
+
+def test_op6(spark):
+    docs = sorted(table(spark, SMALL, "documents").collect(), key=lambda r: r.doc_id)
+    got = {r.doc_id: r for r in op6_token_ids(spark, SMALL).collect()}
+    start = 0
+    for r, ids in zip(docs, plain_ids([r.text for r in docs]), strict=True):
+        assert (got[r.doc_id].start, got[r.doc_id].n_tokens, got[r.doc_id].ids_crc32) == (start, len(ids), crc(ids))
+        start += len(ids)
+
+
+def test_token_shards_of_odd_rows(spark):
+    docs, folder = odd(spark), scratch(spark, "ids")
+    manifest = settle(tokens.write_shards(docs, folder, public_tokenizers.path("byte_bpe_50k.json")))
+    rows = tokens.read_shards(manifest, folder).collect()
+    want = sorted(((k is not None, k or 0, crc(ids), len(ids)) for (k, *_), ids in zip(ODD, plain_ids([r[1] for r in ODD]), strict=True)))
+    assert sorted((r.key is not None, r.key or 0, r.ids_crc32, r.n_tokens) for r in rows) == want
+    asked = spark.createDataFrame([(8,), (77,), (6,)], "doc_id long")
+    found = {r.key: r.ids for r in tokens.lookup(asked, manifest, folder).collect()}
+    assert found[77] is None and found[8] == plain_ids([ODD[9][1]])[0] and found[6] == plain_ids([ODD[7][1]])[0]
+    none = settle(tokens.write_shards(docs.limit(0), scratch(spark, "ids"), public_tokenizers.path("byte_bpe_50k.json")))
+    assert tokens.read_shards(none, folder).count() == 0
