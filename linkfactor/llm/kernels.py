@@ -49,7 +49,10 @@ class _Powers:
     def upto(self, n: int) -> _Powers:
         if len(self.up) < n:
             size = 1 << int(n - 1).bit_length()
-            self.up, self.down = (np.cumprod(np.concatenate([[1], np.full(size - 1, base, dtype=U64)]).astype(U64)) for base in (_BASE, _BASE_INVERSE))
+            for name, base in (("up", _BASE), ("down", _BASE_INVERSE)):
+                factors = np.full(size, base, dtype=U64)
+                factors[0] = 1
+                setattr(self, name, np.cumprod(factors))
         return self
 
 
