@@ -35,8 +35,8 @@ from .kernels import mix
 U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
-#: Words of a worker's cache of encoded pieces; when it is full it starts anew.
-CACHE_PIECES = 400_000
+#: Pieces that a worker keeps the ids of; those met once it is full are encoded batch by batch.
+CACHE_PIECES = 600_000
 NULL_KEY = -(1 << 63)
 
 
@@ -57,30 +57,51 @@ class WordEncoder:
         self.tokenizer = Tokenizer.from_file(vocabulary)
         self.tokenizer.encode_special_tokens = True
         self.kind = np.dtype(f"<u{width}")
+        # In a byte-level vocabulary each character of a token stands for one byte.
+        self.sizes = np.array([len(self.tokenizer.id_to_token(i) or "") for i in range(self.tokenizer.get_vocab_size())])
         self.cut = re.compile(r"(?<=\S) (?=\S)")
-        self.odd = re.compile(r"\s\s|^\s|\s$")
         self.first: dict[str, bytes] = {}
         self.later: dict[str, bytes] = {}
 
     def pieces(self, text: str) -> list[str]:
-        return self.cut.split(text) if self.odd.search(text) else text.split(" ")
-
-    def _learn(self, known: dict[str, bytes], wanted: set[str], lead: str) -> None:
-        fresh = list(wanted - known.keys())
-        if len(known) + len(fresh) > CACHE_PIECES:
-            known.clear()
-            fresh = list(wanted)
-        for at in range(0, len(fresh), 10_000):
-            part = fresh[at : at + 10_000]
-            done = self.tokenizer.encode_batch_fast([lead + x for x in part], add_special_tokens=False)
-            known.update((x, np.array(e.ids, dtype=self.kind).tobytes()) for x, e in zip(part, done, strict=True))
+        if len(text.split()) == text.count(" ") + text.count("\n") + 1:  # single blanks and newlines, between words only
+            return text.split(" ")
+        return self.cut.split(text)
+
+    def _single(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, dtype=self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _joined(self, pieces: list[str]) -> list[bytes]:
+        """Ids of pieces that each follow a space, encoded as one text and cut by the tokens' byte lengths."""
+        text = " " + " ".join(pieces)
+        ids = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype=np.int64)
+        ends = np.cumsum(self.sizes[ids])
+        wanted = np.cumsum([len(x.encode()) + 1 for x in pieces])
+        cuts = np.searchsorted(ends, wanted)
+        if len(cuts) and (cuts[-1] >= len(ends) or (ends[cuts] != wanted).any()):
+            return self._single([" " + x for x in pieces])
+        raw, at = ids.astype(self.kind).tobytes(), ((cuts + 1) * self.kind.itemsize).tolist()
+        return [raw[a:b] for a, b in zip([0, *at], at, strict=False)]
+
+    def _learn(self, known: dict[str, bytes], wanted: set[str], follows: bool) -> dict[str, bytes]:
+        """The ids of all wanted pieces, those of ``known`` among them."""
+        fresh, ids = list(wanted.difference(known)), []
+        for at in range(0, len(fresh), 4000):
+            part = fresh[at : at + 4000]
+            plain = follows and not any(x[-1].isspace() for x in part)
+            ids += self._joined(part) if plain else self._single([" " * follows + x for x in part])
+        if len(known) + len(fresh) <= CACHE_PIECES:
+            known.update(zip(fresh, ids, strict=True))
+            return known
+        extra = {x: known[x] for x in wanted.intersection(known)}
+        extra.update(zip(fresh, ids, strict=True))
+        return extra
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [self.pieces(x) if x else [] for x in texts]
-        self._learn(self.first, {x[0] for x in split if x}, "")
-        self._learn(self.later, {y for x in split for y in x[1:]}, " ")
-        find = self.later.__getitem__
-        return [self.first[x[0]] + b"".join(map(find, x[1:])) if x else b"" for x in split]
+        first = self._learn(self.first, {x[0] for x in split if x}, False)
+        find = self._learn(self.later, set().union(*[x[1:] for x in split]), True).__getitem__
+        return [first[x[0]] + b"".join(map(find, x[1:])) if x else b"" for x in split]
 
 
 @cache
@@ -201,8 +222,8 @@ def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_
                 store.create_dir(path, recursive=True)
                 sink = store.open_output_stream(f"{path}/{shard}.ids.{attempt}")
             texts = batch.column("text").to_pylist()
-            for at in range(0, len(texts), 512):
-                for ids in encoder.encode(texts[at : at + 512]):
+            for at in range(0, len(texts), 1024):
+                for ids in encoder.encode(texts[at : at + 1024]):
                     sink.write(ids + end)
                     lengths.append(len(ids) // width + 1)
             keys.append(batch.column("key").to_numpy(zero_copy_only=False))
