@@ -36,7 +36,7 @@ U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
 #: Pieces that a worker keeps the ids of; those met once it is full are encoded batch by batch.
-CACHE_PIECES = 600_000
+CACHE_PIECES = 1_000_000
 NULL_KEY = -(1 << 63)
 
 
@@ -83,25 +83,33 @@ class WordEncoder:
         raw, at = ids.astype(self.kind).tobytes(), ((cuts + 1) * self.kind.itemsize).tolist()
         return [raw[a:b] for a, b in zip([0, *at], at, strict=False)]
 
-    def _learn(self, known: dict[str, bytes], wanted: set[str], follows: bool) -> dict[str, bytes]:
-        """The ids of all wanted pieces, those of ``known`` among them."""
-        fresh, ids = list(wanted.difference(known)), []
-        for at in range(0, len(fresh), 4000):
-            part = fresh[at : at + 4000]
-            plain = follows and not any(x[-1].isspace() for x in part)
-            ids += self._joined(part) if plain else self._single([" " * follows + x for x in part])
-        if len(known) + len(fresh) <= CACHE_PIECES:
-            known.update(zip(fresh, ids, strict=True))
-            return known
-        extra = {x: known[x] for x in wanted.intersection(known)}
-        extra.update(zip(fresh, ids, strict=True))
-        return extra
+    def _fetch(self, known: dict[str, bytes], pieces: list[str], follows: bool) -> list[bytes]:
+        """The ids of all pieces; those that ``known`` lacks are encoded, each once, and kept while there is room."""
+        found = list(map(known.get, pieces))
+        gaps = [i for i, x in enumerate(found) if x is None]
+        if gaps:
+            fresh, ids = list({pieces[i] for i in gaps}), []
+            for at in range(0, len(fresh), 4000):
+                part = fresh[at : at + 4000]
+                plain = follows and not any(x[-1].isspace() for x in part)
+                ids += self._joined(part) if plain else self._single([" " * follows + x for x in part])
+            learnt = dict(zip(fresh, ids, strict=True))
+            for i in gaps:
+                found[i] = learnt[pieces[i]]
+            if len(known) + len(learnt) <= CACHE_PIECES:
+                known.update(learnt)
+        return found
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [self.pieces(x) if x else [] for x in texts]
-        first = self._learn(self.first, {x[0] for x in split if x}, False)
-        find = self._learn(self.later, set().union(*[x[1:] for x in split]), True).__getitem__
-        return [first[x[0]] + b"".join(map(find, x[1:])) if x else b"" for x in split]
+        first = iter(self._fetch(self.first, [x[0] for x in split if x], False))
+        later = self._fetch(self.later, [y for x in split for y in x[1:]], True)
+        out, at = [], 0
+        for x in split:
+            n = max(0, len(x) - 1)
+            out.append(next(first) + b"".join(later[at : at + n]) if x else b"")
+            at += n
+        return out
 
 
 @cache
