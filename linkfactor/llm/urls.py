@@ -16,11 +16,10 @@ nothing; repeated keys count once; extra columns are left alone.
 
 from __future__ import annotations
 
-from math import ceil, log
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import bloom
 from .cluster import settle
 
 #: (host, path prefix, verdict); a rule holds for the host and all subdomains.
@@ -55,18 +54,6 @@ def best_rule(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
     return (none, none) if text is None else (text, verdict)
 
 
-def _places(key: Column, level: int, hashes: int, bits: int) -> list[Column]:
-    return [F.pmod(F.xxhash64(F.lit(level), F.lit(i), key), F.lit(bits)) for i in range(hashes)]
-
-
-def bloom_words(keys: DataFrame, level: int, hashes: int, bits: int) -> DataFrame:
-    """One row with the filter as an array of longs."""
-    spots = keys.select(F.explode(F.array(*_places(F.col("key"), level, hashes, bits))).alias("spot"))
-    words = spots.groupBy(F.shiftright("spot", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(spot % 64 as int))")).alias("bits"))
-    pairs = words.agg(F.map_from_entries(F.collect_list(F.struct("word", "bits"))).alias("at"))
-    return pairs.select(F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(bits // 64 - 1).cast("bigint")), lambda w: F.coalesce(F.try_element_at("at", w), F.lit(0).cast("bigint"))).alias("words"))
-
-
 class Cascade:
     """The filters of one list over one universe of keys."""
 
@@ -75,12 +62,7 @@ class Cascade:
 
     def _passes(self, level: int, key: Column) -> Column:
         words, hashes, bits = self.levels[level]
-        array = words.scalar()
-        found = None
-        for spot in _places(key, level, hashes, bits):
-            hit = F.get(array, F.shiftright(spot, 6).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(spot, F.lit(64)).cast("int"))) != 0
-            found = hit if found is None else found & hit
-        return found
+        return bloom.passes(words, key, level, hashes, bits)
 
     def contains(self, key: Column) -> Column:
         """Exact for keys of the universe."""
@@ -107,11 +89,10 @@ def build_cascade(universe: DataFrame, listed: DataFrame, fpp: float = FALSE_POS
     inside = True
     while n := sides[inside].count():
         level = len(levels)
-        hashes = max(1, round(-log(fpp, 2)))
-        bits = 64 * max(1, ceil(n * hashes / log(2) / 64))
+        hashes, bits = bloom.sized(n, fpp)
         if bits // 64 > word_limit:
             return Cascade([], sides[True] if not level else listed.select("key").where("key is not null").distinct())
-        levels.append((settle(bloom_words(sides[inside], level, hashes, bits)), hashes, bits))
+        levels.append((settle(bloom.filter_words(sides[inside], level, hashes, bits)), hashes, bits))
         sides[not inside] = settle(sides[not inside].where(built._passes(level, F.col("key"))))
         inside = not inside
     return built
