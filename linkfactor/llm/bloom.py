@@ -44,9 +44,14 @@ def sized(n: int, fpp: float) -> tuple[int, int]:
 PREFILTER_BITS = 1 << 24
 
 
-def prefilter(frame: DataFrame, column: str, keys: DataFrame, salt: int = 77) -> DataFrame:
-    """Rows of frame whose column may be among the column ``key`` of keys: fewer rows go to the shuffle of an exact join."""
+def split(frame: DataFrame, column: Column, keys: DataFrame, salt: int = 77) -> tuple[DataFrame, DataFrame]:
+    """Rows of frame whose column may be among the column ``key`` of keys, and those whose column surely isn't."""
     n = keys.count()
     hashes, bits = 2, min(PREFILTER_BITS, 64 * max(1, n * 8 // 64 + 1))
-    words = settle(filter_words(keys, salt, hashes, bits))
-    return frame.where(passes(words, F.col(column), salt, hashes, bits))
+    maybe = passes(settle(filter_words(keys, salt, hashes, bits)), column, salt, hashes, bits)
+    return frame.where(maybe), frame.where(~maybe)
+
+
+def prefilter(frame: DataFrame, column: str, keys: DataFrame) -> DataFrame:
+    """The rows that may match: fewer rows go to the shuffle of an exact join."""
+    return split(frame, F.col(column), keys)[0]

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bloom import prefilter
+from .bloom import prefilter, split
 from .cluster import settle, settle_table
 from .kernels import Block, blocks, mix, set_prints, sorted_sets, windows
 from .near import components
@@ -161,4 +161,6 @@ def drop_near_copies(docs: DataFrame, key: str = "doc_id", text: str = "text", w
     Only the keys of dropped documents travel: rows that a filter on them lets through go to the anti-join, the others stay where they are.
     """
     lost = settle(near_components(docs, key, text, width).where("not kept").select(F.col(key).alias("key")).distinct())
-    return docs.join(lost, F.col(key).cast("bigint") == lost["key"], "left_anti")
+    maybe, stay = split(docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")), F.col("row")[key].cast("bigint"), lost)
+    left = maybe.join(lost, F.col("row")[key].cast("bigint") == lost["key"], "left_anti").union(stay)
+    return left.select(*[F.col("row")[c].alias(c) for c in docs.columns])
