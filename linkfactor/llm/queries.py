@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("queries_native", "queries_text", "queries_tokens", "queries_rules", "queries_near")
+_MODULES = ("queries_near", "queries_pieces", "queries_rules", "queries_text", "queries_native", "queries_tokens")
 
 
 def queries() -> dict:
