@@ -152,14 +152,14 @@ def line_roots(docs: DataFrame, text: str = "text") -> DataFrame:
     signed = settle_table(line_signatures(docs, text), "line-signatures")
 
     def verify(pairs: DataFrame) -> DataFrame:
-        wanted = settle(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
+        wanted = settle(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
         some = prefilter(line_texts(docs, text), "id", wanted).join(wanted, F.col("id") == F.col("key"), "left_semi")
         some = settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines")
         one = pairs.join(some.withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
         two = one.join(some.withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
         return two.mapInArrow(_similar, "a long, b long")
 
-    return components(signed, verify, 1, SKETCH_LIMIT, PERCENT / 100)
+    return components(signed, verify, 1, 2, SKETCH_LIMIT, PERCENT / 100)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -1,7 +1,7 @@
 """Links between near copies, from banded signatures to components, as DataFrame plans.
 
 Items are distinct things (exact copies are one item): ``id`` (long), ``size`` of its set,
-``sketch`` (longs of 2-bit signature samples) and ``bands`` (longs; items that share one
+``sketch`` (longs of 2- or 4-bit signature samples) and ``bands`` (longs; items that share one
 are candidates). No step lists the pairs of a group as such:
 
 1. Each bucket links its members to its smallest and its largest member only, where the
@@ -26,15 +26,18 @@ from pyspark.sql import functions as F
 from .bloom import prefilter
 from .cluster import settle
 
-_EVEN_BITS = 0x5555555555555555
+#: The lowest bit of each sample, by the bits of a sample.
+_LOW_BITS = {2: 0x5555555555555555, 4: 0x1111111111111111}
 
 
-def mismatches(a: Column, b: Column, longs: int) -> Column:
-    """How many 2-bit samples differ between two sketches."""
+def mismatches(a: Column, b: Column, longs: int, bits: int) -> Column:
+    """How many samples of so many bits differ between two sketches."""
     total = F.lit(0)
     for i in range(longs):
         x = F.get(a, i).bitwiseXOR(F.get(b, i))
-        total = total + F.bit_count(x.bitwiseOR(F.shiftrightunsigned(x, 1)).bitwiseAND(F.lit(_EVEN_BITS)))
+        for step in (1, 2)[: bits // 2]:
+            x = x.bitwiseOR(F.shiftrightunsigned(x, step))
+        total = total + F.bit_count(x.bitwiseAND(F.lit(_LOW_BITS[bits])))
     return total
 
 
@@ -63,7 +66,7 @@ def _mark(edges: DataFrame) -> tuple[int, int]:
     return row[0], row[1] or 0
 
 
-def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_limit: int, similarity: float = 0.8) -> DataFrame:
+def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8) -> DataFrame:
     """node and root of all items that are linked with another one.
 
     verify: takes pairs (a, b) of ids, a < b, and returns those that are truly similar.
@@ -71,7 +74,7 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
 
     def may_link(x: str, y: str) -> Column:
         sizes = F.least(F.col(f"{x}.size"), F.col(f"{y}.size")) >= F.lit(similarity) * F.greatest(F.col(f"{x}.size"), F.col(f"{y}.size"))
-        return sizes & (mismatches(F.col(f"{x}.sketch"), F.col(f"{y}.sketch"), sketch_longs) <= sketch_limit)
+        return sizes & (mismatches(F.col(f"{x}.sketch"), F.col(f"{y}.sketch"), sketch_longs, sketch_bits) <= sketch_limit)
 
     banded = items.select("id", "size", "sketch", F.explode("bands").alias("band"))
     shared = settle(banded.groupBy("band").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select(F.col("band").alias("key")))

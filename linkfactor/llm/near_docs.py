@@ -6,7 +6,7 @@ member draws, from its hash, a random permutation of the registers step by step
 ``step + random`` to the register at each step. Offers of later steps can't win once all
 registers hold an earlier step, so the walk ends there: after one or two steps for most
 texts. The permutations are correlated across registers, which lowers the variance of the
-similarity estimate. Bands of ROWS registers make candidates, sketches of two bits a
+similarity estimate. Bands of ROWS registers make candidates, sketches of four bits a
 register thin them, and full sets confirm every link: 100 * common >= PERCENT * union.
 
 Documents with equal sets are one item from the start, and a group of near copies is linked
@@ -34,9 +34,10 @@ from .near import components
 
 U64 = np.uint64
 PERCENT = 80
-SLOTS, ROWS, BANDS = 128, 4, 18
-#: Differing 2-bit samples of 128 that a pair may have: at the threshold 19 are expected with a deviation of 4.
-SKETCH_LIMIT = 38
+SLOTS, ROWS, BANDS = 256, 4, 18
+SAMPLE_BITS = 4
+#: Differing samples of 256 that a pair may have: at the threshold 48 are expected, with a measured deviation of 4.6.
+SKETCH_LIMIT = 68
 
 
 def shingle_sets(block: Block, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -81,11 +82,11 @@ def band_hashes(registers: np.ndarray, rows: int, bands: int) -> np.ndarray:
 
 
 def sketch_longs(registers: np.ndarray) -> np.ndarray:
-    """Two hashed bits of each register, 32 registers a long."""
-    bits = mix(registers) & U64(3)
-    out = np.zeros((len(registers), registers.shape[1] // 32), dtype=U64)
-    for k in range(out.shape[1] * 32):
-        out[:, k // 32] |= bits[:, k] << U64(2 * (k % 32))
+    """SAMPLE_BITS hashed bits of each register."""
+    samples, each = mix(registers) & U64((1 << SAMPLE_BITS) - 1), 64 // SAMPLE_BITS
+    out = np.zeros((len(registers), registers.shape[1] // each), dtype=U64)
+    for k in range(out.shape[1] * each):
+        out[:, k // each] |= samples[:, k] << U64(SAMPLE_BITS * (k % each))
     return out
 
 
@@ -141,13 +142,13 @@ def near_components(docs: DataFrame, key: str = "doc_id", text: str = "text", wi
     texts = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).where("id is not null")
 
     def verify(pairs: DataFrame) -> DataFrame:
-        wanted = settle(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
+        wanted = settle(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
         some = prefilter(texts, "id", wanted)
         one = pairs.join(some.withColumnRenamed("text", "text_a"), F.col("a") == F.col("id")).drop("id")
         two = one.join(some.withColumnRenamed("text", "text_b"), F.col("b") == F.col("id")).drop("id")
         return two.mapInArrow(_similar(width), "a long, b long").distinct()  # rows of one key may repeat
 
-    roots = components(items.select("id", "size", "sketch", "bands"), verify, SLOTS // 32, SKETCH_LIMIT, PERCENT / 100)
+    roots = components(items.select("id", "size", "sketch", "bands"), verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100)
     grouped = items.join(roots, F.col("id") == F.col("node"), "left").select("print1", "print2", F.coalesce("root", "id").alias("component"))
     found = signed.join(grouped, ["print1", "print2"], "left")
     component = F.when(F.col("key").isNotNull(), F.when(F.col("size") > 0, F.col("component")).otherwise(F.col("key")))

@@ -124,4 +124,5 @@ def test_superminhash_stops_early_with_the_full_result():
 def test_sketches_count_differing_samples(spark):
     rows = [([0b11_01_00, -1], [0b11_00_10, -1 ^ (3 << 60)])]
     frame = spark.createDataFrame(rows, "a array<long>, b array<long>")
-    assert frame.select(near.mismatches(F.col("a"), F.col("b"), 2).alias("n")).first().n == 3
+    assert frame.select(near.mismatches(F.col("a"), F.col("b"), 2, 2).alias("n")).first().n == 3
+    assert frame.select(near.mismatches(F.col("a"), F.col("b"), 2, 4).alias("n")).first().n == 2
