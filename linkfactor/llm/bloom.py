@@ -21,9 +21,10 @@ def places(key: Column, salt: int, hashes: int, bits: int) -> list[Column]:
 def filter_words(keys: DataFrame, salt: int, hashes: int, bits: int) -> DataFrame:
     """keys: a column ``key``. One row with the filter in the column ``words``."""
     spots = keys.select(F.explode(F.array(*places(F.col("key"), salt, hashes, bits))).alias("spot"))
-    words = spots.groupBy(F.shiftright("spot", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(spot % 64 as int))")).alias("bits"))
-    pairs = words.agg(F.map_from_entries(F.collect_list(F.struct("word", "bits"))).alias("at"))
-    return pairs.select(F.transform(F.sequence(F.lit(0).cast("bigint"), F.lit(bits // 64 - 1).cast("bigint")), lambda w: F.coalesce(F.try_element_at("at", w), F.lit(0).cast("bigint"))).alias("words"))
+    marks = spots.select(F.shiftright("spot", 6).alias("word"), F.expr("shiftleft(1L, cast(spot % 64 as int))").alias("bits"))
+    every = marks.groupBy("word").agg(F.bit_or("bits").alias("bits")).union(keys.sparkSession.range(bits // 64).select(F.col("id").alias("word"), F.lit(0).cast("bigint").alias("bits")))
+    dense = every.groupBy("word").agg(F.bit_or("bits").alias("bits"))
+    return dense.agg(F.transform(F.array_sort(F.collect_list(F.struct("word", "bits"))), lambda x: x["bits"]).alias("words"))
 
 
 def passes(words: DataFrame, key: Column, salt: int, hashes: int, bits: int) -> Column:

@@ -79,12 +79,17 @@ class Block:
         starts = np.flatnonzero(begin)
         return starts, np.flatnonzero(finish) + 1, np.searchsorted(starts, self.bounds)
 
-    def span_hashes(self, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
-        """One 64-bit hash for the bytes of each span, the same wherever the span stands."""
+    def prefix_sums(self, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
+        """Hash sums before each byte, and the factors that move a span's difference to the front."""
         powers = _POWERS.upto(len(self.data) + 1)
         sums = np.zeros(len(self.data) + 1, dtype=U64)
         np.cumsum((_LOWER_CODES if lower else _BYTE_CODES)[self.data] * powers.up[: len(self.data)], out=sums[1:])
-        return mix((sums[ends] - sums[starts]) * powers.down[starts] ^ (ends - starts).astype(U64))
+        return sums, powers.down
+
+    def span_hashes(self, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
+        """One 64-bit hash for the bytes of each span, the same wherever the span stands."""
+        sums, down = self.prefix_sums(lower)
+        return mix((sums[ends] - sums[starts]) * down[starts] ^ (ends - starts).astype(U64))
 
 
 def blocks(column: pa.Array | pa.ChunkedArray, limit: int = BLOCK_BYTES) -> Iterator[Block]:

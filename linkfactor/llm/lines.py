@@ -2,8 +2,11 @@
 
 Lines are what stands between newlines; those of white space alone never count as copies. A
 line's set holds its distinct runs of SHINGLE characters (the whole line if it is shorter).
-Its signature has one minimum per hash function, computed for all lines of a block at once;
-bands of ROWS minima make candidates, two-bit sketches thin them, and exact Jaccard
+Its signature has one minimum per hash function, computed for all lines of a block at once.
+Lines of SAMPLED characters and more draw the minima from the quarter of their shingles
+whose hash says so, which is a MinHash of the same similarity; lines of SAMPLED to WHOLE
+characters have both signatures, so that any two lines of similar size share a kind. Bands
+of ROWS minima make candidates, two-bit sketches thin them, and exact Jaccard
 similarity on the texts' sets confirms every link (100 * common >= PERCENT * union).
 Components of equal and linked lines keep one line, the first by (doc_id, line number).
 
@@ -35,6 +38,7 @@ from .near_docs import band_hashes, list_array
 U64, U32 = np.uint64, np.uint32
 SHINGLE, PERCENT = 8, 80
 ROWS, BANDS = 4, 9
+SAMPLED, WHOLE = 128, 160
 SKETCHED = 32
 #: Differing samples of 32 that a pair may have: at the threshold 5 are expected with a deviation of 2.
 SKETCH_LIMIT = 14
@@ -57,63 +61,79 @@ def line_spans(block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nda
 
 
 def character_sets(block: Block, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Shingle hashes (with repeats) of the given spans and their bounds."""
+    """Shingle hashes (with repeats) of the given spans, which ascend, and their bounds."""
     heads = np.flatnonzero((block.data & 0xC0) != 0x80)
+    sums, down = block.prefix_sums()
+    at = np.append(sums[heads], sums[-1])  # up to each character
     a, b = np.searchsorted(heads, lo), np.searchsorted(heads, hi)
-    counts = np.maximum(b - a - SHINGLE + 1, (b > a).astype(np.int64))
+    long = b - a >= SHINGLE
+    counts = np.where(long, b - a - SHINGLE + 1, (b > a).astype(np.int64))
     bounds = np.concatenate([[0], np.cumsum(counts)])
-    owner = np.repeat(np.arange(len(lo)), counts)
-    first = a[owner] + np.arange(len(owner)) - bounds[owner]
-    last = np.minimum(first + SHINGLE, b[owner])
-    edge = np.append(heads, len(block.data))
-    return block.span_hashes(edge[first], np.minimum(edge[last], hi[owner])), bounds
+    runs = (at[SHINGLE:] - at[:-SHINGLE]) * down[heads[: len(heads) - SHINGLE + 1]] if len(heads) >= SHINGLE else np.zeros(0, dtype=U64)
+    edge = np.bincount(a[long], minlength=len(heads) + 1) - np.bincount(b[long] - SHINGLE + 1, minlength=len(heads) + 1)
+    out = np.empty(int(bounds[-1]), dtype=U64)
+    short = np.flatnonzero(~long & (b > a))
+    room = np.ones(len(out), dtype=bool)
+    room[bounds[short]] = False
+    out[room] = runs[np.cumsum(edge)[: len(runs)] > 0]
+    out[bounds[short]] = (at[b[short]] - at[a[short]]) * down[heads[a[short]]] ^ U64(0x2545F4914F6CDD1D)
+    return out * U64(0xD6E8FEB86659FD93) ^ out >> U64(29), bounds
 
 
 def minhash(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """ROWS * BANDS minima of each span; every span has a value."""
-    out = np.empty((len(bounds) - 1, ROWS * BANDS), dtype=U64)
-    if not len(out):
-        return out
-    short = (values >> U64(32)).astype(U32)
-    for k in range(out.shape[1]):
-        out[:, k] = np.minimum.reduceat((short ^ _FLIPS[k]) * _FACTORS[k], bounds[:-1])
+    """ROWS * BANDS minima of each span; spans without a value get the largest number."""
+    out = np.full((len(bounds) - 1, ROWS * BANDS), (1 << 32) - 1, dtype=U64)
+    filled = np.flatnonzero(np.diff(bounds))
+    if len(filled):
+        short = (values >> U64(32)).astype(U32)
+        for k in range(out.shape[1]):
+            out[filled, k] = np.minimum.reduceat((short ^ _FLIPS[k]) * _FACTORS[k], bounds[:-1][filled])
     return out
 
 
+def signed_spans(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Number of the span, minima and kind (1: sampled) of each signature."""
+    sizes = np.diff(bounds)
+    whole, sampled = np.flatnonzero(sizes < WHOLE), np.flatnonzero(sizes >= SAMPLED)
+    owner = np.repeat(np.arange(len(sizes)), sizes)
+    out = []
+    for rows, take in ((whole, (sizes < WHOLE)[owner]), (sampled, (sizes >= SAMPLED)[owner] & (values & U64(3) == 0))):
+        kept = np.concatenate([[0], np.cumsum(take)])
+        cuts = kept[bounds]
+        out.append(minhash(values[take], np.append(cuts[rows], cuts[-1])))
+    kinds = np.concatenate([np.zeros(len(whole), dtype=np.int64), np.ones(len(sampled), dtype=np.int64)])
+    return np.concatenate([whole, sampled]), np.concatenate(out), kinds
+
+
 def _sketch(minima: np.ndarray) -> np.ndarray:
     bits = mix(minima[:, :SKETCHED]) & U64(3)
     return np.bitwise_or.reduce(bits << (U64(2) * np.arange(SKETCHED, dtype=U64)), axis=1)[:, None]
 
 
-def line_signatures(docs: DataFrame, text: str = "text") -> DataFrame:
-    """id (hash), size, sketch and bands of lines, each at least once."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block in blocks(batch.column("text"), 1 << 19):
-                lo, hi, _, _, ids = line_spans(block)
-                ids, one = np.unique(ids, return_index=True)
-                values, bounds = character_sets(block, lo[one], hi[one])
-                minima = minhash(values, bounds)
-                # The size that candidates are compared by is that of the set; repeats are rare and looked for by sorting.
-                sizes = np.diff(sorted_sets(values, bounds)[1])
-                yield pa.RecordBatch.from_arrays([pa.array(ids.view(np.int64)), pa.array(sizes), list_array(_sketch(minima)), list_array(band_hashes(minima, ROWS, BANDS))], names=["id", "size", "sketch", "bands"])
-
-    return docs.select(F.col(text).alias("text")).mapInArrow(run, "id long, size long, sketch array<long>, bands array<long>")
-
-
-def line_places(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, number and id of every line that holds a word."""
+def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """key, number and id (hash) of every line that holds a word; sketch and bands of its signatures at one row of each line at least."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys = batch.column("key")
-            for block in blocks(batch.column("text")):
-                _, _, owner, number, ids = line_spans(block)
-                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner + block.first)), pa.array(number.astype(np.int32)), pa.array(ids.view(np.int64))], names=["key", "number", "id"])
+            for block in blocks(batch.column("text"), 1 << 19):
+                lo, hi, owner, number, ids = line_spans(block)
+                one = np.sort(np.unique(ids, return_index=True)[1])
+                span, minima, kinds = signed_spans(*character_sets(block, lo[one], hi[one]))
+                bands = band_hashes(minima ^ (kinds.astype(U64) << U64(40))[:, None], ROWS, BANDS)
+                signed = one[span]
+                rest = np.setdiff1d(np.arange(len(ids)), one)
+                place = np.concatenate([signed, rest])
+                blank = len(rest)
+                # A line with two signatures stands twice; only the first of its rows is an occurrence.
+                first = np.ones(len(place), dtype=bool)
+                first[: len(signed)] = np.concatenate([np.ones(int((kinds == 0).sum()), dtype=bool), ~np.isin(span[kinds == 1], span[kinds == 0])])
+                sketch = pa.concat_arrays([list_array(_sketch(minima)), pa.nulls(blank, pa.list_(pa.int64()))])
+                bands = pa.concat_arrays([list_array(bands), pa.nulls(blank, pa.list_(pa.int64()))])
+                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), pa.array(first), sketch, bands], names=["key", "number", "id", "first", "sketch", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, first boolean, sketch array<long>, bands array<long>")
 
 
 def line_texts(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -147,28 +167,35 @@ def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch.select(["a", "b"]).filter(pa.array(keep))
 
 
-def line_roots(docs: DataFrame, text: str = "text") -> DataFrame:
-    """node and root of every line hash that is linked with another line."""
-    signed = settle_table(line_signatures(docs, text), "line-signatures")
+def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFrame:
+    """node and root of every line hash that is linked with another line; table: the rows of line_table."""
+    places = table.where("first").select("key", "number", "id")
 
     def verify(pairs: DataFrame) -> DataFrame:
         wanted = settle(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
-        some = prefilter(line_texts(docs, text), "id", wanted).join(wanted, F.col("id") == F.col("key"), "left_semi")
+        wanted = wanted.withColumnRenamed("key", "of")
+        # One document for each wanted line is enough to read its text from.
+        holders = prefilter(places, "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi").groupBy("id").agg(F.min("key").alias("key"))
+        holders = settle(holders.select("key").distinct())
+        rows = docs.select(F.col(key).alias("key"), F.col(text).alias("text"))
+        some = line_texts(prefilter(rows, "key", holders)).join(wanted, F.col("id") == F.col("of"), "left_semi")
         some = settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines")
         one = pairs.join(some.withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
         two = one.join(some.withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
         return two.mapInArrow(_similar, "a long, b long")
 
-    return components(signed, verify, 1, 2, SKETCH_LIMIT, PERCENT / 100)
+    items = table.where("bands is not null").select("id", F.lit(1).cast("bigint").alias("size"), "sketch", "bands")
+    return components(items, verify, 1, 2, SKETCH_LIMIT, PERCENT / 100)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key and the list of (number, id) of the lines that each document loses."""
-    roots = line_roots(docs, text)
-    places = line_places(docs, key, text)
+    table = settle_table(line_table(docs, key, text), "lines-signed")
+    roots = line_roots(docs, table, key, text)
+    places = table.where("first").select("key", "number", "id")
     first = places.groupBy("id").agg(F.min(F.struct("key", "number")).alias("first"), F.count(F.lit(1)).alias("n"))
-    named = first.join(roots, F.col("id") == F.col("node"), "left").select("id", "first", "n", F.coalesce("root", "id").alias("root"))
-    named = settle_table(named.where("n > 1 or root != id").union(named.join(roots.select(F.col("root").alias("r")).distinct(), F.col("root") == F.col("r"), "left_semi").where("n = 1 and root = id")), "line-counts")
+    named = first.join(roots, F.col("id") == F.col("node"), "left").select("id", "first", "n", F.coalesce("root", "id").alias("root"), F.col("root").isNotNull().alias("linked"))
+    named = settle_table(named.where("n > 1 or linked"), "line-counts")
     keeper = named.groupBy("root").agg(F.min("first").alias("keeper"))
     known = settle_table(named.join(keeper, "root").select(F.col("id").alias("of"), "keeper"), "line-keepers")
     lost = prefilter(places, "id", known.select(F.col("of").alias("key"))).join(known, F.col("id") == F.col("of"))
