@@ -36,7 +36,7 @@ U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
 #: Pieces that a worker keeps the ids of; those met once it is full are encoded batch by batch.
-CACHE_PIECES = 1_000_000
+CACHE_PIECES = 450_000
 NULL_KEY = -(1 << 63)
 
 
@@ -60,7 +60,6 @@ class WordEncoder:
         # In a byte-level vocabulary each character of a token stands for one byte.
         self.sizes = np.array([len(self.tokenizer.id_to_token(i) or "") for i in range(self.tokenizer.get_vocab_size())])
         self.cut = re.compile(r"(?<=\S) (?=\S)")
-        self.first: dict[str, bytes] = {}
         self.later: dict[str, bytes] = {}
 
     def pieces(self, text: str) -> list[str]:
@@ -96,13 +95,13 @@ class WordEncoder:
             learnt = dict(zip(fresh, ids, strict=True))
             for i in gaps:
                 found[i] = learnt[pieces[i]]
-            if len(known) + len(learnt) <= CACHE_PIECES:
+            if follows and len(known) + len(learnt) <= CACHE_PIECES:
                 known.update(learnt)
         return found
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [self.pieces(x) if x else [] for x in texts]
-        first = iter(self._fetch(self.first, [x[0] for x in split if x], False))
+        first = iter(self._fetch({}, [x[0] for x in split if x], False))
         later = self._fetch(self.later, [y for x in split for y in x[1:]], True)
         out, at = [], 0
         for x in split:
