@@ -76,10 +76,14 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
         sizes = F.least(F.col(f"{x}.size"), F.col(f"{y}.size")) >= F.lit(similarity) * F.greatest(F.col(f"{x}.size"), F.col(f"{y}.size"))
         return sizes & (mismatches(F.col(f"{x}.sketch"), F.col(f"{y}.sketch"), sketch_longs, sketch_bits) <= sketch_limit)
 
-    banded = items.select("id", "size", "sketch", F.explode("bands").alias("band"))
+    def first_shared(x: str, y: str) -> Column:
+        """A pair that shares several bands is taken at the first of them only."""
+        return F.get(F.filter(F.zip_with(f"{x}.bands", f"{y}.bands", lambda a, b: F.when(a == b, a)), lambda a: a.isNotNull()), F.lit(0))
+
+    banded = items.select("id", "size", "sketch", "bands", F.explode("bands").alias("band"))
     shared = settle(banded.groupBy("band").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select(F.col("band").alias("key")))
     members = prefilter(banded, "band", shared).join(shared, F.col("band") == F.col("key"), "left_semi")
-    members = settle(members.select("band", F.struct("id", "size", "sketch").alias("x")))
+    members = settle(members.select("band", F.struct("id", "size", "sketch", "bands").alias("x")))
 
     ends = members.groupBy(F.col("band").alias("at")).agg(F.min("x").alias("lo"), F.max("x").alias("hi"))
     star = members.join(ends, F.col("band") == F.col("at"))
@@ -94,6 +98,7 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
     apart = placed.join(mixed, F.col("band") == F.col("at")).where("root != main")
     apart = apart.select("band", F.col("x").alias("p"), F.col("root").alias("p_root"), F.explode(F.array(F.col("class") - 1, F.col("class"), F.col("class") + 1)).alias("class"))
     left = apart.join(placed.withColumnRenamed("x", "q"), ["band", "class"]).where("root != p_root").where(may_link("p", "q"))
+    left = left.where(first_shared("p", "q") == F.col("band"))
     left = left.select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti")
     left = settle(left)
     more = settle(verify(left)) if left.limit(1).count() else left

@@ -37,7 +37,7 @@ PERCENT = 80
 SLOTS, ROWS, BANDS = 256, 4, 18
 SAMPLE_BITS = 4
 #: Differing samples of 256 that a pair may have: at the threshold 48 are expected, with a measured deviation of 4.6.
-SKETCH_LIMIT = 68
+SKETCH_LIMIT = 66
 
 
 def shingle_sets(block: Block, width: int) -> tuple[np.ndarray, np.ndarray]:
