@@ -9,9 +9,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def gram_of(vectors: pd.Series) -> list:
     """Packed Gram triangle of a group of vectors."""
     x = np.array(vectors.tolist(), dtype=float)
@@ -19,7 +20,7 @@ def gram_of(vectors: pd.Series) -> list:
     return (x.T @ x)[i, j].tolist()
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def bf16_bytes(vectors: pd.Series) -> pd.Series:
     """Two bytes a coordinate."""
     from ..operators.solvers import bf16_pack

@@ -8,6 +8,7 @@ from urllib.parse import urljoin, urlsplit
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..runtime import generation
 
@@ -30,7 +31,7 @@ def extract_links(pages: DataFrame) -> DataFrame:
     return pages.select("page_id", "url", hrefs.alias("href")).where("href != ''").distinct()
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def join_url(base: pd.Series, href: pd.Series) -> pd.Series:
     """Absolute http(s) URL without a fragment by the standard library, or null."""
 

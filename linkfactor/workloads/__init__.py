@@ -6,7 +6,7 @@ from importlib import import_module
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ("model", "strategies", "serving")
+MODULES = ("model", "strategies", "serving", "graphs", "streams", "surface", "experiments")
 
 
 def _all(what: str) -> dict:
