@@ -6,7 +6,7 @@ Its signature has one minimum per hash function, computed for all lines of a blo
 Lines of SAMPLED characters and more draw the minima from the quarter of their shingles
 whose hash says so, which is a MinHash of the same similarity; lines of SAMPLED to WHOLE
 characters have both signatures, so that any two lines of similar size share a kind. Bands
-of ROWS minima make candidates, two-bit sketches thin them, and exact Jaccard
+of ROWS minima make candidates, four-bit sketches thin them, and exact Jaccard
 similarity on the texts' sets confirms every link (100 * common >= PERCENT * union).
 Components of equal and linked lines keep one line, the first by (doc_id, line number).
 
@@ -26,6 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -38,10 +39,12 @@ from .near_docs import band_hashes, list_array
 U64, U32 = np.uint64, np.uint32
 SHINGLE, PERCENT = 8, 80
 ROWS, BANDS = 4, 9
+LINE_BLOCK = 1 << 17
 SAMPLED, WHOLE = 128, 160
 SKETCHED = 32
-#: Differing samples of 32 that a pair may have: at the threshold 5 are expected with a deviation of 2.
-SKETCH_LIMIT = 14
+SAMPLE_BITS = 4
+#: Differing samples of 32 that a pair may have: at the threshold 6 are expected, with a deviation of 2 to 3.
+SKETCH_LIMIT = 15
 
 _NOT_NEWLINE = np.zeros(256, dtype=bool)
 _NOT_NEWLINE[10] = True
@@ -106,8 +109,9 @@ def signed_spans(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np
 
 
 def _sketch(minima: np.ndarray) -> np.ndarray:
-    bits = mix(minima[:, :SKETCHED]) & U64(3)
-    return np.bitwise_or.reduce(bits << (U64(2) * np.arange(SKETCHED, dtype=U64)), axis=1)[:, None]
+    samples, each = mix(minima[:, :SKETCHED]) & U64((1 << SAMPLE_BITS) - 1), 64 // SAMPLE_BITS
+    shifts = U64(SAMPLE_BITS) * np.arange(each, dtype=U64)
+    return np.stack([np.bitwise_or.reduce(samples[:, k : k + each] << shifts, axis=1) for k in range(0, SKETCHED, each)], axis=1)
 
 
 def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -116,7 +120,7 @@ def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keys = batch.column("key")
-            for block in blocks(batch.column("text"), 1 << 19):
+            for block in blocks(batch.column("text"), LINE_BLOCK):
                 lo, hi, owner, number, ids = line_spans(block)
                 one = np.sort(np.unique(ids, return_index=True)[1])
                 span, minima, kinds = signed_spans(*character_sets(block, lo[one], hi[one]))
@@ -185,7 +189,7 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
         return two.mapInArrow(_similar, "a long, b long")
 
     items = table.where("bands is not null").select("id", F.lit(1).cast("bigint").alias("size"), "sketch", "bands")
-    return components(items, verify, 1, 2, SKETCH_LIMIT, PERCENT / 100)
+    return components(items, verify, SKETCHED * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -203,6 +207,36 @@ def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
     return lost.groupBy("key").agg(F.collect_set(F.struct("number", "id")).alias("lost"))
 
 
+def strip_lines(texts: pa.Array, lost: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+    """Texts without the lines (number, id) listed for them, how many each lost, and their lengths in characters."""
+    cells = lost.flatten()
+    sizes = np.diff(lost.offsets.to_numpy())
+    owner = np.repeat(np.arange(len(texts)), sizes).astype(U64)
+    salt = U64(0x9E3779B97F4A7C15)
+    marks = mix(mix(owner * salt ^ cells.field("number").to_numpy().astype(U64)) ^ cells.field("id").to_numpy().view(U64))
+    parts, counts, lengths = [], [], []
+    for block in blocks(texts, LINE_BLOCK):
+        lo, hi, row, number, ids = line_spans(block)
+        gone = np.isin(mix(mix((row + block.first).astype(U64) * salt ^ number.astype(U64)) ^ ids), marks)
+        lo, hi, row = lo[gone], hi[gone], row[gone]
+        end = block.bounds[1:]
+        edge = np.bincount(lo, minlength=len(block.data) + 2) - np.bincount(np.minimum(hi + 1, end[row]), minlength=len(block.data) + 2)
+        keep = np.cumsum(edge)[: len(block.data)] == 0
+        # Where the last line goes, so does the newline before it, unless nothing is left.
+        tail = np.unique(row[hi == end[row]])
+        kept = np.concatenate([[0], np.cumsum(keep)])
+        for i in tail[kept[end[tail]] > kept[block.bounds[tail]]].tolist():
+            last = block.bounds[i] + np.flatnonzero(keep[block.bounds[i] : end[i]])[-1]
+            keep[last] = False
+        kept = np.concatenate([[0], np.cumsum(keep)])[block.bounds]
+        left = block.data[keep]
+        heads = np.concatenate([[0], np.cumsum((left & 0xC0) != 0x80)])[kept]
+        parts.append(pa.LargeBinaryArray.from_buffers(pa.large_binary(), block.n, [None, pa.py_buffer(kept.astype(np.int64).tobytes()), pa.py_buffer(left.tobytes())]))
+        counts.append(np.bincount(row, minlength=block.n))
+        lengths.append(np.diff(heads))
+    return pa.concat_arrays(parts).cast(pa.large_string()), np.concatenate(counts), np.concatenate(lengths)
+
+
 def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """docs with one line of each component left in all texts, and the column ``lines_lost`` (long) of their numbers."""
     lost = settle_table(lost_lines(docs, key, text), "lost-lines")
@@ -216,24 +250,23 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            column = batch.column(text)
-            gone = batch.column("lines_lost")
-            texts, counts = column.to_pylist(), np.zeros(batch.num_rows, dtype=np.int64)
-            hit = np.flatnonzero(gone.is_valid().to_numpy(zero_copy_only=False))
-            for i in hit.tolist():
-                drop = {(x["number"], x["id"]) for x in gone[i].as_py()}
-                block = next(blocks(pa.array([texts[i]], type=pa.string())))
-                _, _, _, number, ids = line_spans(block)
-                mine = {n for n, h in zip(number.tolist(), ids.view(np.int64).tolist(), strict=True) if (n, h) in drop}
-                counts[i] = len(mine)
-                texts[i] = "\n".join(x for n, x in enumerate(texts[i].split("\n")) if n not in mine)
-            out = batch.select(names)
-            at = out.schema.get_field_index(text)
-            out = out.set_column(at, out.schema.field(at), pa.array(texts, type=column.type))
-            if chars and len(hit):
-                at = out.schema.get_field_index("n_chars")
-                n = [len(texts[i]) if c else old for i, (c, old) in enumerate(zip(counts.tolist(), out.column(at).to_pylist(), strict=True))]
-                out = out.set_column(at, out.schema.field(at), pa.array(n, type=out.schema.field(at).type))
+            counts, out = np.zeros(batch.num_rows, dtype=np.int64), batch.select(names)
+            hit = np.flatnonzero(batch.column("lines_lost").is_valid().to_numpy(zero_copy_only=False))
+            if len(hit):
+                at = out.schema.get_field_index(text)
+                fresh, lost, sizes = strip_lines(out.column(at).take(pa.array(hit)), batch.column("lines_lost").take(pa.array(hit)))
+                counts[hit] = lost
+                # The changed rows are put in place of the old ones by a take from both.
+                place = np.arange(batch.num_rows)
+                place[hit] = batch.num_rows + np.arange(len(hit))
+                both = pa.concat_arrays([out.column(at), fresh.cast(out.column(at).type)])
+                out = out.set_column(at, out.schema.field(at), both.take(pa.array(place)))
+                if chars:
+                    at = out.schema.get_field_index("n_chars")
+                    changed = pa.array(np.where(lost > 0, sizes, 0), mask=lost == 0, type=out.schema.field(at).type)
+                    old = out.column(at).take(pa.array(hit))
+                    both = pa.concat_arrays([out.column(at), pc.coalesce(changed, old)])
+                    out = out.set_column(at, out.schema.field(at), both.take(pa.array(place)))
             yield out.append_column("lines_lost", pa.array(counts))
 
     spec = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in wide.schema.fields) + ", lines_lost long"

@@ -18,13 +18,19 @@ of which Spark splits hot keys.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .bloom import prefilter
 from .cluster import settle
+from .kernels import mix
+
+U64 = np.uint64
+#: Bits (as a power of two) of the filter of shared bands that travels to every task: 2 MB, whatever the input.
+FILTER_POWER = 24
 
 #: The lowest bit of each sample, by the bits of a sample.
 _LOW_BITS = {2: 0x5555555555555555, 4: 0x1111111111111111}
@@ -41,6 +47,102 @@ def mismatches(a: Column, b: Column, longs: int, bits: int) -> Column:
     return total
 
 
+def _flat(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The longs of a list column, and the row of each."""
+    sizes = np.diff(column.offsets.to_numpy())
+    return column.flatten().to_numpy(zero_copy_only=False), np.repeat(np.arange(len(sizes)), sizes)
+
+
+def _ends(bands: np.ndarray, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The smallest and the largest id of each band, as one or two rows (band, id)."""
+    order = np.lexsort((ids, bands))
+    bands, ids = bands[order], ids[order]
+    fresh = np.ones(len(bands), dtype=bool)
+    fresh[1:] = (bands[1:] != bands[:-1]) | (ids[1:] != ids[:-1])
+    bands, ids = bands[fresh], ids[fresh]
+    first = np.ones(len(bands), dtype=bool)
+    first[1:] = bands[1:] != bands[:-1]
+    keep = first | np.append(first[1:], True)
+    return bands[keep], ids[keep]
+
+
+def shared_bands(items: DataFrame) -> DataFrame:
+    """Bands (column ``band``) that two different ids have.
+
+    A task sends at most two ids of a band, packed by the partition that decides on it, so that a band that many items share costs each task two numbers.
+    """
+    parts = max(1, int(items.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bands, ids, held = [], [], 0
+        for batch in batches:
+            flat, row = _flat(batch.column("bands"))
+            bands.append(flat)
+            ids.append(batch.column("id").to_numpy()[row])
+            held += len(flat)
+            if held > 4_000_000:
+                yield pack(bands, ids)
+                bands, ids, held = [], [], 0
+        if held:
+            yield pack(bands, ids)
+
+    def pack(bands: list, ids: list) -> pa.RecordBatch:
+        band, item = _ends(np.concatenate(bands), np.concatenate(ids))
+        part = (mix(band.view(U64)) % U64(parts)).astype(np.int64)
+        order = np.argsort(part, kind="stable")
+        rows = np.stack([band[order], item[order]], axis=1)
+        cuts = np.searchsorted(part[order], np.arange(parts + 1)).tolist()
+        full = [k for k in range(parts) if cuts[k + 1] > cuts[k]]
+        return pa.RecordBatch.from_arrays([pa.array(full, type=pa.int32()), pa.array([rows[cuts[k] : cuts[k + 1]].tobytes() for k in full], type=pa.binary())], names=["part", "packed"])
+
+    def decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = [np.frombuffer(x, dtype=np.int64).reshape(-1, 2) for batch in batches for x in batch.column("packed").to_pylist()]
+        if rows:
+            every = np.concatenate(rows)
+            band, _ = _ends(every[:, 0], every[:, 1])
+            yield pa.RecordBatch.from_arrays([pa.array(band[1:][band[1:] == band[:-1]])], names=["band"])
+
+    sent = items.select("id", "bands").mapInArrow(send, "part int, packed binary")
+    return sent.repartition(parts, "part").mapInArrow(decide, "band long")
+
+
+def _spots(bands: np.ndarray) -> list[np.ndarray]:
+    return [(mix(bands.view(U64) ^ U64(salt)) >> U64(64 - FILTER_POWER)).astype(np.int64) for salt in (11, 12)]
+
+
+def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
+    """band and x (id, size, sketch, bands) of all items in shared bands: a filter of fixed size first, then the exact join."""
+
+    def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            spot = np.unique(np.concatenate(_spots(batch.column("band").to_numpy())))
+            word, first = np.unique(spot >> 6, return_index=True)
+            bits = np.bitwise_or.reduceat(U64(1) << (spot & 63).astype(U64), first) if len(first) else np.zeros(0, dtype=U64)
+            yield pa.RecordBatch.from_arrays([pa.array(word), pa.array(bits.view(np.int64))], names=["word", "bits"])
+
+    marks = shared.mapInArrow(mark, "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()
+    words = np.zeros(1 << (FILTER_POWER - 6), dtype=U64)
+    words[marks.column("word").to_numpy()] = marks.column("bits").to_numpy().view(U64)
+    sent = items.sparkSession.sparkContext.broadcast(words)
+    fields = ["id", "size", "sketch", "bands"]
+
+    def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = sent.value
+        for batch in batches:
+            flat, row = _flat(batch.column("bands"))
+            hit = np.ones(len(flat), dtype=bool)
+            for spot in _spots(flat):
+                hit &= (held[spot >> 6] >> (spot & 63).astype(U64)) & U64(1) == 1
+            at = np.flatnonzero(hit)
+            if len(at):
+                rows = batch.select(fields).take(pa.array(row[at]))
+                yield pa.RecordBatch.from_arrays([pa.array(flat[at]), *rows.columns], names=["band", *fields])
+
+    spec = "band long, " + ", ".join(f"{f} {items.schema[f].dataType.simpleString()}" for f in fields)
+    some = items.select(*fields).mapInArrow(explode, spec)
+    return some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi").select("band", F.struct(*fields).alias("x"))
+
+
 def connected(edges: DataFrame) -> DataFrame:
     """node and root (the smallest node of its component) of every node on an edge (a, b)."""
     now = settle(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
@@ -80,10 +182,8 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
         """A pair that shares several bands is taken at the first of them only."""
         return F.get(F.filter(F.zip_with(f"{x}.bands", f"{y}.bands", lambda a, b: F.when(a == b, a)), lambda a: a.isNotNull()), F.lit(0))
 
-    banded = items.select("id", "size", "sketch", "bands", F.explode("bands").alias("band"))
-    shared = settle(banded.groupBy("band").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo < hi").select(F.col("band").alias("key")))
-    members = prefilter(banded, "band", shared).join(shared, F.col("band") == F.col("key"), "left_semi")
-    members = settle(members.select("band", F.struct("id", "size", "sketch", "bands").alias("x")))
+    shared = settle(shared_bands(items))
+    members = settle(band_members(items, shared))
 
     ends = members.groupBy(F.col("band").alias("at")).agg(F.min("x").alias("lo"), F.max("x").alias("hi"))
     star = members.join(ends, F.col("band") == F.col("at"))
