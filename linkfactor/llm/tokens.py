@@ -36,7 +36,7 @@ U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
 #: Pieces that a worker keeps the ids of; those met once it is full are encoded batch by batch.
-CACHE_PIECES = 450_000
+CACHE_PIECES = 400_000
 NULL_KEY = -(1 << 63)
 
 
@@ -228,9 +228,8 @@ def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_
                 store, path = _store(folder)
                 store.create_dir(path, recursive=True)
                 sink = store.open_output_stream(f"{path}/{shard}.ids.{attempt}")
-            texts = batch.column("text").to_pylist()
-            for at in range(0, len(texts), 1024):
-                for ids in encoder.encode(texts[at : at + 1024]):
+            for at in range(0, batch.num_rows, 512):
+                for ids in encoder.encode(batch.column("text").slice(at, 512).to_pylist()):
                     sink.write(ids + end)
                     lengths.append(len(ids) // width + 1)
             keys.append(batch.column("key").to_numpy(zero_copy_only=False))
