@@ -134,13 +134,18 @@ def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
             for spot in _spots(flat):
                 hit &= (held[spot >> 6] >> (spot & 63).astype(U64)) & U64(1) == 1
             at = np.flatnonzero(hit)
+            _, one = np.unique(mix(flat[at].view(U64)) ^ batch.column("id").to_numpy()[row[at]].view(U64), return_index=True)
+            at = at[one]
             if len(at):
                 rows = batch.select(fields).take(pa.array(row[at]))
                 yield pa.RecordBatch.from_arrays([pa.array(flat[at]), *rows.columns], names=["band", *fields])
 
     spec = "band long, " + ", ".join(f"{f} {items.schema[f].dataType.simpleString()}" for f in fields)
     some = items.select(*fields).mapInArrow(explode, spec)
-    return some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi").select("band", F.struct(*fields).alias("x"))
+    exact = some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi")
+    # An item may come from many tasks; its rows are alike.
+    once = exact.groupBy("band", "id").agg(*[F.first(f).alias(f) for f in fields[1:]])
+    return once.select("band", F.struct(*fields).alias("x"))
 
 
 def connected(edges: DataFrame) -> DataFrame:
