@@ -95,7 +95,7 @@ def _rerank(found: DataFrame, rows: DataFrame, columns: DataFrame, k: int, exclu
     return _merge(scored.select("row_id", "col_id", dot("v", "u").alias("score")), k)
 
 
-def topk_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, tables: int = 24, bits: int = 6, seed: int = 7, exclude: DataFrame | None = None) -> DataFrame:
+def topk_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, tables: int = 48, bits: int = 5, seed: int = 7, exclude: DataFrame | None = None) -> DataFrame:
     """Sign random projections of the augmented vectors; rows and columns that share a bucket of any table are scored exactly."""
     planes = np.random.default_rng(seed).standard_normal((tables * bits, rank + 1))
 
@@ -115,7 +115,7 @@ def topk_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, tables: int
     return _rerank(found, rows, columns, k, exclude)
 
 
-def topk_ivf(rows: DataFrame, columns: DataFrame, k: int, rank: int, cells: int = 16, probes: int = 4, seed: int = 7, sample: int = 20_000, exclude: DataFrame | None = None) -> DataFrame:
+def topk_ivf(rows: DataFrame, columns: DataFrame, k: int, rank: int, cells: int = 16, probes: int = 12, seed: int = 7, sample: int = 20_000, exclude: DataFrame | None = None) -> DataFrame:
     """k-means cells over a bounded sample of the augmented columns; every column is in its nearest cell, a row looks into its ``probes`` nearest ones."""
     largest = _longest(columns)
     table = _augmented(columns, rank, largest, "column")

@@ -39,10 +39,11 @@ def stream_session(s, d):
 
 
 def stream_late_data(s, d):
-    """Two files, the later days first: with a watermark of a day the old file's windows are too late and dropped."""
+    """Three files, the early days last: with a watermark of a day the windows of the last file are too late and dropped."""
     folder = scratch(_utc(s), "late")
     e = s.read.parquet(f"{d}/events.parquet")
-    for name, part in (("a", "ts >= timestamp_ntz'2024-01-16 00:00:00'"), ("b", "ts < timestamp_ntz'2024-01-16 00:00:00'")):
+    middle, end = "timestamp_ntz'2024-01-16 00:00:00'", "timestamp_ntz'2024-01-23 00:00:00'"
+    for name, part in (("a", f"ts >= {middle} and ts < {end}"), ("b", f"ts >= {end}"), ("c", f"ts < {middle}")):
         e.where(part).coalesce(1).write.parquet(f"{folder}/{name}")
     schema = e.schema
     stream = st._typed(s.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/*"))
