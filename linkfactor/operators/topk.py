@@ -41,7 +41,7 @@ def topk_exact(rows: DataFrame, columns: DataFrame, k: int, rank: int, exclude:
     room = k if exclude is None else k + int(exclude.groupBy("row_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0)
 
     def deal(frame: DataFrame, own: str, other: str, mine: int, others: int) -> DataFrame:
-        dealt = frame.select(F.pmod(F.xxhash64("id"), F.lit(mine)).alias(own), F.col("id").alias(f"{own}_id"), F.col("vec").alias(f"{own}_vec"))
+        dealt = frame.select(F.pmod(F.xxhash64("id"), F.lit(mine)).cast("int").alias(own), F.col("id").alias(f"{own}_id"), F.col("vec").alias(f"{own}_vec"))
         return dealt.withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(others - 1))))
 
     left, right = deal(rows, "rb", "cb", row_blocks, col_blocks), deal(columns, "cb2", "rb2", col_blocks, row_blocks)

@@ -64,6 +64,19 @@ def test_topk_ties_blocks_and_exclusion(spark):
     assert topk.topk_exact(v.limit(0), v, 3, 2).count() == 0
 
 
+def test_topk_over_many_blocks_is_exact(spark):
+    import numpy as np
+
+    from linkfactor.operators.factors import init_vectors
+
+    v = init_vectors(spark.range(600), 8).cache()
+    x = np.stack([r.vec for r in v.orderBy("id").collect()])
+    got = {}
+    for r in topk.topk_exact(v.where("id < 40"), v, 30, 8, row_blocks=3, col_blocks=5).collect():
+        got.setdefault(r.row_id, set()).add(r.col_id)
+    assert all(got[i] == set(np.argsort(-(x @ x[i]))[:30].tolist()) for i in range(40))
+
+
 def test_approximate_search_finds_most(spark):
     v = embeddings(spark, SMALL).cache()
     exact = topk.topk_exact(v, v, 20, 64).cache()
