@@ -64,6 +64,7 @@ class Block:
 
     def __init__(self, first: int, data: np.ndarray, bounds: np.ndarray) -> None:
         self.first, self.data, self.bounds, self.n = first, data, bounds, len(bounds) - 1
+        self.sums: dict[bool, np.ndarray] = {}
 
     def spans(self, outside: np.ndarray = IS_SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Starts, ends and the first word of each text (n + 1 entries) of runs not in ``outside``."""
@@ -82,9 +83,10 @@ class Block:
     def prefix_sums(self, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
         """Hash sums before each byte, and the factors that move a span's difference to the front."""
         powers = _POWERS.upto(len(self.data) + 1)
-        sums = np.zeros(len(self.data) + 1, dtype=U64)
-        np.cumsum((_LOWER_CODES if lower else _BYTE_CODES)[self.data] * powers.up[: len(self.data)], out=sums[1:])
-        return sums, powers.down
+        if lower not in self.sums:
+            self.sums[lower] = np.zeros(len(self.data) + 1, dtype=U64)
+            np.cumsum((_LOWER_CODES if lower else _BYTE_CODES)[self.data] * powers.up[: len(self.data)], out=self.sums[lower][1:])
+        return self.sums[lower], powers.down
 
     def span_hashes(self, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
         """One 64-bit hash for the bytes of each span, the same wherever the span stands."""

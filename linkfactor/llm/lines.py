@@ -6,7 +6,7 @@ Its signature has one minimum per hash function, computed for all lines of a blo
 Lines of SAMPLED characters and more draw the minima from the quarter of their shingles
 whose hash says so, which is a MinHash of the same similarity; lines of SAMPLED to WHOLE
 characters have both signatures, so that any two lines of similar size share a kind. Bands
-of ROWS minima make candidates, four-bit sketches thin them, and exact Jaccard
+of ROWS minima make candidates, SuperMinHash sketches of these thin them, and exact Jaccard
 similarity on the texts' sets confirms every link (100 * common >= PERCENT * union).
 Components of equal and linked lines keep one line, the first by (doc_id, line number).
 
@@ -34,17 +34,15 @@ from .bloom import prefilter, split
 from .cluster import settle, settle_table
 from .kernels import IS_SPACE, Block, blocks, mix, sorted_sets
 from .near import components
-from .near_docs import band_hashes, list_array
+from .near_docs import band_hashes, list_array, sketch_longs, superminhash
 
 U64, U32 = np.uint64, np.uint32
 SHINGLE, PERCENT = 8, 80
 ROWS, BANDS = 4, 9
 LINE_BLOCK = 1 << 17
 SAMPLED, WHOLE = 128, 160
-SKETCHED = 32
-SAMPLE_BITS = 4
-#: Differing samples of 32 that a pair may have: at the threshold 6 are expected, with a deviation of 2 to 3.
-SKETCH_LIMIT = 15
+#: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 96 are expected, with a deviation of 6 to 7.
+SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 512, 4, 122
 
 _NOT_NEWLINE = np.zeros(256, dtype=bool)
 _NOT_NEWLINE[10] = True
@@ -66,7 +64,7 @@ def line_spans(block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nda
 def character_sets(block: Block, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Shingle hashes (with repeats) of the given spans, which ascend, and their bounds."""
     heads = np.flatnonzero((block.data & 0xC0) != 0x80)
-    sums, down = block.prefix_sums()
+    sums, down = block.prefix_sums()  # kept by the block
     at = np.append(sums[heads], sums[-1])  # up to each character
     a, b = np.searchsorted(heads, lo), np.searchsorted(heads, hi)
     long = b - a >= SHINGLE
@@ -108,14 +106,8 @@ def signed_spans(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np
     return np.concatenate([whole, sampled]), np.concatenate(out), kinds
 
 
-def _sketch(minima: np.ndarray) -> np.ndarray:
-    samples, each = mix(minima[:, :SKETCHED]) & U64((1 << SAMPLE_BITS) - 1), 64 // SAMPLE_BITS
-    shifts = U64(SAMPLE_BITS) * np.arange(each, dtype=U64)
-    return np.stack([np.bitwise_or.reduce(samples[:, k : k + each] << shifts, axis=1) for k in range(0, SKETCHED, each)], axis=1)
-
-
 def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, number and id (hash) of every line that holds a word; sketch and bands of its signatures at one row of each line at least."""
+    """key, number and id (hash) of every line that holds a word; bands of its signatures at one row of each line at least."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -132,16 +124,15 @@ def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
                 # A line with two signatures stands twice; only the first of its rows is an occurrence.
                 first = np.ones(len(place), dtype=bool)
                 first[: len(signed)] = np.concatenate([np.ones(int((kinds == 0).sum()), dtype=bool), ~np.isin(span[kinds == 1], span[kinds == 0])])
-                sketch = pa.concat_arrays([list_array(_sketch(minima)), pa.nulls(blank, pa.list_(pa.int64()))])
                 bands = pa.concat_arrays([list_array(bands), pa.nulls(blank, pa.list_(pa.int64()))])
-                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), pa.array(first), sketch, bands], names=["key", "number", "id", "first", "sketch", "bands"])
+                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), pa.array(first), bands], names=["key", "number", "id", "first", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, first boolean, sketch array<long>, bands array<long>")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, first boolean, bands array<long>")
 
 
 def line_texts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """id and text of lines, each at least once."""
+    """id, text and fine sketch of lines, each at least once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -154,6 +145,19 @@ def line_texts(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.select(F.col(text).alias("text")).mapInArrow(run, "id long, line binary")
 
 
+def line_sketches(lines: DataFrame) -> DataFrame:
+    """id, size of the set and SuperMinHash sketch of lines."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for block in blocks(batch.column("line"), LINE_BLOCK):
+                values, bounds = sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))
+                sketch = list_array(sketch_longs(superminhash(values, bounds, SLOTS)))
+                yield pa.RecordBatch.from_arrays([batch.column("id").slice(block.first, block.n), pa.array(np.diff(bounds)), sketch], names=["id", "size", "sketch"])
+
+    return lines.select("id", "line").mapInArrow(run, "id long, size long, sketch array<long>")
+
+
 def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         sides = []
@@ -175,21 +179,29 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
     """node and root of every line hash that is linked with another line; table: the rows of line_table."""
     places = table.where("first").select("key", "number", "id")
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        wanted = settle(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
-        wanted = wanted.withColumnRenamed("key", "of")
+    texts: list[DataFrame] = []
+
+    def refine(members: DataFrame) -> DataFrame:
+        """Fetch the candidates' texts once, and give them sketches that tell similarities just below the wanted one."""
+        wanted = settle(members.select(F.col("x.id").alias("of")).distinct())
         # One document for each wanted line is enough to read its text from.
         holders = prefilter(places, "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi").groupBy("id").agg(F.min("key").alias("key"))
         holders = settle(holders.select("key").distinct())
         rows = docs.select(F.col(key).alias("key"), F.col(text).alias("text"))
-        some = line_texts(prefilter(rows, "key", holders)).join(wanted, F.col("id") == F.col("of"), "left_semi")
-        some = settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines")
-        one = pairs.join(some.withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
-        two = one.join(some.withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
+        some = prefilter(line_texts(prefilter(rows, "key", holders)), "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi")
+        texts.append(settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines"))
+        fine = line_sketches(texts[0])
+        with_fine = members.select("band", F.col("x.id").alias("of"), F.col("x.bands").alias("bands")).join(fine, F.col("of") == F.col("id"))
+        return with_fine.select("band", F.struct("id", "size", "sketch", "bands").alias("x"))
+
+    def verify(pairs: DataFrame) -> DataFrame:
+        one = pairs.join(texts[0].withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
+        two = one.join(texts[0].withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
         return two.mapInArrow(_similar, "a long, b long")
 
-    items = table.where("bands is not null").select("id", F.lit(1).cast("bigint").alias("size"), "sketch", "bands")
-    return components(items, verify, SKETCHED * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100)
+    blank = F.lit(None).cast("array<bigint>")
+    items = table.where("bands is not null").select("id", F.lit(1).cast("bigint").alias("size"), blank.alias("sketch"), "bands")
+    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, refine)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -244,8 +256,7 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
     packed = wide.select(F.struct(*[F.col(f"`{c}`") for c in wide.columns]).alias("row"))
     maybe, whole = split(packed, F.col("row")[key], lost)
     hit = maybe.join(lost, F.col("row")[key].eqNullSafe(lost["key"]), "left").select("row", "lost")
-    joined = hit.union(whole.select("row", F.lit(None).cast(lost.schema["lost"].dataType)))
-    joined = joined.select(*[F.col("row")[c].alias(c) for c in wide.columns], F.col("lost").alias("lines_lost"))
+    joined = hit.select(*[F.col("row")[c].alias(c) for c in wide.columns], F.col("lost").alias("lines_lost"))
     names, chars = wide.columns, "n_chars" in wide.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -270,4 +281,5 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
             yield out.append_column("lines_lost", pa.array(counts))
 
     spec = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in wide.schema.fields) + ", lines_lost long"
-    return joined.mapInArrow(run, spec)
+    untouched = whole.select(*[F.col("row")[c].alias(c) for c in names], F.lit(0).cast("bigint").alias("lines_lost"))
+    return joined.mapInArrow(run, spec).union(untouched)

@@ -151,8 +151,7 @@ def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
 def connected(edges: DataFrame) -> DataFrame:
     """node and root (the smallest node of its component) of every node on an edge (a, b)."""
     now = settle(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
-    mark = _mark(now)
-    while mark[0]:
+    while _unsettled(now):
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy(F.col("u").alias("k")).agg(F.min("v").alias("m"))
         large = both.where("v > u").join(low, F.col("u") == F.col("k")).select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
@@ -160,23 +159,22 @@ def connected(edges: DataFrame) -> DataFrame:
         low = large.groupBy(F.col("u").alias("k")).agg(F.min("v").alias("m"))
         small = large.join(low, F.col("u") == F.col("k"))
         small = small.select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u != v")
-        after = settle(small.distinct())
-        fresh = _mark(after)
-        if fresh == mark:
-            break
-        now, mark = after, fresh
+        now = settle(small.distinct())
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def _mark(edges: DataFrame) -> tuple[int, int]:
-    row = edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first()
-    return row[0], row[1] or 0
+def _unsettled(edges: DataFrame) -> bool:
+    """Whether a node still points to two others, or to one that points further."""
+    ends = edges.select(F.col("u").alias("node"), F.lit(1).alias("out"), F.lit(0).alias("held")).union(edges.select("v", F.lit(0), F.lit(1)))
+    seen = ends.groupBy("node").agg(F.sum("out").alias("out"), F.max("held").alias("held"))
+    return seen.where("out > 1 or (out = 1 and held = 1)").limit(1).count() > 0
 
 
-def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8) -> DataFrame:
+def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8, refine: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """node and root of all items that are linked with another one.
 
     verify: takes pairs (a, b) of ids, a < b, and returns those that are truly similar.
+    refine: may give the members of shared bands (columns band, x) better sketches first.
     """
 
     def may_link(x: str, y: str) -> Column:
@@ -189,6 +187,7 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
 
     shared = settle(shared_bands(items))
     members = settle(band_members(items, shared))
+    members = settle(refine(members)) if refine else members
 
     ends = members.groupBy(F.col("band").alias("at")).agg(F.min("x").alias("lo"), F.max("x").alias("hi"))
     star = members.join(ends, F.col("band") == F.col("at"))

@@ -82,7 +82,7 @@ def band_hashes(registers: np.ndarray, rows: int, bands: int) -> np.ndarray:
 
 
 def sketch_longs(registers: np.ndarray) -> np.ndarray:
-    """SAMPLE_BITS hashed bits of each register."""
+    """SAMPLE_BITS hashed bits of each register, whose number is a multiple of 16."""
     samples, each = mix(registers) & U64((1 << SAMPLE_BITS) - 1), 64 // SAMPLE_BITS
     out = np.zeros((len(registers), registers.shape[1] // each), dtype=U64)
     for k in range(out.shape[1] * each):
