@@ -181,27 +181,24 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
 
     texts: list[DataFrame] = []
 
-    def refine(members: DataFrame) -> DataFrame:
+    def describe(ids: DataFrame) -> DataFrame:
         """Fetch the candidates' texts once, and give them sketches that tell similarities just below the wanted one."""
-        wanted = settle(members.select(F.col("x.id").alias("of")).distinct())
+        wanted = ids.withColumnRenamed("id", "of")
         # One document for each wanted line is enough to read its text from.
         holders = prefilter(places, "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi").groupBy("id").agg(F.min("key").alias("key"))
         holders = settle(holders.select("key").distinct())
         rows = docs.select(F.col(key).alias("key"), F.col(text).alias("text"))
         some = prefilter(line_texts(prefilter(rows, "key", holders)), "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi")
         texts.append(settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines"))
-        fine = line_sketches(texts[0])
-        with_fine = members.select("band", F.col("x.id").alias("of"), F.col("x.bands").alias("bands")).join(fine, F.col("of") == F.col("id"))
-        return with_fine.select("band", F.struct("id", "size", "sketch", "bands").alias("x"))
+        return line_sketches(texts[0])
 
     def verify(pairs: DataFrame) -> DataFrame:
         one = pairs.join(texts[0].withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
         two = one.join(texts[0].withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
         return two.mapInArrow(_similar, "a long, b long")
 
-    blank = F.lit(None).cast("array<bigint>")
-    items = table.where("bands is not null").select("id", F.lit(1).cast("bigint").alias("size"), blank.alias("sketch"), "bands")
-    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, refine)
+    items = table.where("bands is not null").select("id", "bands")
+    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, describe)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -111,7 +111,7 @@ def _spots(bands: np.ndarray) -> list[np.ndarray]:
 
 
 def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
-    """band and x (id, size, sketch, bands) of all items in shared bands: a filter of fixed size first, then the exact join."""
+    """band and id of all items in shared bands: a filter of fixed size first, then the exact join."""
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -124,7 +124,6 @@ def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
     words = np.zeros(1 << (FILTER_POWER - 6), dtype=U64)
     words[marks.column("word").to_numpy()] = marks.column("bits").to_numpy().view(U64)
     sent = items.sparkSession.sparkContext.broadcast(words)
-    fields = ["id", "size", "sketch", "bands"]
 
     def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = sent.value
@@ -133,19 +132,13 @@ def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
             hit = np.ones(len(flat), dtype=bool)
             for spot in _spots(flat):
                 hit &= (held[spot >> 6] >> (spot & 63).astype(U64)) & U64(1) == 1
-            at = np.flatnonzero(hit)
-            _, one = np.unique(mix(flat[at].view(U64)) ^ batch.column("id").to_numpy()[row[at]].view(U64), return_index=True)
-            at = at[one]
-            if len(at):
-                rows = batch.select(fields).take(pa.array(row[at]))
-                yield pa.RecordBatch.from_arrays([pa.array(flat[at]), *rows.columns], names=["band", *fields])
+            band, item = flat[hit], batch.column("id").to_numpy()[row[hit]]
+            _, one = np.unique(mix(band.view(U64)) ^ item.view(U64), return_index=True)
+            yield pa.RecordBatch.from_arrays([pa.array(band[one]), pa.array(item[one])], names=["band", "id"])
 
-    spec = "band long, " + ", ".join(f"{f} {items.schema[f].dataType.simpleString()}" for f in fields)
-    some = items.select(*fields).mapInArrow(explode, spec)
-    exact = some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi")
-    # An item may come from many tasks; its rows are alike.
-    once = exact.groupBy("band", "id").agg(*[F.first(f).alias(f) for f in fields[1:]])
-    return once.select("band", F.struct(*fields).alias("x"))
+    some = items.select("id", "bands").mapInArrow(explode, "band long, id long")
+    # An item may come from many tasks.
+    return some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi").distinct()
 
 
 def connected(edges: DataFrame) -> DataFrame:
@@ -170,39 +163,43 @@ def _unsettled(edges: DataFrame) -> bool:
     return seen.where("out > 1 or (out = 1 and held = 1)").limit(1).count() > 0
 
 
-def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8, refine: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8, describe: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """node and root of all items that are linked with another one.
 
+    items: id and bands, and also size and sketch where ``describe`` doesn't give them.
     verify: takes pairs (a, b) of ids, a < b, and returns those that are truly similar.
-    refine: may give the members of shared bands (columns band, x) better sketches first.
+    describe: takes the ids (column id) of the members of shared bands and returns id, size and sketch of each.
     """
 
     def may_link(x: str, y: str) -> Column:
         sizes = F.least(F.col(f"{x}.size"), F.col(f"{y}.size")) >= F.lit(similarity) * F.greatest(F.col(f"{x}.size"), F.col(f"{y}.size"))
         return sizes & (mismatches(F.col(f"{x}.sketch"), F.col(f"{y}.sketch"), sketch_longs, sketch_bits) <= sketch_limit)
 
-    def first_shared(x: str, y: str) -> Column:
-        """A pair that shares several bands is taken at the first of them only."""
-        return F.get(F.filter(F.zip_with(f"{x}.bands", f"{y}.bands", lambda a, b: F.when(a == b, a)), lambda a: a.isNotNull()), F.lit(0))
-
     shared = settle(shared_bands(items))
     members = settle(band_members(items, shared))
-    members = settle(refine(members)) if refine else members
+    ids = settle(members.select("id").distinct())
+    known = describe(ids) if describe else items.select("id", "size", "sketch").join(ids, "id", "left_semi")
+    known = settle(known.select(F.col("id").alias("of"), F.struct("id", "size", "sketch").alias("info")))
 
-    ends = members.groupBy(F.col("band").alias("at")).agg(F.min("x").alias("lo"), F.max("x").alias("hi"))
+    ends = members.groupBy(F.col("band").alias("at")).agg(F.min("id").alias("lo"), F.max("id").alias("hi"))
     star = members.join(ends, F.col("band") == F.col("at"))
-    star = star.select(F.explode(F.array(F.struct(F.col("lo").alias("p"), F.col("x").alias("q")), F.struct(F.col("x").alias("p"), F.col("hi").alias("q")))).alias("e")).select("e.p", "e.q")
-    pairs = settle(star.where(F.col("p.id") < F.col("q.id")).where(may_link("p", "q")).select(F.col("p.id").alias("a"), F.col("q.id").alias("b")).distinct())
+    star = star.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("id").alias("b")), F.struct(F.col("id").alias("a"), F.col("hi").alias("b")))).alias("e")).select("e.a", "e.b").where("a < b").distinct()
+    star = star.join(known.select(F.col("of").alias("p_of"), F.col("info").alias("p")), F.col("a") == F.col("p_of")).join(known.select(F.col("of").alias("q_of"), F.col("info").alias("q")), F.col("b") == F.col("q_of"))
+    pairs = settle(star.where(may_link("p", "q")).select("a", "b"))
     links = settle(verify(pairs))
     roots = connected(links)
 
-    placed = members.join(roots, F.col("x.id") == F.col("node"), "left").select("band", "x", F.coalesce("root", F.col("x.id")).alias("root"))
-    placed = settle(placed.withColumn("class", F.floor(F.log(F.col("x.size").cast("double")) / F.log(F.lit(1 / similarity))).cast("int")))
+    placed = settle(members.join(roots, F.col("id") == F.col("node"), "left").select("band", "id", F.coalesce("root", "id").alias("root")))
     mixed = placed.groupBy(F.col("band").alias("at")).agg(F.min("root").alias("first"), F.max("root").alias("last"), F.mode("root").alias("main")).where("first != last").select("at", "main")
-    apart = placed.join(mixed, F.col("band") == F.col("at")).where("root != main")
-    apart = apart.select("band", F.col("x").alias("p"), F.col("root").alias("p_root"), F.explode(F.array(F.col("class") - 1, F.col("class"), F.col("class") + 1)).alias("class"))
-    left = apart.join(placed.withColumnRenamed("x", "q"), ["band", "class"]).where("root != p_root").where(may_link("p", "q"))
-    left = left.where(first_shared("p", "q") == F.col("band"))
+    here = settle(placed.join(mixed, F.col("band") == F.col("at")).select("band", "id", "root", "main"))
+    own = here.groupBy(F.col("id").alias("owner")).agg(F.collect_set("band").alias("bands"))  # an item has few bands
+    full = here.join(known, F.col("id") == F.col("of")).join(own, F.col("id") == F.col("owner"))
+    size_class = F.floor(F.log(F.col("info.size").cast("double")) / F.log(F.lit(1 / similarity))).cast("int")
+    full = settle(full.select("band", "root", "main", "info", "bands", size_class.alias("class")))
+    apart = full.where("root != main").select("band", F.col("info").alias("p"), F.col("bands").alias("p_bands"), F.col("root").alias("p_root"), F.explode(F.array(F.col("class") - 1, F.col("class"), F.col("class") + 1)).alias("class"))
+    left = apart.join(full.withColumnRenamed("info", "q"), ["band", "class"]).where("root != p_root").where(may_link("p", "q"))
+    # A pair that shares several bands is taken at the least of them only.
+    left = left.where(F.array_min(F.array_intersect("p_bands", "bands")) == F.col("band"))
     left = left.select(F.least("p.id", "q.id").alias("a"), F.greatest("p.id", "q.id").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti")
     left = settle(left)
     more = settle(verify(left)) if left.limit(1).count() else left
