@@ -41,8 +41,8 @@ SHINGLE, PERCENT = 8, 80
 ROWS, BANDS = 4, 9
 LINE_BLOCK = 1 << 17
 SAMPLED, WHOLE = 128, 160
-#: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 96 are expected, with a deviation of 6 to 7.
-SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 512, 4, 122
+#: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 48 are expected, with a deviation of 4.6.
+SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 256, 4, 66
 
 _NOT_NEWLINE = np.zeros(256, dtype=bool)
 _NOT_NEWLINE[10] = True
@@ -175,6 +175,79 @@ def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield batch.select(["a", "b"]).filter(pa.array(keep))
 
 
+def _cell_links(rows: dict[str, np.ndarray], lines: list[bytes], bands: list) -> list[tuple[int, int]]:
+    """Similar pairs of different components in one cell, each at the least band that it shares."""
+    n, band = len(lines), int(rows["band"][0])
+    own, at, pieces, root, ids = (rows[k] for k in ("own", "at", "pieces", "root", "id"))
+    low, high = int(at[0]) // int(pieces[0]), int(at[0]) % int(pieces[0])
+    apart = np.flatnonzero(root != rows["main"])
+    sketch, found, sets = rows["sketch"], [], {}
+
+    def grams(i: int) -> np.ndarray:
+        if i not in sets:
+            block = next(blocks(pa.array([lines[i]], type=pa.binary())))
+            sets[i] = sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))[0]
+        return sets[i]
+
+    for i in apart.tolist():
+        mate = (root != root[i]) & (own == (high if own[i] == low else low))
+        # Two members outside the main component meet once, from the one that stands first.
+        mate &= (root == rows["main"]) | (np.arange(n) > i)
+        at_j = np.flatnonzero(mate)
+        if not len(at_j):
+            continue
+        x = sketch[at_j] ^ sketch[i]
+        x |= x >> U64(1)
+        x |= x >> U64(2)
+        differ = np.bitwise_count(x & U64(0x1111111111111111)).sum(axis=1)
+        for j in at_j[differ <= SKETCH_LIMIT].tolist():
+            if min(set(bands[i]) & set(bands[j])) != band:
+                continue
+            a, b = grams(i), grams(j)
+            common = len(np.intersect1d(a, b, assume_unique=True))
+            if 100 * common >= PERCENT * (len(a) + len(b) - common):
+                found.append((int(min(ids[i], ids[j])), int(max(ids[i], ids[j]))))
+    return found
+
+
+def compare_cells(cells: DataFrame, texts: DataFrame) -> DataFrame:
+    """Links (a, b) in the cells of mixed buckets, compared in place: no pair becomes a row unless it is a link."""
+    named = texts.select(F.col("id").alias("line_id"), "line")
+    flat = cells.join(named, F.col("id") == F.col("line_id")).select("cell", "band", "at", "pieces", "own", "id", "root", "main", F.col("info.sketch").alias("sketch"), "bands", "line")
+    numbers = ("cell", "band", "at", "pieces", "own", "id", "root", "main")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def links(table: pa.Table) -> list[tuple[int, int]]:
+            rows = {k: table.column(k).to_numpy() for k in numbers}
+            rows["sketch"] = table.column("sketch").combine_chunks().flatten().to_numpy().view(U64).reshape(table.num_rows, -1)
+            lines, bands = table.column("line").to_pylist(), table.column("bands").to_pylist()
+            edge = np.flatnonzero(np.concatenate([[True], (np.diff(rows["cell"]) != 0) | (np.diff(rows["band"]) != 0) | (np.diff(rows["at"]) != 0)]))
+            out = []
+            for a, b in zip(edge.tolist(), [*edge[1:].tolist(), table.num_rows], strict=True):
+                if b - a > 1:
+                    out += _cell_links({k: v[a:b] for k, v in rows.items()}, lines[a:b], bands[a:b])
+            return out
+
+        def emit(found: list[tuple[int, int]]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], type=pa.int64()) for k in (0, 1)], names=["a", "b"])
+
+        rest: list[pa.Table] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            table = pa.Table.from_batches([batch])
+            cell = table.column("cell").to_numpy()
+            cut = int(np.searchsorted(cell, cell[-1]))
+            if cut or (rest and rest[0].column("cell")[0].as_py() != cell[0]):
+                yield emit(links(pa.concat_tables([*rest, table.slice(0, cut)])))
+                rest = []
+            rest.append(table.slice(cut))
+        if rest:
+            yield emit(links(pa.concat_tables(rest)))
+
+    return flat.repartition("cell").sortWithinPartitions("cell", "band", "at").mapInArrow(run, "a long, b long")
+
+
 def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFrame:
     """node and root of every line hash that is linked with another line; table: the rows of line_table."""
     places = table.where("first").select("key", "number", "id")
@@ -198,7 +271,7 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
         return two.mapInArrow(_similar, "a long, b long")
 
     items = table.where("bands is not null").select("id", "bands")
-    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, describe)
+    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, describe, lambda cells: compare_cells(cells, texts[0]))
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -163,12 +163,26 @@ def _unsettled(edges: DataFrame) -> bool:
     return seen.where("out > 1 or (out = 1 and held = 1)").limit(1).count() > 0
 
 
-def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8, describe: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+#: Members of a bucket that are compared in one piece; a larger bucket is cut into cells of two pieces each.
+CELL = 1500
+
+
+def _cells(full: DataFrame) -> DataFrame:
+    """Rows of mixed buckets by cell: a bucket of n members has pieces = ceil(n / CELL) pieces, and each pair of pieces is a cell, ``at`` naming the two and ``own`` the row's piece."""
+    pieces = F.ceil(F.col("n") / F.lit(float(CELL)))
+    cut = full.select("band", "id", "root", "main", "info", "bands", pieces.alias("pieces"), F.pmod(F.xxhash64("id"), pieces).alias("own"))
+    cut = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("pieces") - 1)))
+    cut = cut.withColumn("at", F.least("own", "other") * F.col("pieces") + F.greatest("own", "other"))
+    return cut.select(F.xxhash64("band", "at").alias("cell"), "band", "at", "pieces", "own", "id", "root", "main", "info", "bands")
+
+
+def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketch_longs: int, sketch_bits: int, sketch_limit: int, similarity: float = 0.8, describe: Callable[[DataFrame], DataFrame] | None = None, compare: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """node and root of all items that are linked with another one.
 
     items: id and bands, and also size and sketch where ``describe`` doesn't give them.
     verify: takes pairs (a, b) of ids, a < b, and returns those that are truly similar.
     describe: takes the ids (column id) of the members of shared bands and returns id, size and sketch of each.
+    compare: finds what is left itself: takes the rows (cell, at, own, id, root, main, info, bands) of buckets still mixed, cut into cells of bounded size, and returns the links (a, b) that are similar.
     """
 
     def may_link(x: str, y: str) -> Column:
@@ -190,10 +204,13 @@ def components(items: DataFrame, verify: Callable[[DataFrame], DataFrame], sketc
     roots = connected(links)
 
     placed = settle(members.join(roots, F.col("id") == F.col("node"), "left").select("band", "id", F.coalesce("root", "id").alias("root")))
-    mixed = placed.groupBy(F.col("band").alias("at")).agg(F.min("root").alias("first"), F.max("root").alias("last"), F.mode("root").alias("main")).where("first != last").select("at", "main")
-    here = settle(placed.join(mixed, F.col("band") == F.col("at")).select("band", "id", "root", "main"))
+    mixed = placed.groupBy(F.col("band").alias("at")).agg(F.min("root").alias("first"), F.max("root").alias("last"), F.mode("root").alias("main"), F.count(F.lit(1)).alias("n")).where("first != last").select("at", "main", "n")
+    here = settle(placed.join(mixed, F.col("band") == F.col("at")).select("band", "id", "root", "main", "n"))
     own = here.groupBy(F.col("id").alias("owner")).agg(F.collect_set("band").alias("bands"))  # an item has few bands
     full = here.join(known, F.col("id") == F.col("of")).join(own, F.col("id") == F.col("owner"))
+    if compare:
+        more = settle(compare(_cells(full)).distinct())
+        return connected(links.union(more)) if more.limit(1).count() else roots
     size_class = F.floor(F.log(F.col("info.size").cast("double")) / F.log(F.lit(1 / similarity))).cast("int")
     full = settle(full.select("band", "root", "main", "info", "bands", size_class.alias("class")))
     apart = full.where("root != main").select("band", F.col("info").alias("p"), F.col("bands").alias("p_bands"), F.col("root").alias("p_root"), F.explode(F.array(F.col("class") - 1, F.col("class"), F.col("class") + 1)).alias("class"))

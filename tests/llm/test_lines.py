@@ -68,3 +68,20 @@ def test_lines_of_odd_rows(spark):
     assert found == plain_dedup(rows)
     assert all(r.n_chars == (len(r.text) if r.lines_lost else 7) for r in got.collect())
     assert lines.dedup_lines(docs.limit(0)).count() == 0
+
+
+def test_cells_of_any_size_find_the_same(spark, monkeypatch):
+    rng = random.Random(9)
+    base = [rng.choice("abcdefgh ") for _ in range(400)]
+    rows = []
+    for k in range(60):  # copies that are near some others only
+        text = list(base)
+        for _ in range(rng.randrange(1, 9)):
+            text[rng.randrange(400)] = rng.choice("xyz")
+        rows.append((k, "".join(text)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = plain_dedup(rows)
+    for cell in (1500, 7):
+        monkeypatch.setattr("linkfactor.llm.near.CELL", cell)
+        got = sorted((r.doc_id, r.text) for r in lines.dedup_lines(docs).collect())
+        assert sum(a != b for a, b in zip(got, want, strict=True)) <= 2
