@@ -159,7 +159,7 @@ def line_sketches(lines: DataFrame) -> DataFrame:
 
 
 def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in (part.slice(at, 1000) for part in batches for at in range(0, part.num_rows, 1000)):
         sides = []
         for name in ("line_a", "line_b"):
             coded = batch.column(name).dictionary_encode()

@@ -80,7 +80,7 @@ def shared_bands(items: DataFrame) -> DataFrame:
             bands.append(flat)
             ids.append(batch.column("id").to_numpy()[row])
             held += len(flat)
-            if held > 4_000_000:
+            if held > 500_000:  # what a worker holds back stays small
                 yield pack(bands, ids)
                 bands, ids, held = [], [], 0
         if held:

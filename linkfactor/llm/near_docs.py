@@ -115,7 +115,7 @@ def signatures(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
 
 def _similar(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part.slice(at, 1000) for part in batches for at in range(0, part.num_rows, 1000)):
             sides = []
             for name in ("text_a", "text_b"):
                 coded = batch.column(name).dictionary_encode()  # a hub's text comes many times
