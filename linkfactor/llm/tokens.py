@@ -63,7 +63,7 @@ class WordEncoder:
         self.later: dict[str, bytes] = {}
 
     def pieces(self, text: str) -> list[str]:
-        if len(text.split()) == text.count(" ") + text.count("\n") + 1:  # single blanks and newlines, between words only
+        if " ".join(text.split()) == text.replace("\n", " "):  # single blanks and newlines, between words only
             return text.split(" ")
         return self.cut.split(text)
 

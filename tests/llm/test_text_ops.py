@@ -113,6 +113,18 @@ def crc(ids):
     return zlib.crc32(struct.pack(f"<{len(ids)}I", *ids))
 
 
+def test_pieces_of_texts_whose_white_space_counts_balance():
+    texts = ["name\tvalue ", " name\tvalue", "a\tb\tc\n\n d", "caf\u00e9\u00a0au  lait", "a\tb\tc\td    e", "x\x1cy\u2003z  \n", "one two\nthree", "a\u00a0b ", "tab\tx \ttail\u00a0 "]
+    # Counts balance in most of these, as each tab or U+00A0 makes up for one blank too many.
+    balanced = [t for t in texts if len(t.split()) == t.count(" ") + t.count("\n") + 1]
+    assert len(balanced) >= 5
+    encoder = tokens.WordEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    for t in texts:
+        assert encoder.pieces(t) == encoder.cut.split(t)
+    got = [[*struct.unpack(f"<{len(x) // 2}H", x), 2] for x in encoder.encode(texts)]
+    assert got == plain_ids(texts)
+
+
 def test_op6(spark):
     docs = sorted(table(spark, SMALL, "documents").collect(), key=lambda r: r.doc_id)
     got = {r.doc_id: r for r in op6_token_ids(spark, SMALL).collect()}
