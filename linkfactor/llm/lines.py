@@ -2,12 +2,11 @@
 
 Lines are what stands between newlines; those of white space alone never count as copies. A
 line's set holds its distinct runs of SHINGLE characters (the whole line if it is shorter).
-Its signature has one minimum per hash function, computed for all lines of a block at once.
-Lines of SAMPLED characters and more draw the minima from the quarter of their shingles
-whose hash says so, which is a MinHash of the same similarity; lines of SAMPLED to WHOLE
-characters have both signatures, so that any two lines of similar size share a kind. Bands
-of ROWS minima make candidates, SuperMinHash sketches of these thin them, and exact Jaccard
-similarity on the texts' sets confirms every link (100 * common >= PERCENT * union).
+Its signature has one minimum per hash function over the whole set (repeats don't change a
+minimum), computed for all lines of a block at once; all lines have the same kind, so that
+any two can meet. Bands of ROWS minima make candidates, SuperMinHash sketches of these thin
+them, and exact Jaccard similarity on the texts' sets confirms every link
+(100 * common >= PERCENT * union).
 Components of equal and linked lines keep one line, the first by (doc_id, line number).
 
 Equal lines are one item by a 64-bit hash of their bytes, and only hashes travel: texts of
@@ -38,11 +37,10 @@ from .near_docs import band_hashes, list_array, sketch_longs, superminhash
 
 U64, U32 = np.uint64, np.uint32
 SHINGLE, PERCENT = 8, 80
-ROWS, BANDS = 4, 9
+ROWS, BANDS = 4, 18
 LINE_BLOCK = 1 << 17
-SAMPLED, WHOLE = 128, 160
-#: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 48 are expected, with a deviation of 4.6.
-SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 256, 4, 66
+#: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 48 are expected, with a deviation of up to 6.2 for large sets; five of them are allowed.
+SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 256, 4, 79
 
 _NOT_NEWLINE = np.zeros(256, dtype=bool)
 _NOT_NEWLINE[10] = True
@@ -92,20 +90,6 @@ def minhash(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out
 
 
-def signed_spans(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Number of the span, minima and kind (1: sampled) of each signature."""
-    sizes = np.diff(bounds)
-    whole, sampled = np.flatnonzero(sizes < WHOLE), np.flatnonzero(sizes >= SAMPLED)
-    owner = np.repeat(np.arange(len(sizes)), sizes)
-    out = []
-    for rows, take in ((whole, (sizes < WHOLE)[owner]), (sampled, (sizes >= SAMPLED)[owner] & (values & U64(3) == 0))):
-        kept = np.concatenate([[0], np.cumsum(take)])
-        cuts = kept[bounds]
-        out.append(minhash(values[take], np.append(cuts[rows], cuts[-1])))
-    kinds = np.concatenate([np.zeros(len(whole), dtype=np.int64), np.ones(len(sampled), dtype=np.int64)])
-    return np.concatenate([whole, sampled]), np.concatenate(out), kinds
-
-
 def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, number and id (hash) of every line that holds a word; bands of its signatures at one row of each line at least."""
 
@@ -115,20 +99,14 @@ def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
             for block in blocks(batch.column("text"), LINE_BLOCK):
                 lo, hi, owner, number, ids = line_spans(block)
                 one = np.sort(np.unique(ids, return_index=True)[1])
-                span, minima, kinds = signed_spans(*character_sets(block, lo[one], hi[one]))
-                bands = band_hashes(minima ^ (kinds.astype(U64) << U64(40))[:, None], ROWS, BANDS)
-                signed = one[span]
+                bands = list_array(band_hashes(minhash(*character_sets(block, lo[one], hi[one])), ROWS, BANDS))
                 rest = np.setdiff1d(np.arange(len(ids)), one)
-                place = np.concatenate([signed, rest])
-                blank = len(rest)
-                # A line with two signatures stands twice; only the first of its rows is an occurrence.
-                first = np.ones(len(place), dtype=bool)
-                first[: len(signed)] = np.concatenate([np.ones(int((kinds == 0).sum()), dtype=bool), ~np.isin(span[kinds == 1], span[kinds == 0])])
-                bands = pa.concat_arrays([list_array(bands), pa.nulls(blank, pa.list_(pa.int64()))])
-                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), pa.array(first), bands], names=["key", "number", "id", "first", "bands"])
+                place = np.concatenate([one, rest])
+                bands = pa.concat_arrays([bands, pa.nulls(len(rest), pa.list_(pa.int64()))])
+                yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), bands], names=["key", "number", "id", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, first boolean, bands array<long>")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, bands array<long>")
 
 
 def line_texts(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -250,7 +228,7 @@ def compare_cells(cells: DataFrame, texts: DataFrame) -> DataFrame:
 
 def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFrame:
     """node and root of every line hash that is linked with another line; table: the rows of line_table."""
-    places = table.where("first").select("key", "number", "id")
+    places = table.select("key", "number", "id")
 
     texts: list[DataFrame] = []
 
@@ -278,7 +256,7 @@ def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
     """key and the list of (number, id) of the lines that each document loses."""
     table = settle_table(line_table(docs, key, text), "lines-signed")
     roots = line_roots(docs, table, key, text)
-    places = table.where("first").select("key", "number", "id")
+    places = table.select("key", "number", "id")
     first = places.groupBy("id").agg(F.min(F.struct("key", "number")).alias("first"), F.count(F.lit(1)).alias("n"))
     named = first.join(roots, F.col("id") == F.col("node"), "left").select("id", "first", "n", F.coalesce("root", "id").alias("root"), F.col("root").isNotNull().alias("linked"))
     named = settle_table(named.where("n > 1 or linked"), "line-counts")

@@ -85,3 +85,15 @@ def test_cells_of_any_size_find_the_same(spark, monkeypatch):
         monkeypatch.setattr("linkfactor.llm.near.CELL", cell)
         got = sorted((r.doc_id, r.text) for r in lines.dedup_lines(docs).collect())
         assert sum(a != b for a, b in zip(got, want, strict=True)) <= 2
+
+
+def test_repetitive_lines_meet_whatever_their_length(spark):
+    rng = random.Random(11)
+    part = "".join(rng.choice("abcdefghij klmnop") for _ in range(130))
+    row = "".join(rng.choice("|+ =x") for _ in range(40))
+    texts = ["-" * 100, "-" * 200, "-" * 5000, "ha " * 30, "ha " * 200, row * 3, row * 9, part, part + part[:70], "other line"]
+    rows = list(enumerate(texts))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((r.doc_id, r.text) for r in lines.dedup_lines(docs).collect())
+    assert got == plain_dedup(rows)
+    assert [k for k, t in got if t] == [0, 3, 5, 7, 9]
