@@ -109,6 +109,18 @@ def plain_superminhash(values, slots):
     return best
 
 
+def test_long_documents_whose_sketches_differ_by_chance_are_linked(spark):
+    words = [f"s592w{i}" for i in range(2225)]  # of 1500 such pairs one whose samples differ this much
+    rows = [(1, " ".join(words[:2003])), (2, " ".join(words[222:]))]
+    block = next(blocks(pa.array([t for _, t in rows])))
+    a, b = near_docs.sketch_longs(near_docs.superminhash(*near_docs.shingle_sets(block, 4))).view(np.int64).tolist()
+    longs = near_docs.SLOTS * near_docs.SAMPLE_BITS // 64
+    assert spark.createDataFrame([(a, b)], "a array<long>, b array<long>").select(near.mismatches(F.col("a"), F.col("b"), longs, near_docs.SAMPLE_BITS).alias("n")).first().n == 67
+    got = near_docs.near_components(spark.createDataFrame(rows, "doc_id long, text string"), width=4).collect()
+    want = plain_components(rows, 4)
+    assert want[2] == (2000, 1) and {r.doc_id: (r.n_shingles, r.component_id) for r in got} == want
+
+
 def test_superminhash_stops_early_with_the_full_result():
     texts = ["a b c d e f g", " ".join(map(str, range(300))), "x", " ".join(map(str, range(40, 330)))]
     block = next(blocks(pa.array(texts)))
