@@ -16,12 +16,15 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.errors import AnalysisException
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 RULE_VERSION = "2"
+LEDGER_SCHEMA = "blob binary, rule_version string, spans array<string>"
 
 # The patterns. (kind, pattern, group whose length counts, least length, base rule)
 RULES = (
@@ -55,7 +58,7 @@ def scan_blobs(blobs: DataFrame) -> DataFrame:
             spans = [[f"{k}:{a}:{b}" for a, b, k in find_secrets(x.as_py())] for x in batch.column("text")]
             yield pa.RecordBatch.from_arrays([batch.column("blob"), pa.array([RULE_VERSION] * len(spans), type=pa.string()), pa.array(spans, type=pa.list_(pa.string()))], names=["blob", "rule_version", "spans"])
 
-    return blobs.select("blob", "text").mapInArrow(run, "blob binary, rule_version string, spans array<string>")
+    return blobs.select("blob", "text").mapInArrow(run, LEDGER_SCHEMA)
 
 
 def blob_of(text: str = "text"):
@@ -71,15 +74,31 @@ def pending_blobs(paths: DataFrame, ledger: DataFrame | None = None, text: str =
     return once.join(ledger.where(F.col("rule_version") == RULE_VERSION).select("blob"), "blob", "left_anti")
 
 
+def stored_ledger(spark: SparkSession, ledger_path: str) -> DataFrame | None:
+    """The rows under ledger_path, or None if nothing stands there yet."""
+    try:
+        return spark.read.schema(LEDGER_SCHEMA).parquet(ledger_path)
+    except AnalysisException as e:
+        if e.getCondition() != "PATH_NOT_FOUND":
+            raise
+        return None
+
+
 def extend_ledger(paths: DataFrame, ledger_path: str, ledger: DataFrame | None = None, text: str = "text") -> DataFrame:
-    """Scan what is pending, append it to the ledger's table, and return the whole ledger.
+    """Scan what neither ledger has, append it to the table under ledger_path, and return the whole ledger.
 
-    ledger: rows of earlier runs kept elsewhere; those stored under ledger_path needn't be passed twice.
+    ledger: rows of earlier runs kept elsewhere; those stored under ledger_path needn't be passed.
     """
     spark = paths.sparkSession
-    fresh = scan_blobs(pending_blobs(paths, ledger, text))
+    stored = stored_ledger(spark, ledger_path)
+    known = ledger.select("blob", "rule_version", "spans") if ledger is not None else None
+    both = [x for x in (stored, known) if x is not None]
+    fresh = scan_blobs(pending_blobs(paths, reduce(DataFrame.unionByName, both) if both else None, text))
     fresh.write.mode("append").parquet(ledger_path)
-    return spark.read.schema(fresh.schema).parquet(ledger_path)
+    stored = spark.read.schema(LEDGER_SCHEMA).parquet(ledger_path)
+    if known is None:
+        return stored
+    return stored.unionByName(known.join(stored.select("blob", "rule_version"), ["blob", "rule_version"], "left_anti"))
 
 
 def findings_by_path(paths: DataFrame, ledger: DataFrame, keys: list[str], text: str = "text") -> DataFrame:

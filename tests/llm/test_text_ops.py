@@ -103,6 +103,25 @@ def test_ledger_scans_each_blob_once(spark):
     assert secrets.findings_by_path(empty, secrets.extend_ledger(empty, scratch(spark, "ledger")), ["doc_id"]).count() == 0
 
 
+def test_second_run_knows_both_ledgers(spark):
+    docs = odd(spark)
+    more = docs.union(spark.createDataFrame([(9, "token=zzzzzz9", "x", 1)], docs.schema))
+    n = docs.select("text").na.fill("").distinct().count()
+
+    def secret(ledger):
+        return {r.doc_id for r in secrets.findings_by_path(more, ledger, ["doc_id"]).collect() if r.spans}
+
+    path = scratch(spark, "ledger")
+    secrets.extend_ledger(docs, path)
+    again = secrets.extend_ledger(more, path)  # nothing passed: what is stored counts
+    assert again.count() == n + 1 and secret(again) == {7, 9}
+    elsewhere, other = settle(secrets.extend_ledger(docs, scratch(spark, "ledger"))), scratch(spark, "ledger")
+    whole = secrets.extend_ledger(more, other, elsewhere)  # only what is new is stored, all is returned
+    assert spark.read.parquet(other).count() == 1
+    assert whole.count() == n + 1 and secret(whole) == {7, 9}
+    assert secrets.extend_ledger(more, other, elsewhere).count() == n + 1 and spark.read.parquet(other).count() == 1
+
+
 def plain_ids(texts):
     engine = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
     engine.encode_special_tokens = True
