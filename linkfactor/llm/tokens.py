@@ -1,7 +1,7 @@
 """Token-ID shards with a minimal perfect hash index.
 
 Layout of a shard, all little-endian: ``<n>.ids`` holds the token ids of its documents, one
-after the other (16-bit if the vocabulary fits, else 32-bit). ``<n>.mph`` maps a document
+after the other (16-bit if the vocabulary fits, else 32-bit, unless a width is given). ``<n>.mph`` maps a document
 key to its slot: the header (magic, count, id width, levels, words), each level's bit count
 and bits, the running popcounts, then for each slot a 32-bit fingerprint, a 64-bit start and
 a 32-bit length, and last the keys in payload order. A key goes to the first level where it
@@ -10,21 +10,26 @@ whatever the count, and the fingerprint turns away keys that aren't stored.
 
 Documents are range-partitioned by key, so shards and the ids in them ascend. Writing goes
 to a temporary name first and is then moved, so a task that runs again does no harm. Paths
-are opened with pyarrow.fs, for any store that it knows.
+are opened with pyarrow.fs, for any store that it knows. Special tokens in a text are
+recognized, as the library does by default.
 
-Defined results: a null key counts as the smallest one; documents with equal keys are told
-apart by their rank among them; null and empty texts have only the end id; an empty table
-makes no shard. Columns other than key and text aren't read.
+Defined results: a null key counts as the smallest long, which is no key of its own;
+documents with equal keys stand by a hash of their texts, may fill several shards, and are
+told apart by their rank among them in a shard; null and empty texts have only the end id;
+an empty table makes no shard. Columns other than key and text aren't read.
 """
 
 from __future__ import annotations
 
+import os
+import re
 import zlib
 from collections.abc import Iterator
 from functools import cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -35,88 +40,176 @@ from .kernels import mix
 U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
-#: Pieces that a worker keeps the ids of; those met once it is full are encoded batch by batch.
+#: Pieces in each of the two generations of ids that a worker keeps.
 CACHE_PIECES = 400_000
 NULL_KEY = -(1 << 63)
-
-
-class WordEncoder:
-    """The tokenizer's ids by pieces between safe cuts, each distinct piece encoded once.
-
-    A byte-level BPE never merges across its pre-tokens, and a single space between two
-    non-space characters always begins one; so a text may be cut before such spaces and the
-    pieces' ids joined. Texts with other white space next to a space are cut only where
-    that holds.
+#: Bytes of text that are encoded at a time (a longer text stands alone).
+SLICE_BYTES = 6 << 20
+
+# The marks in front of pieces. A piece without one follows a space.
+FRONT, NEWLINE, END, WHOLE = "\x02", "\x01", "\x03", "\x04"
+#: Texts with the marks' characters are encoded as they are.
+MARKED = "[\x01-\x04]"
+#: Any white space but single blanks and newlines between words.
+UNEVEN = r"[\t\x0b-\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{180e}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]|[ \n][ \n]|\A[ \n]|[ \n]\z"
+#: Pieces of Latin letters, which every version of Unicode takes for letters, with or without a stop behind them.
+STOPS = ".,;:!?"
+WORD = r"\A\x02?[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{24f}]+[.,;:!?]?\z"
+
+
+def byte_letters() -> dict[int, str]:
+    """The character that stands for each byte in a byte-level vocabulary: printable ones for themselves, the others from 256 on; blanks are left out."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    odd = [b for b in range(256) if b not in set(plain)]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(odd) if b != 32}
+
+
+class PieceEncoder:
+    """The tokenizer's ids by pieces between safe cuts, each distinct piece of a slice looked up once.
+
+    A byte-level BPE never merges across its pre-tokens. A single space between two
+    characters that aren't white space begins one, and a single newline there is one, so
+    texts may be cut before such spaces and around such newlines and the pieces' ids
+    joined; a special token holds no white space and stays whole. Texts of single blanks and
+    newlines are cut in Arrow, others only before single spaces, and those that hold a mark not at all.
+
+    A new piece of letters is one pre-token, and a stop behind it another, so its letters go to
+    the tokenizer's model without the pre-tokenizer; all other pieces go through the whole tokenizer.
+    Ids are kept in two generations: once the young one is full it becomes the old one, and
+    what is asked for again moves to the young, so frequent pieces stay.
     """
 
-    def __init__(self, vocabulary: str, width: int = 2) -> None:
-        import re
-
-        from tokenizers import Tokenizer
+    def __init__(self, vocabulary: str, width: int | None = None, end_id: int = END_ID) -> None:
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
-        self.tokenizer.encode_special_tokens = True
-        self.kind = np.dtype(f"<u{width}")
+        self.words = Tokenizer(self.tokenizer.model)
+        self.words.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        size = self.tokenizer.get_vocab_size()
+        self.width = width or (2 if max(size, end_id + 1) <= 1 << 16 else 4)
+        self.kind = np.dtype(f"<u{self.width}")
         # In a byte-level vocabulary each character of a token stands for one byte.
-        self.sizes = np.array([len(self.tokenizer.id_to_token(i) or "") for i in range(self.tokenizer.get_vocab_size())])
+        self.sizes = np.array([len(self.tokenizer.id_to_token(i) or "") for i in range(size)])
+        self.letters = byte_letters()
         self.cut = re.compile(r"(?<=\S) (?=\S)")
-        self.later: dict[str, bytes] = {}
-
-    def pieces(self, text: str) -> list[str]:
-        if " ".join(text.split()) == text.replace("\n", " "):  # single blanks and newlines, between words only
-            return text.split(" ")
-        return self.cut.split(text)
+        self.stops = pa.array([b"", *self._single(list(STOPS))], type=pa.binary())
+        self.fixed = {FRONT: b"", NEWLINE: self._single(["\n"])[0], END: np.array([end_id], dtype=self.kind).tobytes()}
+        self.young: dict[str, bytes] = dict(self.fixed)
+        self.old: dict[str, bytes] = {}
 
     def _single(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype=self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _joined(self, pieces: list[str]) -> list[bytes]:
-        """Ids of pieces that each follow a space, encoded as one text and cut by the tokens' byte lengths."""
-        text = " " + " ".join(pieces)
-        ids = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype=np.int64)
-        ends = np.cumsum(self.sizes[ids])
-        wanted = np.cumsum([len(x.encode()) + 1 for x in pieces])
-        cuts = np.searchsorted(ends, wanted)
-        if len(cuts) and (cuts[-1] >= len(ends) or (ends[cuts] != wanted).any()):
-            return self._single([" " + x for x in pieces])
-        raw, at = ids.astype(self.kind).tobytes(), ((cuts + 1) * self.kind.itemsize).tolist()
-        return [raw[a:b] for a, b in zip([0, *at], at, strict=False)]
-
-    def _fetch(self, known: dict[str, bytes], pieces: list[str], follows: bool) -> list[bytes]:
-        """The ids of all pieces; those that ``known`` lacks are encoded, each once, and kept while there is room."""
-        found = list(map(known.get, pieces))
-        gaps = [i for i, x in enumerate(found) if x is None]
-        if gaps:
-            fresh, ids = list({pieces[i] for i in gaps}), []
-            for at in range(0, len(fresh), 4000):
-                part = fresh[at : at + 4000]
-                plain = follows and not any(x[-1].isspace() for x in part)
-                ids += self._joined(part) if plain else self._single([" " * follows + x for x in part])
-            learnt = dict(zip(fresh, ids, strict=True))
-            for i in gaps:
-                found[i] = learnt[pieces[i]]
-            if follows and len(known) + len(learnt) <= CACHE_PIECES:
-                known.update(learnt)
-        return found
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        split = [self.pieces(x) if x else [] for x in texts]
-        first = iter(self._fetch({}, [x[0] for x in split if x], False))
-        later = self._fetch(self.later, [y for x in split for y in x[1:]], True)
-        out, at = [], 0
-        for x in split:
-            n = max(0, len(x) - 1)
-            out.append(next(first) + b"".join(later[at : at + n]) if x else b"")
-            at += n
+    def _letters(self, words: list[str], lead: str) -> list[bytes]:
+        """Ids of words of letters by the model, many in one text, cut by the tokens' byte lengths; ``lead`` stands before each."""
+        out = []
+        for at in range(0, len(words), 2000):
+            some = words[at : at + 2000]
+            raw = " ".join(some).encode()
+            text = lead + raw.decode("latin-1").translate(self.letters).replace(" ", " " + lead)
+            ids = np.array(self.words.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype=np.int64)
+            blanks = np.flatnonzero(np.frombuffer(raw, dtype=np.uint8) == 32)
+            lengths = np.diff(np.concatenate([[-1], blanks, [len(raw)]])) - 1 + len(lead)
+            stops = (np.searchsorted(np.cumsum(self.sizes[ids]), np.cumsum(lengths)) + 1) * self.width
+            packed, ends = ids.astype(self.kind).tobytes(), stops.tolist()
+            out += [packed[a:b] for a, b in zip([0, *ends], ends, strict=False)]
         return out
 
+    def _fresh(self, pieces: list[str]) -> list[bytes]:
+        """Ids of pieces that no generation holds."""
+        every = pa.array(pieces, type=pa.string())
+        plain = pc.match_substring_regex(every, WORD).to_numpy(zero_copy_only=False)
+        out = np.empty(len(pieces), dtype=object)
+        odd = np.flatnonzero(~plain)
+        out[odd] = self._single([pieces[i][1:] if pieces[i][0] == FRONT else " " + pieces[i] for i in odd.tolist()])
+        if plain.any():
+            whole = every.filter(pa.array(plain))
+            bare = pc.utf8_rtrim(whole, characters=STOPS)
+            stop = pc.fill_null(pc.index_in(pc.utf8_slice_codeunits(whole, -1), value_set=pa.array(list(STOPS))), -1).to_numpy() + 1
+            coded = bare.dictionary_encode()
+            words = coded.dictionary.to_numpy(zero_copy_only=False)
+            ids = np.array([self.young.get(w) or self.old.get(w) for w in words.tolist()] + [None], dtype=object)[:-1]
+            new = np.equal(ids, None)
+            front = pc.starts_with(coded.dictionary, FRONT).to_numpy(zero_copy_only=False)
+            for lead, part in (("", np.flatnonzero(new & front)), ("\u0120", np.flatnonzero(new & ~front))):
+                some = words[part].tolist()
+                ids[part] = self._letters(some if lead else [w[1:] for w in some], lead)
+                self.young.update(zip(some, ids[part].tolist(), strict=True))
+            full = pc.binary_join_element_wise(pa.array(ids.tolist(), type=pa.binary()).take(coded.indices), self.stops.take(pa.array(stop)), pa.scalar(b""))
+            out[plain] = full.to_numpy(zero_copy_only=False)
+        return out.tolist()
+
+    def _fetch(self, pieces: np.ndarray, whole: dict[str, bytes]) -> list[bytes]:
+        """The ids of distinct pieces."""
+        if len(self.young) > CACHE_PIECES:
+            self.young, self.old = dict(self.fixed), self.young
+        found = np.empty(len(pieces), dtype=object)
+        todo = np.arange(len(pieces))
+        for known in (whole, self.young, self.old):
+            if known and len(todo):
+                got = np.empty(len(todo), dtype=object)
+                got[:] = list(map(known.get, pieces[todo].tolist()))
+                found[todo] = got
+                hit = np.not_equal(got, None)
+                if known is self.old:
+                    self.young.update(zip(pieces[todo[hit]].tolist(), got[hit].tolist(), strict=True))
+                todo = todo[~hit]
+        if len(todo):
+            names = pieces[todo].tolist()
+            ids = self._fresh(names)
+            found[todo] = ids
+            self.young.update(zip(names, ids, strict=True))
+        return found.tolist()
+
+    def _slow(self, texts: list[str], marked: list[bool], whole: dict[str, bytes]) -> pa.Array:
+        """Piece lists of texts with other white space or with marks; ids of the latter go to ``whole``."""
+        out = []
+        for text, holds in zip(texts, marked, strict=True):
+            if holds:
+                name = f"{WHOLE}{len(whole)}"
+                whole[name] = self._single([text])[0]
+                out.append([name, END])
+            else:
+                out.append([*self.cut.split(FRONT + text), END])
+        return pa.array(out, type=pa.list_(pa.string()))
+
+    def encode(self, texts: pa.Array) -> tuple[memoryview, np.ndarray]:
+        """All ids (each text's followed by the end id), and the number of ids of each text; texts: strings without nulls."""
+        whole: dict[str, bytes] = {}
+        marked = pc.match_substring_regex(texts, MARKED)
+        slow = pc.or_(marked, pc.match_substring_regex(texts, UNEVEN))
+        fast = texts.filter(pc.invert(slow))
+        front, end, none = (pa.scalar(x, texts.type) for x in (FRONT, f" {END}", ""))
+        spaced = pc.replace_substring(fast, "\n", f" {NEWLINE} {FRONT}")
+        lists = pc.split_pattern(pc.binary_join_element_wise(front, spaced, end, none), " ").cast(pa.list_(pa.string()))
+        if len(fast) < len(texts):
+            rows = self._slow(texts.filter(slow).to_pylist(), marked.filter(slow).to_pylist(), whole)
+            is_slow = slow.to_numpy(zero_copy_only=False)
+            place = np.where(is_slow, len(fast) + np.cumsum(is_slow) - 1, np.cumsum(~is_slow) - 1)
+            lists = pa.concat_arrays([lists, rows]).take(pa.array(place))
+        coded = lists.flatten().dictionary_encode()
+        ids = pa.array(self._fetch(coded.dictionary.to_numpy(zero_copy_only=False), whole), type=pa.large_binary())
+        bounds = np.concatenate([[0], np.cumsum(pc.binary_length(ids).to_numpy()[coded.indices.to_numpy()])])
+        payload = ids.take(coded.indices).buffers()[2]
+        return memoryview(payload if payload is not None else b"")[: bounds[-1]], np.diff(bounds[lists.offsets.to_numpy()]) // self.width
 
-@cache
-def _encoder(vocabulary: str, width: int) -> WordEncoder:
-    import os
 
+@cache
+def _encoder(vocabulary: str, width: int | None, end_id: int) -> PieceEncoder:
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    return WordEncoder(vocabulary, width)
+    return PieceEncoder(vocabulary, width, end_id)
+
+
+def _slices(column: pa.Array) -> Iterator[pa.Array]:
+    """A column of strings in pieces of about SLICE_BYTES."""
+    column = column.cast(pa.large_string())
+    ends = np.frombuffer(column.buffers()[1], dtype=np.int64)[column.offset : column.offset + len(column) + 1]
+    at = 0
+    while at < len(column):
+        until = max(at + 1, int(np.searchsorted(ends, ends[at] + SLICE_BYTES, "right")) - 1)
+        part = column.slice(at, until - at)
+        yield part.cast(pa.string()) if ends[until] - ends[at] < 1 << 30 else part
+        at = until
 
 
 def key_hashes(keys: np.ndarray, ranks: np.ndarray) -> np.ndarray:
@@ -200,6 +293,11 @@ class Shard:
         safe = np.where(known, slots, 0)
         return known, (self.starts[safe] if len(self.starts) else safe).astype(np.int64), (self.lengths[safe] if len(self.lengths) else safe).astype(np.int64)
 
+    def holds(self, key: int, rank: int) -> bool:
+        """Whether the key is really stored (a fingerprint passes one strange key in four thousand million); the stored keys ascend."""
+        at = int(np.searchsorted(self.keys, key, "left")) + rank
+        return at < len(self.keys) and int(self.keys[at]) == key
+
 
 def _scatter(values: np.ndarray, slots: np.ndarray, kind: str) -> np.ndarray:
     out = np.empty(len(values), dtype=kind)
@@ -208,15 +306,17 @@ def _scatter(values: np.ndarray, slots: np.ndarray, kind: str) -> np.ndarray:
 
 
 def _store(uri: str) -> tuple[pafs.FileSystem, str]:
+    """pyarrow's file system for a path; Hadoop's names for S3 are the one that pyarrow knows."""
+    uri = re.sub(r"\As3[an]://", "s3://", uri)
     return pafs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
 
 
-def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_id", text: str = "text", end_id: int = END_ID, width: int = 2) -> DataFrame:
+def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_id", text: str = "text", end_id: int = END_ID, width: int | None = None) -> DataFrame:
     """Encode and write the shards; returns their manifest (shard, n_docs, n_ids, low, high), a row for each."""
     named = docs.select(F.coalesce(F.col(key).cast("bigint"), F.lit(NULL_KEY)).alias("key"), F.coalesce(F.col(text), F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = _encoder(vocabulary, width), np.array([end_id], dtype=f"<u{width}").tobytes()
+        encoder = _encoder(vocabulary, width, end_id)
         shard = TaskContext.get().partitionId()
         attempt = TaskContext.get().taskAttemptId()
         keys, lengths = [], []
@@ -228,25 +328,27 @@ def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_
                 store, path = _store(folder)
                 store.create_dir(path, recursive=True)
                 sink = store.open_output_stream(f"{path}/{shard}.ids.{attempt}")
-            for at in range(0, batch.num_rows, 512):
-                for ids in encoder.encode(batch.column("text").slice(at, 512).to_pylist()):
-                    sink.write(ids + end)
-                    lengths.append(len(ids) // width + 1)
+            for part in _slices(batch.column("text")):
+                payload, sizes = encoder.encode(part)
+                sink.write(payload)
+                lengths.append(sizes)
             keys.append(batch.column("key").to_numpy(zero_copy_only=False))
         if sink is None:
             return
         sink.close()
         store.move(f"{path}/{shard}.ids.{attempt}", f"{path}/{shard}.ids")
-        every = np.concatenate(keys)
+        every, counts = np.concatenate(keys), np.concatenate(lengths)
         fresh = np.concatenate([[True], every[1:] != every[:-1]])
         ranks = np.arange(len(every)) - np.maximum.accumulate(np.where(fresh, np.arange(len(every)), 0))
-        index = Shard.build(every, ranks, np.array(lengths, dtype=np.int64), width)
+        index = Shard.build(every, ranks, counts, encoder.width)
         with store.open_output_stream(f"{path}/{shard}.mph.{attempt}") as out:
             out.write(index.to_bytes())
         store.move(f"{path}/{shard}.mph.{attempt}", f"{path}/{shard}.mph")
-        yield pa.RecordBatch.from_pydict({"shard": [shard], "n_docs": [len(every)], "n_ids": [sum(lengths)], "low": [int(every[0])], "high": [int(every[-1])]})
+        yield pa.RecordBatch.from_pydict({"shard": [shard], "n_docs": [len(every)], "n_ids": [int(counts.sum())], "low": [int(every[0])], "high": [int(every[-1])]})
 
-    ordered = named.repartitionByRange(F.col("key")).sortWithinPartitions("key")
+    # Documents without a key, or with the same one, may fill several shards.
+    dealt = named.withColumn("tie", F.xxhash64("text"))
+    ordered = dealt.repartitionByRange(F.col("key"), F.col("tie")).sortWithinPartitions("key", "tie").select("key", "text")
     return ordered.mapInArrow(run, "shard long, n_docs long, n_ids long, low long, high long")
 
 
@@ -282,31 +384,42 @@ def read_shards(manifest: DataFrame, folder: str) -> DataFrame:
 
 
 def lookup(keys: DataFrame, manifest: DataFrame, folder: str, key: str = "doc_id") -> DataFrame:
-    """Ids of the documents asked for, by keyed access: key and ids (null if it isn't stored).
+    """Ids by keyed access: key, copy and ids, a row for every stored document of each key asked for (copy counts them from 0), and one of nulls beside a key that isn't stored.
 
-    Each key goes to the shard whose range holds it; a task reads the index of its shards and of the payload only the bytes asked for.
+    A key goes to the shards whose range holds it (several only if one key fills several); a
+    task reads the index of its shards and of the payload only the bytes asked for.
     """
-    rows = sorted(manifest.collect(), key=lambda r: r["low"])
-    lows, names = np.array([r["low"] for r in rows], dtype=np.int64), [r["shard"] for r in rows]
+    rows = sorted(manifest.collect(), key=lambda r: r["shard"])
+    lows, highs, names = (np.array([r[k] for r in rows], dtype=np.int64) for k in ("low", "high", "shard"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         opened: dict = {}
         for batch in batches:
-            asked = batch.column("key").to_numpy(zero_copy_only=False).astype(np.int64)
-            at, out = np.searchsorted(lows, asked, "right") - 1, []
-            for k, i in zip(asked, at.tolist(), strict=True):
-                if i < 0:
-                    out.append(None)
-                    continue
-                if i not in opened:
-                    opened.clear()
-                    store, path = _store(folder)
-                    with store.open_input_stream(f"{path}/{names[i]}.mph") as source:
-                        opened[i] = Shard.from_bytes(source.read()), store.open_input_file(f"{path}/{names[i]}.ids")
-                index, payload = opened[i]
-                known, start, n = index.find(np.array([k]), np.array([0]))
-                out.append(np.frombuffer(payload.read_at(int(n[0]) * index.width, int(start[0]) * index.width), dtype=f"<u{index.width}").astype(np.int32).tolist() if known[0] else None)
-            yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(out, type=pa.list_(pa.int32()))], names=["key", "ids"])
+            asked = batch.column("key").to_numpy(zero_copy_only=False)
+            first, last = np.searchsorted(highs, asked, "left"), np.searchsorted(lows, asked, "right")
+            out: dict[str, list] = {"key": [], "copy": [], "ids": []}
+            for k, a, b in zip(asked.tolist(), first.tolist(), last.tolist(), strict=True):
+                copies = 0
+                for i in range(a, b):
+                    if i not in opened:
+                        if len(opened) > 1:
+                            opened.clear()
+                        store, path = _store(folder)
+                        with store.open_input_stream(f"{path}/{names[i]}.mph") as source:
+                            opened[i] = Shard.from_bytes(source.read()), store.open_input_file(f"{path}/{names[i]}.ids")
+                    index, payload = opened[i]
+                    rank = 0
+                    while (found := index.find(np.array([k]), np.array([rank])))[0][0] and index.holds(k, rank):
+                        start, n = int(found[1][0]) * index.width, int(found[2][0]) * index.width
+                        out["key"].append(None if k == NULL_KEY else k)
+                        out["copy"].append(copies)
+                        out["ids"].append(np.frombuffer(payload.read_at(n, start), dtype=f"<u{index.width}").astype(np.int64).tolist())
+                        rank, copies = rank + 1, copies + 1
+                if not copies:
+                    out["key"].append(None if k == NULL_KEY else k)
+                    out["copy"].append(None)
+                    out["ids"].append(None)
+            yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("key", pa.int64()), ("copy", pa.int32()), ("ids", pa.list_(pa.int64()))]))
 
     named = keys.select(F.coalesce(F.col(key).cast("bigint"), F.lit(NULL_KEY)).alias("key")).repartitionByRange("key").sortWithinPartitions("key")
-    return named.mapInArrow(run, "key long, ids array<int>")
+    return named.mapInArrow(run, "key long, copy int, ids array<long>")

@@ -2,11 +2,14 @@
 
 import hashlib
 import io
+import random
 import struct
 import zipfile
 import zlib
 
+import numpy as np
 import public_tokenizers
+import pyarrow as pa
 from tokenizers import Tokenizer
 
 from linkfactor.llm import media, secrets, tokens
@@ -124,7 +127,6 @@ def test_second_run_knows_both_ledgers(spark):
 
 def plain_ids(texts):
     engine = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    engine.encode_special_tokens = True
     return [e.ids + [2] for e in engine.encode_batch([t or "" for t in texts], add_special_tokens=False)]
 
 
@@ -132,16 +134,42 @@ def crc(ids):
     return zlib.crc32(struct.pack(f"<{len(ids)}I", *ids))
 
 
-def test_pieces_of_texts_whose_white_space_counts_balance():
-    texts = ["name\tvalue ", " name\tvalue", "a\tb\tc\n\n d", "caf\u00e9\u00a0au  lait", "a\tb\tc\td    e", "x\x1cy\u2003z  \n", "one two\nthree", "a\u00a0b ", "tab\tx \ttail\u00a0 "]
-    # Counts balance in most of these, as each tab or U+00A0 makes up for one blank too many.
-    balanced = [t for t in texts if len(t.split()) == t.count(" ") + t.count("\n") + 1]
-    assert len(balanced) >= 5
-    encoder = tokens.WordEncoder(public_tokenizers.path("byte_bpe_50k.json"))
-    for t in texts:
-        assert encoder.pieces(t) == encoder.cut.split(t)
-    got = [[*struct.unpack(f"<{len(x) // 2}H", x), 2] for x in encoder.encode(texts)]
-    assert got == plain_ids(texts)
+def coded(encoder, texts):
+    payload, sizes = encoder.encode(pa.array(texts, type=pa.string()))
+    ids = np.frombuffer(payload, dtype=encoder.kind).tolist()
+    ends = np.cumsum(sizes).tolist()
+    assert not texts or ends[-1] == len(ids)
+    return [ids[a:b] for a, b in zip([0, *ends], ends, strict=False)]
+
+
+def test_pieces_are_the_librarys_ids():
+    encoder = tokens.PieceEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["", "a\tb ", "a  b\tc", "a   b\tc\td", "a\u3000b", "a\u2028b c", " a", "a ", "\n", "a\nb", "\na", "a\n", "a \nb", "name\tvalue ", "caf\u00e9\u00a0au  lait"]
+    texts += ["<|endoftext|> hi", "x <|endoftext|>y z", "a<|endoftext|>\nb", "\x01a b", "a \x02", "\x03 \x03", "\x04", "a\x00b c", "a\u180e b \u180ec", "x \u200b y"]
+    texts += ["it's don't I'll 12 3a !! end.", "Stra\u00dfe, \u00c9t\u00e9; \u00d7\u00f7 \u00aa\u00ba.", "\u4e2d\u6587 \u0416\u0443\u043a. \u03b1?", "word.\nNext, line!\nthird", "tab\tx \ttail\u00a0 "]
+    assert coded(encoder, texts) == plain_ids(texts)
+    rng = random.Random(4)
+    odd = ["a", "Z\u00e9", "1", " ", " ", "\n", "\t", "\u00a0", "\u2028", "\u3000", "'s", "!?", ".", "<|endoftext|>", "\x01", "\x02", "\r", "\x1c", "\x85", "\u65e5", "\u180e", "\u200b"]
+    even = ["ab", "c", "Z\u00e9", "12", ".", " ", " ", "\n"]
+    for kinds in (odd, even):
+        some = ["".join(rng.choices(kinds, k=rng.randrange(16))) for _ in range(3000)]
+        assert coded(encoder, some) == plain_ids(some)
+
+
+def test_pieces_outlast_the_generations(monkeypatch):
+    monkeypatch.setattr(tokens, "CACHE_PIECES", 20)
+    encoder = tokens.PieceEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    rng = random.Random(5)
+    for _ in range(8):
+        texts = [" ".join("".join(rng.choices("abc\u00e9", k=rng.randrange(1, 5))) + rng.choice(["", ".", ","]) for _ in range(30)) for _ in range(5)]
+        assert coded(encoder, texts) == plain_ids(texts)
+
+
+def test_every_letter_of_words_is_one_to_the_library():
+    encoder = tokens.PieceEncoder(public_tokenizers.path("byte_bpe_50k.json"))
+    letters = [c for c in map(chr, range(1, 0x300)) if c not in "\x01\x02\x03\x04"]
+    texts = [f"x {c} a{c}b {c}. a{c}, {c}{c}" for c in letters if not c.isspace()]
+    assert coded(encoder, texts) == plain_ids(texts)
 
 
 def test_op6(spark):
@@ -162,5 +190,9 @@ def test_token_shards_of_odd_rows(spark):
     asked = spark.createDataFrame([(8,), (77,), (6,)], "doc_id long")
     found = {r.key: r.ids for r in tokens.lookup(asked, manifest, folder).collect()}
     assert found[77] is None and found[8] == plain_ids([ODD[9][1]])[0] and found[6] == plain_ids([ODD[7][1]])[0]
+    keys = spark.createDataFrame([(None,), (88,), *[(k,) for k in {r[0] for r in ODD if r[0] is not None}]], "doc_id long")
+    every = [(r.key, r.ids) for r in tokens.lookup(keys, manifest, folder).collect()]
+    want = [(r[0], ids) for r, ids in zip(ODD, plain_ids([r[1] for r in ODD]), strict=True)] + [(88, None)] + [(None, None)] * all(r[0] is not None for r in ODD)
+    assert sorted(map(str, every)) == sorted(map(str, want))
     none = settle(tokens.write_shards(docs.limit(0), scratch(spark, "ids"), public_tokenizers.path("byte_bpe_50k.json")))
     assert tokens.read_shards(none, folder).count() == 0
