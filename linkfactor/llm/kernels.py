@@ -85,7 +85,9 @@ class Block:
         powers = _POWERS.upto(len(self.data) + 1)
         if lower not in self.sums:
             self.sums[lower] = np.zeros(len(self.data) + 1, dtype=U64)
-            np.cumsum((_LOWER_CODES if lower else _BYTE_CODES)[self.data] * powers.up[: len(self.data)], out=self.sums[lower][1:])
+            terms = (_LOWER_CODES if lower else _BYTE_CODES)[self.data]
+            terms *= powers.up[: len(self.data)]
+            np.cumsum(terms, out=self.sums[lower][1:])
         return self.sums[lower], powers.down
 
     def span_hashes(self, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
@@ -145,6 +147,60 @@ def windows(hashes: np.ndarray, firsts: np.ndarray, width: int, whole_if_short:
     return out, bounds
 
 
+def one_permutation(values: np.ndarray, bounds: np.ndarray, bins: int) -> np.ndarray:
+    """One-permutation minima (texts x bins, 32 bits): every value offers its low half to the bin that its high half names.
+
+    An empty bin takes over the first filled one in an order of its own (optimal
+    densification), so two sets agree in each bin with a chance of their Jaccard similarity,
+    whatever their sizes. Repeats don't change a minimum. Rows without a value hold the largest number.
+    """
+    none = np.uint32((1 << 32) - 1)
+    n = len(bounds) - 1
+    owner = np.repeat(np.arange(0, n * bins, bins), np.diff(bounds))
+    owner += ((values >> U64(32)) * U64(bins) >> U64(32)).astype(np.int64)
+    best = np.full(n * bins, none, dtype=np.uint32)
+    np.minimum.at(best, owner, values.astype(np.uint32))
+    best = best.reshape(n, bins)
+    row, col = np.nonzero(best == none)
+    some = np.diff(bounds)[row] > 0
+    row, col = row[some], col[some]
+    if len(row):
+        turn = np.argsort(mix(np.arange(bins * bins, dtype=U64)).reshape(bins, bins), axis=1)
+        out = best.copy()
+        for step in range(bins):
+            got = best[row, turn[col, step]]
+            out[row, col] = got
+            left = got == none
+            if not left.any():
+                break
+            row, col = row[left], col[left]
+        best = out
+    return best
+
+
+def pack_rows(rows: np.ndarray) -> pa.Array:
+    """Each row of a matrix as one binary value."""
+    n, width = len(rows), rows.shape[1] * rows.itemsize
+    return pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer(np.arange(0, n * width + 1, max(width, 1), dtype=np.int32)[: n + 1].tobytes()), pa.py_buffer(np.ascontiguousarray(rows).tobytes())])
+
+
+def unpack_rows(column: pa.Array, kind: type = np.uint64) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of all rows of a binary column, and the row of each."""
+    ends = np.frombuffer(column.buffers()[1], dtype=np.int32)[column.offset : column.offset + len(column) + 1]
+    flat = np.frombuffer(column.buffers()[2], dtype=np.uint8)[ends[0] : ends[-1]].view(kind) if len(column) and ends[-1] > ends[0] else np.zeros(0, dtype=kind)
+    return flat, np.repeat(np.arange(len(column)), np.diff(ends) // np.dtype(kind).itemsize)
+
+
+def common(x: np.ndarray, y: np.ndarray) -> int:
+    """How many values two sorted sets share."""
+    if not len(x) or not len(y):
+        return 0
+    x, y = (y, x) if len(x) < len(y) else (x, y)
+    at = x.searchsorted(y)
+    at[at == len(x)] = 0
+    return int(np.count_nonzero(x[at] == y))
+
+
 def sorted_sets(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct values of each text in ascending order, and the new bounds."""
     values = values.copy()

@@ -2,11 +2,11 @@
 
 Lines are what stands between newlines; those of white space alone never count as copies. A
 line's set holds its distinct runs of SHINGLE characters (the whole line if it is shorter).
-Its signature has one minimum per hash function over the whole set (repeats don't change a
-minimum), computed for all lines of a block at once; all lines have the same kind, so that
-any two can meet. Bands of ROWS minima make candidates, SuperMinHash sketches of these thin
-them, and exact Jaccard similarity on the texts' sets confirms every link
-(100 * common >= PERCENT * union).
+Its signature has one minimum per bin of a one-permutation MinHash over the whole set, empty
+bins being filled from others by a fixed rule, so that all lines, short and long ones, have
+signatures of the same kind and any two can meet. Bands of ROWS minima make candidates, finer
+sketches of the same kind thin them, and exact Jaccard similarity on the texts' sets confirms
+every link (100 * common >= PERCENT * union).
 Components of equal and linked lines keep one line, the first by (doc_id, line number).
 
 Equal lines are one item by a 64-bit hash of their bytes, and only hashes travel: texts of
@@ -31,67 +31,68 @@ from pyspark.sql import functions as F
 
 from .bloom import prefilter, split
 from .cluster import settle, settle_table
-from .kernels import IS_SPACE, Block, blocks, mix, sorted_sets
-from .near import components
-from .near_docs import band_hashes, list_array, sketch_longs, superminhash
+from .kernels import Block, blocks, mix, one_permutation, pack_rows, sorted_sets
+from .near import components, fixed_filter
+from .near_docs import band_hashes, list_array, sketch_longs
 
-U64, U32 = np.uint64, np.uint32
+U64 = np.uint64
 SHINGLE, PERCENT = 8, 80
 ROWS, BANDS = 4, 18
 LINE_BLOCK = 1 << 17
 #: Registers and bits of the sketches of candidate lines, and differing samples of these that a pair may have: at the threshold 48 are expected, with a deviation of up to 6.2 for large sets; five of them are allowed.
 SLOTS, SAMPLE_BITS, SKETCH_LIMIT = 256, 4, 79
 
-_NOT_NEWLINE = np.zeros(256, dtype=bool)
-_NOT_NEWLINE[10] = True
-_FLIPS = mix(np.arange(1, ROWS * BANDS + 1, dtype=U64)).astype(U32)
-_FACTORS = mix(np.arange(1001, ROWS * BANDS + 1001, dtype=U64)).astype(U32) | U32(1)
-
 
 def line_spans(block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Starts, ends, texts, numbers within the text and hashes of the lines that hold a word."""
-    lo, hi, firsts = block.spans(_NOT_NEWLINE)
-    word = np.concatenate([[0], np.cumsum(~IS_SPACE[block.data])])
-    breaks = np.concatenate([[0], np.cumsum(block.data == 10)])
-    owner = np.repeat(np.arange(block.n), np.diff(firsts))
-    keep = word[hi] > word[lo]
-    lo, hi, owner = lo[keep], hi[keep], owner[keep]
-    return lo, hi, owner, breaks[lo] - breaks[block.bounds[owner]], block.span_hashes(lo, hi)
+    data = block.data
+    newline = np.flatnonzero(data == 10)
+    edges = np.unique(np.concatenate([block.bounds, newline, newline + 1]))
+    if len(edges) < 2:
+        none = np.zeros(0, dtype=np.int64)
+        return none, none, none, none, none.astype(U64)
+    solid = ~((data == 32) | (data - np.uint8(9) < 5))
+    keep = np.maximum.reduceat(solid.view(np.uint8), edges[:-1]) > 0
+    lo, hi = edges[:-1][keep], edges[1:][keep]
+    owner = np.searchsorted(block.bounds, lo, "right") - 1
+    number = np.searchsorted(newline, lo) - np.searchsorted(newline, block.bounds[owner])
+    return lo, hi, owner, number, block.span_hashes(lo, hi)
 
 
 def character_sets(block: Block, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Shingle hashes (with repeats) of the given spans, which ascend, and their bounds."""
-    heads = np.flatnonzero((block.data & 0xC0) != 0x80)
+    """Shingle hashes (with repeats) of the given spans and their bounds."""
     sums, down = block.prefix_sums()  # kept by the block
-    at = np.append(sums[heads], sums[-1])  # up to each character
-    a, b = np.searchsorted(heads, lo), np.searchsorted(heads, hi)
-    long = b - a >= SHINGLE
-    counts = np.where(long, b - a - SHINGLE + 1, (b > a).astype(np.int64))
+    if len(block.data) and block.data.max() < 0x80:
+        at, down, a, b = sums, down[: len(block.data)], lo, hi
+    else:
+        heads = np.flatnonzero((block.data & 0xC0) != 0x80)
+        at = np.append(sums[heads], sums[-1])  # up to each character
+        a, b, down = np.searchsorted(heads, lo), np.searchsorted(heads, hi), down[heads]
+    counts = np.where(b - a >= SHINGLE, b - a - SHINGLE + 1, (b > a).astype(np.int64))
     bounds = np.concatenate([[0], np.cumsum(counts)])
-    runs = (at[SHINGLE:] - at[:-SHINGLE]) * down[heads[: len(heads) - SHINGLE + 1]] if len(heads) >= SHINGLE else np.zeros(0, dtype=U64)
-    edge = np.bincount(a[long], minlength=len(heads) + 1) - np.bincount(b[long] - SHINGLE + 1, minlength=len(heads) + 1)
-    out = np.empty(int(bounds[-1]), dtype=U64)
-    short = np.flatnonzero(~long & (b > a))
-    room = np.ones(len(out), dtype=bool)
-    room[bounds[short]] = False
-    out[room] = runs[np.cumsum(edge)[: len(runs)] > 0]
-    out[bounds[short]] = (at[b[short]] - at[a[short]]) * down[heads[a[short]]] ^ U64(0x2545F4914F6CDD1D)
-    return out * U64(0xD6E8FEB86659FD93) ^ out >> U64(29), bounds
-
-
-def minhash(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """ROWS * BANDS minima of each span; spans without a value get the largest number."""
-    out = np.full((len(bounds) - 1, ROWS * BANDS), (1 << 32) - 1, dtype=U64)
-    filled = np.flatnonzero(np.diff(bounds))
-    if len(filled):
-        short = (values >> U64(32)).astype(U32)
-        for k in range(out.shape[1]):
-            out[filled, k] = np.minimum.reduceat((short ^ _FLIPS[k]) * _FACTORS[k], bounds[:-1][filled])
-    return out
+    if not bounds[-1]:
+        return np.zeros(0, dtype=U64), bounds
+    runs = at[SHINGLE:] - at[:-SHINGLE] if len(at) > SHINGLE else np.zeros(0, dtype=U64)
+    runs *= down[: len(runs)]
+    short = np.flatnonzero((b - a < SHINGLE) & (b > a))
+    whole = (at[b[short]] - at[a[short]]) * down[a[short]] ^ U64(0x2545F4914F6CDD1D)
+    parts = [runs[x:y] for x, y in zip(a.tolist(), (a + counts).tolist(), strict=True)]
+    for k, i in enumerate(short.tolist()):
+        parts[i] = whole[k : k + 1]
+    out = np.concatenate(parts)
+    spread = out >> U64(29)
+    out *= U64(0xD6E8FEB86659FD93)
+    out ^= spread
+    return out, bounds
+
+
+def line_sets(block: Block) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct shingle hashes of whole lines, and their bounds."""
+    return sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))
 
 
 def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key, number and id (hash) of every line that holds a word; bands of its signatures at one row of each line at least."""
+    """key, number and id (hash) of every line that holds a word; bands (packed longs) of its signature at one row of each line at least."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -99,137 +100,50 @@ def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
             for block in blocks(batch.column("text"), LINE_BLOCK):
                 lo, hi, owner, number, ids = line_spans(block)
                 one = np.sort(np.unique(ids, return_index=True)[1])
-                bands = list_array(band_hashes(minhash(*character_sets(block, lo[one], hi[one])), ROWS, BANDS))
-                rest = np.setdiff1d(np.arange(len(ids)), one)
+                minima = one_permutation(*character_sets(block, lo[one], hi[one]), ROWS * BANDS)
+                bands = pack_rows(band_hashes(minima.astype(U64), ROWS, BANDS))
+                rest = np.setdiff1d(np.arange(len(ids)), one, assume_unique=True)
                 place = np.concatenate([one, rest])
-                bands = pa.concat_arrays([bands, pa.nulls(len(rest), pa.list_(pa.int64()))])
+                if len(rest):
+                    bands = pa.concat_arrays([bands, pa.nulls(len(rest), pa.binary())])
                 yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), bands], names=["key", "number", "id", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, bands array<long>")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, bands binary")
 
 
-def line_texts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """id, text and fine sketch of lines, each at least once."""
+def line_texts(docs: DataFrame, wanted: DataFrame, text: str = "text") -> DataFrame:
+    """id and text of the lines whose hash may be among the column id of wanted, each at least once."""
+    likely = fixed_filter(wanted, "id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for block in blocks(batch.column("text")):
                 lo, hi, _, _, ids = line_spans(block)
-                ids, one = np.unique(ids, return_index=True)
-                raw = block.data.tobytes()
+                some = np.flatnonzero(likely.passes(ids))
+                ids, one = np.unique(ids[some], return_index=True)
+                raw, one = block.data.tobytes(), some[one]
                 yield pa.RecordBatch.from_arrays([pa.array(ids.view(np.int64)), pa.array([raw[a:b] for a, b in zip(lo[one].tolist(), hi[one].tolist(), strict=True)], type=pa.binary())], names=["id", "line"])
 
     return docs.select(F.col(text).alias("text")).mapInArrow(run, "id long, line binary")
 
 
 def line_sketches(lines: DataFrame) -> DataFrame:
-    """id, size of the set and SuperMinHash sketch of lines."""
+    """id, size of the set and sketch of lines."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for block in blocks(batch.column("line"), LINE_BLOCK):
-                values, bounds = sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))
-                sketch = list_array(sketch_longs(superminhash(values, bounds, SLOTS)))
+                values, bounds = line_sets(block)
+                sketch = list_array(sketch_longs(one_permutation(values, bounds, SLOTS).astype(U64)))
                 yield pa.RecordBatch.from_arrays([batch.column("id").slice(block.first, block.n), pa.array(np.diff(bounds)), sketch], names=["id", "size", "sketch"])
 
     return lines.select("id", "line").mapInArrow(run, "id long, size long, sketch array<long>")
 
 
-def _similar(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in (part.slice(at, 1000) for part in batches for at in range(0, part.num_rows, 1000)):
-        sides = []
-        for name in ("line_a", "line_b"):
-            coded = batch.column(name).dictionary_encode()
-            sets = []
-            for block in blocks(coded.dictionary):
-                values, bounds = sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))
-                sets += [values[i:j] for i, j in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-            sides.append([sets[i] for i in coded.indices.to_pylist()])
-        keep = np.zeros(batch.num_rows, dtype=bool)
-        for i, (x, y) in enumerate(zip(*sides, strict=True)):
-            common = len(np.intersect1d(x, y, assume_unique=True))
-            keep[i] = 100 * common >= PERCENT * (len(x) + len(y) - common)
-        yield batch.select(["a", "b"]).filter(pa.array(keep))
-
-
-def _cell_links(rows: dict[str, np.ndarray], lines: list[bytes], bands: list) -> list[tuple[int, int]]:
-    """Similar pairs of different components in one cell, each at the least band that it shares."""
-    n, band = len(lines), int(rows["band"][0])
-    own, at, pieces, root, ids = (rows[k] for k in ("own", "at", "pieces", "root", "id"))
-    low, high = int(at[0]) // int(pieces[0]), int(at[0]) % int(pieces[0])
-    apart = np.flatnonzero(root != rows["main"])
-    sketch, found, sets = rows["sketch"], [], {}
-
-    def grams(i: int) -> np.ndarray:
-        if i not in sets:
-            block = next(blocks(pa.array([lines[i]], type=pa.binary())))
-            sets[i] = sorted_sets(*character_sets(block, block.bounds[:-1], block.bounds[1:]))[0]
-        return sets[i]
-
-    for i in apart.tolist():
-        mate = (root != root[i]) & (own == (high if own[i] == low else low))
-        # Two members outside the main component meet once, from the one that stands first.
-        mate &= (root == rows["main"]) | (np.arange(n) > i)
-        at_j = np.flatnonzero(mate)
-        if not len(at_j):
-            continue
-        x = sketch[at_j] ^ sketch[i]
-        x |= x >> U64(1)
-        x |= x >> U64(2)
-        differ = np.bitwise_count(x & U64(0x1111111111111111)).sum(axis=1)
-        for j in at_j[differ <= SKETCH_LIMIT].tolist():
-            if min(set(bands[i]) & set(bands[j])) != band:
-                continue
-            a, b = grams(i), grams(j)
-            common = len(np.intersect1d(a, b, assume_unique=True))
-            if 100 * common >= PERCENT * (len(a) + len(b) - common):
-                found.append((int(min(ids[i], ids[j])), int(max(ids[i], ids[j]))))
-    return found
-
-
-def compare_cells(cells: DataFrame, texts: DataFrame) -> DataFrame:
-    """Links (a, b) in the cells of mixed buckets, compared in place: no pair becomes a row unless it is a link."""
-    named = texts.select(F.col("id").alias("line_id"), "line")
-    flat = cells.join(named, F.col("id") == F.col("line_id")).select("cell", "band", "at", "pieces", "own", "id", "root", "main", F.col("info.sketch").alias("sketch"), "bands", "line")
-    numbers = ("cell", "band", "at", "pieces", "own", "id", "root", "main")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def links(table: pa.Table) -> list[tuple[int, int]]:
-            rows = {k: table.column(k).to_numpy() for k in numbers}
-            rows["sketch"] = table.column("sketch").combine_chunks().flatten().to_numpy().view(U64).reshape(table.num_rows, -1)
-            lines, bands = table.column("line").to_pylist(), table.column("bands").to_pylist()
-            edge = np.flatnonzero(np.concatenate([[True], (np.diff(rows["cell"]) != 0) | (np.diff(rows["band"]) != 0) | (np.diff(rows["at"]) != 0)]))
-            out = []
-            for a, b in zip(edge.tolist(), [*edge[1:].tolist(), table.num_rows], strict=True):
-                if b - a > 1:
-                    out += _cell_links({k: v[a:b] for k, v in rows.items()}, lines[a:b], bands[a:b])
-            return out
-
-        def emit(found: list[tuple[int, int]]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([x[k] for x in found], type=pa.int64()) for k in (0, 1)], names=["a", "b"])
-
-        rest: list[pa.Table] = []
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            table = pa.Table.from_batches([batch])
-            cell = table.column("cell").to_numpy()
-            cut = int(np.searchsorted(cell, cell[-1]))
-            if cut or (rest and rest[0].column("cell")[0].as_py() != cell[0]):
-                yield emit(links(pa.concat_tables([*rest, table.slice(0, cut)])))
-                rest = []
-            rest.append(table.slice(cut))
-        if rest:
-            yield emit(links(pa.concat_tables(rest)))
-
-    return flat.repartition("cell").sortWithinPartitions("cell", "band", "at").mapInArrow(run, "a long, b long")
-
-
 def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFrame:
     """node and root of every line hash that is linked with another line; table: the rows of line_table."""
     places = table.select("key", "number", "id")
-
     texts: list[DataFrame] = []
 
     def describe(ids: DataFrame) -> DataFrame:
@@ -239,17 +153,12 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
         holders = prefilter(places, "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi").groupBy("id").agg(F.min("key").alias("key"))
         holders = settle(holders.select("key").distinct())
         rows = docs.select(F.col(key).alias("key"), F.col(text).alias("text"))
-        some = prefilter(line_texts(prefilter(rows, "key", holders)), "id", wanted.withColumnRenamed("of", "key")).join(wanted, F.col("id") == F.col("of"), "left_semi")
-        texts.append(settle_table(some.groupBy("id").agg(F.first("line").alias("line")), "lines"))
-        return line_sketches(texts[0])
-
-    def verify(pairs: DataFrame) -> DataFrame:
-        one = pairs.join(texts[0].withColumnRenamed("line", "line_a"), F.col("a") == F.col("id")).drop("id")
-        two = one.join(texts[0].withColumnRenamed("line", "line_b"), F.col("b") == F.col("id")).drop("id")
-        return two.mapInArrow(_similar, "a long, b long")
+        some = line_texts(prefilter(rows, "key", holders), ids).join(wanted, F.col("id") == F.col("of"), "left_semi")
+        texts.append(settle_table(some.groupBy("id").agg(F.first("line").alias("item")), "lines"))
+        return line_sketches(texts[0].withColumnRenamed("item", "line"))
 
     items = table.where("bands is not null").select("id", "bands")
-    return components(items, verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100, describe, lambda cells: compare_cells(cells, texts[0]))
+    return components(items, lambda ids: texts[0], line_sets, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT, describe)
 
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .bloom import prefilter, split
 from .cluster import settle, settle_table
-from .kernels import Block, blocks, mix, set_prints, sorted_sets, windows
+from .kernels import Block, blocks, mix, pack_rows, set_prints, sorted_sets, windows
 from .near import components
 
 U64 = np.uint64
@@ -96,41 +96,19 @@ def list_array(rows: np.ndarray) -> pa.Array:
 
 
 def signatures(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
-    """key, size, set print (two longs), sketch and bands of every text; no bands for empty sets."""
+    """key, size, set print (two longs), sketch and bands (packed longs) of every text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for block in blocks(batch.column("text")):
                 sets, bounds = shingle_sets(block, width)
                 sizes, prints, registers = np.diff(bounds), set_prints(sets, bounds), superminhash(sets, bounds)
-                bands = list_array(band_hashes(registers, ROWS, BANDS))
-                if (sizes == 0).any():
-                    bands = pa.array([None if s == 0 else b for s, b in zip(sizes.tolist(), bands.to_pylist(), strict=True)], type=bands.type)
+                bands = pack_rows(band_hashes(registers, ROWS, BANDS))
                 columns = [batch.column("key").slice(block.first, block.n), pa.array(sizes), pa.array(prints[:, 0].view(np.int64)), pa.array(np.ascontiguousarray(prints[:, 1]).view(np.int64)), list_array(sketch_longs(registers)), bands]
                 yield pa.RecordBatch.from_arrays(columns, names=["key", "size", "print1", "print2", "sketch", "bands"])
 
     named = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text"))
-    return named.mapInArrow(run, "key long, size long, print1 long, print2 long, sketch array<long>, bands array<long>")
-
-
-def _similar(width: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (part.slice(at, 1000) for part in batches for at in range(0, part.num_rows, 1000)):
-            sides = []
-            for name in ("text_a", "text_b"):
-                coded = batch.column(name).dictionary_encode()  # a hub's text comes many times
-                sets = []
-                for block in blocks(coded.dictionary):
-                    values, bounds = shingle_sets(block, width)
-                    sets += [values[i:j] for i, j in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)]
-                sides.append([sets[i] for i in coded.indices.to_pylist()])
-            keep = np.zeros(batch.num_rows, dtype=bool)
-            for i, (x, y) in enumerate(zip(*sides, strict=True)):
-                common = len(np.intersect1d(x, y, assume_unique=True))
-                keep[i] = 100 * common >= PERCENT * (len(x) + len(y) - common)
-            yield batch.select(["a", "b"]).filter(pa.array(keep))
-
-    return run
+    return named.mapInArrow(run, "key long, size long, print1 long, print2 long, sketch array<long>, bands binary")
 
 
 def near_components(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5) -> DataFrame:
@@ -139,16 +117,13 @@ def near_components(docs: DataFrame, key: str = "doc_id", text: str = "text", wi
     usable = signed.where("key is not null and size > 0")
     items = usable.groupBy("print1", "print2").agg(F.min("key").alias("id"), F.first("size").alias("size"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands"))
     items = settle_table(items, "items")
-    texts = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).where("id is not null")
+    texts = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("item")).where("id is not null")
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        wanted = settle(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
-        some = prefilter(texts, "id", wanted)
-        one = pairs.join(some.withColumnRenamed("text", "text_a"), F.col("a") == F.col("id")).drop("id")
-        two = one.join(some.withColumnRenamed("text", "text_b"), F.col("b") == F.col("id")).drop("id")
-        return two.mapInArrow(_similar(width), "a long, b long").distinct()  # rows of one key may repeat
+    def texts_of(ids: DataFrame) -> DataFrame:
+        wanted = settle(ids.select(F.col("id").alias("key")))
+        return prefilter(texts, "id", wanted).join(wanted, F.col("id") == F.col("key"), "left_semi")
 
-    roots = components(items.select("id", "size", "sketch", "bands"), verify, SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT / 100)
+    roots = components(items.select("id", "size", "sketch", "bands"), texts_of, lambda block: shingle_sets(block, width), SLOTS * SAMPLE_BITS // 64, SAMPLE_BITS, SKETCH_LIMIT, PERCENT)
     grouped = items.join(roots, F.col("id") == F.col("node"), "left").select("print1", "print2", F.coalesce("root", "id").alias("component"))
     found = signed.join(grouped, ["print1", "print2"], "left")
     component = F.when(F.col("key").isNotNull(), F.when(F.col("size") > 0, F.col("component")).otherwise(F.col("key")))
