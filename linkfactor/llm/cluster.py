@@ -33,11 +33,11 @@ def settle(frame: DataFrame) -> DataFrame:
     return frame.checkpoint()
 
 
-def settle_table(frame: DataFrame, label: str) -> DataFrame:
-    """Like settle, as compressed Parquet for frames that grow with the text."""
+def settle_table(frame: DataFrame, label: str, hashes: tuple[str, ...] = ()) -> DataFrame:
+    """Like settle, as compressed Parquet for frames that grow with the text; columns of hashes get no dictionary."""
     spark = frame.sparkSession
     path = scratch(spark, label)
-    frame.write.parquet(path)
+    frame.write.options(**{f"parquet.enable.dictionary#{c}": "false" for c in hashes}).parquet(path)
     return spark.read.schema(frame.schema).parquet(path)
 
 

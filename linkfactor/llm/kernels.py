@@ -147,6 +147,14 @@ def windows(hashes: np.ndarray, firsts: np.ndarray, width: int, whole_if_short:
     return out, bounds
 
 
+def distinct(values: np.ndarray) -> np.ndarray:
+    """The distinct values in ascending order, by one sort."""
+    values = np.sort(values)
+    keep = np.ones(len(values), dtype=bool)
+    keep[1:] = values[1:] != values[:-1]
+    return values[keep]
+
+
 def one_permutation(values: np.ndarray, bounds: np.ndarray, bins: int) -> np.ndarray:
     """One-permutation minima (texts x bins, 32 bits): every value offers its low half to the bin that its high half names.
 
@@ -156,10 +164,11 @@ def one_permutation(values: np.ndarray, bounds: np.ndarray, bins: int) -> np.nda
     """
     none = np.uint32((1 << 32) - 1)
     n = len(bounds) - 1
-    owner = np.repeat(np.arange(0, n * bins, bins), np.diff(bounds))
-    owner += ((values >> U64(32)) * U64(bins) >> U64(32)).astype(np.int64)
+    place = np.repeat(np.arange(0, n * bins, bins), np.diff(bounds))
+    halves = np.ascontiguousarray(values).view(np.uint32)
+    place += halves[1::2].astype(np.int64) * bins >> 32
     best = np.full(n * bins, none, dtype=np.uint32)
-    np.minimum.at(best, owner, values.astype(np.uint32))
+    np.minimum.at(best, place, halves[::2])
     best = best.reshape(n, bins)
     row, col = np.nonzero(best == none)
     some = np.diff(bounds)[row] > 0
@@ -191,14 +200,43 @@ def unpack_rows(column: pa.Array, kind: type = np.uint64) -> tuple[np.ndarray, n
     return flat, np.repeat(np.arange(len(column)), np.diff(ends) // np.dtype(kind).itemsize)
 
 
-def common(x: np.ndarray, y: np.ndarray) -> int:
-    """How many values two sorted sets share."""
-    if not len(x) or not len(y):
-        return 0
-    x, y = (y, x) if len(x) < len(y) else (x, y)
-    at = x.searchsorted(y)
-    at[at == len(x)] = 0
-    return int(np.count_nonzero(x[at] == y))
+class Overlap:
+    """Sizes of a set's intersections with many others, by a direct-mapped table of its values.
+
+    A slot holds one value of the set or one that belongs to another slot; values that lost
+    their slot to another are looked up by themselves. Sets hold distinct values.
+    """
+
+    def __init__(self) -> None:
+        self._room(16)
+
+    def _room(self, bits: int) -> None:
+        self.bits, self.mask = bits, U64((1 << bits) - 1)
+        self.empty = np.arange(1 << bits, dtype=U64) ^ U64(1)
+        self.table = self.empty.copy()
+
+    def counts(self, x: np.ndarray, others: list[np.ndarray]) -> np.ndarray:
+        if not len(x):
+            return np.zeros(len(others), dtype=np.int64)
+        if (bits := len(x).bit_length() + 2) > self.bits:
+            self._room(bits)
+        slot = (x & self.mask).astype(np.int64)
+        self.table[slot] = x
+        lost = x[self.table[slot] != x]
+        every = np.concatenate([*others, x[:1]])  # the end keeps all bounds inside
+        hit = self.table[(every & self.mask).astype(np.int64)] == every
+        if len(lost):
+            hit |= np.isin(every, lost)
+        self.table[slot] = self.empty[slot]
+        sums = np.concatenate([[0], np.cumsum(hit)])
+        bounds = np.concatenate([[0], np.cumsum([len(y) for y in others])])
+        return sums[bounds[1:]] - sums[bounds[:-1]]
+
+
+def similar(overlap: Overlap, x: np.ndarray, others: list[np.ndarray], percent: int) -> np.ndarray:
+    """Which of the others share percent of the union with x."""
+    n = overlap.counts(x, others)
+    return 100 * n >= percent * (len(x) + np.array([len(y) for y in others], dtype=np.int64) - n)
 
 
 def sorted_sets(values: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

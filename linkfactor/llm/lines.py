@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from .bloom import prefilter, split
 from .cluster import settle, settle_table
-from .kernels import Block, blocks, mix, one_permutation, pack_rows, sorted_sets
+from .kernels import Block, blocks, distinct, mix, one_permutation, pack_rows, sorted_sets
 from .near import components, fixed_filter
 from .near_docs import band_hashes, list_array, sketch_longs
 
@@ -47,7 +47,7 @@ def line_spans(block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nda
     """Starts, ends, texts, numbers within the text and hashes of the lines that hold a word."""
     data = block.data
     newline = np.flatnonzero(data == 10)
-    edges = np.unique(np.concatenate([block.bounds, newline, newline + 1]))
+    edges = distinct(np.concatenate([block.bounds, newline, newline + 1]))
     if len(edges) < 2:
         none = np.zeros(0, dtype=np.int64)
         return none, none, none, none, none.astype(U64)
@@ -163,7 +163,7 @@ def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFr
 
 def lost_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key and the list of (number, id) of the lines that each document loses."""
-    table = settle_table(line_table(docs, key, text), "lines-signed")
+    table = settle_table(line_table(docs, key, text), "lines-signed", ("id", "bands"))
     roots = line_roots(docs, table, key, text)
     places = table.select("key", "number", "id")
     first = places.groupBy("id").agg(F.min(F.struct("key", "number")).alias("first"), F.count(F.lit(1)).alias("n"))

@@ -14,8 +14,10 @@ piece isn't listed again. Extra columns are carried through.
 from __future__ import annotations
 
 import hashlib
+import re
 import struct
 import zlib
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 from functools import cache
 
@@ -113,6 +115,8 @@ def _jpeg(b: bytes, at: int) -> tuple[str, int] | None:
                 return None
             continue
         mark = b[i + 1]
+        if mark == 0xD8:  # another picture begins, so this one has no end
+            return None
         if mark == 0xD9:
             return ("image/jpeg", i + 2 - at) if scan else None
         if mark in (0x00, 0x01, 0xFF) or 0xD0 <= mark <= 0xD7:
@@ -149,17 +153,24 @@ def _bmp(b: bytes, at: int) -> tuple[str, int] | None:
     return ("image/bmp", size) if spare == 0 and header in (12, 40, 52, 56, 64, 108, 124) and 14 + header <= pixels <= size and at + size <= len(b) else None
 
 
-def _pdf(b: bytes, at: int) -> tuple[str, int] | None:
-    end = b.find(b"%%EOF", at)
-    return ("application/pdf", end + 5 - at) if end > 0 and b.find(b"startxref", at, end) > 0 else None
+def _pdf(b: bytes, at: int, marks: Marks) -> tuple[str, int] | None:
+    """Up to the last end mark before the next header, if its startxref points to a cross-reference table or stream."""
+    headers = marks.places(b"%PDF-")
+    k = bisect_right(headers, at)
+    until = headers[k] if k < len(headers) else len(b)
+    trailers = marks.trailers()
+    k = bisect_left(trailers, (until,)) - 1
+    if k < 0 or trailers[k][0] < at:
+        return None
+    _, end, place = trailers[k]
+    table = b[at + place : at + place + 24]
+    return ("application/pdf", end - at) if end <= until and (table.startswith(b"xref") or re.match(rb"\d+\s+\d+\s+obj", table)) else None
 
 
-def _zip(b: bytes, at: int) -> tuple[str, int] | None:
-    end = b.find(b"PK\x05\x06", at)
-    if end < 0 or end + 22 > len(b):
-        return None
-    size, place, note = struct.unpack_from("<IIH", b, end + 12)
-    return ("application/zip", end + 22 + note - at) if at + place + size == end and end + 22 + note <= len(b) else None
+def _zip(b: bytes, at: int, marks: Marks) -> tuple[str, int] | None:
+    """Up to the end record whose directory, by its size and place, belongs to an archive that starts here."""
+    end = marks.archives().get(at)
+    return ("application/zip", end - at) if end is not None else None
 
 
 def _gzip(b: bytes, at: int) -> tuple[str, int] | None:
@@ -173,32 +184,120 @@ def _gzip(b: bytes, at: int) -> tuple[str, int] | None:
     return ("application/gzip", len(b) - at - len(engine.unused_data)) if engine.eof else None
 
 
-def _ogg(b: bytes, at: int) -> tuple[str, int] | None:
-    i = at
-    while i + 27 <= len(b) and b[i : i + 4] == b"OggS" and b[i + 4] == 0:
+def _ogg(b: bytes, at: int, marks: Marks) -> tuple[str, int] | None:
+    """Whole pages from one with the start flag up to one with the end flag; where a chain of pages ends is noted for each of them."""
+    if at + 5 >= len(b) or not b[at + 5] & 2:
+        return None
+    path, i, end = [], at, -1
+    while i not in marks.chains:
+        path.append(i)
+        if i + 27 > len(b) or b[i : i + 4] != b"OggS" or b[i + 4] != 0:
+            break
         n = b[i + 26]
-        size = 27 + n + sum(b[i + 27 : i + 27 + n])
-        if i + size > len(b):
-            return None
-        last, i = b[i + 5] & 4, i + size
-        if last:
-            return "audio/ogg", i - at
-    return None
+        after = i + 27 + n + sum(b[i + 27 : i + 27 + n])
+        if after > len(b):
+            break
+        if b[i + 5] & 4:
+            end = after
+            break
+        i = after
+    end = marks.chains.get(i, end)
+    marks.chains.update(dict.fromkeys(path, end))
+    return ("audio/ogg", end - at) if end > 0 else None
+
+
+def _crc_table(bits: int, polynomial: int) -> list[int]:
+    out = []
+    for byte in range(256):
+        value = byte << (bits - 8)
+        for _ in range(8):
+            value = (value << 1 ^ polynomial if value >> (bits - 1) & 1 else value << 1) & ((1 << bits) - 1)
+        out.append(value)
+    return out
+
+
+_CRC8, _CRC16 = _crc_table(8, 0x07), _crc_table(16, 0x8005)
+
+
+def _flac_header(b: bytes, i: int) -> int:
+    """Length of a valid frame header at i (its check sum included), or 0."""
+    if i + 6 > len(b) or b[i] != 0xFF or b[i + 1] & 0xFE != 0xF8 or b[i + 2] >> 4 == 0 or b[i + 2] & 15 == 15 or b[i + 3] >> 4 > 10 or b[i + 3] & 1:
+        return 0
+    lead = b[i + 4]
+    extra = 0 if lead < 0x80 else next((k for k in range(1, 7) if not lead >> (6 - k) & 1), 7)
+    size = 5 + extra + {6: 1, 7: 2}.get(b[i + 2] >> 4, 0) + {12: 1, 13: 2, 14: 2}.get(b[i + 2] & 15, 0)
+    if extra > 6 or i + size >= len(b):
+        return 0
+    check = 0
+    for byte in b[i : i + size]:
+        check = _CRC8[check ^ byte]
+    return size + 1 if check == b[i + size] else 0
 
 
 def _flac(b: bytes, at: int) -> tuple[str, int] | None:
-    i, first = at + 4, True
+    """Metadata blocks, then frames: each ends where its check sum over all bytes comes out even and the next frame, or none, begins.
+
+    A frame is sought within the largest size that the stream states; streams that state none aren't confirmed.
+    """
+    i, first, largest = at + 4, True, 0
     while i + 4 <= len(b):
         head, n = b[i], int.from_bytes(b[i + 1 : i + 4], "big")
         if (first and (head & 0x7F or n != 34)) or i + 4 + n > len(b):
             return None
+        if first:
+            largest = int.from_bytes(b[i + 11 : i + 14], "big")
         i, first = i + 4 + n, False
-        if head & 0x80:  # frames follow, with no length; they run to the end
-            return ("audio/flac", len(b) - at) if b[i : i + 1] == b"\xff" else None
-    return None
+        if head & 0x80:
+            break
+    else:
+        return None
+    frames = 0
+    while size := _flac_header(b, i):
+        check, end = 0, 0
+        for k in range(i, min(len(b), i + largest)):
+            check = (check << 8 ^ _CRC16[check >> 8 ^ b[k]]) & 0xFFFF
+            if check == 0 and k >= i + size + 1:
+                end = k + 1
+                if end == len(b) or _flac_header(b, end):
+                    break
+        if not end:
+            return None
+        i, frames = end, frames + 1
+    return ("audio/flac", i - at) if frames else None
+
+
+class Marks:
+    """What validators look up in a cell, found once for all hits, so that many false hits don't make many scans."""
+
+    def __init__(self, cell: bytes) -> None:
+        self.cell, self.found, self.chains = cell, {}, {}
+
+    def places(self, mark: bytes) -> list[int]:
+        if mark not in self.found:
+            self.found[mark] = [m.start() for m in re.finditer(re.escape(mark), self.cell)]
+        return self.found[mark]
+
+    def trailers(self) -> list[tuple[int, int, int]]:
+        """(start, end, place of the cross-references) of each PDF trailer's last lines."""
+        if "pdf" not in self.found:
+            self.found["pdf"] = [(m.start(), m.end(), int(m[1])) for m in re.finditer(rb"startxref\s{1,4}(\d{1,12})\s{1,4}%%EOF", self.cell)]
+        return self.found["pdf"]
+
+    def archives(self) -> dict[int, int]:
+        """Start and end of each archive by its end record (the last one, if several fit a start)."""
+        if "zip" not in self.found:
+            out = {}
+            for end in self.places(b"PK\x05\x06"):
+                if end + 22 <= len(self.cell):
+                    size, place, note = struct.unpack_from("<IIH", self.cell, end + 12)
+                    if end + 22 + note <= len(self.cell) and end - size - place >= 0:
+                        out[end - size - place] = end + 22 + note
+            self.found["zip"] = out
+        return self.found["zip"]
 
 
 _VALID = {"image/png": _png, "image/gif": _gif, "image/jpeg": _jpeg, "riff": _riff, "image/bmp": _bmp, "application/pdf": _pdf, "application/zip": _zip, "application/gzip": _gzip, "audio/ogg": _ogg, "audio/flac": _flac}
+_MARKED = ("application/pdf", "application/zip", "audio/ogg")
 
 
 @cache
@@ -218,11 +317,12 @@ def sniff(cell: bytes | None) -> list[tuple[int, int, str]]:
         return []
     found: list[tuple[int, int, str]] = []
     covered = 0  # end of the last piece listed below the cell's own
+    marks = Marks(cell)
     for last, (n, kind) in _automaton().iter(cell.decode("latin-1")):
         at = last - n + 1
         if at and at < covered:
             continue
-        if ok := _VALID[kind](cell, at):
+        if ok := _VALID[kind](cell, at, marks) if kind in _MARKED else _VALID[kind](cell, at):
             found.append((at, ok[1], ok[0]))
             covered = at + ok[1] if at else 0
     return found
@@ -268,7 +368,7 @@ def store_texts(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def media_digests(stored: DataFrame, key: str = "doc_id") -> DataFrame:
-    """Digests and a feature line of sniffed WAV cells, all from the stored bytes."""
+    """Digests and a feature line of sniffed WAV cells, all from the stored bytes, beside what the sniffing says: the type found, whether it corrects the declared one, and the pieces carved (start:length:type, comma-joined)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -283,7 +383,9 @@ def media_digests(stored: DataFrame, key: str = "doc_id") -> DataFrame:
             kinds = (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string())
             names = ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
             columns = [pa.array([x[i] for x in rows], type=t) for i, t in enumerate(kinds)]
-            yield pa.RecordBatch.from_arrays([batch.column(key), batch.column("n_bytes"), *columns], names=[key, "n_bytes", *names])
+            carved = pa.array([",".join(f"{c['start']}:{c['length']}:{c['type']}" for c in found) for found in batch.column("carved").to_pylist()], type=pa.string())
+            columns += [batch.column("detected"), batch.column("corrected"), carved]
+            yield pa.RecordBatch.from_arrays([batch.column(key), batch.column("n_bytes"), *columns], names=[key, "n_bytes", *names, "detected", "corrected", "carved"])
 
     kind = stored.schema[key].dataType.simpleString()
-    return stored.mapInArrow(run, f"`{key}` {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return stored.mapInArrow(run, f"`{key}` {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, detected string, corrected boolean, carved string")

@@ -25,12 +25,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .cluster import settle
-from .kernels import Block, blocks, common, mix, unpack_rows
+from .kernels import Block, Overlap, blocks, distinct, mix, similar, unpack_rows
 
 U64 = np.uint64
 #: Bits (as a power of two) of the filters that travel to every task: 2 MB, whatever the input.
@@ -39,8 +40,8 @@ FILTER_POWER = 24
 HELD, RANGES = 500_000, 16
 #: Members of a bucket, and shingles of their sets, that are compared in one piece.
 CELL, CELL_SHINGLES = 1500, 1 << 21
-#: Pairs whose sketches are compared at a time, and bytes of text whose sets are held at a time.
-PAIRS, SET_BYTES = 1 << 16, 4 << 20
+#: Pairs whose sketches are compared at a time, bytes of text whose sets are held at a time, and sets that one is compared with at a time.
+PAIRS, SET_BYTES, MATES = 1 << 16, 4 << 20, 256
 
 #: The lowest bit of each sample, by the bits of a sample.
 _LOW_BITS = {2: 0x5555555555555555, 4: 0x1111111111111111}
@@ -125,7 +126,7 @@ def shared_bands(items: DataFrame) -> DataFrame:
             yield pack(held)
 
     def pack(held: list[np.ndarray]) -> pa.RecordBatch:
-        entries = _ends(np.unique(np.concatenate(held)))
+        entries = _ends(distinct(np.concatenate(held)))
         cuts = np.searchsorted(((entries >> U64(32)) * U64(ranges) >> U64(32)).astype(np.int64), np.arange(ranges + 1))
         full = np.flatnonzero(np.diff(cuts))
         ends = np.append(cuts[full], len(entries)).astype(np.int32) * 8
@@ -145,8 +146,8 @@ def shared_bands(items: DataFrame) -> DataFrame:
             yield shared(held)
 
     def shared(held: list[np.ndarray]) -> pa.RecordBatch:
-        band = np.unique(np.concatenate(held)) >> U64(16)
-        return pa.RecordBatch.from_arrays([pa.array(np.unique(band[1:][band[1:] == band[:-1]]).view(np.int64))], names=["band"])
+        band = distinct(np.concatenate(held)) >> U64(16)
+        return pa.RecordBatch.from_arrays([pa.array(distinct(band[1:][band[1:] == band[:-1]]).view(np.int64))], names=["band"])
 
     sent = items.select("id", "bands").mapInArrow(send, "part int, packed binary")
     return sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(decide, "band long")
@@ -204,19 +205,23 @@ def _similar(sets: Sets, percent: int):
     """Of pairs (a, b, item_a, item_b) those whose sets are similar; pairs are taken while their texts are within SET_BYTES."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        overlap = Overlap()
         for batch in batches:
             one, two = (batch.column(name).dictionary_encode() for name in ("item_a", "item_b"))  # a hub's text comes many times
-            sizes = [np.array([len(x.as_buffer()) for x in side.dictionary])[side.indices.to_numpy()] for side in (one, two)]
-            load, at = np.cumsum(sizes[0] + sizes[1]), 0
+            sizes = [pc.binary_length(side.dictionary).to_numpy()[side.indices.to_numpy()] for side in (one, two)]
+            load, at = np.cumsum(sizes[0].astype(np.int64) + sizes[1]), 0
             while at < batch.num_rows:
                 until = max(at + 1, int(np.searchsorted(load, (load[at - 1] if at else 0) + SET_BYTES, "right")))
                 sides = []
                 for side in (one, two):
                     used, place = np.unique(side.indices.to_numpy()[at:until], return_inverse=True)
-                    found = _text_sets(side.dictionary.take(pa.array(used)), sets)
-                    sides.append([found[i] for i in place.tolist()])
-                keep = [100 * (n := common(x, y)) >= percent * (len(x) + len(y) - n) for x, y in zip(*sides, strict=True)]
-                yield batch.select(["a", "b"]).slice(at, until - at).filter(pa.array(keep, type=pa.bool_()))
+                    sides.append((place, _text_sets(side.dictionary.take(pa.array(used)), sets)))
+                (left, hubs), (right, mates) = sides
+                keep = np.zeros(until - at, dtype=bool)
+                order = np.argsort(left, kind="stable")
+                for rows in np.split(order, np.flatnonzero(np.diff(left[order])) + 1):
+                    keep[rows] = similar(overlap, hubs[left[rows[0]]], [mates[k] for k in right[rows].tolist()], percent)
+                yield batch.select(["a", "b"]).slice(at, until - at).filter(pa.array(keep))
                 at = until
 
     return run
@@ -257,8 +262,8 @@ def _by_cell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.concat_tables(rest).combine_chunks()
 
 
-def _likely_pairs(table: pa.Table, bits: int, limit: int, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Pairs of rows (an asker and another member of its cell) in different components that sizes and sketches allow, each at the least band that the two share, and the differing samples."""
+def _likely_pairs(table: pa.Table, bits: int, limit: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of rows (an asker and another member of its cell) in different components that sizes and sketches allow, each at the least band that the two share."""
     cell, band, at, asks, ids, root, main, size = (table.column(k).to_numpy() for k in (*_PLACES, "size"))
     n = len(ids)
     fresh = np.ones(n, dtype=bool)
@@ -270,7 +275,7 @@ def _likely_pairs(table: pa.Table, bits: int, limit: int, percent: int) -> tuple
     askers = np.flatnonzero(asks)
     sketch = table.column("sketch").combine_chunks().flatten().to_numpy().view(U64).reshape(n, -1) if n else np.zeros((0, 1), dtype=U64)
     bands = table.column("bands")
-    found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    found: list[tuple[np.ndarray, np.ndarray]] = []
     load, k = np.cumsum(members[askers]), 0
     while k < len(askers):
         until = max(k + 1, int(np.searchsorted(load, (load[k - 1] if k else 0) + PAIRS, "right")))
@@ -288,15 +293,15 @@ def _likely_pairs(table: pa.Table, bits: int, limit: int, percent: int) -> tuple
                 x |= x >> U64(step)
             differ += np.bitwise_count(x & U64(_LOW_BITS[bits]))
         ok = np.flatnonzero(differ <= limit)
-        i, j, differ = i[ok], j[ok], differ[ok]
+        i, j = i[ok], j[ok]
         if len(i):
             rows = np.unique(np.concatenate([i, j]))
             own = dict(zip(rows.tolist(), map(frozenset, bands.take(pa.array(rows)).to_pylist()), strict=True))
             least = np.array([min(own[x] & own[y]) for x, y in zip(i.tolist(), j.tolist(), strict=True)])
             ok = least == band[i]
-            found.append((i[ok], j[ok], differ[ok]))
+            found.append((i[ok], j[ok]))
     none = np.zeros(0, dtype=np.int64)
-    return tuple(np.concatenate([f[x] for f in found]) if found else none for x in range(3))
+    return tuple(np.concatenate([f[x] for f in found]) if found else none for x in range(2))
 
 
 def compare_cells(cells: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: Sets, bits: int, limit: int, percent: int) -> DataFrame:
@@ -308,15 +313,16 @@ def compare_cells(cells: DataFrame, texts_of: Callable[[DataFrame], DataFrame],
 
     def thin(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _by_cell(batches):
-            i, j, _ = _likely_pairs(table, bits, limit, percent)
+            i, j = _likely_pairs(table, bits, limit, percent)
             if len(i):
                 yield from table.take(pa.array(np.unique(np.concatenate([i, j])))).combine_chunks().select(names).to_batches()
 
     some = settle(flat.repartition("cell").sortWithinPartitions(*order).mapInArrow(thin, shape))
 
     def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        overlap = Overlap()
         for table in _by_cell(batches):
-            i, j, differ = _likely_pairs(table, bits, limit, percent)
+            i, j = _likely_pairs(table, bits, limit, percent)
             ids, roots, cell = (table.column(k).to_numpy() for k in ("id", "root", "cell"))
             items = table.column("item").combine_chunks()
             above: dict[int, int] = {}
@@ -328,23 +334,20 @@ def compare_cells(cells: DataFrame, texts_of: Callable[[DataFrame], DataFrame],
                 return x
 
             out: list[tuple[int, int]] = []
-            held: dict[int, np.ndarray] = {}
-            load, now = 0, None
-            for p in np.lexsort((differ, cell[i])).tolist():
-                x, y = int(i[p]), int(j[p])
-                if cell[x] != now or load > SET_BYTES:
-                    held, load, now = {}, 0, cell[x]
-                a, b = find(int(roots[x])), find(int(roots[y]))
-                if a == b:
-                    continue
-                for row in (x, y):
-                    if row not in held:
-                        held[row] = _text_sets(items.slice(row, 1), sets)[0]
-                        load += len(items[row].as_buffer())
-                n = common(held[x], held[y])
-                if 100 * n >= percent * (len(held[x]) + len(held[y]) - n):
-                    above[a] = b
-                    out.append((min(int(ids[x]), int(ids[y])), max(int(ids[x]), int(ids[y]))))
+            order = np.lexsort((j, i, cell[i]))
+            for rows in np.split(order, np.flatnonzero(np.diff(cell[i[order]])) + 1) if len(i) else ():
+                members = np.unique(np.concatenate([i[rows], j[rows]]))
+                held = dict(zip(members.tolist(), _text_sets(items.take(pa.array(members)), sets), strict=True))
+                for part in np.split(rows, np.flatnonzero(np.diff(i[rows])) + 1):
+                    x = int(i[part[0]])
+                    mine = find(int(roots[x]))
+                    mates = [y for y in j[part].tolist() if find(int(roots[y])) != mine]
+                    for at in range(0, len(mates), MATES):
+                        some_mates = mates[at : at + MATES]
+                        for y, ok in zip(some_mates, similar(overlap, held[x], [held[y] for y in some_mates], percent).tolist(), strict=True):
+                            if ok and (a := find(int(roots[x]))) != (b := find(int(roots[y]))):
+                                above[a] = b
+                                out.append((min(int(ids[x]), int(ids[y])), max(int(ids[x]), int(ids[y]))))
             yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], type=pa.int64()) for k in (0, 1)], names=["a", "b"])
 
     texts = texts_of(some.select("id").distinct())
@@ -367,13 +370,15 @@ def components(items: DataFrame, texts_of: Callable[[DataFrame], DataFrame], set
 
     shared = settle(shared_bands(items))
     members = settle(band_members(items, shared))
+    # Of buckets with the same members (by ends, number and a hash of all) one is enough.
+    sized = members.groupBy("band").agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("id")).alias("print"))
+    kept = sized.where("lo < hi").groupBy("lo", "hi", "n", "print").agg(F.min("band").alias("at")).select("at", "lo", "hi")
+    members = settle(members.join(kept, F.col("band") == F.col("at")).select("band", "id", "lo", "hi"))
     ids = settle(members.select("id").distinct())
     known = describe(ids) if describe else items.select("id", "size", "sketch").join(ids, "id", "left_semi")
     known = settle(known.select(F.col("id").alias("of"), F.struct("id", "size", "sketch").alias("info")))
 
-    ends = members.groupBy(F.col("band").alias("at")).agg(F.min("id").alias("lo"), F.max("id").alias("hi"))
-    star = members.join(ends, F.col("band") == F.col("at"))
-    star = star.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("id").alias("b")), F.struct(F.col("id").alias("a"), F.col("hi").alias("b")))).alias("e")).select("e.a", "e.b").where("a < b").distinct()
+    star = members.select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("id").alias("b")), F.struct(F.col("id").alias("a"), F.col("hi").alias("b")))).alias("e")).select("e.a", "e.b").where("a < b").distinct()
     star = star.join(known.select(F.col("of").alias("p_of"), F.col("info").alias("p")), F.col("a") == F.col("p_of")).join(known.select(F.col("of").alias("q_of"), F.col("info").alias("q")), F.col("b") == F.col("q_of"))
     pairs = settle(star.where(may_link("p", "q")).select("a", "b"))
     texts = texts_of(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())

@@ -72,22 +72,18 @@ def superminhash(values: np.ndarray, bounds: np.ndarray, slots: int = SLOTS) ->
 
 
 def band_hashes(registers: np.ndarray, rows: int, bands: int) -> np.ndarray:
-    out = np.empty((len(registers), bands), dtype=U64)
-    for k in range(bands):
-        total = np.full(len(registers), k + 1, dtype=U64)
-        for r in range(rows):
-            total = mix(total ^ registers[:, k * rows + r])
-        out[:, k] = total
-    return out
+    grouped = registers[:, : rows * bands].reshape(len(registers), bands, rows)
+    total = np.tile(np.arange(1, bands + 1, dtype=U64), (len(registers), 1))
+    for r in range(rows):
+        total = mix(total ^ grouped[:, :, r])
+    return total
 
 
 def sketch_longs(registers: np.ndarray) -> np.ndarray:
     """SAMPLE_BITS hashed bits of each register, whose number is a multiple of 16."""
-    samples, each = mix(registers) & U64((1 << SAMPLE_BITS) - 1), 64 // SAMPLE_BITS
-    out = np.zeros((len(registers), registers.shape[1] // each), dtype=U64)
-    for k in range(out.shape[1] * each):
-        out[:, k // each] |= samples[:, k] << U64(SAMPLE_BITS * (k % each))
-    return out
+    each = 64 // SAMPLE_BITS
+    samples = (mix(registers) & U64((1 << SAMPLE_BITS) - 1)).reshape(len(registers), -1, each)
+    return np.bitwise_or.reduce(samples << (np.arange(each, dtype=U64) * U64(SAMPLE_BITS)), axis=2)
 
 
 def list_array(rows: np.ndarray) -> pa.Array:
@@ -113,10 +109,10 @@ def signatures(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
 
 def near_components(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5) -> DataFrame:
     """key, n_shingles, component_id and kept of every row of docs."""
-    signed = settle_table(signatures(docs, key, text, width), "signatures")
+    signed = settle_table(signatures(docs, key, text, width), "signatures", ("print1", "print2", "bands"))
     usable = signed.where("key is not null and size > 0")
     items = usable.groupBy("print1", "print2").agg(F.min("key").alias("id"), F.first("size").alias("size"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands"))
-    items = settle_table(items, "items")
+    items = settle_table(items, "items", ("print1", "print2", "bands"))
     texts = docs.select(F.col(key).cast("bigint").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("item")).where("id is not null")
 
     def texts_of(ids: DataFrame) -> DataFrame:

@@ -13,7 +13,6 @@ of RULES; an empty table gives an empty result. Extra columns are carried throug
 
 from __future__ import annotations
 
-import hashlib
 import re
 from collections.abc import Iterator
 from functools import reduce
@@ -23,7 +22,7 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-RULE_VERSION = "2"
+RULE_VERSION = "3"
 LEDGER_SCHEMA = "blob binary, rule_version string, spans array<string>"
 
 # The patterns. (kind, pattern, group whose length counts, least length, base rule)
@@ -31,7 +30,7 @@ RULES = (
     ("assign", r"(?:(?i:password|passwd|secret|token|api_?key))[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", 1, 6, True),
     ("access", r"AKIA[A-Z0-9]+", 0, 20, True),
     ("hex", r"[0-9a-f]{24,}", 0, 24, True),
-    ("private_key", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[^-]*(?:-----END (?:[A-Z]+ )*PRIVATE KEY-----)?", 0, 1, False),
+    ("private_key", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----[A-Za-z0-9+/=\s]*(?:-----END (?:[A-Z]+ )*PRIVATE KEY-----)?", 0, 1, False),
     ("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]*", 0, 20, False),
     ("bearer", r"(?i:bearer)\x20+[A-Za-z0-9._~+/-]{16,}", 0, 16, False),
     ("url_login", r"[a-z][a-z0-9+.-]{1,20}://[^\s/:@]{1,64}:[^\s/:@]{1,128}@", 0, 1, False),
@@ -114,21 +113,3 @@ def digests(found: DataFrame, key: str = "doc_id") -> DataFrame:
     base = F.filter("spans", lambda x: F.split(x, ":")[0].isin(*BASE))
     count = lambda kind: F.size(F.filter("spans", lambda x: x.startswith(f"{kind}:"))).cast("bigint").alias(f"n_{kind}")
     return found.select(key, *[count(k) for k in BASE], F.sha2(F.concat_ws(",", base).cast("binary"), 256).alias("base_sha256"), F.concat_ws(",", "spans").alias("spans"))
-
-
-def brute_force(texts: list[str | None]) -> list[tuple[int, int, int, str]]:
-    """Base counts and digest for tests, each pattern walked by hand."""
-    out = []
-    loose = {"assign": r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", "access": r"AKIA[A-Z0-9]+", "hex": r"[0-9a-f]+"}
-    for text in texts:
-        spans = []
-        for k, (kind, pattern) in enumerate(loose.items()):
-            engine, at = re.compile(pattern, re.ASCII | re.IGNORECASE if kind == "assign" else re.ASCII), 0
-            while m := engine.search(text or "", at):
-                at = m.end()
-                size = len(m[2]) if kind == "assign" else len(m[0])
-                if size >= {"assign": 6, "access": 20, "hex": 24}[kind]:
-                    spans.append((m.start(), k, f"{kind}:{m.start()}:{m.end()}"))
-        names = [x[2] for x in sorted(spans)]
-        out.append((*[sum(n.startswith(k + ":") for n in names) for k in loose], hashlib.sha256(",".join(names).encode()).hexdigest()))
-    return out

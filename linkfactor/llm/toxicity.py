@@ -4,15 +4,16 @@ Words are runs of letters (ASCII letters in lower case, and all bytes above 127)
 a whole word or one of its leading parts (PREFIXES, in bytes), which stand in for inflected
 and compound forms. Log-odds of tokens between toxic and clean labelled rows, counted at
 most CAP times a row, carry a Dirichlet prior of half a count and PRIOR counts in proportion
-to the tokens' shares in both together. A word scores the log likelihood ratio of its longest token whose z-value is above
-MIN_Z; all other words share the (slightly negative) ratio of the rest. A linear-time
-scan then lists all maximal segments of a text, of which the positive ones are passages.
-
-For log likelihood ratios the extreme-value law of the best segment of clean texts has
-decay near 1 and grows with the log of the length; its place and width are fitted by moments
-on clean rows. The score is a logistic fit on the best segment's reduced value and the sum
+to the tokens' shares in both together, and are shrunk towards zero by their variance (a
+normal prior of variance SPREAD on the log-odds). Every word scores the log-odds, of either
+sign, of its longest token seen MIN_COUNT times, and zero without one; all words pay a toll
+such that clean text loses DRIFT a word on average. A linear-time scan then lists all
+maximal segments of a text with a positive score, its passages.
+
+With a negative drift the best segment of clean texts follows an extreme-value law whose place
+grows with the log of the length; its place and width are fitted by moments on clean rows. The score is a logistic fit on the best segment's reduced value and the sum
 of significant segments. Counts come from folds 2 to 4, the calibration from fold 1; fold 0
-is never learned from. LABEL_ROWS bounds the labelled rows used.
+is never learned from. LABEL_ROWS bounds the labelled rows used, and so the model.
 
 Defined results: null and empty texts have no segment and get the score of none; without
 labelled rows of both classes the score is 0; ties between segments go to the earlier one;
@@ -23,7 +24,7 @@ and doc_id are no inputs of a score; extra columns aren't read.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -35,12 +36,12 @@ from .labelled import fit_logistic, labelled_texts, sigmoid
 
 U64 = np.uint64
 LABEL_ROWS = 20_000
-MIN_Z = 3.5
 MIN_COUNT = 3
 CAP = 4
 PREFIXES = (4, 6, 8)
 PRIOR = 500.0
-MAX_WORDS = 4096
+SPREAD = 0.5
+DRIFT = 0.1
 #: Chance at which a segment of a clean text counts as significant.
 ALPHA = 0.01
 
@@ -48,67 +49,101 @@ _NOT_LETTER = np.ones(256, dtype=bool)
 _NOT_LETTER[[*range(ord("a"), ord("z") + 1), *range(ord("A"), ord("Z") + 1), *range(128, 256)]] = False
 
 
-def maximal_segments(scores: list[float], places: list[int], gap: float) -> list[tuple[int, int, float]]:
+def maximal_segments(firsts: list[int], lasts: list[int], before: list[float], through: list[float]) -> list[tuple[int, int, float]]:
     """All maximal segments (first and last place, score) of a sequence in linear time.
 
-    Only the places with a positive score are given; every other place scores ``gap`` (at
-    most 0), so a stretch between two of them is a product.
+    Its runs of positive scores are given: their first and last places, and the sums of all
+    scores before and through each.
     """
     # Each open candidate: first place, last place, total before it, total through it, index of the nearest candidate left of it with a smaller total before it.
-    first, last, before, through, smaller = [], [], [], [], []
-    total, at = 0.0, 0
-    for place, score in zip(places, scores, strict=True):
-        total += gap * (place - at)
-        a, low = place, total
-        total += score
-        at = place + 1
+    first, last, under, top, smaller = [], [], [], [], []
+    for a, z, low, high in zip(firsts, lasts, before, through, strict=True):
         while True:
             j = len(first) - 1
-            while j >= 0 and before[j] >= low:
+            while j >= 0 and under[j] >= low:
                 j = smaller[j]
-            if j < 0 or through[j] >= total:
+            if j < 0 or top[j] >= high:
                 break
-            a, low = first[j], before[j]
-            for stack in (first, last, before, through, smaller):
+            a, low = first[j], under[j]
+            for stack in (first, last, under, top, smaller):
                 del stack[j:]
         first.append(a)
-        last.append(place)
-        before.append(low)
-        through.append(total)
+        last.append(z)
+        under.append(low)
+        top.append(high)
         smaller.append(j)
-    return [(a, b, t - l) for a, b, l, t in zip(first, last, before, through, strict=True)]
+    return [(a, z, t - l) for a, z, l, t in zip(first, last, under, top, strict=True)]
+
+
+class HashTable:
+    """Open addressing from 64-bit hashes to scores."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray) -> None:
+        self.mask = (1 << max(4, int(3 * len(keys)).bit_length())) - 1
+        self.keys, self.values = np.zeros(self.mask + 1, dtype=U64), np.zeros(self.mask + 1, dtype=np.float32)
+        self.taken = np.zeros(self.mask + 1, dtype=bool)
+        at, todo = self._home(keys), np.arange(len(keys))
+        while len(todo):
+            free = todo[~self.taken[at[todo]]]
+            _, one = np.unique(at[free], return_index=True)
+            won = free[one]
+            self.keys[at[won]], self.values[at[won]], self.taken[at[won]] = keys[won], values[won], True
+            left = np.ones(len(keys), dtype=bool)
+            left[won] = False
+            todo = todo[left[todo]]
+            at[todo] = at[todo] + 1 & self.mask
+
+    def _home(self, keys: np.ndarray) -> np.ndarray:
+        return (keys >> U64(20)).astype(np.int64) & self.mask
+
+    def get(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which keys are there (their indices), and their scores."""
+        at, todo, rows, found = self._home(keys), np.arange(len(keys)), [], []
+        while len(todo):
+            spot = at[todo]
+            hit = self.taken[spot] & (self.keys[spot] == keys[todo])
+            rows.append(todo[hit])
+            found.append(self.values[spot[hit]])
+            todo = todo[self.taken[spot] & ~hit]
+            at[todo] = at[todo] + 1 & self.mask
+        return (np.concatenate(rows), np.concatenate(found)) if rows else (np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.float32))
 
 
 @dataclass(frozen=True)
 class ToxicModel:
-    words: np.ndarray = field(default_factory=lambda: np.zeros(0, dtype=U64))
-    ratios: np.ndarray = field(default_factory=lambda: np.zeros(0))
-    gap: float = 0.0
+    tokens: HashTable | None = None
+    toll: float = 0.0
     centre: float = 0.0
     width: float = 1.0
     fit: np.ndarray | None = None
 
-    def _hits(self, block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray, tuple]:
-        """Word numbers with a score of their own, their scores, texts' first words, and the spans."""
+    def word_scores(self, block: Block) -> tuple[np.ndarray, tuple]:
+        """The log-odds of every word of a block, and the words' spans."""
         starts, ends, firsts = spans = block.spans(_NOT_LETTER)
         score = np.zeros(len(starts))
-        likely = np.zeros(1 << 16, dtype=bool)
-        likely[(self.words >> U64(48)).astype(np.int64)] = True
-        for hashes, of in _tokens(block, starts, ends) if len(self.words) else ():
-            some = np.flatnonzero(likely[(hashes >> U64(48)).astype(np.int64)])
-            at = np.minimum(np.searchsorted(self.words, hashes[some]), len(self.words) - 1)
-            same = self.words[at] == hashes[some]
-            score[of[some[same]]] = self.ratios[at[same]]
-        places = np.flatnonzero(score > 0)
-        return places, score[places], firsts, spans
+        for hashes, of in _tokens(block, starts, ends) if self.tokens is not None else ():
+            at, found = self.tokens.get(hashes)
+            score[of[at]] = found
+        return score, spans
 
     def segments(self, block: Block) -> tuple[list[list[tuple[int, int, float]]], np.ndarray, tuple]:
-        places, scores, firsts, spans = self._hits(block)
-        lo = np.searchsorted(places, firsts)
-        out = []
-        for i in range(block.n):
+        score, spans = self.word_scores(block)
+        firsts = spans[2]
+        score -= self.toll
+        out: list[list[tuple[int, int, float]]] = [[] for _ in range(block.n)]
+        total = np.concatenate([[0.0], np.cumsum(score)])
+        up = score > 0
+        edge = np.zeros(len(score), dtype=bool)
+        edge[firsts[:-1][np.diff(firsts) > 0]] = True
+        begin, finish = up.copy(), up.copy()
+        begin[1:] &= ~up[:-1] | edge[1:]
+        finish[:-1] &= ~up[1:] | edge[1:]
+        begin, finish = np.flatnonzero(begin), np.flatnonzero(finish)
+        lo = np.searchsorted(begin, firsts).tolist()
+        before, through = total[begin].tolist(), total[finish + 1].tolist()
+        for i in np.flatnonzero(np.diff(lo)).tolist():
             a, b = lo[i], lo[i + 1]
-            out.append(maximal_segments(scores[a:b].tolist(), (places[a:b] - firsts[i]).tolist(), self.gap) if b > a else [])
+            out[i] = maximal_segments((begin[a:b] - firsts[i]).tolist(), (finish[a:b] - firsts[i]).tolist(), before[a:b], through[a:b])
         return out, np.diff(firsts), spans
 
     def limit(self, n_words: int) -> float:
@@ -153,28 +188,40 @@ def _class_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 
 def word_odds(texts: DataFrame) -> DataFrame:
-    """word (hash), its counts, log likelihood ratio and z-value, for labelled texts."""
+    """word (hash), its counts and its shrunken log-odds, for labelled texts."""
     counts = texts.mapInArrow(_class_counts, "word long, n_toxic long, n_clean long").groupBy("word").agg(F.sum("n_toxic").alias("t"), F.sum("n_clean").alias("c"))
     sums = counts.agg(F.sum("t").alias("all_t"), F.sum("c").alias("all_c")).first()
     all_t, all_c = float(sums["all_t"] or 0), float(sums["all_c"] or 0)
     prior = F.lit(0.5) + F.lit(PRIOR) * (F.col("t") + F.col("c")) / F.lit(max(1.0, all_t + all_c))
     t, c = F.col("t") + prior, F.col("c") + prior
-    gap = F.log(t / (F.lit(all_t + PRIOR) - t)) - F.log(c / (F.lit(all_c + PRIOR) - c))
-    ratio = F.log(t / F.lit(all_t + PRIOR)) - F.log(c / F.lit(all_c + PRIOR))
-    return counts.where(F.col("t") + F.col("c") >= MIN_COUNT).where(F.col("t") > 0).select("word", "t", "c", ratio.alias("ratio"), (gap / F.sqrt(1 / t + 1 / c)).alias("z"))
+    odds = F.log(t / (F.lit(all_t + PRIOR) - t)) - F.log(c / (F.lit(all_c + PRIOR) - c))
+    shrink = F.lit(SPREAD) / (F.lit(SPREAD) + 1 / t + 1 / c)
+    return counts.where(F.col("t") + F.col("c") >= MIN_COUNT).select("word", "t", "c", (odds * shrink).alias("odds"))
+
+
+def _clean_mean(texts: DataFrame, model: ToxicModel) -> float:
+    """The mean score of a word of clean rows."""
+    sent = texts.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for block in blocks(batch.column("text")):
+                score, _ = sent.value.word_scores(block)
+                yield pa.RecordBatch.from_pydict({"total": [float(score.sum())], "n": [len(score)]})
+
+    got = texts.where("label = 0").mapInArrow(run, "total double, n long").agg(F.sum("total"), F.sum("n")).first()
+    return (got[0] or 0.0) / max(1, got[1] or 0)
 
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = LABEL_ROWS) -> ToxicModel:
     texts = labelled_texts(docs, labels, "toxic", rows)
-    strong = word_odds(texts.where("fold > 1")).where(F.col("z") > MIN_Z).orderBy(F.desc("z"), "word").limit(MAX_WORDS).toPandas()
-    if not len(strong):
+    learn = texts.where("fold > 1")
+    # The sample bounds the tokens, which the driver turns into one table.
+    odds = word_odds(learn).select("word", "odds").toPandas()
+    if not len(odds) or texts.select("label").distinct().count() < 2:
         return ToxicModel()
-    totals = texts.where("fold > 1").mapInArrow(_class_counts, "word long, n_toxic long, n_clean long").agg(F.sum("n_toxic"), F.sum("n_clean")).first()
-    rest_t = 1 - strong["t"].sum() / max(1, totals[0])
-    rest_c = 1 - strong["c"].sum() / max(1, totals[1])
-    words = strong["word"].to_numpy(dtype=np.int64).view(U64)
-    order = np.argsort(words)
-    bare = ToxicModel(words[order], strong["ratio"].to_numpy(dtype=float)[order], min(0.0, float(np.log(max(rest_t, 1e-6) / max(rest_c, 1e-6)))))
+    bare = ToxicModel(HashTable(odds["word"].to_numpy(dtype=np.int64).view(U64), odds["odds"].to_numpy(dtype=np.float32)))
+    bare = replace(bare, toll=max(0.0, _clean_mean(learn, bare) + DRIFT))
     sent = docs.sparkSession.sparkContext.broadcast(bare)
 
     def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,14 +238,14 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = LABEL_ROWS) ->
     reduced = np.array([max(s) - np.log(max(n, 1)) for s, n in zip(clean["scores"], clean["n"], strict=True)])
     width = max(0.25, float(reduced.std() * np.sqrt(6) / np.pi)) if len(reduced) > 10 else 1.0
     centre = float(reduced.mean() - 0.5772156649 * width) if len(reduced) > 10 else -float(np.log(100.0))
-    ready = ToxicModel(bare.words, bare.ratios, bare.gap, centre, width)
+    ready = replace(bare, centre=centre, width=width)
     apart = got[got["fold"] == 1]
     if min((apart["label"] == 1).sum(), (apart["label"] == 0).sum()) < 20:  # too few to fit on alone
         apart = got
     if apart["label"].nunique() < 2:
         return ready
     x = np.array([ready.features([(0, 0, s) for s in scores], n) for scores, n in zip(apart["scores"], apart["n"], strict=True)])
-    return ToxicModel(bare.words, bare.ratios, bare.gap, centre, width, fit_logistic(x, apart["label"].to_numpy(dtype=float), ridge=0.05))
+    return replace(ready, fit=fit_logistic(x, apart["label"].to_numpy(dtype=float), ridge=0.05))
 
 
 PASSAGES = "array<struct<start: long, end: long, score: double>>"

@@ -1,7 +1,10 @@
 """Quality and toxicity rules against plain versions and held-out labels."""
 
+import itertools
+import math
 import random
 import re
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -38,9 +41,9 @@ def test_op3_base_counts_and_held_out_quality(spark):
         assert r.base_failed == (want[0] < 10 or 100 * want[4] > 20 * want[0])
         assert not (r.base_failed and r.kept)
     good = {r.doc_id: r.quality for r in table(spark, MID, "labels").collect()}
-    judged = [(r.kept, good[r.doc_id]) for r in rows if r.doc_id in good and not r.base_failed]
-    assert np.mean([k for k, g in judged if g == 1]) > 0.97
-    assert np.mean([k for k, g in judged if g == 0]) < 0.5
+    judged = [(r.kept, good[r.doc_id]) for r in rows if r.doc_id in good and not r.base_failed and zlib.crc32(str(r.doc_id).encode()) % 5 == 0]
+    assert np.mean([k for k, g in judged if g == 1]) > 0.95
+    assert np.mean([k for k, g in judged if g == 0]) < 0.25
 
 
 def test_quality_of_odd_rows(spark):
@@ -80,14 +83,81 @@ def plain_segments(values):
     return plain_segments(values[:a]) + [best] + right
 
 
+def runs_of(values):
+    """Runs of positive values: first and last places, and sums before and through each."""
+    total = [0.0, *itertools.accumulate(values)]
+    firsts = [i for i, v in enumerate(values) if v > 0 and (i == 0 or values[i - 1] <= 0)]
+    lasts = [i for i, v in enumerate(values) if v > 0 and (i + 1 == len(values) or values[i + 1] <= 0)]
+    return firsts, lasts, [total[i] for i in firsts], [total[i + 1] for i in lasts]
+
+
 def test_maximal_segments():
     rng = random.Random(1)
-    for _ in range(150):
-        values = [rng.choice([-0.37, -0.37, rng.randrange(1, 900) / 613]) for _ in range(rng.randrange(1, 14))]
-        at = [i for i, v in enumerate(values) if v > 0]
-        got = toxicity.maximal_segments([values[i] for i in at], at, -0.37)
+    for _ in range(300):
+        values = [rng.choice([-rng.randrange(1, 900) / 613, -0.37, rng.randrange(1, 900) / 613]) for _ in range(rng.randrange(1, 16))]
+        got = toxicity.maximal_segments(*runs_of(values))
         assert [(a, b) for a, b, _ in got] == [(a, b) for a, b, _ in plain_segments(values)]
-    assert toxicity.maximal_segments([], [], -1.0) == []
+    assert toxicity.maximal_segments([], [], [], []) == []
+    # Of ties the earlier one stays apart.
+    assert [x[:2] for x in toxicity.maximal_segments(*runs_of([1.0, -1.0, 1.0]))] == [(0, 0), (2, 2)]
+
+
+def plain_words(text):
+    return [(m.start(), m.end(), m[0]) for m in re.finditer(rb"[a-zA-Z\x80-\xff]+", (text or "").encode())]
+
+
+def plain_tokens(word):
+    low = bytes(b + 32 if 65 <= b <= 90 else b for b in word)
+    return [low[:k] for k in toxicity.PREFIXES if len(low) > k] + [low]
+
+
+def test_word_scores_and_passages_are_the_plain_ones(spark):
+    """Log-odds, tolls and segments by plain counting, over whole texts, short and very long."""
+    rng = random.Random(8)
+    vocabulary = ["tree", "house", "river", "plain", "vilemuck", "vilemuckers", "badly", "stone", "caf\u00e9s", "walking", "walked"]
+    rows = []
+    for i in range(600):
+        toxic = int(i % 5 == 0)
+        words = [rng.choice(vocabulary[:4] + vocabulary[7:]) for _ in range(rng.randrange(5, 60))]
+        if toxic:
+            words[2:4] = rng.choices(vocabulary[4:7], k=3)
+        rows.append((i, " ".join(words), toxic))
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    model = toxicity.fit_toxicity(docs, spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, toxic int"))
+    counts = ({}, {})
+    for i, text, toxic in rows:
+        if zlib.crc32(str(i).encode()) % 5 > 1:
+            own = {}
+            for *_, word in plain_words(text):
+                for token in plain_tokens(word):
+                    own[token] = own.get(token, 0) + 1
+            for token, n in own.items():
+                counts[toxic][token] = counts[toxic].get(token, 0) + min(n, toxicity.CAP)
+    sums = [sum(c.values()) for c in counts]
+    odds = {}
+    for token in {*counts[0], *counts[1]}:
+        c, t = (x.get(token, 0) for x in counts)
+        if t + c >= toxicity.MIN_COUNT:
+            prior = 0.5 + toxicity.PRIOR * (t + c) / sum(sums)
+            t, c = t + prior, c + prior
+            raw = math.log(t / (sums[1] + toxicity.PRIOR - t)) - math.log(c / (sums[0] + toxicity.PRIOR - c))
+            odds[token] = raw * toxicity.SPREAD / (toxicity.SPREAD + 1 / t + 1 / c)
+    assert any(v < 0 for v in odds.values()) and any(v > 0 for v in odds.values())
+
+    def score(word):
+        return next((odds[t] for t in reversed(plain_tokens(word)) if t in odds), 0.0)
+
+    texts = [*(r[1] for r in rows[:40]), "", None, "Unseen walkers VILEMUCKING tree", " ".join(rng.choices(vocabulary, k=30000))]
+    for text in texts:
+        block = next(kernels.blocks(pa.array([text], type=pa.string())))
+        values = [score(w) for *_, w in plain_words(text)]
+        got, _ = model.word_scores(block)
+        assert np.allclose(got, values, atol=1e-5)
+        paid = [v - model.toll for v in got.tolist()]
+        if len(paid) < 200:
+            assert [x[:2] for x in model.segments(block)[0][0]] == [x[:2] for x in plain_segments(paid)]
+    clean = [score(w) for i, text, toxic in rows if not toxic and zlib.crc32(str(i).encode()) % 5 > 1 for *_, w in plain_words(text)]
+    assert abs(model.toll - max(0.0, sum(clean) / len(clean) + toxicity.DRIFT)) < 1e-5
 
 
 def test_op9_held_out(spark):
