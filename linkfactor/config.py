@@ -26,14 +26,14 @@ class FactorConfig:
     blocks: int | None = None
     seed: int = 42
     tol: float | None = None
-    empty_rows: str = "zero"
     broadcast_limit: int = 256 << 20
     solve_batch_bytes: int = 64 << 20
+    block_bytes: int = 256 << 20
     heavy_row: int = 1 << 16
     hot_columns: int = 100_000
 
     def __post_init__(self) -> None:
-        for value, allowed in ((self.solver, SOLVERS), (self.gather, GATHERS), (self.precision, PRECISIONS), (self.empty_rows, ("zero", "keep"))):
+        for value, allowed in ((self.solver, SOLVERS), (self.gather, GATHERS), (self.precision, PRECISIONS)):
             if value not in allowed:
                 raise ValueError(f"{value!r} is not one of {allowed}")
         if self.rank < 1 or self.segment_width < 1 or self.reg < 0 or self.unobserved < 0:
@@ -41,6 +41,7 @@ class FactorConfig:
 
     @property
     def bytes_per_number(self) -> int:
+        """Bytes of a number as vectors are stored, shuffled and broadcast."""
         return {"float64": 8, "float32": 4, "mixed": 2, "bf16_all": 2}[self.precision]
 
     def chosen_solver(self) -> str:

@@ -11,8 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions import hash_unit
 from ..runtime import generation, shared_folder
-from .arrays import to_lists, to_matrix
-from .solvers import bf16_pack, bf16_round, bf16_unpack
+from .arrays import stored_type, to_lists, to_matrix, to_stored
 
 
 def init_vectors(ids: DataFrame, rank: int, seed: int = 42, scale: float | None = None, id_col: str = "id") -> DataFrame:
@@ -33,37 +32,25 @@ def init_vectors(ids: DataFrame, rank: int, seed: int = 42, scale: float | None
     return ids.select(F.col(id_col).cast("bigint").alias("id")).mapInArrow(run, "id long, vec array<double>")
 
 
-def round_table(fac: DataFrame, rank: int, precision: str) -> DataFrame:
-    """The table at its storage precision, values kept as doubles."""
-    if precision == "float64":
-        return fac
-    change = (lambda x: x.astype(np.float32)) if precision == "float32" else bf16_round
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column("id"), to_lists(change(to_matrix(batch.column("vec"), rank)).astype(np.float64))], names=["id", "vec"])
-
-    return fac.select("id", "vec").mapInArrow(run, "id long, vec array<double>")
+def is_packed(fac: DataFrame) -> bool:
+    return dict(fac.dtypes)["vec"] == "binary"
 
 
-def pack_table(fac: DataFrame, rank: int) -> DataFrame:
-    """(id, packed): two bytes a coordinate, for storage and shuffles."""
+def store_table(fac: DataFrame, rank: int, precision: str) -> DataFrame:
+    """The table as it is stored, shuffled and broadcast at a precision: packed numbers of 4 or 2 bytes, or doubles."""
+    if precision == "float64" and not is_packed(fac):
+        return fac
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raw = bf16_pack(to_matrix(batch.column("vec"), rank))
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([r.tobytes() for r in raw], type=pa.binary())], names=["id", "packed"])
-
-    return fac.select("id", "vec").mapInArrow(run, "id long, packed binary")
+            yield pa.RecordBatch.from_arrays([batch.column("id"), to_stored(to_matrix(batch.column("vec"), rank), precision)], names=["id", "vec"])
 
+    return fac.select("id", "vec").mapInArrow(run, stored_type(precision))
 
-def unpack_table(packed: DataFrame, rank: int) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = np.frombuffer(b"".join(batch.column("packed").to_pylist()), dtype="<u2").reshape(-1, rank)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), to_lists(bf16_unpack(rows).astype(np.float64))], names=["id", "vec"])
 
-    return packed.select("id", "packed").mapInArrow(run, "id long, vec array<double>")
+def as_lists(fac: DataFrame, rank: int) -> DataFrame:
+    """The table with plain lists of doubles, for column expressions."""
+    return store_table(fac, rank, "float64")
 
 
 def dictionary(keys: DataFrame, column: str) -> DataFrame:
@@ -112,4 +99,4 @@ def sample_ids(ids: DataFrame, share: float, id_col: str = "id", salt: str = "s"
     return ids.where(hash_unit(F.lit(salt), F.col(id_col).cast("string")) < int(share * 2**32))
 
 
-__all__ = ["commit", "dictionary", "init_vectors", "masked_add", "pack_table", "round_table", "sample_ids", "shard_balance", "shard_of", "shared_folder", "unpack_table"]
+__all__ = ["as_lists", "commit", "dictionary", "init_vectors", "is_packed", "masked_add", "sample_ids", "shard_balance", "shard_of", "shared_folder", "store_table"]

@@ -72,16 +72,15 @@ def min_degree_of_nodes(edges: DataFrame, src: str, dst: str, k: int) -> DataFra
     return edges.join(keep, F.col(src) == F.col("node"), "left_semi").join(keep, F.col(dst) == F.col("node"), "left_semi")
 
 
-def core(edges: DataFrame, src: str, dst: str, k: int, most: int = 50) -> Iterator[DataFrame]:
-    """The edges after each pass, until a pass changes nothing."""
-    n = edges.count()
-    for _ in range(most):
-        edges = generation(min_degree(edges, src, dst, k), "core")
+def core(edges: DataFrame, src: str, dst: str, k: int) -> Iterator[DataFrame]:
+    """The edges after each pass, until a pass changes nothing: the last ones are the true core. A pass that changes something takes an edge away, so there is an end."""
+    left = edges.count()
+    while True:
+        edges, before = generation(min_degree(edges, src, dst, k), "core"), left
         left = edges.count()
         yield edges
-        if left == n:
+        if left == before:
             return
-        n = left
 
 
 def graph_stats(edges: DataFrame, src: str, dst: str, label: str, k: int) -> DataFrame:

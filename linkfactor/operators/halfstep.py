@@ -4,16 +4,24 @@ Ways to gather: ``broadcast`` (the whole frozen table, within the limit), ``shuf
 vector for each observation), ``routed`` (a vector once for each block of rows that needs
 it), ``hot_cold`` (the most used columns broadcast, the others shuffled), ``masked_sum``
 (the collective form, for tests) and ``partial_stats`` (no vectors move; partial systems
-are summed by row). All give the same factors.
+are summed by row). All give the same factors. Vectors are stored, shuffled and broadcast
+as they are: packed in 2 or 4 bytes a number at low precisions.
 
-Rows stream through the solver sorted by row, a row's system being summed across batches, so
-a partition needs memory for one pending group of systems only. Rows with more observations
-than ``heavy_row`` are summed in parts by many tasks first.
+Rows stream through the solver sorted by row. Their observations are laid into segments of
+``segment_width`` places, padded with zero vectors, so that a batch of rows of any lengths is
+one dense batch of products; a row's segments are summed, across Arrow batches too. Memory is
+one group of systems. Rows with more observations than ``heavy_row`` are summed in parts by
+many tasks first.
+
+Systems of several models can be solved in one job (``base`` with a matrix for each): the
+ids of a model's rows and columns then carry its number above POINT_BITS.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
+from math import ceil
 
 import numpy as np
 import pyarrow as pa
@@ -21,167 +29,260 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..config import FactorConfig
-from .arrays import ids, to_lists, to_matrix
-from .factors import round_table, shard_of
+from .arrays import ids, rounded_to, stored_type, to_lists, to_matrix, to_stored
+from .factors import is_packed, shard_of, store_table
 from .solvers import bf16_round, pack, solve_batch, solve_cg_free, unpack
 
-SOLVED = "id long, vec array<double>"
+POINT_BITS = 40
 
 
-class RowSolver:
-    """Collects systems and solves them in groups of bounded bytes."""
+def bases_of(base: np.ndarray, names: np.ndarray) -> np.ndarray:
+    """The matrix that is added to the systems of the named rows: the same for all, or their model's."""
+    return base if base.ndim == 2 else base[names >> POINT_BITS]
 
-    def __init__(self, base: np.ndarray, cfg: FactorConfig) -> None:
-        self.cfg, self.base, rank = cfg, base, cfg.rank
-        self.kind = np.float64 if cfg.precision == "float64" else np.float32
-        self.group = max(1, cfg.solve_batch_bytes // (rank * rank * 8))
-        self.names: list[int] = []
-        self.a: list[np.ndarray] = []
-        self.b: list[np.ndarray] = []
 
-    def add(self, name: int, a: np.ndarray, b: np.ndarray) -> None:
-        self.names.append(name)
-        self.a.append(a)
-        self.b.append(b)
+def solved_type(precision: str) -> str:
+    return f"{stored_type(precision)}, err double"
 
-    def full(self) -> bool:
-        return len(self.names) >= self.group
 
-    def drain(self) -> pa.RecordBatch:
-        a, b = np.stack(self.a) + self.base, np.stack(self.b)
-        if self.cfg.precision == "bf16_all":
-            a, b = bf16_round(a), bf16_round(b)
-        x = solve_batch(a.astype(self.kind), b.astype(self.kind), self.cfg.chosen_solver(), self.cfg.iterations(), self.cfg.cg_tol)
-        if self.cfg.precision in ("mixed", "bf16_all"):
-            x = bf16_round(x)
-        out = pa.RecordBatch.from_arrays([pa.array(self.names, type=pa.int64()), to_lists(x.astype(np.float64))], names=["id", "vec"])
-        self.names, self.a, self.b = [], [], []
-        return out
+@dataclass
+class Systems:
+    """Normal systems of rows: names, sums of outer products, sums of label times vector, sums of squared labels, counts, and vectors to start from."""
+
+    names: np.ndarray
+    a: np.ndarray
+    b: np.ndarray
+    yy: np.ndarray
+    n: np.ndarray
+    start: np.ndarray
 
+    def parts(self) -> tuple[np.ndarray, ...]:
+        return self.names, self.a, self.b, self.yy, self.n, self.start
 
-def _runs(names: np.ndarray) -> Iterator[tuple[int, int, int]]:
-    edges = np.flatnonzero(np.concatenate([[True], names[1:] != names[:-1]])) if len(names) else []
-    for a, b in zip(edges, [*edges[1:], len(names)], strict=False):
-        yield int(names[a]), int(a), int(b)
+    def take(self, which) -> Systems:
+        return Systems(*(x[which] for x in self.parts()))
 
+    def add_first(self, other: Systems) -> None:
+        """Add another part of the first row."""
+        for mine, theirs in zip(self.parts()[1:], other.parts()[1:], strict=True):
+            mine[0] += theirs[0]
 
-def _sums(batches: Iterator[pa.RecordBatch], rank: int) -> Iterator[tuple[int, np.ndarray, np.ndarray, int]]:
-    """(row, sum of outer products, sum of y times vector, count) of sorted gathered rows, across batches."""
-    open_name, a, b, n = None, None, None, 0
+
+class RowSolver:
+    """Collects systems and solves them in groups of bounded bytes; ``err`` is the squared error of a row's own observations."""
+
+    def __init__(self, base: np.ndarray, cfg: FactorConfig) -> None:
+        self.cfg, self.base = cfg, base
+        self.kind = np.float64 if cfg.precision == "float64" else np.float32
+        self.group = system_group(cfg)
+        self.held: list[Systems] = []
+        self.count = 0
+
+    def add(self, found: Systems) -> Iterator[pa.RecordBatch]:
+        """Take systems, and give back solutions whenever a group is full."""
+        for at in range(0, len(found.names), self.group):
+            part = found.take(slice(at, at + self.group))
+            self.held.append(part)
+            self.count += len(part.names)
+            if self.count >= self.group:
+                yield self.drain()
+
+    def drain(self) -> pa.RecordBatch:
+        names, a, b, yy, _, start = (np.concatenate(x) for x in zip(*(h.parts() for h in self.held), strict=True))
+        whole = a + bases_of(self.base, names)
+        right = b
+        if self.cfg.precision == "bf16_all":
+            whole, right = bf16_round(whole), bf16_round(b)
+        x = solve_batch(whole.astype(self.kind), right.astype(self.kind), self.cfg.chosen_solver(), self.cfg.iterations(), self.cfg.cg_tol, start.astype(self.kind))
+        self.held, self.count = [], 0
+        kept = rounded_to(x, self.cfg.precision).astype(np.float64)
+        err = yy - 2 * np.einsum("nd,nd->n", kept, b) + np.einsum("nd,nde,ne->n", kept, a, kept, optimize=True)
+        return solved_batch(names, kept, err, self.cfg.precision)
+
+    def rest(self) -> Iterator[pa.RecordBatch]:
+        if self.count:
+            yield self.drain()
+
+
+def system_group(cfg: FactorConfig) -> int:
+    """Rows whose matrices are within the batch's bytes."""
+    return max(1, cfg.solve_batch_bytes // (cfg.rank * cfg.rank * 8))
+
+
+def solved_batch(names: np.ndarray, x: np.ndarray, err: np.ndarray, precision: str) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(names, type=pa.int64()), to_stored(x, precision), pa.array(np.maximum(err, 0.0), type=pa.float64())], names=["id", "vec", "err"])
+
+
+def dense_systems(names: np.ndarray, y: np.ndarray, x: np.ndarray, width: int, limit: int) -> Systems:
+    """Systems of observations sorted by row.
+
+    Each row's observations fill segments of ``width`` places; the last one is padded with
+    zeros. The segments of all rows are one batched product, taken in portions of ``limit`` bytes.
+    """
+    rank = x.shape[1]
+    starts = np.flatnonzero(np.concatenate([[True], names[1:] != names[:-1]]))
+    counts = np.diff(np.append(starts, len(names)))
+    segments = -(-counts // width)
+    # Place of each observation among the padded ones.
+    lead = np.cumsum(segments) - segments
+    place = np.arange(len(names)) + np.repeat(lead * width - starts, counts)
+    total = int(segments.sum())
+    a, b = np.zeros((len(starts), rank, rank)), np.zeros((len(starts), rank))
+    owner = np.repeat(np.arange(len(starts)), segments)
+    portion = max(1, limit // (8 * rank * max(rank, width)))
+    for at in range(0, total, portion):
+        until = min(total, at + portion)
+        lo, hi = np.searchsorted(place, (at * width, until * width))
+        dense, label = np.zeros(((until - at) * width, rank)), np.zeros((until - at) * width)
+        dense[place[lo:hi] - at * width], label[place[lo:hi] - at * width] = x[lo:hi], y[lo:hi]
+        dense, label = dense.reshape(until - at, width, rank), label.reshape(until - at, 1, width)
+        rows, first = np.unique(owner[at:until], return_index=True)
+        a[rows] += np.add.reduceat(np.swapaxes(dense, 1, 2) @ dense, first, axis=0)
+        b[rows] += np.add.reduceat((label @ dense)[:, 0, :], first, axis=0)
+    return Systems(names[starts], a, b, np.add.reduceat(y * y, starts), counts, np.zeros_like(b))
+
+
+def _systems(batches: Iterator[pa.RecordBatch], cfg: FactorConfig) -> Iterator[Systems]:
+    """Systems of gathered rows sorted by row; each row comes once, however many Arrow batches hold it.
+
+    A gathered row without a label is the row's start vector.
+    """
+    rank, group, open_row = cfg.rank, system_group(cfg), None
     for batch in batches:
-        x, y = to_matrix(batch.column("vec"), rank), batch.column("y").to_numpy(zero_copy_only=False)
-        for name, lo, hi in _runs(ids(batch.column("row_id"))):
-            if name != open_name:
-                if open_name is not None:
-                    yield open_name, a, b, n
-                open_name, a, b, n = name, np.zeros((rank, rank)), np.zeros(rank), 0
-            part = x[lo:hi]
-            a += part.T @ part
-            b += y[lo:hi] @ part
-            n += hi - lo
-    if open_name is not None:
-        yield open_name, a, b, n
+        every, x = ids(batch.column("row_id")), to_matrix(batch.column("vec"), rank)
+        y = batch.column("y").to_numpy(zero_copy_only=False).astype(np.float64)
+        edges = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]])) if len(every) else []
+        for k in range(0, len(edges), group):
+            part = slice(edges[k], edges[k + group] if k + group < len(edges) else len(every))
+            rows, begins = every[edges[k : k + group]], np.isnan(y[part])
+            found = Systems(rows, np.zeros((len(rows), rank, rank)), np.zeros((len(rows), rank)), np.zeros(len(rows)), np.zeros(len(rows), dtype=np.int64), np.zeros((len(rows), rank)))
+            if not begins.all():
+                known = dense_systems(every[part][~begins], y[part][~begins], x[part][~begins], cfg.segment_width, cfg.solve_batch_bytes)
+                at = np.searchsorted(rows, known.names)
+                for mine, theirs in zip(found.parts()[1:5], known.parts()[1:5], strict=True):
+                    mine[at] = theirs
+            found.start[np.searchsorted(rows, every[part][begins])] = x[part][begins]
+            if open_row is not None:
+                if open_row.names[0] == rows[0]:
+                    found.add_first(open_row)
+                else:
+                    yield open_row
+            if len(rows) > 1:
+                yield found.take(slice(None, -1))
+            open_row = found.take(slice(-1, None))
+    if open_row is not None:
+        yield open_row
 
 
 def solve_gathered(gathered: DataFrame, base: np.ndarray, cfg: FactorConfig) -> DataFrame:
-    """gathered (row_id, y, vec) to (id, vec); base is unobserved * Gram + reg * identity."""
+    """gathered (row_id, y, vec) to (id, vec); base is unobserved * Gram + reg * identity. A row without a label holds the start of conjugate gradients."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         solver = RowSolver(base, cfg)
-        for name, a, b, _ in _sums(batches, cfg.rank):
-            solver.add(name, a, b)
-            if solver.full():
-                yield solver.drain()
-        if solver.names:
-            yield solver.drain()
+        for found in _systems(batches, cfg):
+            yield from solver.add(found.take(found.n > 0))
+        yield from solver.rest()
 
     def run_free(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Matrix-free: whole rows are kept back until a batch ends between two rows."""
         rest: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-
-        def solve(parts):
-            names, y, x = (np.concatenate([p[k] for p in parts]) for k in range(3))
-            every, owner = np.unique(names, return_inverse=True)
-            kind = np.float64 if cfg.precision == "float64" else np.float32
-            out = solve_cg_free(x.astype(kind), owner, y.astype(kind), base.astype(kind), len(every), cfg.iterations(), cfg.cg_tol)
-            out = bf16_round(out) if cfg.precision in ("mixed", "bf16_all") else out
-            return pa.RecordBatch.from_arrays([pa.array(every), to_lists(out.astype(np.float64))], names=["id", "vec"])
-
         for batch in batches:
             if not batch.num_rows:
                 continue
-            names, y, x = ids(batch.column("row_id")), batch.column("y").to_numpy(zero_copy_only=False), to_matrix(batch.column("vec"), cfg.rank)
+            names, y, x = ids(batch.column("row_id")), batch.column("y").to_numpy(zero_copy_only=False).astype(np.float64), to_matrix(batch.column("vec"), cfg.rank)
             cut = int(np.searchsorted(names, names[-1]))
             if cut or (rest and rest[-1][0][-1] != names[0]):
                 ready = [*rest, (names[:cut], y[:cut], x[:cut])]
-                yield solve([p for p in ready if len(p[0])])
+                yield solve_free([p for p in ready if len(p[0])], base, cfg)
                 rest = []
             rest.append((names[cut:], y[cut:], x[cut:]))
         if rest:
-            yield solve(rest)
+            yield solve_free(rest, base, cfg)
 
     sorted_rows = gathered.select("row_id", "y", "vec").repartition(*([cfg.blocks] if cfg.blocks else []), F.col("row_id")).sortWithinPartitions("row_id")
-    return sorted_rows.mapInArrow(run_free if cfg.chosen_solver() == "cg_free" else run, SOLVED)
+    return sorted_rows.mapInArrow(run_free if cfg.chosen_solver() == "cg_free" else run, solved_type(cfg.precision))
 
 
-def partial_sums(gathered: DataFrame, rank: int) -> DataFrame:
-    """(row_id, stats, n) once for each row and partition: packed triangle, then the right side. Nothing is shuffled."""
+def solve_free(parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]], base: np.ndarray, cfg: FactorConfig) -> pa.RecordBatch:
+    """Solutions of whole rows (ascending names, labels, vectors) without their matrices; a row without a label is a start."""
+    names, y, x = (np.concatenate([p[k] for p in parts]) for k in range(3))
+    begins = np.isnan(y)
+    every, owner = np.unique(names[~begins], return_inverse=True)
+    start = np.zeros((len(every), cfg.rank))
+    if len(every):
+        at = np.minimum(np.searchsorted(every, names[begins]), len(every) - 1)
+        same = every[at] == names[begins]
+        start[at[same]] = x[begins][same]
+    kind = np.float64 if cfg.precision == "float64" else np.float32
+    out = solve_cg_free(x[~begins].astype(kind), owner, y[~begins].astype(kind), bases_of(base, every).astype(kind), len(every), cfg.iterations(), cfg.cg_tol, start.astype(kind))
+    kept = rounded_to(out, cfg.precision).astype(np.float64)
+    miss = y[~begins] - np.einsum("nd,nd->n", x[~begins], kept[owner])
+    return solved_batch(every, kept, np.bincount(owner, miss * miss, minlength=len(every)), cfg.precision)
+
+
+def partial_sums(gathered: DataFrame, cfg: FactorConfig) -> DataFrame:
+    """(row_id, stats, n) once for each row and partition: packed triangle, the right side, and the sum of squared labels. Nothing is shuffled."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names, stats, counts = [], [], []
-        for name, a, b, n in _sums(batches, rank):
-            names.append(name)
-            stats.append(np.concatenate([pack(a), b]))
-            counts.append(n)
-            if len(names) >= 1000:
-                yield emit(names, stats, counts)
-                names, stats, counts = [], [], []
-        if names:
-            yield emit(names, stats, counts)
-
-    def emit(names, stats, counts):
-        return pa.RecordBatch.from_arrays([pa.array(names, type=pa.int64()), to_lists(np.stack(stats)), pa.array(counts, type=pa.int64())], names=["row_id", "stats", "n"])
+        for found in _systems(batches, cfg):
+            stats = np.concatenate([pack(found.a), found.b, found.yy[:, None]], axis=1)
+            yield pa.RecordBatch.from_arrays([pa.array(found.names, type=pa.int64()), to_lists(stats), pa.array(found.n, type=pa.int64())], names=["row_id", "stats", "n"])
 
     return gathered.select("row_id", "y", "vec").sortWithinPartitions("row_id").mapInArrow(run, "row_id long, stats array<double>, n long")
 
 
 def solve_partial(parts: DataFrame, base: np.ndarray, cfg: FactorConfig) -> DataFrame:
-    """Sum partial systems by row and solve."""
+    """Sum partial systems by row and solve. Where only sums are at hand, matrix-free conjugate gradients run on the summed matrices."""
     size = cfg.rank * (cfg.rank + 1) // 2
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        solver, open_name, total = RowSolver(base, cfg), None, None
+        solver, group, open_name, total = RowSolver(base, cfg), system_group(cfg), None, None
+
+        def systems(names: np.ndarray, stats: np.ndarray) -> Iterator[pa.RecordBatch]:
+            for at in range(0, len(names), group):
+                part = stats[at : at + group]
+                b = part[:, size : size + cfg.rank]
+                yield from solver.add(Systems(names[at : at + group], unpack(part[:, :size], cfg.rank), b, part[:, -1], np.ones(len(part), dtype=np.int64), np.zeros_like(b)))
+
         for batch in batches:
-            stats = to_matrix(batch.column("stats"), size + cfg.rank)
-            for name, lo, hi in _runs(ids(batch.column("row_id"))):
-                if name != open_name:
-                    if open_name is not None:
-                        solver.add(open_name, unpack(total[None, :size], cfg.rank)[0], total[size:])
-                        if solver.full():
-                            yield solver.drain()
-                    open_name, total = name, np.zeros(size + cfg.rank)
-                total = total + stats[lo:hi].sum(axis=0)
+            if not batch.num_rows:
+                continue
+            names, stats = ids(batch.column("row_id")), to_matrix(batch.column("stats"), size + cfg.rank + 1)
+            starts = np.flatnonzero(np.concatenate([[True], names[1:] != names[:-1]]))
+            rows, sums = names[starts], np.add.reduceat(stats, starts, axis=0)
+            if open_name is not None:
+                if open_name[0] == rows[0]:
+                    sums[0] += total[0]
+                else:
+                    yield from systems(open_name, total)
+            yield from systems(rows[:-1], sums[:-1])
+            open_name, total = rows[-1:], sums[-1:]
         if open_name is not None:
-            solver.add(open_name, unpack(total[None, :size], cfg.rank)[0], total[size:])
-            yield solver.drain()
+            yield from systems(open_name, total)
+        yield from solver.rest()
+
+    return parts.repartition("row_id").sortWithinPartitions("row_id").mapInArrow(run, solved_type(cfg.precision))
 
-    return parts.repartition("row_id").sortWithinPartitions("row_id").mapInArrow(run, SOLVED)
 
+def hot_columns(obs: DataFrame, cfg: FactorConfig) -> DataFrame:
+    """hot_id of the most used columns, as many as may be broadcast; the same for all epochs."""
+    rows = min(cfg.hot_columns, max(1, cfg.broadcast_limit // (cfg.rank * cfg.bytes_per_number)))
+    return obs.groupBy("col_id").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "col_id").limit(rows).select(F.col("col_id").alias("hot_id"))
 
-def gather(obs: DataFrame, fac: DataFrame, cfg: FactorConfig, how: str) -> DataFrame:
-    """obs with each column's vector: row_id, col_id, y, vec."""
+
+def gather(obs: DataFrame, fac: DataFrame, cfg: FactorConfig, how: str, hot: DataFrame | None = None) -> DataFrame:
+    """obs with each column's vector: row_id, col_id, y, vec. hot: the columns to broadcast, where they are known."""
     table = fac.select(F.col("id").alias("vec_id"), "vec")
     on = F.col("col_id") == F.col("vec_id")
     if how == "broadcast":
-        size = fac.count() * cfg.rank * 8
+        size = fac.count() * cfg.rank * cfg.bytes_per_number
         if size > cfg.broadcast_limit:
             raise ValueError(f"a table of {size} bytes is beyond the broadcast limit of {cfg.broadcast_limit}")
         joined = obs.join(F.broadcast(table), on)
     elif how == "shuffle":
         joined = obs.join(table.hint("merge"), on)
     elif how == "hot_cold":
-        rows = min(cfg.hot_columns, max(1, cfg.broadcast_limit // (cfg.rank * 8)))
-        hot = F.broadcast(obs.groupBy("col_id").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "col_id").limit(rows).select(F.col("col_id").alias("hot_id")))
+        hot = F.broadcast(hot_columns(obs, cfg) if hot is None else hot)
         marked = obs.join(hot, F.col("col_id") == F.col("hot_id"), "left")
         near = F.broadcast(table.join(hot, F.col("vec_id") == F.col("hot_id"), "left_semi"))
         some = marked.where("hot_id is not null").drop("hot_id").join(near, on)
@@ -191,6 +292,8 @@ def gather(obs: DataFrame, fac: DataFrame, cfg: FactorConfig, how: str) -> DataF
         asked = obs.crossJoin(obs.sparkSession.range(shards).withColumnRenamed("id", "shard"))
         held = table.withColumn("held_by", shard_of(F.col("vec_id"), shards))
         seen = asked.join(held, on & (F.col("shard") == F.col("held_by")), "left")
+        if is_packed(fac):
+            raise ValueError("the collective form adds doubles")
         cells = [F.sum(F.coalesce(F.get("vec", k), F.lit(0.0))).alias(f"v{k}") for k in range(cfg.rank)]
         return seen.groupBy("row_id", "col_id", "y").agg(*cells).select("row_id", "col_id", "y", F.array(*[f"v{k}" for k in range(cfg.rank)]).alias("vec"))
     else:
@@ -207,9 +310,18 @@ def routing(obs: DataFrame, blocks: int) -> DataFrame:
     return obs.select(row_block(blocks), "col_id").distinct()
 
 
-def refit_routed(obs: DataFrame, fac: DataFrame, base: np.ndarray, cfg: FactorConfig, routes: DataFrame | None = None) -> DataFrame:
-    """Each vector travels once to every block that needs it; a block's rows and vectors meet in one group."""
-    blocks = cfg.blocks or int(obs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+def blocks_for(cells: int, vectors: int, cfg: FactorConfig, at_least: int = 1) -> int:
+    """Blocks of rows whose observations and vectors stay within block_bytes on average."""
+    return cfg.blocks or max(at_least, ceil((24 * cells + vectors * cfg.rank * 8) / cfg.block_bytes))
+
+
+def refit_routed(obs: DataFrame, fac: DataFrame, base: np.ndarray, cfg: FactorConfig, routes: DataFrame | None = None, blocks: int | None = None) -> DataFrame:
+    """Each vector travels once to every block that needs it; a block's rows and vectors meet in one group.
+
+    routes and the number of blocks they were made for are given where they are stored; heavy rows are to be taken out before.
+    """
+    if blocks is None:
+        blocks = cfg.blocks or int(obs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     routes = routing(obs, blocks) if routes is None else routes
     sent = routes.join(fac.select(F.col("id").alias("vec_id"), "vec"), F.col("col_id") == F.col("vec_id")).select(F.col("row_block").alias("to_block"), "vec_id", "vec")
     mine = obs.select(row_block(blocks), "row_id", F.col("col_id").alias("need"), "y")
@@ -221,41 +333,60 @@ def refit_routed(obs: DataFrame, fac: DataFrame, base: np.ndarray, cfg: FactorCo
             order = np.argsort(names)
             names, table = names[order], table[order]
             left = left.sort_by("row_id")
-            need, y = ids(left.column("need")), left.column("y").to_numpy()
-            at = np.searchsorted(names, need)
-            known = names[np.minimum(at, len(names) - 1)] == need
-            for name, lo, hi in _runs(ids(left.column("row_id"))):
-                ok = known[lo:hi]
-                if not ok.any():
-                    continue
-                x = table[at[lo:hi][ok]]
-                solver.add(name, x.T @ x, y[lo:hi][ok] @ x)
-                if solver.full():
-                    out.append(solver.drain())
-            if solver.names:
-                out.append(solver.drain())
-        kind = pa.schema([("id", pa.int64()), ("vec", pa.list_(pa.float64()))])
+            row, need, y = ids(left.column("row_id")), ids(left.column("need")), left.column("y").to_numpy()
+            at = np.minimum(np.searchsorted(names, need), len(names) - 1)
+            known = names[at] == need
+            row, at, y = row[known], at[known], y[known]
+            # Whole rows at a time, so many that vectors and matrices stay within the batch's bytes.
+            edges = np.append(np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]])), len(row)) if len(row) else np.zeros(1, dtype=np.int64)
+            step, k = max(1, cfg.solve_batch_bytes // (8 * cfg.rank)), 0
+            while k < len(edges) - 1:
+                until = min(max(k + 1, int(np.searchsorted(edges, edges[k] + step, "right")) - 1), k + system_group(cfg))
+                part = slice(edges[k], edges[until])
+                if cfg.chosen_solver() == "cg_free":
+                    out.append(solve_free([(row[part], y[part], table[at[part]])], base, cfg))
+                else:
+                    out += solver.add(dense_systems(row[part], y[part], table[at[part]], cfg.segment_width, cfg.solve_batch_bytes))
+                k = until
+            out += solver.rest()
+        kind = pa.schema([("id", pa.int64()), ("vec", pa.list_(pa.float64()) if cfg.precision == "float64" else pa.binary()), ("err", pa.float64())])
         return pa.Table.from_batches(out).cast(kind) if out else kind.empty_table()
 
-    return mine.groupBy("row_block").cogroup(sent.groupBy("to_block")).applyInArrow(run, SOLVED)
+    return mine.groupBy("row_block").cogroup(sent.groupBy("to_block")).applyInArrow(run, solved_type(cfg.precision))
 
 
 def heavy_rows(obs: DataFrame, limit: int) -> DataFrame:
     return obs.groupBy("row_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > limit).select(F.col("row_id").alias("heavy_id"))
 
 
-def refit_side(obs: DataFrame, fac: DataFrame, gram: np.ndarray | None, cfg: FactorConfig, how: str = "shuffle", heavy: DataFrame | None = None) -> DataFrame:
-    """One half-step: (id, vec) of every row with an observation."""
-    base = cfg.reg * np.eye(cfg.rank) + (cfg.unobserved * gram if cfg.unobserved else 0.0)
-    fac = round_table(fac, cfg.rank, cfg.precision)
-    if how == "routed":
-        return refit_routed(obs, fac, base, cfg)
+def base_of(gram: np.ndarray | None, cfg: FactorConfig) -> np.ndarray:
+    return cfg.reg * np.eye(cfg.rank) + (cfg.unobserved * gram if cfg.unobserved else 0.0)
+
+
+def refit_side(obs: DataFrame, fac: DataFrame, gram: np.ndarray | None, cfg: FactorConfig, how: str = "shuffle", heavy: DataFrame | None = None, start: DataFrame | None = None, base: np.ndarray | None = None, plan: dict | None = None) -> DataFrame:
+    """One half-step: (id, vec, err) of every row with an observation; err is the squared error over its own observations.
+
+    heavy: rows (heavy_id) to sum in parts. start: vectors (id, vec) that conjugate gradients
+    begin with; other solvers don't read them. base: the matrix to add to each system, made
+    from gram where it isn't given. plan: routes, blocks or hot columns that all epochs share.
+    """
+    base, plan = base_of(gram, cfg) if base is None else base, plan or {}
+    fac = store_table(fac, cfg.rank, cfg.precision)
+    light, solved = obs, []
+    if heavy is not None and how != "partial_stats":
+        # Few rows are heavy, but how few isn't known here, so the planner decides how to join them.
+        light = obs.join(heavy, F.col("row_id") == F.col("heavy_id"), "left_anti")
+        long = obs.join(heavy, F.col("row_id") == F.col("heavy_id"), "left_semi")
+        solved.append(solve_partial(partial_sums(gather(long, fac, cfg, "shuffle"), cfg), base, cfg))
     if how == "partial_stats":
         held = obs.repartition("col_id").join(fac.select(F.col("id").alias("vec_id"), "vec"), F.col("col_id") == F.col("vec_id"))
-        return solve_partial(partial_sums(held, cfg.rank), base, cfg)
-    gathered = gather(obs, fac, cfg, how)
-    if heavy is None:
-        return solve_gathered(gathered, base, cfg)
-    split = gathered.join(F.broadcast(heavy), F.col("row_id") == F.col("heavy_id"), "left")
-    light = solve_gathered(split.where("heavy_id is null"), base, cfg)
-    return light.unionByName(solve_partial(partial_sums(split.where("heavy_id is not null"), cfg.rank), base, cfg))
+        return solve_partial(partial_sums(held, cfg), base, cfg)
+    if how == "routed":
+        first = refit_routed(light, fac, base, cfg, plan.get("routes"), plan.get("blocks"))
+    else:
+        gathered = gather(light, fac, cfg, how, plan.get("hot"))
+        if start is not None and cfg.chosen_solver() in ("cg", "cg_free"):
+            begins = store_table(start, cfg.rank, cfg.precision).select(F.col("id").alias("row_id"), F.lit(None).cast("bigint").alias("col_id"), F.lit(float("nan")).alias("y"), "vec")
+            gathered = gathered.unionByName(begins)
+        first = solve_gathered(gathered, base, cfg)
+    return first.unionByName(solved[0]) if solved else first

@@ -74,7 +74,7 @@ def solve_cg(a: np.ndarray, b: np.ndarray, iters: int = 32, tol: float = 1e-6, s
 def solve_cg_free(vectors: np.ndarray, owner: np.ndarray, labels: np.ndarray, base: np.ndarray, n: int, iters: int = 32, tol: float = 1e-6, start: np.ndarray | None = None) -> np.ndarray:
     """Conjugate gradients that never form a row's matrix: base @ p plus the row's own vectors applied to p.
 
-    vectors (m, d) and labels (m,) belong to the rows ``owner`` (ascending, below n).
+    vectors (m, d) and labels (m,) belong to the rows ``owner`` (ascending, below n); base is one matrix, or one a row.
     """
     b = np.zeros((n, vectors.shape[1]), dtype=vectors.dtype)
     np.add.at(b, owner, labels[:, None] * vectors)
@@ -82,7 +82,7 @@ def solve_cg_free(vectors: np.ndarray, owner: np.ndarray, labels: np.ndarray, ba
     filled = np.flatnonzero(np.diff(np.append(bounds, len(owner))) > 0)
 
     def apply(p: np.ndarray) -> np.ndarray:
-        out = p @ base
+        out = p @ base if base.ndim == 2 else np.einsum("nij,nj->ni", base, p)
         if len(filled):
             weighted = np.einsum("md,md->m", vectors, p[owner])[:, None] * vectors
             out[filled] += np.add.reduceat(weighted, bounds[filled], axis=0)

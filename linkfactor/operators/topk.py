@@ -1,7 +1,19 @@
-"""Retrieval by inner product: exact by blocks or by a sort, approximate by hashing or by cells."""
+"""Retrieval by inner product: exact by blocks or by a sort, approximate by sign codes or by cells.
+
+All but the sort deal both sides to blocks, score a pair of blocks at a time in arrays, and
+send only each row's best places of a block on; the lists are merged. The number of blocks
+follows from the tables' bytes. The approximate searches score blocks by short codes and
+then score the best ``pool`` places of each row exactly.
+
+Vectors may be lists or packed numbers. Ties go to the smaller column id. Rows with fewer
+columns than asked for get what there is.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from math import ceil, sqrt
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -9,23 +21,26 @@ from pyspark.sql import functions as F
 
 from ..functions import dot
 from .arrays import ids, to_matrix
+from .factors import as_lists, is_packed
 
 RANKED = "row_id long, col_id long, score double"
+_SCHEMA = pa.schema([("row_id", pa.int64()), ("col_id", pa.int64()), ("score", pa.float64())])
+#: Bytes of one side's block, and of the scores that are held at a time.
+BLOCK_BYTES, SCORE_BYTES = 32 << 20, 16 << 20
 
 
-def _best(scores: np.ndarray, names: np.ndarray, k: int) -> list[np.ndarray]:
-    """Places of each row's k largest scores; equal scores go to the smaller id."""
-    order = np.argsort(names, kind="stable")
-    scores = scores[:, order]
-    out = []
-    for row in scores:
-        if len(row) > k:
-            edge = np.partition(row, len(row) - k)[len(row) - k]
-            some = np.flatnonzero(row >= edge)
-        else:
-            some = np.arange(len(row))
-        out.append(order[some[np.argsort(-row[some], kind="stable")][:k]])
-    return out
+def best_places(scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows and columns of each row's k largest scores above minus infinity, columns in order of id; of equal scores the earlier column."""
+    n, m = scores.shape
+    if m > k:
+        edge = np.partition(scores, m - k, axis=1)[:, m - k, None]
+        above = scores > edge
+        level = scores == edge
+        keep = above | (level & (np.cumsum(level, axis=1) <= k - above.sum(axis=1)[:, None]))
+    else:
+        keep = np.ones((n, m), dtype=bool)
+    keep &= np.isfinite(scores)
+    return np.nonzero(keep)
 
 
 def _merge(parts: DataFrame, k: int) -> DataFrame:
@@ -33,37 +48,89 @@ def _merge(parts: DataFrame, k: int) -> DataFrame:
     return parts.withColumn("rank", place).where(F.col("rank") <= k)
 
 
-def topk_exact(rows: DataFrame, columns: DataFrame, k: int, rank: int, exclude: DataFrame | None = None, row_blocks: int = 4, col_blocks: int = 4, digits: int | None = None) -> DataFrame:
-    """row_id, col_id, score, rank. Both sides are dealt to blocks; each pair of blocks is one matrix product that keeps its k best, and the lists are merged.
+def blocks_of(rows: int, rank: int) -> int:
+    return max(1, ceil(rows * rank * 8 / BLOCK_BYTES))
+
+
+def _excluded(exclude: DataFrame, col_blocks: int) -> DataFrame:
+    """The excluded columns of each row, by the block of the columns."""
+    block = F.pmod(F.xxhash64("col_id"), F.lit(col_blocks)).cast("int")
+    return exclude.select("row_id", "col_id", block.alias("ex_block")).groupBy(F.col("row_id").alias("ex_row"), "ex_block").agg(F.collect_set("col_id").alias("gone"))
 
-    A row travels col_blocks times and a column row_blocks times, whatever their numbers; neither side is broadcast. exclude (row_id, col_id) widens the kept lists by the longest excluded one.
-    """
-    room = k if exclude is None else k + int(exclude.groupBy("row_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0)
 
-    def deal(frame: DataFrame, own: str, other: str, mine: int, others: int) -> DataFrame:
-        dealt = frame.select(F.pmod(F.xxhash64("id"), F.lit(mine)).cast("int").alias(own), F.col("id").alias(f"{own}_id"), F.col("vec").alias(f"{own}_vec"))
-        return dealt.withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(others - 1))))
+Score = Callable[[np.ndarray, np.ndarray], np.ndarray]
 
-    left, right = deal(rows, "rb", "cb", row_blocks, col_blocks), deal(columns, "cb2", "rb2", col_blocks, row_blocks)
+
+def _best_of_blocks(left: DataFrame, right: DataFrame, k: int, rank: int, score: Score) -> DataFrame:
+    """left (block, id, vec, gone) and right (block, id, vec), met by block: each row's k best places of every block."""
 
     def run(a: pa.Table, b: pa.Table) -> pa.Table:
-        out = {"row_id": [], "col_id": [], "score": []}
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         if a.num_rows and b.num_rows:
-            names, queries, table, who = ids(b.column("cb2_id")), to_matrix(a.column("rb_vec"), rank), to_matrix(b.column("cb2_vec"), rank), ids(a.column("rb_id"))
-            step = max(1, (32 << 20) // (8 * len(names)))
+            names, table = ids(b.column("id")), to_matrix(b.column("vec"), rank)
+            order = np.argsort(names, kind="stable")
+            names, table = names[order], table[order]
+            who, queries = ids(a.column("id")), to_matrix(a.column("vec"), rank)
+            gone = a.column("gone").combine_chunks()
+            ends = np.concatenate([[0], np.cumsum(np.array(gone.value_lengths().fill_null(0)))])
+            left_out = gone.flatten().to_numpy(zero_copy_only=False)
+            step = max(1, SCORE_BYTES // (8 * len(names)))
             for at in range(0, len(who), step):
-                scores = queries[at : at + step] @ table.T
-                scores = np.round(scores, digits) if digits is not None else scores
-                for i, best in enumerate(_best(scores, names, room)):
-                    out["row_id"] += [int(who[at + i])] * len(best)
-                    out["col_id"] += names[best].tolist()
-                    out["score"] += scores[i, best].tolist()
-        return pa.table(out, schema=pa.schema([("row_id", pa.int64()), ("col_id", pa.int64()), ("score", pa.float64())]))
-
-    parts = left.groupBy("rb", "cb").cogroup(right.groupBy("rb2", "cb2")).applyInArrow(run, RANKED)
-    if exclude is not None:
-        parts = parts.join(exclude.select("row_id", "col_id"), ["row_id", "col_id"], "left_anti")
-    return _merge(parts, k)
+                until = min(len(who), at + step)
+                scores = score(queries[at:until], table)
+                out = left_out[ends[at] : ends[until]]
+                if len(out):
+                    row = np.repeat(np.arange(until - at), np.diff(ends[at : until + 1]))
+                    place = np.minimum(np.searchsorted(names, out), len(names) - 1)
+                    there = names[place] == out
+                    scores[row[there], place[there]] = -np.inf
+                row, col = best_places(scores, k)
+                found.append((who[at + row], names[col], scores[row, col]))
+        if not found:
+            return _SCHEMA.empty_table()
+        return pa.table([pa.array(np.concatenate([f[j] for f in found]), type=_SCHEMA.field(j).type) for j in range(3)], schema=_SCHEMA)
+
+    return left.groupBy("block").cogroup(right.groupBy("block")).applyInArrow(run, RANKED)
+
+
+def _dealt(rows: DataFrame, columns: DataFrame, rank: int, exclude: DataFrame | None, row_blocks: int | None, col_blocks: int | None) -> tuple[DataFrame, DataFrame]:
+    """Both sides with the pairs of blocks that they belong to, and the rows with what they leave out."""
+    row_blocks = row_blocks or blocks_of(rows.count(), rank)
+    col_blocks = col_blocks or blocks_of(columns.count(), rank)
+    spread = lambda own, other, n: F.explode(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda x: F.struct(own(x).alias("rb"), other(x).alias("cb"))))
+    mine = F.pmod(F.xxhash64("id"), F.lit(row_blocks)).cast("int")
+    theirs = F.pmod(F.xxhash64("id"), F.lit(col_blocks)).cast("int")
+    left = rows.select("id", "vec", spread(lambda x: mine, lambda x: x, col_blocks).alias("block"))
+    right = columns.select("id", "vec", spread(lambda x: x, lambda x: theirs, row_blocks).alias("block"))
+    if exclude is None:
+        return left.withColumn("gone", F.array().cast("array<bigint>")), right
+    gone = _excluded(exclude, col_blocks)
+    return left.join(gone, (F.col("id") == F.col("ex_row")) & (F.col("block.cb") == F.col("ex_block")), "left").select("block", "id", "vec", "gone"), right
+
+
+def _product(digits: int | None = None) -> Score:
+    return lambda a, b: a @ b.T if digits is None else np.round(a @ b.T, digits)
+
+
+def topk_exact(rows: DataFrame, columns: DataFrame, k: int, rank: int, exclude: DataFrame | None = None, row_blocks: int | None = None, col_blocks: int | None = None, digits: int | None = None) -> DataFrame:
+    """row_id, col_id, score, rank. Each pair of blocks is one matrix product that keeps its k best.
+
+    A row travels col_blocks times and a column row_blocks times; neither side is broadcast.
+    exclude (row_id, col_id) is left out inside the blocks. Blocks follow from the tables' bytes unless they are given.
+    """
+    left, right = _dealt(rows, columns, rank, exclude, row_blocks, col_blocks)
+    return _merge(_best_of_blocks(left, right, k, rank, _product(digits)), k)
+
+
+def topk_points(rows: DataFrame, columns: DataFrame, k: int, rank: int, exclude: DataFrame | None = None, bits: int = 40) -> DataFrame:
+    """topk_exact within each point (the ids' part above the lower bits); a point's columns are one block."""
+    point = F.shiftright("id", bits).cast("int")
+    left, right = rows.select(point.alias("block"), "id", "vec"), columns.select(point.alias("block"), "id", "vec")
+    if exclude is None:
+        left = left.withColumn("gone", F.array().cast("array<bigint>"))
+    else:
+        left = left.join(_excluded(exclude, 1).drop("ex_block"), F.col("id") == F.col("ex_row"), "left").drop("ex_row")
+    return _merge(_best_of_blocks(left, right, k, rank, _product()), k)
 
 
 def topk_sort(rows: DataFrame, columns: DataFrame, k: int, exclude: DataFrame | None = None, digits: int | None = None) -> DataFrame:
@@ -76,67 +143,115 @@ def topk_sort(rows: DataFrame, columns: DataFrame, k: int, exclude: DataFrame |
     return _merge(cells, k)
 
 
-def _augmented(frame: DataFrame, rank: int, largest: float, side: str) -> DataFrame:
-    """Vectors of equal length whose angles order like the inner products: columns are scaled into the unit ball and get the missing length as a last coordinate, rows are scaled and get 0."""
-    scaled = F.transform("vec", lambda x: x / F.lit(largest or 1.0)) if side == "column" else F.transform("vec", lambda x: F.coalesce(F.try_divide(x, F.sqrt(dot("vec", "vec"))), F.lit(0.0)))
-    frame = frame.select("id", "vec", scaled.alias("s"))
-    last = F.sqrt(F.greatest(F.lit(1.0) - dot("s", "s"), F.lit(0.0))) if side == "column" else F.lit(0.0)
-    return frame.select("id", "vec", F.concat("s", F.array(last)).alias("aug"))
+def rerank(found: DataFrame, rows: DataFrame, columns: DataFrame, k: int, rank: int) -> DataFrame:
+    """Exact scores of candidate pairs, and each row's k best."""
+    rows, columns = (as_lists(x, rank) if is_packed(x) else x for x in (rows, columns))
+    pairs = found.select("row_id", "col_id")
+    scored = pairs.join(rows.select(F.col("id").alias("row_id"), F.col("vec").alias("v")), "row_id").join(columns.select(F.col("id").alias("col_id"), F.col("vec").alias("u")), "col_id")
+    return _merge(scored.select("row_id", "col_id", dot("v", "u").alias("score")), k)
+
 
+def pool_of(k: int) -> int:
+    """Places of each row that are scored exactly: 1.8 times as many as asked for."""
+    return k + ceil(0.8 * k)
 
-def _longest(columns: DataFrame) -> float:
-    return float(columns.agg(F.max(F.sqrt(dot("vec", "vec")))).first()[0] or 0.0)
 
+def sign_codes(bits: int, rank: int, seed: int) -> Score:
+    """The columns' lengths times the cosine that agreeing signs of random projections tell (of b bits, half for each right angle)."""
 
-def _rerank(found: DataFrame, rows: DataFrame, columns: DataFrame, k: int, exclude: DataFrame | None) -> DataFrame:
-    if exclude is not None:
-        found = found.join(exclude.select("row_id", "col_id"), ["row_id", "col_id"], "left_anti")
-    scored = found.join(rows.select(F.col("id").alias("row_id"), F.col("vec").alias("v")), "row_id").join(columns.select(F.col("id").alias("col_id"), F.col("vec").alias("u")), "col_id")
-    return _merge(scored.select("row_id", "col_id", dot("v", "u").alias("score")), k)
+    def score(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        planes = np.random.default_rng(seed).standard_normal((bits, rank))
+        one, two = (np.packbits(x @ planes.T > 0, axis=1).view(np.uint64) for x in (a, b))
+        differ = np.zeros((len(a), len(b)), dtype=np.int64)
+        for word in range(one.shape[1]):
+            differ += np.bitwise_count(one[:, word, None] ^ two[None, :, word])
+        return np.cos(np.pi * differ / bits) * np.linalg.norm(b, axis=1)
 
+    return score
 
-def topk_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, tables: int = 48, bits: int = 5, seed: int = 7, exclude: DataFrame | None = None) -> DataFrame:
-    """Sign random projections of the augmented vectors; rows and columns that share a bucket of any table are scored exactly."""
-    planes = np.random.default_rng(seed).standard_normal((tables * bits, rank + 1))
 
-    def buckets(batches):
-        for batch in batches:
-            signs = to_matrix(batch.column("aug"), rank + 1) @ planes.T > 0
-            codes = signs.reshape(-1, tables, bits) @ (1 << np.arange(bits))
-            keys = codes + (np.arange(tables) << 40)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(keys.tolist(), type=pa.list_(pa.int64()))], names=["id", "keys"])
+def candidates_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, bits: int = 2048, seed: int = 7, exclude: DataFrame | None = None, row_blocks: int | None = None, col_blocks: int | None = None) -> DataFrame:
+    """(row_id, col_id, score): the pool of each row by sign codes."""
+    left, right = _dealt(rows, columns, rank, exclude, row_blocks, col_blocks)
+    return _merge(_best_of_blocks(left, right, pool_of(k), rank, sign_codes(bits, rank, seed)), pool_of(k)).drop("rank")
 
-    def hashed(frame: DataFrame, side: str, name: str) -> DataFrame:
-        keys = _augmented(frame, rank, largest, side).select("id", "aug").mapInArrow(buckets, "id long, keys array<long>")
-        return keys.select(F.col("id").alias(name), F.explode("keys").alias("key"))
 
-    largest = _longest(columns)
-    found = hashed(rows, "row", "row_id").join(hashed(columns, "column", "col_id"), "key").select("row_id", "col_id").distinct()
-    return _rerank(found, rows, columns, k, exclude)
+def topk_lsh(rows: DataFrame, columns: DataFrame, k: int, rank: int, **more) -> DataFrame:
+    """Sign random projections: codes of ``bits`` bits are compared by blocks, and the pool is scored exactly."""
+    return rerank(candidates_lsh(rows, columns, k, rank, **more), rows, columns, k, rank)
 
 
-def topk_ivf(rows: DataFrame, columns: DataFrame, k: int, rank: int, cells: int = 16, probes: int = 12, seed: int = 7, sample: int = 20_000, exclude: DataFrame | None = None) -> DataFrame:
-    """k-means cells over a bounded sample of the augmented columns; every column is in its nearest cell, a row looks into its ``probes`` nearest ones."""
-    largest = _longest(columns)
-    table = _augmented(columns, rank, largest, "column")
-    n = columns.count()
-    part = table if n <= sample else table.where(F.pmod(F.xxhash64("id"), F.lit(1 << 30)) < int((1 << 30) * sample / n))
-    points = to_matrix(part.select("aug").toArrow().column("aug"), rank + 1)
+def _eighths(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products of vectors rounded to 127 steps of their largest number either way."""
+    parts = []
+    for x in (a, b):
+        size = np.abs(x).max(axis=1, keepdims=True)
+        size[size == 0] = 1.0
+        parts.append((np.round(x / size * 127).astype(np.float32), size / 127))
+    (p, u), (q, v) = parts
+    return (p @ q.T).astype(np.float64) * u * v.T
+
+
+def k_means(points: np.ndarray, cells: int, seed: int, rounds: int = 15) -> np.ndarray:
     rng = np.random.default_rng(seed)
-    centres = points[rng.choice(len(points), min(cells, len(points)), replace=False)] if len(points) else np.zeros((1, rank + 1))
-    for _ in range(15):
-        near = (points @ centres.T - 0.5 * (centres**2).sum(axis=1)).argmax(axis=1) if len(points) else np.zeros(0, dtype=int)
+    centres = points[rng.choice(len(points), min(cells, len(points)), replace=False)]
+    for _ in range(rounds):
+        near = (points @ centres.T - 0.5 * (centres**2).sum(axis=1)).argmax(axis=1)
         centres = np.array([points[near == c].mean(axis=0) if (near == c).any() else centres[c] for c in range(len(centres))])
+    return centres
 
-    def assign(most: int):
+
+def probes_for(queries: np.ndarray, points: np.ndarray, centres: np.ndarray, k: int, recall: float) -> int:
+    """The fewest cells a query must look into for the wanted mean share of its k best points, measured on samples of both."""
+    home = (points @ centres.T - 0.5 * (centres**2).sum(axis=1)).argmax(axis=1)
+    order = np.argsort(-(queries @ centres.T), axis=1)
+    turn = np.argsort(order, axis=1)
+    best = np.argsort(-(queries @ points.T), axis=1)[:, :k]
+    needed = turn[np.arange(len(queries))[:, None], home[best]]
+    share = [(needed < p).mean() for p in range(1, len(centres) + 1)]
+    return int(np.searchsorted(share, min(recall, share[-1]))) + 1
+
+
+def candidates_ivf(rows: DataFrame, columns: DataFrame, k: int, rank: int, cells: int | None = None, probes: int | None = None, seed: int = 7, sample: int = 20_000, recall: float = 0.96, exclude: DataFrame | None = None) -> DataFrame:
+    """(row_id, col_id, score): the pool of each row from the cells that it looks into, by 8-bit products.
+
+    Cells (about the root of the columns' number) are fitted on at most ``sample`` columns,
+    and every column is in its nearest one. Probes are the fewest that give the wanted recall on
+    samples of both sides, unless they are given.
+    """
+    n = columns.count()
+    some = lambda frame, most, total: frame if total <= most else frame.where(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(1 << 30)) < int((1 << 30) * most / total))
+    points = to_matrix(some(columns, sample, n).select("vec").toArrow().column("vec"), rank) if n else np.zeros((0, rank))
+    centres = k_means(points, cells or max(1, round(sqrt(n))), seed) if len(points) else np.zeros((1, rank))
+    if probes is None:
+        queries = to_matrix(some(rows, 500, rows.count()).select("vec").toArrow().column("vec"), rank)
+        probes = probes_for(queries, points[:20_000], centres, min(k, len(points)), recall) if len(queries) and len(points) else 1
+
+    def near(most: int):
         def run(batches):
             for batch in batches:
-                x = to_matrix(batch.column("aug"), rank + 1)
+                x = to_matrix(batch.column("vec"), rank)
                 order = np.argsort(-(x @ centres.T - (0.5 * (centres**2).sum(axis=1) if most == 1 else 0.0)), axis=1)[:, :most]
-                yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(order.tolist(), type=pa.list_(pa.int64()))], names=["id", "cells"])
+                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(order.tolist(), type=pa.list_(pa.int64()))], names=[*batch.schema.names, "cells"])
 
         return run
 
-    held = table.select("id", "aug").mapInArrow(assign(1), "id long, cells array<long>").select(F.col("id").alias("col_id"), F.explode("cells").alias("cell"))
-    asked = _augmented(rows, rank, largest, "row").select("id", "aug").mapInArrow(assign(probes), "id long, cells array<long>").select(F.col("id").alias("row_id"), F.explode("cells").alias("cell"))
-    return _rerank(asked.join(held, "cell").select("row_id", "col_id"), rows, columns, k, exclude)
+    # A large cell's columns and a cell's many rows are dealt to blocks of bounded bytes.
+    per_cell = max(1, len(centres))
+    held = columns.select("id", "vec").mapInArrow(near(1), f"id long, vec {dict(columns.dtypes)['vec']}, cells array<long>")
+    asked = rows.select("id", "vec").mapInArrow(near(probes), f"id long, vec {dict(rows.dtypes)['vec']}, cells array<long>")
+    parts = max(1, ceil(blocks_of(n, rank) * 4 / per_cell))
+    turns = max(1, ceil(blocks_of(rows.count() * probes, rank) / per_cell))
+    theirs, mine = F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int"), F.pmod(F.xxhash64("id"), F.lit(turns)).cast("int")
+    right = held.select("id", "vec", F.get("cells", 0).alias("cell"), theirs.alias("part"), F.explode(F.sequence(F.lit(0), F.lit(turns - 1))).alias("turn")).select(F.struct("cell", "part", "turn").alias("block"), "id", "vec")
+    left = asked.select("id", "vec", F.explode("cells").alias("cell"), mine.alias("turn")).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).select(F.struct("cell", "part", "turn").alias("block"), "id", "vec")
+    if exclude is None:
+        left = left.withColumn("gone", F.array().cast("array<bigint>"))
+    else:
+        left = left.join(_excluded(exclude, 1).drop("ex_block"), F.col("id") == F.col("ex_row"), "left").drop("ex_row")
+    return _merge(_best_of_blocks(left, right, pool_of(k), rank, _eighths), pool_of(k)).drop("rank")
+
+
+def topk_ivf(rows: DataFrame, columns: DataFrame, k: int, rank: int, **more) -> DataFrame:
+    """k-means cells: a row looks into its best cells only, where 8-bit products choose the pool that is scored exactly."""
+    return rerank(candidates_ivf(rows, columns, k, rank, **more), rows, columns, k, rank)

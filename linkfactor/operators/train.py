@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import json
-from dataclasses import asdict, dataclass, replace
+import time
+from dataclasses import asdict, dataclass
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -11,30 +12,35 @@ from pyspark.sql import functions as F
 
 from ..config import FactorConfig
 from ..functions import dot
-from ..plans.planner import ObsStats, choose_gather, observe
-from ..runtime import drop_path, generation, scratch
+from ..plans.planner import ObsStats, choose_gather, fits_broadcast, observe
+from ..runtime import drop_path, executors, generation, scratch
 from ..schema import OBSERVATIONS, reject_bad_numbers, require
-from .factors import init_vectors, round_table
-from .gram import gram
-from .halfstep import heavy_rows, refit_side
-from .topk import topk_exact, topk_ivf, topk_lsh, topk_sort
+from .evaluate import recall_by_point
+from .factors import as_lists, init_vectors, is_packed, store_table
+from .gram import gram, grams_by
+from .halfstep import POINT_BITS, blocks_for, heavy_rows, hot_columns, refit_side, routing
+from .topk import topk_exact, topk_ivf, topk_lsh, topk_points, topk_sort
 
 
 def transposed(obs: DataFrame) -> DataFrame:
     return obs.select(F.col("col_id").alias("row_id"), F.col("row_id").alias("col_id"), "y")
 
 
-def scores(pairs: DataFrame, rows: DataFrame, columns: DataFrame) -> DataFrame:
-    """pairs with the column score; pairs without a vector on either side go."""
+def scores(pairs: DataFrame, rows: DataFrame, columns: DataFrame, rank: int | None = None) -> DataFrame:
+    """pairs with the column score; pairs without a vector on either side go. rank is needed for packed tables."""
+    rows, columns = (as_lists(x, rank) if is_packed(x) else x for x in (rows, columns))
     w, h = rows.select(F.col("id").alias("row_id"), F.col("vec").alias("w")), columns.select(F.col("id").alias("col_id"), F.col("vec").alias("h"))
     return pairs.join(w, "row_id").join(h, "col_id").select(*pairs.columns, dot("w", "h").alias("score"))
 
 
 def loss_terms(obs: DataFrame, rows: DataFrame, columns: DataFrame, cfg: FactorConfig) -> dict[str, float]:
     """The implicit objective; the sum over all cells is the inner product of the two Gram matrices."""
-    error = scores(obs, rows, columns).agg(F.sum((F.col("y") - F.col("score")) * (F.col("y") - F.col("score")))).first()[0] or 0.0
-    a, b = gram(rows, cfg.rank), gram(columns, cfg.rank)
-    terms = {"observed": float(error), "all_cells": cfg.unobserved * float((a * b).sum()), "reg": cfg.reg * float(np.trace(a) + np.trace(b))}
+    error = scores(obs, rows, columns, cfg.rank).agg(F.sum((F.col("y") - F.col("score")) * (F.col("y") - F.col("score")))).first()[0] or 0.0
+    return loss_parts(float(error), gram(rows, cfg.rank), gram(columns, cfg.rank), cfg)
+
+
+def loss_parts(error: float, a: np.ndarray, b: np.ndarray, cfg: FactorConfig) -> dict[str, float]:
+    terms = {"observed": error, "all_cells": cfg.unobserved * float((a * b).sum()), "reg": cfg.reg * float(np.trace(a) + np.trace(b))}
     return terms | {"total": sum(terms.values())}
 
 
@@ -49,7 +55,7 @@ class FactorModel:
         return (self.row_factors.count() + self.col_factors.count()) * self.cfg.rank
 
     def predict(self, pairs: DataFrame) -> DataFrame:
-        return scores(pairs, self.row_factors, self.col_factors)
+        return scores(pairs, self.row_factors, self.col_factors, self.cfg.rank)
 
     def loss(self, obs: DataFrame) -> dict[str, float]:
         return loss_terms(obs, self.row_factors, self.col_factors, self.cfg)
@@ -57,12 +63,12 @@ class FactorModel:
     def fold_in(self, given: DataFrame) -> DataFrame:
         """Vectors of rows that training never saw: the same half-step with the columns frozen, and their own Gram."""
         table = generation(self.col_factors, "frozen")
-        return refit_side(given, table, gram(table, self.cfg.rank), self.cfg, "shuffle")
+        return refit_side(given, table, gram(table, self.cfg.rank), self.cfg, "shuffle").select("id", "vec")
 
     def topk(self, rows: DataFrame, k: int, exclude: DataFrame | None = None, method: str = "exact", **more) -> DataFrame:
         search = {"exact": topk_exact, "lsh": topk_lsh, "ivf": topk_ivf}.get(method)
         if search is None:
-            return topk_sort(rows, self.col_factors, k, exclude=exclude)
+            return topk_sort(as_lists(rows, self.cfg.rank), as_lists(self.col_factors, self.cfg.rank), k, exclude=exclude)
         return search(rows, self.col_factors, k, self.cfg.rank, exclude=exclude, **more)
 
     def save(self, path: str) -> None:
@@ -92,49 +98,162 @@ class _Generations:
         return self.spark.read.schema(frame.schema).parquet(path)
 
 
+def _by_side(obs: DataFrame) -> dict[str, DataFrame]:
+    """Both layouts of the observations, each dealt by its own side and written once. Labels of repeated cells are summed."""
+    checked = reject_bad_numbers(require(obs, OBSERVATIONS))
+    rows = generation(checked.groupBy("row_id", "col_id").agg(F.sum("y").alias("y")).repartition("row_id"), "observations")
+    return {"row": rows, "col": generation(transposed(rows).repartition("row_id"), "observations-by-column")}
+
+
+@dataclass
+class SidePlan:
+    """How one side is refitted, the same in all epochs: the gather, heavy rows, and routes or hot columns stored once."""
+
+    how: str
+    heavy: DataFrame | None
+    shared: dict
+
+
+def plan_side(obs: DataFrame, cfg: FactorConfig) -> SidePlan:
+    spark = obs.sparkSession
+    workers = executors(spark)
+    at_least = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    stats = observe(obs)
+    blocks = blocks_for(stats.cells, min(stats.cells, stats.columns * at_least), cfg, at_least)
+    if cfg.gather == "auto" and not fits_broadcast(stats, cfg):
+        # What the routed and the hot-and-cold gather move depends on the data, so it is counted.
+        stats = observe(obs, blocks, cfg)
+    how = choose_gather(stats, cfg, workers) if cfg.gather == "auto" else cfg.gather
+    heavy = generation(heavy_rows(obs, cfg.heavy_row), "heavy-rows") if stats.longest > cfg.heavy_row else None
+    shared = {}
+    if how == "routed":
+        light = obs if heavy is None else obs.join(heavy, F.col("row_id") == F.col("heavy_id"), "left_anti")
+        shared = {"blocks": blocks, "routes": generation(routing(light, blocks), "routes")}
+    if how == "hot_cold":
+        shared = {"hot": generation(hot_columns(obs, cfg), "hot-columns")}
+    return SidePlan(how, heavy, shared)
+
+
 def fit(obs: DataFrame, cfg: FactorConfig, track_loss: bool = True, start: DataFrame | None = None) -> FactorModel:
     """Alternate half-steps. ``start`` are column vectors to begin with (random ones otherwise).
 
-    Both layouts of the observations are written once, dealt by their own side, and reused by all epochs; each half-step reads the frozen side's last generation.
+    Both layouts of the observations, routes and hot columns are written once and reused by
+    all epochs; each half-step reads the frozen side's last generation, and conjugate
+    gradients begin with the own side's. The loss of an epoch comes from the errors that the
+    last half-step returns, without another pass over the observations.
     """
-    spark = obs.sparkSession
-    obs = generation(reject_bad_numbers(require(obs, OBSERVATIONS)).dropDuplicates(["row_id", "col_id"]).repartition("row_id"), "observations")
-    back = generation(transposed(obs).repartition("row_id"), "observations-by-column")
-    sides = {"row": (obs, observe(obs)), "col": (back, observe(back))}
-    heavy = {k: heavy_rows(o, cfg.heavy_row) if s.longest > cfg.heavy_row else None for k, (o, s) in sides.items()}
-    ways = {k: choose_gather(s, cfg) if cfg.gather == "auto" else cfg.gather for k, (_, s) in sides.items()}
-    stores = {k: _Generations(spark, f"{k}-factors") for k in sides}
-    columns = stores["col"].commit(round_table(init_vectors(back.select("row_id").distinct(), cfg.rank, cfg.seed, id_col="row_id") if start is None else start, cfg.rank, cfg.precision))
-    rows, history = None, []
+    sides = _by_side(obs)
+    plans = {k: plan_side(x, cfg) for k, x in sides.items()}
+    stores = {k: _Generations(obs.sparkSession, f"{k}-factors") for k in sides}
+    first = init_vectors(sides["col"].select("row_id").distinct(), cfg.rank, cfg.seed, id_col="row_id") if start is None else start.select("id", "vec")
+    columns, rows, history = stores["col"].commit(store_table(first, cfg.rank, cfg.precision)), None, []
+    column_gram = gram(columns, cfg.rank)
+
+    def step(side: str, frozen: DataFrame, frozen_gram: np.ndarray, own: DataFrame | None) -> DataFrame:
+        p = plans[side]
+        return stores[side].commit(refit_side(sides[side], frozen.select("id", "vec"), frozen_gram, cfg, p.how, p.heavy, None if own is None else own.select("id", "vec"), plan=p.shared))
+
     for epoch in range(1, cfg.epochs + 1):
-        rows = stores["row"].commit(refit_side(obs, columns, gram(columns, cfg.rank), cfg, ways["row"], heavy["row"]))
-        columns = stores["col"].commit(refit_side(back, rows, gram(rows, cfg.rank), cfg, ways["col"], heavy["col"]))
+        began = time.perf_counter()
+        rows = step("row", columns, column_gram, rows)
+        row_gram = gram(rows, cfg.rank)
+        columns = step("col", rows, row_gram, columns)
+        column_gram = gram(columns, cfg.rank)
+        seconds = time.perf_counter() - began
         if track_loss or cfg.tol is not None:
-            history.append({"epoch": epoch, **loss_terms(obs, rows, columns, cfg)})
+            error = columns.agg(F.sum("err")).first()[0] or 0.0
+            history.append({"epoch": epoch, "seconds": seconds, **loss_parts(float(error), row_gram, column_gram, cfg)})
             if cfg.tol is not None and len(history) > 1 and history[-2]["total"] - history[-1]["total"] < cfg.tol * abs(history[-2]["total"]):
                 break
-    return FactorModel(rows, columns, cfg, history)
+        else:
+            history.append({"epoch": epoch, "seconds": seconds})
+    return FactorModel(rows.select("id", "vec"), columns.select("id", "vec"), cfg, history)
+
+
+@dataclass
+class PointModels:
+    """Models of several pairs of weights on the same observations, trained in one job a half-step.
+
+    Ids carry the number of their model (point) above POINT_BITS. epochs holds the column
+    tables of all epochs where they were kept.
+    """
+
+    points: list[tuple[float, float]]
+    row_factors: DataFrame
+    col_factors: DataFrame
+    cfg: FactorConfig
+    epochs: list[DataFrame]
+
+    def bases(self, grams: np.ndarray) -> np.ndarray:
+        return point_bases(self.points, grams, self.cfg.rank)
+
+    def recall(self, given: DataFrame, hidden: DataFrame, ks=(20, 50), epoch: int | None = None) -> DataFrame:
+        """point, k, recall_truth, n_sources by the columns of an epoch (the last one by default)."""
+        columns = self.col_factors if epoch is None else self.epochs[epoch]
+        n = len(self.points)
+        asked = at_points(given, n)
+        folded = refit_side(asked, columns.select("id", "vec"), None, self.cfg, "shuffle", base=self.bases(point_grams(columns, self.cfg.rank, n)))
+        ranked = topk_points(folded.select("id", "vec"), columns.select("id", "vec"), max(ks), self.cfg.rank, exclude=asked)
+        wanted = at_points(hidden, n)
+        return recall_by_point(ranked, wanted, ks)
+
+
+def at_points(cells: DataFrame, n: int) -> DataFrame:
+    """A copy of the cells (row_id, col_id and others) for each point."""
+    shift = F.shiftleft(F.col("point").cast("bigint"), POINT_BITS)
+    copies = cells.withColumn("point", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    return copies.withColumns({"row_id": F.col("row_id") + shift, "col_id": F.col("col_id") + shift}).drop("point")
+
+
+def point_grams(fac: DataFrame, rank: int, n: int) -> np.ndarray:
+    """The Gram matrix of each point's vectors."""
+    point = F.shiftright("id", POINT_BITS).cast("int")
+    return np.stack(grams_by(fac.select(point.alias("group"), "vec"), rank, n))
+
+
+def point_bases(points: list[tuple[float, float]], grams: np.ndarray, rank: int) -> np.ndarray:
+    return np.stack([reg * np.eye(rank) + weight * g for (reg, weight), g in zip(points, grams, strict=True)])
+
+
+def fit_points(obs: DataFrame, points: list[tuple[float, float]], cfg: FactorConfig, keep_epochs: bool = False) -> PointModels:
+    """A model for each pair of weights (reg, unobserved): the observations are laid out once for each, and every half-step is one job for all.
+
+    Ids must be from 0 and below 2 ** POINT_BITS.
+    """
+    n = len(points)
+    bad = obs.where(~F.col("row_id").between(0, (1 << POINT_BITS) - 1) | ~F.col("col_id").between(0, (1 << POINT_BITS) - 1)).limit(1).count()
+    if bad:
+        raise ValueError("ids out of range for several models at once")
+    sides = _by_side(at_points(obs, n))
+    stores = {k: _Generations(obs.sparkSession, f"{k}-points") for k in sides}
+    plain = init_vectors(obs.select("col_id").distinct(), cfg.rank, cfg.seed, id_col="col_id")
+    first = plain.withColumn("point", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).select((F.col("id") + F.shiftleft(F.col("point").cast("bigint"), POINT_BITS)).alias("id"), "vec")
+    columns, rows, kept = stores["col"].commit(store_table(first, cfg.rank, cfg.precision)), None, []
+    for _ in range(cfg.epochs):
+        for side in ("row", "col"):
+            frozen = columns if side == "row" else rows
+            base = point_bases(points, point_grams(frozen, cfg.rank, n), cfg.rank)
+            done = refit_side(sides[side], frozen.select("id", "vec"), None, cfg, "shuffle", base=base)
+            if side == "row":
+                rows = stores["row"].commit(done)
+            else:
+                columns = generation(done, "col-points") if keep_epochs else stores["col"].commit(done)
+        kept.append(columns)
+    return PointModels(points, rows, columns, cfg, kept if keep_epochs else [])
 
 
 def with_empty_rows(model: FactorModel, ids: DataFrame) -> DataFrame:
     """Row vectors of all ids: those without observations solve to zero."""
     zero = F.array_repeat(F.lit(0.0), model.cfg.rank)
-    return ids.select("id").join(model.row_factors, "id", "left").select("id", F.coalesce("vec", zero).alias("vec"))
+    return ids.select("id").join(as_lists(model.row_factors, model.cfg.rank), "id", "left").select("id", F.coalesce("vec", zero).alias("vec"))
 
 
 def grid(train: DataFrame, given: DataFrame, hidden: DataFrame, regs, weights, cfg: FactorConfig, ks=(20, 50)) -> DataFrame:
-    """reg, unobserved, k, recall_truth of a model for each pair of weights."""
-    from .evaluate import recall
-
-    out = None
-    for reg in regs:
-        for weight in weights:
-            model = fit(train, replace(cfg, reg=reg, unobserved=weight), track_loss=False)
-            ranked = model.topk(model.fold_in(given), max(ks), exclude=given)
-            one = recall(ranked, hidden, ks).select(F.lit(float(reg)).alias("reg"), F.lit(float(weight)).alias("unobserved"), "k", "recall_truth")
-            one = generation(one, "grid")
-            out = one if out is None else out.unionByName(one)
-    return out
+    """reg, unobserved, k, recall_truth of a model for each pair of weights; all models are trained together."""
+    points = [(float(r), float(w)) for r in regs for w in weights]
+    models = fit_points(train, points, cfg)
+    named = train.sparkSession.createDataFrame([(i, r, w) for i, (r, w) in enumerate(points)], "point int, reg double, unobserved double")
+    return models.recall(given, hidden, ks).join(F.broadcast(named), "point").select("reg", "unobserved", "k", "recall_truth")
 
 
 def best(results: DataFrame, metric: str = "recall_truth") -> DataFrame:
@@ -142,4 +261,4 @@ def best(results: DataFrame, metric: str = "recall_truth") -> DataFrame:
     return results.groupBy("k").agg(F.max_by(F.struct("reg", "unobserved"), F.struct(metric, "reg", "unobserved")).alias("at"), F.max(metric).alias(metric)).select("k", "at.reg", "at.unobserved", metric)
 
 
-__all__ = ["FactorModel", "ObsStats", "best", "fit", "grid", "loss_terms", "scores", "transposed", "with_empty_rows"]
+__all__ = ["FactorModel", "ObsStats", "PointModels", "best", "fit", "fit_points", "grid", "loss_terms", "scores", "transposed", "with_empty_rows"]

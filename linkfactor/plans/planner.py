@@ -18,39 +18,51 @@ class ObsStats:
     columns: int
     longest: int
     routed: int | None = None
+    cold: int | None = None
 
     @property
     def mean_row(self) -> float:
         return self.cells / max(1, self.rows)
 
 
-def observe(obs: DataFrame, blocks: int | None = None) -> ObsStats:
-    """Counts of an observation table; with blocks also the vectors that a routed gather would send."""
+def observe(obs: DataFrame, blocks: int | None = None, cfg: FactorConfig | None = None) -> ObsStats:
+    """Counts of an observation table; with blocks also the vectors that a routed gather would send, with cfg the cells of columns that aren't hot."""
     lengths = obs.groupBy("row_id").agg(F.count(F.lit(1)).alias("n")).agg(F.sum("n"), F.count(F.lit(1)), F.max("n")).first()
     columns = obs.agg(F.approx_count_distinct("col_id", 0.01)).first()[0]
-    routed = None
+    routed = cold = None
     if blocks:
         from ..operators.halfstep import routing
 
         routed = routing(obs, blocks).count()
-    return ObsStats(int(lengths[0] or 0), int(lengths[1] or 0), int(columns or 0), int(lengths[2] or 0), routed)
+    if cfg is not None:
+        from ..operators.halfstep import hot_columns
+
+        cold = obs.join(F.broadcast(hot_columns(obs, cfg)), F.col("col_id") == F.col("hot_id"), "left_anti").count()
+    return ObsStats(int(lengths[0] or 0), int(lengths[1] or 0), int(columns or 0), int(lengths[2] or 0), routed, cold)
 
 
 def traffic(stats: ObsStats, cfg: FactorConfig, executors: int = 1) -> dict[str, float]:
-    """Bytes moved in a half-step by way of gathering."""
+    """Bytes moved in a half-step by way of gathering; vectors move as they are stored, partial statistics as doubles."""
     d, size, shards = cfg.rank, cfg.bytes_per_number, cfg.blocks or 200
     partials = stats.rows * min(max(stats.mean_row, 1.0), shards)
+    hot = min(cfg.hot_columns, max(1, cfg.broadcast_limit // (d * size)), stats.columns)
+    cold = stats.cold if stats.cold is not None else stats.cells
     return {
         "broadcast": float(stats.columns * d * size * executors),
         "shuffle": float(stats.cells * d * size),
         "routed": float((stats.routed if stats.routed is not None else min(stats.cells, stats.columns * shards)) * d * size),
-        "partial_stats": float(partials * d * (d + 3) / 2 * 4),
+        "hot_cold": float((hot * executors + cold) * d * size),
+        "partial_stats": float(partials * (d * (d + 3) / 2 + 1) * 8),
     }
 
 
+def fits_broadcast(stats: ObsStats, cfg: FactorConfig) -> bool:
+    return stats.columns * cfg.rank * cfg.bytes_per_number <= cfg.broadcast_limit
+
+
 def choose_gather(stats: ObsStats, cfg: FactorConfig, executors: int = 1) -> str:
     """Broadcast while the frozen table is within the limit, else the way with the least traffic among those that scale."""
-    if stats.columns * cfg.rank * 8 <= cfg.broadcast_limit:
+    if fits_broadcast(stats, cfg):
         return "broadcast"
     moved = traffic(stats, cfg, executors)
     moved.pop("broadcast")

@@ -28,10 +28,22 @@ def ship(spark: SparkSession) -> SparkSession:
     return spark
 
 
+def on_one_machine(spark: SparkSession) -> bool:
+    """Whether driver and executors are one process, so that a local folder is shared."""
+    return spark.sparkContext.master.startswith("local") and not spark.sparkContext.master.startswith("local-cluster")
+
+
+def executors(spark: SparkSession) -> int:
+    """Executors that are there now (1 where the driver does the work)."""
+    return max(1, len(spark.sparkContext._jsc.sc().statusTracker().getExecutorInfos()) - (0 if on_one_machine(spark) else 1))
+
+
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a temporary folder where that is unset (one machine)."""
+    """spark.checkpoint.dir; on one machine a temporary folder where that is unset."""
     configured = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not configured:
+        if not on_one_machine(spark):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         configured = "file://" + tempfile.mkdtemp(prefix="linkfactor-")
         spark.sparkContext.setCheckpointDir(configured)
     return configured

@@ -4,53 +4,66 @@ from __future__ import annotations
 
 import time
 from dataclasses import replace
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import sources
 from ..config import FactorConfig
-from ..operators import evaluate, factors, halfstep, segments, topk, train
+from ..operators import evaluate, factors, graph, halfstep, segments, topk, train
 from ..operators.gram import gram
 from ..operators.split import strong_split
 from ..plans import planner
 from ..runtime import generation
+from . import strategies
+from . import twins as S
 from .model import embeddings, rounded
+from .serving import REGS, WEIGHTS
 
 #: Rank, epochs and weights of each matrix's run.
-SETTINGS = {"pages": (8, 8, 1e-2, 1e-2), "documents": (16, 8, 1e-2, 1e-1), "events": (8, 8, 1e-2, 1e-2), "purchases": (16, 4, 1e-2, 1e-2)}
+SETTINGS = {"pages": (8, 8, 1e-2, 1e-2), "documents": (16, 8, 1e-2, 1e-1), "events": (8, 8, 1e-2, 1e-2), "purchases": (16, 8, 1e-2, 1e-2)}
 
 
-def matrix(s, d, which: str, least: int = 5, share: float = 1.0) -> DataFrame:
-    """Observations with integer ids; share keeps that part of the cells by hash."""
+def matrix(s, d, which: str, least: int | None = None) -> DataFrame:
+    """Observations with integer ids; least is the least count of links or words on both sides (1 for pages and 5 for documents by default)."""
+    least = least or {"pages": 1, "documents": 5}.get(which, 1)
     if which == "purchases":
         obs = sources.purchases(s, d)
     elif which == "events":
         obs = sources.events_as_observations(s, d).withColumn("y", F.lit(1.0))
     else:
-        cells = sources.link_observations(s, d).toDF("row_id", "key") if which == "pages" else sources.word_observations(s, d, least).toDF("row_id", "key")
+        if which == "pages":
+            cells = graph.min_degree(sources.link_observations(s, d), "page_id", "path", least).toDF("row_id", "key")
+        else:
+            cells = sources.word_observations(s, d, least).toDF("row_id", "key")
         table = factors.dictionary(cells, "key").withColumnRenamed("id", "col_id")
         obs = cells.join(table, "key").select("row_id", "col_id", F.lit(1.0).alias("y"))
-    if share < 1:
-        from ..functions import hash_unit
-
-        obs = obs.where(hash_unit(F.lit("share"), F.col("row_id").cast("string"), F.lit("|"), F.col("col_id").cast("string")) < int(share * 2**32))
     return generation(obs, "matrix")
 
 
+def split_parts(obs: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Cells of training sources, and given and hidden cells of test sources."""
+    split = generation(strong_split(obs, "row_id", "col_id"), "split")
+    return tuple(split.where(F.col("role") == r).drop("role") for r in ("train", "given", "hidden"))
+
+
 def recall_of(obs: DataFrame, cfg: FactorConfig, ks=(20, 50), with_baseline: bool = True) -> DataFrame:
     """method, k, recall_truth, n_sources by the strong-generalization protocol."""
-    split = generation(strong_split(obs, "row_id", "col_id"), "split")
-    known, given, hidden = (split.where(F.col("role") == r).drop("role") for r in ("train", "given", "hidden"))
+    known, given, hidden = split_parts(obs)
     model = train.fit(known, cfg, track_loss=False)
     ranked = model.topk(model.fold_in(given), max(ks), exclude=given)
-    out = evaluate.recall(ranked, hidden, ks).select(F.lit("factors").alias("method"), "k", "recall_truth", "n_sources")
+    out = evaluate.recall(generation(ranked, "ranked"), hidden, ks).select(F.lit("factors").alias("method"), "k", "recall_truth", "n_sources")
     if with_baseline:
         popular = evaluate.popularity_topk(known, given, max(ks), exclude=given)
         out = out.unionByName(evaluate.recall(popular, hidden, ks).select(F.lit("popularity").alias("method"), "k", "recall_truth", "n_sources"))
     return out
 
 
+def stacked(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
 def recall_against_popularity(s, d, which: str, rank: int | None = None, epochs: int | None = None) -> DataFrame:
     r, e, reg, weight = SETTINGS[which]
     cfg = FactorConfig(rank=rank or r, epochs=epochs or e, reg=reg, unobserved=weight)
@@ -75,29 +88,29 @@ def wl_recall_purchases(s, d):
 
 
 def wl_popularity_check(s, d):
-    """By how much the factors beat popularity on two matrices at 20."""
-    out = None
-    for which in ("pages", "events"):
-        r = recall_against_popularity(s, d, which, epochs=4).where("k = 20").groupBy().pivot("method", ["factors", "popularity"]).agg(F.first("recall_truth"))
-        one = r.select(F.lit(which).alias("matrix"), "factors", "popularity", (F.col("factors") - F.col("popularity")).alias("gain"))
-        out = one if out is None else out.unionByName(one)
-    return rounded(out)
+    """By how much the factors beat popularity on three matrices at 20."""
+    out = []
+    for which in ("pages", "documents", "events"):
+        r = recall_against_popularity(s, d, which).where("k = 20").groupBy().pivot("method", ["factors", "popularity"]).agg(F.first("recall_truth"))
+        out.append(r.select(F.lit(which).alias("matrix"), "factors", "popularity", (F.col("factors") - F.col("popularity")).alias("gain")))
+    return rounded(stacked(out))
 
 
 def wl_density(s, d):
-    """Recall by the share of the page links that is kept."""
-    out = None
-    for share in (0.25, 0.5, 1.0):
-        one = recall_of(matrix(s, d, "pages", share=share), FactorConfig(rank=8, epochs=4, reg=1e-2, unobserved=1e-2), with_baseline=False).select(F.lit(share).alias("share"), "k", "recall_truth", "n_sources")
-        one = generation(one, "density")
-        out = one if out is None else out.unionByName(one)
-    return rounded(out)
+    """Recall by the least count of links (or words) on both sides, on pages and documents, with the cells and sources that are left."""
+    out = []
+    for which, leasts in (("pages", (1, 2, 5)), ("documents", (5, 10, 20))):
+        for least in leasts:
+            obs = matrix(s, d, which, least)
+            r, e, reg, weight = SETTINGS[which]
+            found = recall_of(obs, FactorConfig(rank=r, epochs=e, reg=reg, unobserved=weight), with_baseline=False)
+            cells = obs.agg(F.count(F.lit(1)).alias("cells"), F.countDistinct("row_id").alias("sources"))
+            out.append(generation(found.crossJoin(cells).select(F.lit(which).alias("matrix"), F.lit(least).alias("least"), "cells", "sources", "k", "recall_truth", "n_sources"), "density"))
+    return rounded(stacked(out))
 
 
 def wl_domain_affinity(s, d):
     """Of a page's ten nearest pages in factor space, the share of the same language and host, beside the base rates."""
-    from ..operators import graph
-
     model = train.fit(matrix(s, d, "pages"), FactorConfig(rank=8, epochs=6, reg=1e-2, unobserved=1e-2), track_loss=False)
     rows = generation(model.row_factors, "rows")
     near = generation(topk.topk_exact(rows, rows, 11, 8).where("row_id != col_id"), "near")
@@ -108,68 +121,151 @@ def wl_domain_affinity(s, d):
     return rounded(out)
 
 
+PRECISIONS = ("float64", "float32", "mixed", "bf16_all")
+
+
 def wl_precision(s, d):
-    """Recall at 20 by precision on pages for a large and a small regularization."""
-    obs, out = matrix(s, d, "pages"), None
-    for mode in ("float32", "mixed", "bf16_all"):
-        for reg in (5e-2, 1e-3):
-            one = recall_of(obs, FactorConfig(rank=8, epochs=4, reg=reg, unobserved=1e-3, precision=mode), ks=(20,), with_baseline=False)
-            one = generation(one.select(F.lit(mode).alias("mode"), F.lit(reg).alias("reg"), "k", "recall_truth"), "precision")
-            out = one if out is None else out.unionByName(one)
-    return rounded(out, but=("reg",))
+    """Recall at 20 on pages by precision, regularization and epoch, beside the stored and the shuffled bytes of a vector.
+
+    All regularizations of a precision are trained together; a precision whose systems become singular ends there (epoch 0, no recall).
+    """
+    known, given, hidden = split_parts(matrix(s, d, "pages"))
+    points = [(reg, 1e-3) for reg in REGS]
+    named = s.createDataFrame([(i, reg) for i, (reg, _) in enumerate(points)], "point int, reg double")
+    moved = {r["mode"]: r for r in precision_bytes(s, d).collect()}
+    out = []
+    for mode in PRECISIONS:
+        size = [F.lit(float(moved[mode][c])).alias(c) for c in ("stored_bytes", "shuffled_bytes")]
+        try:
+            models = train.fit_points(known, points, FactorConfig(rank=8, epochs=16, precision=mode), keep_epochs=True)
+        except Exception as failed:  # a singular rounded system ends the run: that is the collapse
+            if "Singular" not in str(failed):
+                raise
+            out.append(named.select(F.lit(mode).alias("mode"), "reg", F.lit(0).alias("epoch"), F.lit(None).cast("double").alias("recall_truth"), *size))
+            continue
+        every = stacked([models.recall(given, hidden, (20,), e).withColumn("epoch", F.lit(e + 1)) for e in range(16)])
+        out.append(generation(every.join(F.broadcast(named), "point").select(F.lit(mode).alias("mode"), "reg", "epoch", "recall_truth", *size), "precision"))
+    return rounded(stacked(out), but=("reg",))
+
+
+def precision_bytes(s, d):
+    """mode, bytes of a vector of 128 numbers as stored, and as shuffled to its observations in a half-step (measured by the shuffle's own counter, keys and labels included)."""
+    p = sources.purchases(s, d)
+    plain = generation(factors.init_vectors(p.select("col_id").distinct(), 128, id_col="col_id"), "frozen")
+    rows = []
+    for mode in PRECISIONS:
+        cfg = FactorConfig(rank=128, precision=mode)
+        table = generation(factors.store_table(plain, 128, mode), f"frozen-{mode}")
+        stored = table.agg(F.avg(F.length("vec") if factors.is_packed(table) else F.size("vec") * 8)).first()[0]
+        rows.append((mode, float(stored), shuffled_bytes(halfstep.gather(p, table, cfg, "shuffle").repartition("row_id")) / p.count()))
+    return s.createDataFrame(rows, "mode string, stored_bytes double, shuffled_bytes double")
+
+
+def shuffled_bytes(frame: DataFrame) -> float:
+    """Bytes that the last exchange of a plan writes, before compression, by its own measure."""
+    query = frame._jdf.queryExecution()
+    query.toRdd().count()
+    plan, found = query.executedPlan(), []
+
+    def walk(node) -> None:
+        name = node.getClass().getSimpleName()
+        if name == "ShuffleExchangeExec":
+            found.append(float(node.metrics().apply("dataSize").value()))
+            return
+        children = [node.executedPlan()] if name == "AdaptiveSparkPlanExec" else [node.plan()] if name.endswith("QueryStageExec") else [node.children().apply(i) for i in range(node.children().size())]
+        for child in children:
+            if not found:
+                walk(child)
+
+    walk(plan)
+    return found[0]
 
 
 def wl_solvers(s, d):
-    """Seconds of a half-step by solver and dimension on purchases."""
+    """Seconds of a half-step on purchases by solver and dimension; conjugate gradients also from the solution of nearby weights."""
     p = generation(sources.purchases(s, d).repartition("row_id"), "obs")
     rows = []
-    for dim in (16, 64):
+    for dim in (16, 32, 64, 128):
         h = generation(factors.init_vectors(p.select("col_id").distinct(), dim, id_col="col_id"), "frozen")
-        g = gram(h, dim)
-        for kind in ("lu", "qr", "cholesky", "cg", "cg_free"):
+        g, cfg = gram(h, dim), FactorConfig(rank=dim, cg_iters=16, solve_batch_bytes=8 << 20)
+        near = generation(halfstep.refit_side(p, h, g, replace(cfg, reg=1.1e-2), "broadcast").select("id", "vec"), "near")
+        for kind, start in (("lu", None), ("qr", None), ("cholesky", None), ("cg", None), ("cg", near), ("cg_free", None), ("cg_free", near)):
             began = time.perf_counter()
-            n = halfstep.refit_side(p, h, g, FactorConfig(rank=dim, solver=kind, cg_iters=16), "broadcast").agg(F.count(F.lit(1)), F.sum(F.get("vec", 0))).first()[0]
-            rows.append((kind, dim, int(n), time.perf_counter() - began))
-    return s.createDataFrame(rows, "solver string, dim int, n_rows long, seconds double")
+            n = halfstep.refit_side(p, h, g, replace(cfg, solver=kind), "broadcast", start=start).agg(F.count(F.lit(1)), F.sum("err")).first()[0]
+            rows.append((kind, start is not None, dim, int(n), time.perf_counter() - began))
+    return s.createDataFrame(rows, "solver string, warm boolean, dim int, n_rows long, seconds double")
 
 
-def wl_grid(s, d):
-    """A corner of the grid on events by recall, and the best pair of it."""
-    split = generation(strong_split(matrix(s, d, "events"), "row_id", "col_id"), "split")
-    known, given, hidden = (split.where(F.col("role") == r).drop("role") for r in ("train", "given", "hidden"))
-    results = train.grid(known, given, hidden, (5e-2, 1e-3), (1e-3, 1e-6), FactorConfig(rank=4, epochs=2))
+def grid_of(s, d, which: str, rank: int, epochs: int, regs=REGS, weights=WEIGHTS) -> DataFrame:
+    """matrix, reg, unobserved, k, recall_truth and the best pair for each k, all pairs being trained together."""
+    known, given, hidden = split_parts(matrix(s, d, which))
+    results = generation(train.grid(known, given, hidden, regs, weights, FactorConfig(rank=rank, epochs=epochs)), "grid")
     chosen = train.best(results).select("k", F.col("reg").alias("best_reg"), F.col("unobserved").alias("best_unobserved"))
-    return rounded(results.join(chosen, "k"), but=("reg", "unobserved", "best_reg", "best_unobserved"))
+    return results.join(chosen, "k").select(F.lit(which).alias("matrix"), "reg", "unobserved", "k", "recall_truth", "best_reg", "best_unobserved")
+
+
+def wl_grid(s, d):
+    """The 42 pairs of weights by recall on pages, rank 8 and 8 epochs."""
+    return rounded(grid_of(s, d, "pages", 8, 8), but=("reg", "unobserved", "best_reg", "best_unobserved"))
+
+
+def wl_accuracy(s, d):
+    """The accuracy table: for each of the six link graphs the best weights of a grid by recall at 20, and recall at 20 and 50 with them after 16 epochs."""
+    links = generation(graph.extract_links(sources.read_table(s, d, "pages")), "links")
+    out = []
+    for (label, least), edges in graph.variants(links).items():
+        table = factors.dictionary(edges, "href").withColumnRenamed("id", "col_id")
+        obs = generation(edges.join(table, F.col("href") == F.col("key")).select(F.col("page_id").alias("row_id"), "col_id", F.lit(1.0).alias("y")), "matrix")
+        known, given, hidden = split_parts(obs)
+        if not hidden.limit(1).count():  # too sparse a graph hides no link
+            out.append(s.createDataFrame([(label, least, None, None, k, None, 0) for k in (20, 50)], "variant string, least int, reg double, unobserved double, k int, recall_truth double, n_sources long"))
+            continue
+        models = train.fit_points(known, [(r, w) for r in REGS for w in WEIGHTS], FactorConfig(rank=8, epochs=16))
+        found = generation(models.recall(given, hidden), "accuracy")
+        named = s.createDataFrame([(i, r, w) for i, (r, w) in enumerate(models.points)], "point int, reg double, unobserved double")
+        first = found.where("k = 20").join(named, "point").agg(F.max_by(F.struct("point", "reg", "unobserved"), F.struct("recall_truth", "reg", "unobserved")).alias("at"))
+        out.append(found.join(first, F.col("point") == F.col("at.point")).select(F.lit(label).alias("variant"), F.lit(least).alias("least"), "at.reg", "at.unobserved", "k", "recall_truth", "n_sources"))
+    return rounded(stacked(out), but=("reg", "unobserved"))
 
 
 def wl_scaling(s, d):
-    """Seconds of an epoch by the number of partitions, and the worker count at which the model's speedup ends."""
-    p = generation(sources.purchases(s, d), "obs")
-    stats, rows = planner.observe(p, blocks=8), []
-    h = generation(factors.init_vectors(p.select("col_id").distinct(), 16, id_col="col_id"), "frozen")
-    g = gram(h, 16)
-    for parts in (1, 2, 4, 8):
-        cfg = FactorConfig(rank=16, blocks=parts)
-        began = time.perf_counter()
-        n = halfstep.refit_side(p, h, g, cfg, "broadcast").agg(F.count(F.lit(1)), F.sum(F.get("vec", 0))).first()[0]
-        seconds = time.perf_counter() - began
-        rows.append((parts, int(n), seconds, stats.cells / seconds, planner.scaling_knee(stats, FactorConfig(rank=16, blocks=parts))))
-    return s.createDataFrame(rows, "partitions int, n_rows long, seconds double, cells_per_second double, knee int")
+    """Seconds of whole epochs and of the whole training, by matrix, share of the rows and partitions, and the worker count at which the model's speedup ends."""
+    rows = []
+    for which in ("purchases", "documents"):
+        every = matrix(s, d, which)
+        for share in (0.25, 0.5, 1.0):
+            obs = every if share == 1 else generation(factors.sample_ids(every, share, "row_id"), "part")
+            stats = planner.observe(obs, blocks=8)
+            for parts in (2, 8) if share == 1 else (8,):
+                cfg = FactorConfig(rank=16, epochs=2, blocks=parts)
+                began = time.perf_counter()
+                model = train.fit(obs, cfg, track_loss=False)
+                total, epoch = time.perf_counter() - began, min(h["seconds"] for h in model.history)
+                rows.append((which, share, parts, stats.cells, cfg.epochs, epoch, total, 2 * stats.cells / epoch, planner.scaling_knee(stats, cfg)))
+    return s.createDataFrame(rows, "matrix string, share double, partitions int, cells long, epochs int, epoch_seconds double, training_seconds double, cells_per_second double, knee int")
 
 
 def wl_gather_ablation(s, d):
-    """Seconds and modelled bytes of each way to gather."""
+    """Seconds, modelled bytes and, where vectors are shuffled, measured bytes of each way to gather."""
     p = generation(sources.purchases(s, d), "obs")
-    cfg = FactorConfig(rank=16, blocks=8, hot_columns=200)
-    stats = planner.observe(p, blocks=8)
+    cfg = FactorConfig(rank=16, blocks=8, hot_columns=200, reg=0.1)
+    stats = planner.observe(p, 8, cfg)
     moved = planner.traffic(stats, cfg)
     h = generation(factors.init_vectors(p.select("col_id").distinct(), 16, id_col="col_id"), "frozen")
     g, rows = gram(h, 16), []
+    vectors = {
+        "shuffle": lambda: halfstep.gather(p, h, cfg, "shuffle").repartition("row_id"),
+        "routed": lambda: halfstep.routing(p, 8).join(h.hint("merge"), F.col("col_id") == F.col("id")).select("row_block", "vec").repartition("row_block"),
+        "hot_cold": lambda: halfstep.gather(p, h, cfg, "hot_cold").repartition("row_id"),
+        "partial_stats": lambda: halfstep.partial_sums(p.repartition("col_id").join(h.hint("merge"), F.col("col_id") == F.col("id")), cfg).repartition("row_id"),
+    }
     for how in ("broadcast", "shuffle", "routed", "hot_cold", "partial_stats"):
         began = time.perf_counter()
-        n, check = halfstep.refit_side(p, h, g, replace(cfg, reg=0.1), how).agg(F.count(F.lit(1)), F.sum(F.get("vec", 0))).first()
-        rows.append((how, int(n), round(float(check), 6), time.perf_counter() - began, float(moved.get(how, moved["shuffle"]))))
-    return s.createDataFrame(rows, "gather string, n_rows long, checksum double, seconds double, modelled_bytes double")
+        n, check = halfstep.refit_side(p, h, g, cfg, how).agg(F.count(F.lit(1)), F.sum("err")).first()
+        seconds = time.perf_counter() - began
+        measured = shuffled_bytes(vectors[how]()) if how in vectors else None
+        rows.append((how, int(n), round(float(check), 4), seconds, float(moved[how]), measured))
+    return s.createDataFrame(rows, "gather string, n_rows long, squared_error double, seconds double, modelled_bytes double, shuffled_bytes double")
 
 
 def wl_batching(s, d):
@@ -178,17 +274,39 @@ def wl_batching(s, d):
     return segments.waste(words)
 
 
-def wl_topk(s, d):
-    """method, k, recall and candidates' share against the exact search on embeddings."""
-    from .serving import ann_recall
+def search_measures(table: DataFrame, rank: int, what: str) -> DataFrame:
+    """vectors, method, k, recall against the exact search, share of all pairs that are scored exactly, and seconds."""
+    n, out = table.count(), []
+    for k in (20, 50):
+        began = time.perf_counter()
+        exact = generation(topk.topk_exact(table, table, k, rank), "exact")
+        out.append((what, "exact", k, 1.0, 1.0, time.perf_counter() - began))
+        for method, search in (("lsh", topk.candidates_lsh), ("ivf", topk.candidates_ivf)):
+            began = time.perf_counter()
+            pool = generation(search(table, table, k, rank), "pool")
+            found = generation(topk.rerank(pool, table, table, k, rank), "found")
+            seconds = time.perf_counter() - began
+            recall = evaluate.overlap(found, exact, (k,)).first()["recall"]
+            out.append((what, method, k, float(recall), pool.count() / (n * n), seconds))
+    return table.sparkSession.createDataFrame(out, "vectors string, method string, k int, recall double, share double, seconds double")
+
 
-    return rounded(ann_recall(s, d))
+def wl_topk(s, d):
+    """Approximate searches against the exact one, over embeddings and over learnt factors of the documents' words."""
+    r, e, reg, weight = SETTINGS["documents"]
+    model = train.fit(matrix(s, d, "documents"), FactorConfig(rank=r, epochs=4, reg=reg, unobserved=weight), track_loss=False)
+    learnt = generation(model.row_factors, "learnt")
+    return search_measures(generation(embeddings(s, d), "embeddings"), 64, "embeddings").unionByName(search_measures(learnt, r, "factors"))
 
 
 def wl_gram(s, d):
+    """Trace and total of the embeddings' Gram matrix."""
     g = gram(embeddings(s, d), 64)
-    return s.createDataFrame([(64, float(g.trace()), float(g.sum()))], "dim int, trace double, total double")
+    return rounded(s.createDataFrame([(64, float(g.trace()), float(g.sum()))], "dim int, trace double, total double"), 4)
 
 
-SQL: dict[str, str] = {}
-QUERIES = {k: v for k, v in globals().items() if k.startswith("wl_")}
+SQL = {
+    "wl_gram": "WITH x AS (SELECT unnest(range(0, 64)) AS i), v AS (SELECT vec_id, embedding[i + 1]::double AS v FROM embeddings, x), q AS (SELECT vec_id, sum(v * v) AS sq, sum(v) AS t FROM v GROUP BY vec_id) SELECT 64 AS dim, round(sum(sq), 4) + 0.0 AS trace, round(sum(t * t), 4) + 0.0 AS total FROM q",
+    "wl_batching": strategies.waste_sql(f"{S.T}, ko AS (SELECT doc_id FROM t GROUP BY 1 HAVING count(*) >= 5), ki AS (SELECT word FROM t GROUP BY 1 HAVING count(*) >= 5), n AS (SELECT doc_id AS row_id, count(*) AS n FROM t WHERE doc_id IN (SELECT doc_id FROM ko) AND word IN (SELECT word FROM ki) GROUP BY 1)"),
+}
+QUERIES = {k: v for k, v in globals().items() if k.startswith("wl_")} | {"precision_bytes": precision_bytes}

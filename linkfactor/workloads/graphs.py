@@ -30,12 +30,12 @@ def links_min_degree(s, d):
 
 
 def links_kcore(s, d):
-    """pass and edges left, to the fixed point, for 4 links; three passes at most are listed."""
+    """pass and edges left, for 3 links, to the fixed point (the last pass changes nothing)."""
     out = None
-    for n, edges in enumerate(graph.core(links(s, d).select("page_id", "href"), "page_id", "href", 4), 1):
+    for n, edges in enumerate(graph.core(links(s, d).select("page_id", "href"), "page_id", "href", 3), 1):
         one = edges.agg(F.count(F.lit(1)).alias("edges")).select(F.lit(n).alias("pass"), "edges")
         out = one if out is None else out.unionByName(one)
-    return out.where("pass <= 3")
+    return out
 
 
 def min_degree_nodes(s, d):
@@ -76,8 +76,8 @@ def page_locales(s, d):
 
 
 def build_graph_stats(s, d):
-    """Nodes and edges of absolute links after one pass with 2 links."""
-    edges, nodes = graph.build_graph(sources.read_table(s, d, "pages"), None, 1)
+    """Nodes and edges of absolute links after one pass with 2 links, rule by rule."""
+    edges, nodes = graph.build_graph(sources.read_table(s, d, "pages"), None, 2)
     return edges.agg(F.count(F.lit(1)).alias("edges")).crossJoin(nodes.agg(F.count(F.lit(1)).alias("nodes"), F.sum("out_links").alias("out_links"), F.sum("in_links").alias("in_links")))
 
 
@@ -100,19 +100,26 @@ def _stats(cte: str, cases: list[tuple[str, int, str]], src: str, dst: str) -> s
     return f"{cte} " + " UNION ALL ".join(one.format(v=v, k=k, s=src, t=dst, c=c) for v, k, c in cases)
 
 
+def _core_sql(k: int = 3, passes: int = 12) -> str:
+    """More passes than the given tables need; those after the first that changes nothing are left out."""
+    steps = ", ".join(_kept(f"p{i}", f"p{i - 1}" if i > 1 else "l", "page_id", "path", k) for i in range(1, passes + 1))
+    counts = " UNION ALL ".join(f"SELECT {i} AS pass, count(*) AS edges FROM {f'p{i}' if i else 'l'}" for i in range(passes + 1))
+    return f"WITH {S.L}, {steps}, n AS ({counts}), c AS (SELECT *, lag(edges, 1) OVER (ORDER BY pass) AS one, lag(edges, 2) OVER (ORDER BY pass) AS two FROM n) SELECT pass, edges FROM c WHERE pass = 1 OR (pass > 1 AND one < two)"
+
+
 _SIX = [(v, k) for v in ("all", "com", "net") for k in (2, 5)]
 SQL = {
     "links_resolve": f"{_ABS} SELECT page_id, target AS absolute_url FROM ab",
     "links_tld": f"{_LU} SELECT tld, count(*) AS edges, count(DISTINCT page_id) AS sources, count(DISTINCT path) AS targets FROM lt GROUP BY tld",
     "links_min_degree": f"WITH {S.L}, {S.T}, {_kept('a', 'l', 'page_id', 'path', 5)}, {_kept('b', 't', 'doc_id', 'word', 5)} SELECT 'links' AS graph, count(*) AS edges FROM a UNION ALL SELECT 'words', count(*) FROM b",
-    "links_kcore": f"WITH {S.L}, {_kept('a', 'l', 'page_id', 'path', 4)}, {_kept('b', 'a', 'page_id', 'path', 4)}, {_kept('c', 'b', 'page_id', 'path', 4)}, n AS (SELECT 1 AS pass, count(*) AS edges FROM a UNION ALL SELECT 2, count(*) FROM b UNION ALL SELECT 3, count(*) FROM c) SELECT * FROM n WHERE pass = 1 OR (pass = 2 AND (SELECT edges FROM n WHERE pass = 1) < (SELECT count(*) FROM l)) OR (pass = 3 AND (SELECT edges FROM n WHERE pass = 2) < (SELECT edges FROM n WHERE pass = 1))",
+    "links_kcore": _core_sql(),
     "min_degree_nodes": "WITH x AS (SELECT s_nationkey AS src, c_nationkey AS dst, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN supplier ON l_suppkey = s_suppkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2), e AS (SELECT src, dst FROM x WHERE n >= 40), k AS (SELECT node FROM (SELECT src AS node, 1 AS o, 0 AS i FROM e UNION ALL SELECT dst, 0, 1 FROM e) GROUP BY 1 HAVING sum(o) >= 8 AND sum(i) >= 8) SELECT src, dst FROM e WHERE src IN (SELECT node FROM k) AND dst IN (SELECT node FROM k)",
     "graph_variants": _stats(f"{_LU}, " + ", ".join(f"{v} AS (SELECT page_id, path FROM lt{'' if v == 'all_links' else f' WHERE tld = {chr(39)}{v}{chr(39)}'})" for v in ("all_links", "com", "net")) + ", " + ", ".join(_kept(f"v_{v}_{k}", "all_links" if v == "all" else v, "page_id", "path", k) for v, k in _SIX), [(v, k, f"v_{v}_{k}") for v, k in _SIX], "page_id", "path"),
     "wl_graph_stats": _stats(f"WITH {S.T}, " + ", ".join(_kept(f"v{k}", "t", "doc_id", "word", k) for k in (2, 5, 10)), [("documents", k, f"v{k}") for k in (2, 5, 10)], "doc_id", "word"),
     "links_dangling": f"{_ABS} SELECT count(DISTINCT target) AS n FROM ab WHERE target NOT IN (SELECT url FROM pages)",
     "host_graph": f"{_LU} SELECT host, path, count(*) AS n FROM lu GROUP BY 1, 2",
     "page_locales": "SELECT list_extract(string_split(regexp_extract(url, '^[a-z]+://([^/?#]*)', 1), '.'), -1) AS tld, regexp_extract(html, 'lang=\"([a-z]+)\"', 1) AS lang, count(*) AS n FROM pages GROUP BY 1, 2",
-    "build_graph_stats": f"{_ABS}, ed AS (SELECT DISTINCT url AS src, target AS dst FROM ab) SELECT (SELECT count(*) FROM ed) AS edges, (SELECT count(*) FROM (SELECT src FROM ed UNION SELECT dst FROM ed)) AS nodes, (SELECT count(*) FROM ed) AS out_links, (SELECT count(*) FROM ed) AS in_links",
+    "build_graph_stats": f"{_ABS}, al AS (SELECT DISTINCT url AS src, target AS dst FROM ab), {_kept('ed', 'al', 'src', 'dst', 2)} SELECT (SELECT count(*) FROM ed) AS edges, (SELECT count(*) FROM (SELECT src FROM ed UNION SELECT dst FROM ed)) AS nodes, (SELECT count(*) FROM ed) AS out_links, (SELECT count(*) FROM ed) AS in_links",
 }
 QUERIES = {k: globals()[k] for k in SQL}
 

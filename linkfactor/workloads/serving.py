@@ -7,7 +7,9 @@ from pyspark.sql import functions as F
 
 from .. import sources
 from ..operators import evaluate, smallrank, topk
+from ..operators.graph import host_of
 from ..operators.split import strong_split
+from ..runtime import generation
 from . import twins as S
 from .model import as_side, columns_of, embeddings, rounded, vectors
 from .twins import REG, UNOBSERVED
@@ -60,7 +62,7 @@ def topk_exclude_given(s, d):
 def ann_recall(s, d):
     """method, k, recall of the approximate searches against the exact one."""
     v = embeddings(s, d)
-    exact = topk.topk_exact(v, v, 50, 64).cache()
+    exact = generation(topk.topk_exact(v, v, 50, 64), "exact")
     lsh = evaluate.overlap(topk.topk_lsh(v, v, 50, 64), exact, (20, 50)).select(F.lit("lsh").alias("method"), "k", "recall")
     ivf = evaluate.overlap(topk.topk_ivf(v, v, 50, 64), exact, (20, 50)).select(F.lit("ivf").alias("method"), "k", "recall")
     return lsh.unionByName(ivf)
@@ -132,18 +134,18 @@ def grid_best(s, d):
 
 
 def same_host_share(s, d):
-    """Of the ten nearest embeddings, the share with one's own label, and the base rate."""
-    v = embeddings(s, d)
-    ranked = topk.topk_exact(v, v, 11, 64).where("row_id != col_id")
-    labels = sources.read_table(s, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("label").alias("attr"))
-    return evaluate.same_attribute_share(ranked, labels, 10)
+    """Of the ten nearest pages by embedding, the share of the own host, and the base rate of two random pages."""
+    hosts = sources.read_table(s, d, "pages").select(F.col("page_id").alias("id"), host_of(F.col("url")).alias("attr"))
+    v = embeddings(s, d).join(hosts.select("id"), "id", "left_semi")
+    ranked = topk.topk_exact(v, v, 10, 64, exclude=v.select(F.col("id").alias("row_id"), F.col("id").alias("col_id")), digits=6)
+    return rounded(evaluate.same_attribute_share(ranked, hosts, 10))
 
 
 def spot_check(s, d):
     ranked, _ = _ranked_events(s, d, 5)
     users = ranked.select(F.col("row_id").alias("id")).distinct().withColumn("key", F.concat(F.lit("user "), F.col("id")))
     keys = ranked.select(F.col("col_id").alias("id")).distinct().withColumn("key", F.concat(F.lit("k "), F.col("id")))
-    return evaluate.spot_check(ranked, users, keys, 3)
+    return rounded(evaluate.spot_check(ranked, users, keys, 3))
 
 
 def _split_sql(obs: str, src: str, dst: str, more: str = "") -> str:
@@ -198,6 +200,13 @@ SQL = {
     "recall_popularity": _recall_sql(f"{_LK}, gv AS (SELECT page_id AS row_id, path AS col_id FROM sp WHERE role = 'given'), us AS (SELECT path AS col_id, count(*) AS uses FROM sp WHERE role = 'train' GROUP BY 1), rk AS (SELECT row_id, col_id, row_number() OVER (PARTITION BY row_id ORDER BY uses DESC, col_id) AS rank FROM (SELECT DISTINCT row_id FROM gv) q, us WHERE NOT EXISTS (SELECT 1 FROM gv WHERE gv.row_id = q.row_id AND gv.col_id = us.col_id))", False),
     "recall_random": _recall_sql(f"{_LK}, cs AS (SELECT DISTINCT path AS col_id FROM sp WHERE role = 'train'), rk AS (SELECT row_id, col_id, row_number() OVER (PARTITION BY row_id ORDER BY ('0x' || substr(md5('r' || row_id || '|' || col_id), 1, 8))::bigint, col_id) AS rank FROM (SELECT DISTINCT row_id FROM hd) q, cs)", False),
     "grid_search": f"{_grid_sql()} SELECT * FROM gr",
+    "same_host_share": (
+        "WITH ho AS (SELECT page_id AS id, regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) AS host FROM pages), x AS (SELECT unnest(range(0, 64)) AS i), v AS (SELECT vec_id, i, embedding[i + 1]::double AS v FROM embeddings, x WHERE vec_id IN (SELECT id FROM ho)), "
+        "sc AS (SELECT a.vec_id, b.vec_id AS nbr, round(sum(a.v * b.v), 6) AS score FROM v a JOIN v b ON a.i = b.i AND a.vec_id <> b.vec_id GROUP BY 1, 2), "
+        "rk AS (SELECT *, row_number() OVER (PARTITION BY vec_id ORDER BY score DESC, nbr) AS rank FROM sc), sz AS (SELECT host, count(*)::double AS n FROM ho GROUP BY 1) "
+        "SELECT 10 AS k, round(avg(CASE WHEN a.host = b.host THEN 1.0::double ELSE 0.0::double END), 6) + 0.0 AS share, (SELECT round(sum(n * (n - 1)) / (sum(n) * (sum(n) - 1)), 6) + 0.0 FROM sz) AS base_rate FROM rk JOIN ho a ON vec_id = a.id JOIN ho b ON nbr = b.id WHERE rank <= 10"
+    ),
+    "spot_check": f"{_EV_RANKED} SELECT 'user ' || row_id AS row_key, rank::integer AS rank, 'k ' || col_id AS col_key, score + 0.0 AS score FROM rk WHERE rank <= 3",
     "grid_best": f"{_grid_sql()} SELECT 'events' AS graph, reg, unobserved FROM gr ORDER BY loss, reg, unobserved LIMIT 1",
 }
-QUERIES = {k: globals()[k] for k in [*SQL, "topk_lsh", "topk_ivf", "ann_recall", "same_host_share", "spot_check"]}
+QUERIES = {k: globals()[k] for k in [*SQL, "topk_lsh", "topk_ivf", "ann_recall"]}

@@ -276,11 +276,12 @@ _CRAMER = (
 )
 
 
-def _waste_sql() -> str:
+def waste_sql(lengths: str) -> str:
+    """lengths: CTEs, the last of which, n, holds row_id and n."""
     parts = [f"SELECT 'segments' AS strategy, {w} AS width, sum(ceil(n / {w}.0::double))::bigint AS segments, sum(ceil(n / {w}.0::double) * {w})::bigint AS slots, sum(n)::bigint AS nnz FROM n" for w in (4, 8, 16, 32)]
     parts.append("SELECT 'pad_to_max', max(n)::integer, count(*), count(*) * max(n), sum(n)::bigint FROM n")
     parts.append("SELECT 'pad_per_batch', 64, sum(c)::bigint, sum(c * m)::bigint, sum(t)::bigint FROM (SELECT count(*) AS c, max(n) AS m, sum(n) AS t FROM n GROUP BY floor(row_id / 64.0::double))")
-    return f"WITH {S.P}, n AS (SELECT row_id, count(*) AS n FROM p GROUP BY row_id), x AS ({' UNION ALL '.join(parts)}) SELECT *, round(1.0::double - nnz::double / slots, 6) AS waste FROM x"
+    return f"WITH {lengths}, x AS ({' UNION ALL '.join(parts)}) SELECT *, round(1.0::double - nnz::double / slots, 6) AS waste FROM x"
 
 
 def _bf16_all_sql() -> str:
@@ -305,7 +306,7 @@ SQL = {
     "cost_flops_traffic": f"{_COUNTS} SELECT matrix, cells * 32768 AS flops_statistics, (n_rows + n_cols) * 2097152 AS flops_solve, cells * 1024 AS collective_elements_8, cells * 128 AS elements_per_worker FROM n",
     "segments_pack": f"WITH {S.P}, {_NUMBERED} SELECT row_id, floor((place - 1) / 16.0::double)::integer AS seg_no, count(*)::integer AS n_valid, min(col_id) AS first_id FROM o GROUP BY 1, 2",
     "segments_roundtrip": "SELECT 0::bigint AS missing, 0::bigint AS extra",
-    "padding_waste": _waste_sql(),
+    "padding_waste": waste_sql(f"{S.P}, n AS (SELECT row_id, count(*) AS n FROM p GROUP BY row_id)"),
     "bf16_round": f"WITH {_V} SELECT vec_id, pos, {_B('v')} + 0.0 AS v16 FROM v",
     "bf16_error": f"WITH {_V}, e AS (SELECT abs({_B('v')} - v) / abs(v) AS e FROM v WHERE v <> 0) SELECT round(max(e), 9) + 0.0 AS max_rel_err, round(avg(e), 9) + 0.0 AS mean_rel_err FROM e",
     "bf16_split": f"WITH {_V}, a AS (SELECT vec_id, pos, v, {_B('v')} AS p0 FROM v), b AS (SELECT *, v - p0 AS r FROM a) SELECT vec_id, pos, p0 + 0.0 AS part0, {_B('r')} + 0.0 AS part1, r - {_B('r')} + 0.0 AS residual FROM b",

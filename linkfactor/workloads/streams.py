@@ -82,10 +82,11 @@ SQL = {
     "stream_tumbling": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS w_start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_sliding": "WITH x AS (SELECT ts, date_trunc('day', ts) + CASE WHEN date_part('hour', ts) >= 12 THEN INTERVAL 12 HOUR ELSE INTERVAL 0 HOUR END AS half FROM events), y AS (SELECT half AS w FROM x UNION ALL SELECT half - INTERVAL 12 HOUR FROM x) SELECT strftime(w, '%Y-%m-%d %H:%M:%S') AS w_start, strftime(w + INTERVAL 24 HOUR, '%Y-%m-%d %H:%M:%S') AS w_end, count(*) AS n FROM y GROUP BY w",
     "stream_session": "WITH a AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL THEN 1 ELSE 0 END AS fresh, event_id FROM events), b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sess FROM a) SELECT user_id, epoch_us(min(ts)) AS start_us, count(*) AS n FROM b GROUP BY user_id, sess",
+    "stream_late_data": "SELECT strftime(day, '%Y-%m-%d %H:%M:%S') AS w_start, n FROM (SELECT date_trunc('day', ts) AS day, count(*) AS n FROM events WHERE ts >= TIMESTAMP '2024-01-16 00:00:00' GROUP BY 1) WHERE day + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY",
     "stream_dedup": "SELECT DISTINCT user_id, json_extract_string(props, '$.k')::bigint AS k FROM events",
     "stream_normal_system": f"WITH {S.E}, x AS (SELECT user_id AS row_id, json_extract_string(props, '$.k')::bigint AS col_id, 1.0::double AS y FROM events), {S.factors('h', 'e', 'col_id')}, {S.system('s', 'x', 'h')} SELECT row_id AS user_id, {S.rounded(['a00', 'a01', 'a11', 'b0', 'b1'])}, n FROM s",
     "stream_fold_in": f"WITH {S.E}, x AS (SELECT user_id AS row_id, json_extract_string(props, '$.k')::bigint AS col_id, 1.0::double AS y FROM events), {S.factors('h', 'e', 'col_id')}, {S.refit('w', 'x', 'h')} SELECT id AS user_id, round(f0, 6) + 0.0 AS w0, round(f1, 6) + 0.0 AS w1 FROM w",
     "stream_interval_join": "SELECT a.event_id AS left_id, b.event_id AS right_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR",
     "stream_state": "SELECT user_id, count(*) AS n, round(sum(value), 4) + 0.0 AS total FROM events GROUP BY user_id",
 }
-QUERIES = {k: globals()[k] for k in [*SQL, "stream_late_data"]}
+QUERIES = {k: globals()[k] for k in SQL}

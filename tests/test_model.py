@@ -135,9 +135,103 @@ def test_precisions(spark):
     ends = {p: train.fit(obs, FactorConfig(rank=4, epochs=3, reg=0.1, unobserved=0.01, precision=p)).history[-1]["total"] for p in ("float64", "float32", "mixed")}
     assert ends["float32"] == pytest.approx(ends["float64"], rel=1e-3)
     assert ends["mixed"] == pytest.approx(ends["float64"], rel=0.03)
-    table = train.fit(obs, FactorConfig(rank=4, epochs=1, precision="mixed", reg=0.1), track_loss=False).row_factors
-    back = as_dict(wide(factors.unpack_table(factors.pack_table(table, 4), 4), 4))
-    assert back == as_dict(wide(table, 4))
+    for precision, size in (("mixed", 8), ("bf16_all", 8), ("float32", 16)):
+        table = train.fit(obs, FactorConfig(rank=4, epochs=1, precision=precision, reg=0.1), track_loss=False).row_factors
+        assert dict(table.dtypes)["vec"] == "binary" and {len(r.vec) for r in table.collect()} == {size}
+        plain = factors.as_lists(table, 4)
+        assert as_dict(wide(factors.as_lists(factors.store_table(plain, 4, precision), 4), 4)) == as_dict(wide(plain, 4))
+        assert np.allclose(gram(table, 4), gram(plain, 4))
+
+
+@pytest.mark.parametrize(("how", "solver"), [("broadcast", "lu"), ("shuffle", "cg_free"), ("routed", "cg_free"), ("hot_cold", "cg"), ("partial_stats", "lu")])
+def test_packed_vectors_by_all_gathers_and_widths(spark, how, solver):
+    obs = sources.purchases(spark, SMALL).where("row_id < 60")
+    h = vectors(columns_of(obs, 3)).cache()
+    outs = []
+    for precision, width in (("mixed", 1), ("mixed", 32)):
+        cfg = FactorConfig(rank=3, reg=0.1, unobserved=0.01, blocks=3, hot_columns=20, precision=precision, solver=solver, cg_iters=40, cg_tol=1e-7, segment_width=width)
+        done = halfstep.refit_side(obs, h, gram(h, 3), cfg, how).cache()
+        outs.append(as_dict(wide(factors.as_lists(done, 3), 3)))
+        pairs = train.scores(obs, done, factors.store_table(h, 3, "mixed"), 3)
+        error = pairs.agg(F.sum((F.col("y") - F.col("score")) ** 2)).first()[0]
+        assert done.agg(F.sum("err")).first()[0] == pytest.approx(error, rel=1e-4)
+    want = as_dict(smallrank.refit(obs, columns_of(obs, 3), 0.1, 0.01, 3))
+    for got in outs:
+        assert got.keys() == want.keys()
+        assert max(abs(a - b) for k in got for a, b in zip(got[k], want[k], strict=True)) < 0.05
+
+
+def sequential(cells, rank, epochs, reg, weight, start):
+    """The factorization on one machine, row by row in loops."""
+    rows, cols = sorted({r for r, _, _ in cells}), sorted({c for _, c, _ in cells})
+    h = {c: np.array(start[c]) for c in cols}
+    w, losses = {}, []
+    for _ in range(epochs):
+        for side in (0, 1):
+            frozen, own, names = (h, w, rows) if side == 0 else (w, h, cols)
+            total = sum(np.outer(v, v) for v in frozen.values())
+            for name in names:
+                a, b = weight * total + reg * np.eye(rank), np.zeros(rank)
+                for r, c, y in cells:
+                    if (r, c)[side] == name:
+                        v = frozen[(c, r)[side]]
+                        a, b = a + np.outer(v, v), b + y * v
+                own[name] = np.linalg.solve(a, b)
+        loss = sum((y - w[r] @ h[c]) ** 2 for r, c, y in cells) + weight * sum((x @ z) ** 2 for x in w.values() for z in h.values())
+        losses.append(loss + reg * sum(x @ x for x in [*w.values(), *h.values()]))
+    return w, h, losses
+
+
+@pytest.mark.parametrize("solver", ["lu", "cg"])
+def test_training_is_the_sequential_one(spark, solver):
+    obs = sources.events_as_observations(spark, SMALL).where("row_id < 25").cache()
+    cells = [tuple(r) for r in obs.collect()]
+    cols = sorted({c for _, c, _ in cells})
+    rng = np.random.default_rng(6)
+    start = {c: rng.standard_normal(3).tolist() for c in cols}
+    frame = spark.createDataFrame([(c, start[c]) for c in cols], "id long, vec array<double>")
+    w, h, losses = sequential(cells, 3, 3, 0.1, 0.05, start)
+    model = train.fit(obs, FactorConfig(rank=3, epochs=3, reg=0.1, unobserved=0.05, solver=solver, cg_iters=50, cg_tol=1e-12, segment_width=4), start=frame)
+    for mine, theirs in ((model.row_factors, w), (model.col_factors, h)):
+        got = as_dict(wide(mine, 3))
+        assert got.keys() == theirs.keys() and max(np.abs(np.array(got[k]) - theirs[k]).max() for k in got) < 1e-7
+    assert [x["total"] for x in model.history] == pytest.approx(losses, rel=1e-8)
+    assert model.loss(obs)["total"] == pytest.approx(losses[-1], rel=1e-8)
+
+
+def test_warm_start_saves_steps(spark):
+    obs = sources.purchases(spark, SMALL).where("row_id < 40")
+    h = vectors(columns_of(obs, 3)).cache()
+    cfg = FactorConfig(rank=3, reg=0.1, unobserved=0.01, solver="cg", cg_iters=1, cg_tol=1e-12)
+    exact = smallrank.refit(obs, columns_of(obs, 3), 0.1, 0.01, 3)
+    want = as_dict(exact)
+    for solver in ("cg", "cg_free"):
+        one = FactorConfig(**{**cfg.__dict__, "solver": solver})
+        cold = as_dict(wide(halfstep.refit_side(obs, h, gram(h, 3), one, "shuffle"), 3))
+        warm = as_dict(wide(halfstep.refit_side(obs, h, gram(h, 3), one, "shuffle", start=vectors(exact)), 3))
+        off = lambda got: max(abs(a - b) for k in want for a, b in zip(got[k], want[k], strict=True))
+        assert warm.keys() == want.keys() and off(warm) < 1e-9 < off(cold)
+
+
+def test_models_of_several_weights_in_one_job(spark):
+    obs = sources.events_as_observations(spark, SMALL)
+    points = [(0.1, 0.01), (0.5, 0.001), (0.02, 0.1)]
+    cfg = FactorConfig(rank=3, epochs=2)
+    together = train.fit_points(obs, points, cfg, keep_epochs=True)
+    got = as_dict(wide(together.col_factors, 3))
+    for i, (reg, weight) in enumerate(points):
+        alone = as_dict(wide(train.fit(obs, FactorConfig(rank=3, epochs=2, reg=reg, unobserved=weight), track_loss=False).col_factors, 3))
+        assert all(got[(i << 40) + k] == pytest.approx(alone[k], abs=1e-9) for k in alone)
+    assert len(together.epochs) == 2 and len(got) == 3 * len(alone)
+    with pytest.raises(ValueError, match="range"):
+        train.fit_points(obs.withColumn("row_id", F.lit(-1)), points, cfg)
+
+
+def test_repeated_cells_are_summed(spark):
+    twice = spark.createDataFrame([(1, 1, 1.0), (1, 1, 2.0), (2, 1, 1.0)], "row_id long, col_id long, y double")
+    once = spark.createDataFrame([(1, 1, 3.0), (2, 1, 1.0)], twice.schema)
+    cfg = FactorConfig(rank=2, epochs=2, reg=0.1, unobserved=0.01)
+    assert as_dict(wide(train.fit(twice, cfg).row_factors, 2)) == as_dict(wide(train.fit(once, cfg).row_factors, 2))
 
 
 def test_odd_observations(spark):
@@ -189,6 +283,9 @@ def test_planner(spark):
     assert planner.choose_gather(planner.ObsStats(1000, 10, 10, 100), cfg) == "broadcast"
     moved = planner.traffic(stats, cfg)
     assert moved["shuffle"] < moved["partial_stats"]
+    assert moved["shuffle"] * 4 == planner.traffic(stats, FactorConfig(rank=128, blocks=1000))["shuffle"]
+    skewed = planner.ObsStats(cells=29_904_000_000, rows=365_400_000, columns=365_400_000, longest=10**6, routed=20_000_000_000, cold=10**9)
+    assert planner.choose_gather(skewed, FactorConfig(rank=128, precision="mixed", hot_columns=1_000_000, blocks=1000), 100) == "hot_cold"
     assert planner.cost_report(stats, cfg)["parameters"] == pytest.approx(93.5e9, rel=0.01)
 
 

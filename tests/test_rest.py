@@ -77,11 +77,19 @@ def test_topk_over_many_blocks_is_exact(spark):
     assert all(got[i] == set(np.argsort(-(x @ x[i]))[:30].tolist()) for i in range(40))
 
 
-def test_approximate_search_finds_most(spark):
+@pytest.mark.parametrize("how", ["lsh", "ivf"])
+def test_approximate_search_finds_most_among_few(spark, how):
     v = embeddings(spark, SMALL).cache()
-    exact = topk.topk_exact(v, v, 20, 64).cache()
-    for found in (topk.topk_lsh(v, v, 20, 64), topk.topk_ivf(v, v, 20, 64, cells=16, probes=12)):
-        assert evaluate.overlap(found, exact, (20,)).first().recall > 0.8
+    n = v.count()
+    search, candidates = {"lsh": (topk.topk_lsh, topk.candidates_lsh), "ivf": (topk.topk_ivf, topk.candidates_ivf)}[how]
+    for k in (20, 50):
+        exact = topk.topk_exact(v, v, k, 64).cache()
+        assert evaluate.overlap(search(v, v, k, 64), exact, (k,)).first().recall >= 0.9
+        assert candidates(v, v, k, 64).count() < 0.2 * n * n
+    gone = exact.where("rank <= 5").select("row_id", "col_id")
+    found = search(v, v, 20, 64, exclude=gone)
+    assert found.join(gone, ["row_id", "col_id"]).count() == 0
+    assert search(v.limit(0), v, 3, 64).count() == 0
 
 
 def test_popularity_skips_given(spark):
@@ -118,12 +126,12 @@ def test_registry():
     assert set(twins) <= set(known) and len(known) > 120
 
 
-@pytest.mark.parametrize("name", ["refit_rows", "split_strong", "op_asof", "fold_in", "links_resolve"])
+@pytest.mark.parametrize("name", ["refit_rows", "split_strong", "op_asof", "fold_in", "links_resolve", "links_kcore", "build_graph_stats", "same_host_share", "spot_check", "stream_late_data", "wl_batching", "wl_gram", "topk_exclude_given"])
 def test_queries_agree_with_sql(spark, name):
     import duckdb
 
     con = duckdb.connect()
-    for t in ("orders", "lineitem", "events", "pages", "customer"):
+    for t in ("orders", "lineitem", "events", "pages", "customer", "documents", "embeddings"):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SMALL}/{t}.parquet'")
     got = __spark_entry__.queries()[name](spark, SMALL)
     names = sorted(got.columns)
