@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .cluster import settle
-from .kernels import Block, Overlap, blocks, distinct, mix, similar, unpack_rows
+from .kernels import Block, Overlap, blocks, distinct, mix, shared_by_pair, similar, unpack_rows
 
 U64 = np.uint64
 #: Bits (as a power of two) of the filters that travel to every task: 2 MB, whatever the input.
@@ -205,22 +205,20 @@ def _similar(sets: Sets, percent: int):
     """Of pairs (a, b, item_a, item_b) those whose sets are similar; pairs are taken while their texts are within SET_BYTES."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        overlap = Overlap()
         for batch in batches:
             one, two = (batch.column(name).dictionary_encode() for name in ("item_a", "item_b"))  # a hub's text comes many times
             sizes = [pc.binary_length(side.dictionary).to_numpy()[side.indices.to_numpy()] for side in (one, two)]
             load, at = np.cumsum(sizes[0].astype(np.int64) + sizes[1]), 0
             while at < batch.num_rows:
-                until = max(at + 1, int(np.searchsorted(load, (load[at - 1] if at else 0) + SET_BYTES, "right")))
+                until = min(at + 8192, max(at + 1, int(np.searchsorted(load, (load[at - 1] if at else 0) + SET_BYTES, "right"))))
                 sides = []
                 for side in (one, two):
                     used, place = np.unique(side.indices.to_numpy()[at:until], return_inverse=True)
-                    sides.append((place, _text_sets(side.dictionary.take(pa.array(used)), sets)))
-                (left, hubs), (right, mates) = sides
-                keep = np.zeros(until - at, dtype=bool)
-                order = np.argsort(left, kind="stable")
-                for rows in np.split(order, np.flatnonzero(np.diff(left[order])) + 1):
-                    keep[rows] = similar(overlap, hubs[left[rows[0]]], [mates[k] for k in right[rows].tolist()], percent)
+                    found = _text_sets(side.dictionary.take(pa.array(used)), sets)
+                    sides.append([found[i] for i in place.tolist()])
+                union = np.array([len(x) for x in sides[0]]) + np.array([len(x) for x in sides[1]])
+                shared = shared_by_pair(*sides)
+                keep = 100 * shared >= percent * (union - shared)
                 yield batch.select(["a", "b"]).slice(at, until - at).filter(pa.array(keep))
                 at = until
 
