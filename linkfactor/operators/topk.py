@@ -67,7 +67,7 @@ def _best_of_blocks(left: DataFrame, right: DataFrame, k: int, rank: int, score:
     def run(a: pa.Table, b: pa.Table) -> pa.Table:
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         if a.num_rows and b.num_rows:
-            names, table = ids(b.column("id")), to_matrix(b.column("vec"), rank)
+            names, table = ids(b.column("their_id")), to_matrix(b.column("their_vec"), rank)
             order = np.argsort(names, kind="stable")
             names, table = names[order], table[order]
             who, queries = ids(a.column("id")), to_matrix(a.column("vec"), rank)
@@ -90,7 +90,8 @@ def _best_of_blocks(left: DataFrame, right: DataFrame, k: int, rank: int, score:
             return _SCHEMA.empty_table()
         return pa.table([pa.array(np.concatenate([f[j] for f in found]), type=_SCHEMA.field(j).type) for j in range(3)], schema=_SCHEMA)
 
-    return left.groupBy("block").cogroup(right.groupBy("block")).applyInArrow(run, RANKED)
+    theirs = right.select(F.col("block").alias("their_block"), F.col("id").alias("their_id"), F.col("vec").alias("their_vec"))
+    return left.groupBy("block").cogroup(theirs.groupBy("their_block")).applyInArrow(run, RANKED)
 
 
 def _dealt(rows: DataFrame, columns: DataFrame, rank: int, exclude: DataFrame | None, row_blocks: int | None, col_blocks: int | None) -> tuple[DataFrame, DataFrame]:

@@ -76,9 +76,14 @@ def page_locales(s, d):
 
 
 def build_graph_stats(s, d):
-    """Nodes and edges of absolute links after one pass with 2 links, rule by rule."""
-    edges, nodes = graph.build_graph(sources.read_table(s, d, "pages"), None, 2)
-    return edges.agg(F.count(F.lit(1)).alias("edges")).crossJoin(nodes.agg(F.count(F.lit(1)).alias("nodes"), F.sum("out_links").alias("out_links"), F.sum("in_links").alias("in_links")))
+    """least, nodes and edges of absolute links after one pass with 1 link (which keeps all) and with 2."""
+    out = None
+    for least in (1, 2):
+        edges, nodes = graph.build_graph(sources.read_table(s, d, "pages"), None, least)
+        sums = [F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("out_links", "in_links")]
+        one = edges.agg(F.count(F.lit(1)).alias("edges")).crossJoin(nodes.agg(F.count(F.lit(1)).alias("nodes"), *sums)).withColumn("least", F.lit(least))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def wl_split(s, d):
@@ -119,7 +124,8 @@ SQL = {
     "links_dangling": f"{_ABS} SELECT count(DISTINCT target) AS n FROM ab WHERE target NOT IN (SELECT url FROM pages)",
     "host_graph": f"{_LU} SELECT host, path, count(*) AS n FROM lu GROUP BY 1, 2",
     "page_locales": "SELECT list_extract(string_split(regexp_extract(url, '^[a-z]+://([^/?#]*)', 1), '.'), -1) AS tld, regexp_extract(html, 'lang=\"([a-z]+)\"', 1) AS lang, count(*) AS n FROM pages GROUP BY 1, 2",
-    "build_graph_stats": f"{_ABS}, al AS (SELECT DISTINCT url AS src, target AS dst FROM ab), {_kept('ed', 'al', 'src', 'dst', 2)} SELECT (SELECT count(*) FROM ed) AS edges, (SELECT count(*) FROM (SELECT src FROM ed UNION SELECT dst FROM ed)) AS nodes, (SELECT count(*) FROM ed) AS out_links, (SELECT count(*) FROM ed) AS in_links",
+    "build_graph_stats": f"{_ABS}, al AS (SELECT DISTINCT url AS src, target AS dst FROM ab), {_kept('ed', 'al', 'src', 'dst', 2)} "
+    + " UNION ALL ".join(f"SELECT {k} AS least, (SELECT count(*) FROM {t}) AS edges, (SELECT count(*) FROM (SELECT src FROM {t} UNION SELECT dst FROM {t})) AS nodes, (SELECT count(*) FROM {t}) AS out_links, (SELECT count(*) FROM {t}) AS in_links" for k, t in ((1, "al"), (2, "ed"))),
 }
 QUERIES = {k: globals()[k] for k in SQL}
 
