@@ -11,13 +11,15 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Where the setting is missing (tests on one machine) a temporary folder is used.
+    Where the setting is missing a temporary folder is used, on one machine only (tests).
     """
     configured = spark.conf.get("spark.checkpoint.dir", None)
     if not configured:
         context = spark.sparkContext
         configured = context.getCheckpointDir()
         if not configured:
+            if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+                raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
             configured = "file://" + tempfile.mkdtemp(prefix="linkfactor-")
             context.setCheckpointDir(configured)
     return configured

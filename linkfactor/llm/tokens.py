@@ -35,26 +35,32 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import mix
+from .kernels import Block, blocks, mix
 
 U64 = np.uint64
 MAGIC = 0x31485052
 END_ID = 2
-#: Pieces in each of the two generations of ids that a worker keeps.
-CACHE_PIECES = 400_000
+#: Pieces in each of the two generations of ids that a worker keeps (some 35 bytes each).
+CACHE_PIECES = 1_000_000
 NULL_KEY = -(1 << 63)
 #: Bytes of text that are encoded at a time (a longer text stands alone).
 SLICE_BYTES = 6 << 20
 
-# The marks in front of pieces. A piece without one follows a space.
-FRONT, NEWLINE, END, WHOLE = "\x02", "\x01", "\x03", "\x04"
-#: Texts with the marks' characters are encoded as they are.
-MARKED = "[\x01-\x04]"
 #: Any white space but single blanks and newlines between words.
 UNEVEN = r"[\t\x0b-\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{180e}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]|[ \n][ \n]|\A[ \n]|[ \n]\z"
-#: Pieces of Latin letters, which every version of Unicode takes for letters, with or without a stop behind them.
-STOPS = ".,;:!?"
-WORD = r"\A\x02?[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{24f}]+[.,;:!?]?\z"
+#: Pieces of Latin letters, which every version of Unicode takes for letters.
+WORD = r"\A[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{24f}]+\z"
+#: Stops that are a pre-token of their own behind letters.
+STOPS = b".,;:!?"
+
+_GAP = np.zeros(256, dtype=bool)
+_GAP[[10, 32]] = True
+_NOT_LETTER = np.ones(256, dtype=np.uint8)
+_NOT_LETTER[[*range(65, 91), *range(97, 123)]] = 0
+_STOP = np.zeros(256, dtype=bool)
+_STOP[list(STOPS)] = True
+#: Told apart from the same bytes behind a space.
+_FRONT = U64(0x9E3779B97F4A7C15)
 
 
 def byte_letters() -> dict[int, str]:
@@ -64,17 +70,64 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(odd) if b != 32}
 
 
+class IdTable:
+    """Ids of pieces by the pieces' 64-bit hashes: open addressing over one pool of ids."""
+
+    def __init__(self, room: int, kind: np.dtype) -> None:
+        self.mask = (1 << int(2 * room - 1).bit_length()) - 1
+        self.keys, self.starts, self.sizes = np.zeros(self.mask + 1, dtype=U64), np.zeros(self.mask + 1, dtype=np.int32), np.full(self.mask + 1, -1, dtype=np.int32)
+        self.pool, self.used, self.count = np.zeros(1 << 16, dtype=kind), 0, 0
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        """The slot of each hash, -1 where it isn't there."""
+        at, todo, out = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes)), np.full(len(hashes), -1, dtype=np.int64)
+        while len(todo):
+            spot = at[todo]
+            filled = self.sizes[spot] >= 0
+            hit = filled & (self.keys[spot] == hashes[todo])
+            out[todo[hit]] = spot[hit]
+            todo = todo[filled & ~hit]
+            at[todo] = at[todo] + 1 & self.mask
+        return out
+
+    def put(self, hashes: np.ndarray, sizes: np.ndarray, ids: np.ndarray) -> None:
+        """Distinct hashes that aren't there, the number of ids of each, and all ids."""
+        while self.used + len(ids) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
+        self.pool[self.used : self.used + len(ids)] = ids
+        starts = self.used + np.cumsum(sizes) - sizes
+        self.used, self.count = self.used + len(ids), self.count + len(hashes)
+        at, todo = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes))
+        while len(todo):
+            free = todo[self.sizes[at[todo]] < 0]
+            # Of several for one slot the last one written gets it.
+            self.keys[at[free]] = hashes[free]
+            won = free[self.keys[at[free]] == hashes[free]]
+            self.starts[at[won]], self.sizes[at[won]] = starts[won], sizes[won]
+            left = np.ones(len(hashes), dtype=bool)
+            left[won] = False
+            todo = todo[left[todo]]
+            at[todo] = at[todo] + 1 & self.mask
+
+
+def spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The numbers from each start on, as many as its size, one run after the other."""
+    return np.arange(int(sizes.sum())) + np.repeat(starts - (np.cumsum(sizes) - sizes), sizes)
+
+
 class PieceEncoder:
-    """The tokenizer's ids by pieces between safe cuts, each distinct piece of a slice looked up once.
+    """The tokenizer's ids by pieces between safe cuts; pieces that a worker knows aren't encoded again.
 
     A byte-level BPE never merges across its pre-tokens. A single space between two
     characters that aren't white space begins one, and a single newline there is one, so
-    texts may be cut before such spaces and around such newlines and the pieces' ids
-    joined; a special token holds no white space and stays whole. Texts of single blanks and
-    newlines are cut in Arrow, others only before single spaces, and those that hold a mark not at all.
-
-    A new piece of letters is one pre-token, and a stop behind it another, so its letters go to
-    the tokenizer's model without the pre-tokenizer; all other pieces go through the whole tokenizer.
+    texts of single blanks and newlines may be cut before such spaces and around such
+    newlines, and the pieces' ids joined; a special token holds no white space and stays
+    whole. A stop behind ASCII letters alone is a pre-token too and counts as a piece.
+    Texts with any other white space go through the tokenizer in parts between single spaces.
+
+    Cutting, looking up and joining are array operations over the bytes of many texts; pieces
+    are told by 64-bit hashes. New pieces of letters are one pre-token, so they go to the
+    tokenizer's model without the pre-tokenizer, and all others through the whole tokenizer.
     Ids are kept in two generations: once the young one is full it becomes the old one, and
     what is asked for again moves to the young, so frequent pieces stay.
     """
@@ -87,111 +140,130 @@ class PieceEncoder:
         self.words.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         size = self.tokenizer.get_vocab_size()
         self.width = width or (2 if max(size, end_id + 1) <= 1 << 16 else 4)
-        self.kind = np.dtype(f"<u{self.width}")
+        self.kind, self.end_id = np.dtype(f"<u{self.width}"), end_id
         # In a byte-level vocabulary each character of a token stands for one byte.
         self.sizes = np.array([len(self.tokenizer.id_to_token(i) or "") for i in range(size)])
         self.letters = byte_letters()
         self.cut = re.compile(r"(?<=\S) (?=\S)")
-        self.stops = pa.array([b"", *self._single(list(STOPS))], type=pa.binary())
-        self.fixed = {FRONT: b"", NEWLINE: self._single(["\n"])[0], END: np.array([end_id], dtype=self.kind).tobytes()}
-        self.young: dict[str, bytes] = dict(self.fixed)
-        self.old: dict[str, bytes] = {}
+        (self.newline,) = self._single(["\n"])
+        self.stops = np.zeros(256, dtype=self.kind)
+        self.stops[list(STOPS)] = [x[0] for x in self._single([chr(c) for c in STOPS])]
+        self.young, self.old = IdTable(CACHE_PIECES, self.kind), IdTable(1, self.kind)
 
-    def _single(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, dtype=self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def _single(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, dtype=self.kind) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _letters(self, words: list[str], lead: str) -> list[bytes]:
-        """Ids of words of letters by the model, many in one text, cut by the tokens' byte lengths; ``lead`` stands before each."""
-        out = []
+    def _letters(self, words: list[str], lead: str) -> tuple[np.ndarray, np.ndarray]:
+        """Numbers of ids, and ids, of words of letters by the model, many in one text, cut by the tokens' byte lengths; ``lead`` stands before each."""
+        counts, out = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=self.kind)]
         for at in range(0, len(words), 2000):
-            some = words[at : at + 2000]
-            raw = " ".join(some).encode()
+            raw = " ".join(words[at : at + 2000]).encode()
             text = lead + raw.decode("latin-1").translate(self.letters).replace(" ", " " + lead)
             ids = np.array(self.words.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype=np.int64)
             blanks = np.flatnonzero(np.frombuffer(raw, dtype=np.uint8) == 32)
             lengths = np.diff(np.concatenate([[-1], blanks, [len(raw)]])) - 1 + len(lead)
-            stops = (np.searchsorted(np.cumsum(self.sizes[ids]), np.cumsum(lengths)) + 1) * self.width
-            packed, ends = ids.astype(self.kind).tobytes(), stops.tolist()
-            out += [packed[a:b] for a, b in zip([0, *ends], ends, strict=False)]
-        return out
-
-    def _fresh(self, pieces: list[str]) -> list[bytes]:
-        """Ids of pieces that no generation holds."""
-        every = pa.array(pieces, type=pa.string())
-        plain = pc.match_substring_regex(every, WORD).to_numpy(zero_copy_only=False)
-        out = np.empty(len(pieces), dtype=object)
+            stops = np.searchsorted(np.cumsum(self.sizes[ids]), np.cumsum(lengths)) + 1
+            counts.append(np.diff(np.concatenate([[0], stops])))
+            out.append(ids.astype(self.kind))
+        return np.concatenate(counts), np.concatenate(out)
+
+    def _fresh(self, pieces: list[str], front: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """An order of the pieces, and in this order their numbers of ids and their ids; those not in front follow a space."""
+        plain = pc.match_substring_regex(pa.array(pieces, type=pa.string()), WORD).to_numpy(zero_copy_only=False) if pieces else np.zeros(0, dtype=bool)
+        order, counts, ids = [], [], []
+        for lead, part in (("", np.flatnonzero(plain & front)), ("\u0120", np.flatnonzero(plain & ~front))):
+            n, x = self._letters([pieces[i] for i in part.tolist()], lead)
+            order.append(part)
+            counts.append(n)
+            ids.append(x)
         odd = np.flatnonzero(~plain)
-        out[odd] = self._single([pieces[i][1:] if pieces[i][0] == FRONT else " " + pieces[i] for i in odd.tolist()])
-        if plain.any():
-            whole = every.filter(pa.array(plain))
-            bare = pc.utf8_rtrim(whole, characters=STOPS)
-            stop = pc.fill_null(pc.index_in(pc.utf8_slice_codeunits(whole, -1), value_set=pa.array(list(STOPS))), -1).to_numpy() + 1
-            coded = bare.dictionary_encode()
-            words = coded.dictionary.to_numpy(zero_copy_only=False)
-            ids = np.array([self.young.get(w) or self.old.get(w) for w in words.tolist()] + [None], dtype=object)[:-1]
-            new = np.equal(ids, None)
-            front = pc.starts_with(coded.dictionary, FRONT).to_numpy(zero_copy_only=False)
-            for lead, part in (("", np.flatnonzero(new & front)), ("\u0120", np.flatnonzero(new & ~front))):
-                some = words[part].tolist()
-                ids[part] = self._letters(some if lead else [w[1:] for w in some], lead)
-                self.young.update(zip(some, ids[part].tolist(), strict=True))
-            full = pc.binary_join_element_wise(pa.array(ids.tolist(), type=pa.binary()).take(coded.indices), self.stops.take(pa.array(stop)), pa.scalar(b""))
-            out[plain] = full.to_numpy(zero_copy_only=False)
-        return out.tolist()
-
-    def _fetch(self, pieces: np.ndarray, whole: dict[str, bytes]) -> list[bytes]:
-        """The ids of distinct pieces."""
-        if len(self.young) > CACHE_PIECES:
-            self.young, self.old = dict(self.fixed), self.young
-        found = np.empty(len(pieces), dtype=object)
-        todo = np.arange(len(pieces))
-        for known in (whole, self.young, self.old):
-            if known and len(todo):
-                got = np.empty(len(todo), dtype=object)
-                got[:] = list(map(known.get, pieces[todo].tolist()))
-                found[todo] = got
-                hit = np.not_equal(got, None)
-                if known is self.old:
-                    self.young.update(zip(pieces[todo[hit]].tolist(), got[hit].tolist(), strict=True))
-                todo = todo[~hit]
-        if len(todo):
-            names = pieces[todo].tolist()
-            ids = self._fresh(names)
-            found[todo] = ids
-            self.young.update(zip(names, ids, strict=True))
-        return found.tolist()
-
-    def _slow(self, texts: list[str], marked: list[bool], whole: dict[str, bytes]) -> pa.Array:
-        """Piece lists of texts with other white space or with marks; ids of the latter go to ``whole``."""
-        out = []
-        for text, holds in zip(texts, marked, strict=True):
-            if holds:
-                name = f"{WHOLE}{len(whole)}"
-                whole[name] = self._single([text])[0]
-                out.append([name, END])
+        rest = self._single([pieces[i] if first else " " + pieces[i] for i, first in zip(odd.tolist(), front[odd].tolist(), strict=True)])
+        order.append(odd)
+        counts.append(np.array([len(x) for x in rest], dtype=np.int64))
+        return np.concatenate(order), np.concatenate(counts), np.concatenate([*ids, *rest]) if rest else np.concatenate(ids)
+
+    def _known(self, hashes: np.ndarray) -> np.ndarray:
+        """Slots of the young table, where pieces that only the old one holds are put first; -1 for others."""
+        slot = self.young.find(hashes)
+        left = np.flatnonzero(slot < 0)
+        if len(left) and self.old.count:
+            there = self.old.find(hashes[left])
+            left, there = left[there >= 0], there[there >= 0]
+            _, one = np.unique(hashes[left], return_index=True)
+            sizes = self.old.sizes[there[one]].astype(np.int64)
+            self.young.put(hashes[left[one]], sizes, self.old.pool[spread(self.old.starts[there[one]].astype(np.int64), sizes)])
+            slot[left] = self.young.find(hashes[left])
+        return slot
+
+    def _even(self, block: Block) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of a block of texts of single blanks and newlines, each followed by the end id, and their number for each text."""
+        data, bounds = block.data, block.bounds
+        lo, hi, firsts = block.spans(_GAP)
+        first = np.zeros(len(lo), dtype=bool)
+        first[firsts[:-1][np.diff(firsts) > 0]] = True
+        newline = ~first & (data[np.maximum(lo, 1) - 1] == 10) if len(data) else first
+        front = first | newline
+        odd = np.concatenate([[0], np.cumsum(_NOT_LETTER[data], dtype=np.int32)])
+        stopped = (hi - lo > 1) & (odd[hi] - odd[lo] == 1) & _STOP[data[hi - 1]] if len(data) else first
+        cut = hi - stopped
+        hashes = block.span_hashes(lo, cut) ^ front * _FRONT
+        if self.young.count + len(hashes) > CACHE_PIECES and self.young.count:
+            # So many new ones may come that the table would be full: the young one becomes the old one first.
+            known = self.young.find(hashes) >= 0
+            if self.young.count + len(np.unique(hashes[~known])) > CACHE_PIECES:
+                self.young, self.old = IdTable(max(CACHE_PIECES, len(hashes)), self.kind), self.young
+        slot = self._known(hashes)
+        left = np.flatnonzero(slot < 0)
+        if len(left):
+            fresh, one = np.unique(hashes[left], return_index=True)
+            rows, raw = left[one], data.tobytes()
+            order, sizes, ids = self._fresh([raw[a:b].decode() for a, b in zip(lo[rows].tolist(), cut[rows].tolist(), strict=True)], front[rows])
+            if self.young.count + len(fresh) > (self.young.mask + 1) // 2:
+                self.young, self.old = IdTable(max(CACHE_PIECES, len(hashes)), self.kind), self.young
+                self.young.put(fresh[order], sizes, ids)
+                slot = self._known(hashes)
             else:
-                out.append([*self.cut.split(FRONT + text), END])
-        return pa.array(out, type=pa.list_(pa.string()))
+                self.young.put(fresh[order], sizes, ids)
+                slot[left] = self.young.find(hashes[left])
+        sizes, starts = self.young.sizes[slot].astype(np.int64), self.young.starts[slot].astype(np.int64)
+        # Each piece with a newline's id before and a stop's behind, where it has them; an end id behind each text.
+        whole = sizes + newline + stopped
+        owner = np.repeat(np.arange(block.n), np.diff(firsts))
+        at = np.cumsum(whole) - whole + owner
+        out = np.empty(int(whole.sum()) + block.n, dtype=self.kind)
+        out[spread(at + newline, sizes)] = self.young.pool[spread(starts, sizes)]
+        out[at[newline]] = self.newline[0]
+        out[(at + whole - 1)[stopped]] = self.stops[data[hi[stopped] - 1]]
+        total = np.concatenate([[0], np.cumsum(whole)])[firsts]
+        ends = total[1:] + np.arange(block.n)
+        out[ends] = self.end_id
+        return out, np.diff(np.concatenate([[-1], ends]))
+
+    def _uneven(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of texts with other white space, in parts between single spaces, each with its end id."""
+        parts = [self.cut.split(t) for t in texts]
+        ids = self._single([" " * (i > 0) + x for p in parts for i, x in enumerate(p)])
+        out, at = [], 0
+        for p in parts:
+            out.append(np.concatenate([*ids[at : at + len(p)], np.array([self.end_id], dtype=self.kind)]))
+            at += len(p)
+        return out
 
-    def encode(self, texts: pa.Array) -> tuple[memoryview, np.ndarray]:
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids (each text's followed by the end id), and the number of ids of each text; texts: strings without nulls."""
-        whole: dict[str, bytes] = {}
-        marked = pc.match_substring_regex(texts, MARKED)
-        slow = pc.or_(marked, pc.match_substring_regex(texts, UNEVEN))
-        fast = texts.filter(pc.invert(slow))
-        front, end, none = (pa.scalar(x, texts.type) for x in (FRONT, f" {END}", ""))
-        spaced = pc.replace_substring(fast, "\n", f" {NEWLINE} {FRONT}")
-        lists = pc.split_pattern(pc.binary_join_element_wise(front, spaced, end, none), " ").cast(pa.list_(pa.string()))
-        if len(fast) < len(texts):
-            rows = self._slow(texts.filter(slow).to_pylist(), marked.filter(slow).to_pylist(), whole)
-            is_slow = slow.to_numpy(zero_copy_only=False)
-            place = np.where(is_slow, len(fast) + np.cumsum(is_slow) - 1, np.cumsum(~is_slow) - 1)
-            lists = pa.concat_arrays([lists, rows]).take(pa.array(place))
-        coded = lists.flatten().dictionary_encode()
-        ids = pa.array(self._fetch(coded.dictionary.to_numpy(zero_copy_only=False), whole), type=pa.large_binary())
-        bounds = np.concatenate([[0], np.cumsum(pc.binary_length(ids).to_numpy()[coded.indices.to_numpy()])])
-        payload = ids.take(coded.indices).buffers()[2]
-        return memoryview(payload if payload is not None else b"")[: bounds[-1]], np.diff(bounds[lists.offsets.to_numpy()]) // self.width
+        slow = pc.match_substring_regex(texts, UNEVEN).to_numpy(zero_copy_only=False)
+        fast = texts if not slow.any() else texts.filter(pa.array(~slow))
+        found = [self._even(block) for block in blocks(fast, 2 * SLICE_BYTES)]
+        ids, sizes = (np.concatenate([f[k] for f in found]) if found else np.zeros(0, dtype=(self.kind, np.int64)[k]) for k in (0, 1))
+        if not slow.any():
+            return ids, sizes
+        rest = self._uneven(texts.filter(pa.array(slow)).to_pylist())
+        every, starts = np.empty(len(texts), dtype=np.int64), np.empty(len(texts), dtype=np.int64)
+        every[~slow], every[slow] = sizes, [len(x) for x in rest]
+        pool = np.concatenate([ids, *rest])
+        starts[~slow] = np.cumsum(sizes) - sizes
+        starts[slow] = len(ids) + np.cumsum(every[slow]) - every[slow]
+        return pool[spread(starts, every)], every
 
 
 @cache
@@ -330,7 +402,7 @@ def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_
                 sink = store.open_output_stream(f"{path}/{shard}.ids.{attempt}")
             for part in _slices(batch.column("text")):
                 payload, sizes = encoder.encode(part)
-                sink.write(payload)
+                sink.write(payload.tobytes())
                 lengths.append(sizes)
             keys.append(batch.column("key").to_numpy(zero_copy_only=False))
         if sink is None:

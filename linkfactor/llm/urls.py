@@ -6,8 +6,10 @@ pass the second, and so on until no key passes wrongly. A key's answer is the pa
 first filter that it fails, which is exact for every key of the corpus; probing joins
 nothing, as each filter is one array of longs that a scalar subquery puts into the plan.
 
-A filter larger than WORD_LIMIT longs isn't put into the plan: ``is_listed`` then takes a
-semi-join on the key instead (its answer is the same).
+The first filter's rate of false positives is at most the share of listed keys, so all later
+levels are no larger than the list, however large the corpus. A list whose filters would take
+more than WORD_LIMIT longs is cut into shards by a hash of the key, each with a cascade of
+its own that sees the rows of its shard only; so a plan never holds more than that.
 
 Defined results: a null url, or one without ``://``, has an empty host and path; an empty
 key is looked up like any other; an empty table gives an empty result; an empty list lists
@@ -16,6 +18,9 @@ nothing; repeated keys count once; extra columns are left alone.
 
 from __future__ import annotations
 
+from functools import reduce
+from math import ceil
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -25,8 +30,8 @@ from .cluster import settle
 #: (host, path prefix, verdict); a rule holds for the host and all subdomains.
 RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block"))
 FALSE_POSITIVES = 0.05
-#: Longs in one filter at most: 32 MB.
-WORD_LIMIT = 1 << 22
+#: Longs in one filter at most (8 MB), and bits that a listed key may take there at most.
+WORD_LIMIT, KEY_BITS = 1 << 20, 48
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -54,47 +59,55 @@ def best_rule(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
     return (none, none) if text is None else (text, verdict)
 
 
+def shard_of(key: Column, shards: int) -> Column:
+    return F.pmod(F.xxhash64(F.lit("shard"), key), F.lit(shards)).cast("int")
+
+
 class Cascade:
-    """The filters of one list over one universe of keys."""
+    """The filters of one list over one universe of keys, shard by shard: (words, hashes, bits) of each level."""
 
-    def __init__(self, levels: list[tuple[DataFrame, int, int]], listed: DataFrame | None = None) -> None:
-        self.levels, self.listed = levels, listed
+    def __init__(self, shards: list[list[tuple[DataFrame, int, int]]]) -> None:
+        self.shards = shards
 
-    def _passes(self, level: int, key: Column) -> Column:
-        words, hashes, bits = self.levels[level]
+    def passes(self, shard: int, level: int, key: Column) -> Column:
+        words, hashes, bits = self.shards[shard][level]
         return bloom.passes(words, key, level, hashes, bits)
 
-    def contains(self, key: Column) -> Column:
-        """Exact for keys of the universe."""
-        answer = F.lit(len(self.levels) % 2 == 1)
-        for level in reversed(range(len(self.levels))):
-            answer = F.when(~self._passes(level, key), F.lit(level % 2 == 1)).otherwise(answer)
+    def contains(self, shard: int, key: Column) -> Column:
+        """Exact for keys of the universe and of the shard."""
+        levels = len(self.shards[shard])
+        answer = F.lit(levels % 2 == 1)
+        for level in reversed(range(levels)):
+            answer = F.when(~self.passes(shard, level, key), F.lit(level % 2 == 1)).otherwise(answer)
         return answer
 
     def is_listed(self, frame: DataFrame, key: Column, name: str) -> DataFrame:
-        """frame with the boolean column ``name``."""
-        if self.listed is None:
-            return frame.withColumn(name, self.contains(key))
-        marked = self.listed.select(F.col("key").alias("__listed_key"))
-        return frame.join(marked, key == F.col("__listed_key"), "left").withColumn(name, F.col("__listed_key").isNotNull()).drop("__listed_key")
+        """frame with the boolean column ``name``; each shard's cascade reads the rows of its shard."""
+        if len(self.shards) == 1:
+            return frame.withColumn(name, self.contains(0, key))
+        parts = [frame.where(shard_of(key, len(self.shards)) == s).withColumn(name, self.contains(s, key)) for s in range(len(self.shards))]
+        return reduce(DataFrame.unionByName, parts)
 
 
 def build_cascade(universe: DataFrame, listed: DataFrame, fpp: float = FALSE_POSITIVES, word_limit: int = WORD_LIMIT) -> Cascade:
     """universe, listed: a column ``key``; listed keys outside the universe are kept too."""
-    wanted = listed.select(F.col("key")).where("key is not null").distinct().withColumn("is_in", F.lit(True))
-    rest = universe.select("key").where("key is not null").distinct().join(wanted.select("key"), "key", "left_anti").withColumn("is_in", F.lit(False))
-    sides = {True: settle(wanted), False: settle(rest)}
-    levels: list[tuple[DataFrame, int, int]] = []
-    built = Cascade(levels)
-    inside = True
-    while n := sides[inside].count():
-        level = len(levels)
-        hashes, bits = bloom.sized(n, fpp)
-        if bits // 64 > word_limit:
-            return Cascade([], sides[True] if not level else listed.select("key").where("key is not null").distinct())
-        levels.append((settle(bloom.filter_words(sides[inside], level, hashes, bits)), hashes, bits))
-        sides[not inside] = settle(sides[not inside].where(built._passes(level, F.col("key"))))
-        inside = not inside
+    wanted = settle(listed.select(F.col("key")).where("key is not null").distinct())
+    rest = settle(universe.select("key").where("key is not null").distinct().join(wanted, "key", "left_anti"))
+    n_wanted, n_rest = wanted.count(), rest.count()
+    shards = max(1, ceil(n_wanted * KEY_BITS / 64 / word_limit))
+    built = Cascade([[] for _ in range(shards)])
+    for shard in range(shards):
+        levels = built.shards[shard]
+        sides = {True: wanted, False: rest}
+        if shards > 1:
+            sides = {k: x.where(shard_of(F.col("key"), shards) == shard) for k, x in sides.items()}
+        inside, rate = True, min(fpp, max(2.0**-30, n_wanted / max(1, n_rest)))
+        while n := sides[inside].count():
+            level = len(levels)
+            hashes, bits = bloom.sized(n, rate)
+            levels.append((settle(bloom.filter_words(sides[inside], level, hashes, bits)), hashes, bits))
+            sides[not inside] = settle(sides[not inside].where(built.passes(shard, level, F.col("key"))))
+            inside, rate = not inside, fpp
     return built
 
 

@@ -44,10 +44,15 @@ def test_url_parts_and_rules(spark):
 def test_cascade_is_exact(spark):
     universe = spark.range(5000).select(F.concat(F.lit("k"), F.col("id")).alias("key"))
     listed = universe.where("crc32(key) % 7 = 0")
-    for frame in (urls.build_cascade(universe, listed), urls.build_cascade(universe, listed, word_limit=3)):
+    for frame in (urls.build_cascade(universe, listed), urls.build_cascade(universe, listed, word_limit=200)):
         wrong = frame.is_listed(universe, F.col("key"), "hit").where("hit != (crc32(key) % 7 = 0)")
         assert wrong.count() == 0
-    assert len(urls.build_cascade(universe, listed).levels) >= 2
+    built = urls.build_cascade(universe, listed, word_limit=200)
+    assert len(built.shards) == 3 and all(64 * 200 >= bits for levels in built.shards for _, _, bits in levels)
+    assert len(urls.build_cascade(universe, listed).shards[0]) >= 2
+    twice = spark.createDataFrame([(None, "http://a.net/k"), (1, "http://a.net/k"), (1, "http://a.net/k"), (2, "http://b.net/")], "page_id long, url string")
+    got = sorted((r.page_id or 0, r.verdict) for r in urls.judge_urls(twice, spark.createDataFrame([("a.net/k",), (None,), ("a.net/k",)], "key string")).collect())
+    assert got == [(0, "block"), (1, "block"), (1, "block"), (2, "allow")]
     assert urls.build_cascade(universe, listed.limit(0)).is_listed(universe, F.col("key"), "hit").where("hit").count() == 0
 
 

@@ -236,8 +236,8 @@ def crc(ids):
 
 
 def coded(encoder, texts):
-    payload, sizes = encoder.encode(pa.array(texts, type=pa.string()))
-    ids = np.frombuffer(payload, dtype=encoder.kind).tolist()
+    ids, sizes = encoder.encode(pa.array(texts, type=pa.string()))
+    ids = ids.tolist()
     ends = np.cumsum(sizes).tolist()
     assert not texts or ends[-1] == len(ids)
     return [ids[a:b] for a, b in zip([0, *ends], ends, strict=False)]
