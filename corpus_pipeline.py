@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from linkfactor.llm import lines, mixing, near_docs, pieces, toxicity
-from linkfactor.llm.cluster import scratch, table
+from linkfactor.llm.cluster import drop, scratch, table
 from linkfactor.llm.queries_pieces import model_path
 
 #: No stage but mixing can be put in SQL, so the chain is tested against plain versions.
@@ -52,9 +52,12 @@ STAGES = [
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES[:-1]:
         path = scratch(spark, f"stage-{name}")
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
+        if before:  # the stage after it is written by now
+            drop(spark, before)
+        before = path
     return STAGES[-1][1](spark, docs, sf_dir)
