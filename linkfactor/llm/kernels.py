@@ -274,3 +274,91 @@ def set_prints(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
         total = np.concatenate([np.zeros(1, dtype=U64), np.cumsum(mix(values ^ salt), dtype=U64)])
         sums[:, k] = mix(total[bounds[1:]] - total[bounds[:-1]] ^ np.diff(bounds).astype(U64))
     return sums
+
+
+def spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The numbers from each start on, as many as its size, one run after the other."""
+    return np.arange(int(sizes.sum())) + np.repeat(starts - (np.cumsum(sizes) - sizes), sizes)
+
+
+class PoolTable:
+    """Runs of numbers by 64-bit hashes: open addressing over one pool. ``leads`` is a second number kept with each run."""
+
+    def __init__(self, room: int, kind: np.dtype) -> None:
+        self.mask = (1 << int(2 * room - 1).bit_length()) - 1
+        self.keys, self.starts, self.sizes = np.zeros(self.mask + 1, dtype=U64), np.zeros(self.mask + 1, dtype=np.int32), np.full(self.mask + 1, -1, dtype=np.int32)
+        self.leads = np.zeros(self.mask + 1, dtype=np.int32)
+        self.pool, self.used, self.count = np.zeros(1 << 16, dtype=kind), 0, 0
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        """The slot of each hash, -1 where it isn't there."""
+        at, todo, out = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes)), np.full(len(hashes), -1, dtype=np.int64)
+        while len(todo):
+            spot = at[todo]
+            filled = self.sizes[spot] >= 0
+            hit = filled & (self.keys[spot] == hashes[todo])
+            out[todo[hit]] = spot[hit]
+            todo = todo[filled & ~hit]
+            at[todo] = at[todo] + 1 & self.mask
+        return out
+
+    def put(self, hashes: np.ndarray, sizes: np.ndarray, numbers: np.ndarray, leads: np.ndarray | None = None) -> None:
+        """Distinct hashes that aren't there, how many numbers each has, and all numbers."""
+        while self.used + len(numbers) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
+        self.pool[self.used : self.used + len(numbers)] = numbers
+        starts = self.used + np.cumsum(sizes) - sizes
+        self.used, self.count = self.used + len(numbers), self.count + len(hashes)
+        at, todo = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes))
+        while len(todo):
+            free = todo[self.sizes[at[todo]] < 0]
+            # Of several for one slot the last one written gets it.
+            self.keys[at[free]] = hashes[free]
+            won = free[self.keys[at[free]] == hashes[free]]
+            self.starts[at[won]], self.sizes[at[won]] = starts[won], sizes[won]
+            if leads is not None:
+                self.leads[at[won]] = leads[won]
+            left = np.ones(len(hashes), dtype=bool)
+            left[won] = False
+            todo = todo[left[todo]]
+            at[todo] = at[todo] + 1 & self.mask
+
+
+class Generations:
+    """Two tables: once the young one is full it becomes the old one, and what is asked for again moves to the young, so what is frequent stays."""
+
+    def __init__(self, room: int, kind: np.dtype) -> None:
+        self.room, self.kind = room, kind
+        self.young, self.old = PoolTable(room, kind), PoolTable(1, kind)
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        """Slots of the young table, -1 for hashes that neither holds."""
+        slot = self.young.find(hashes)
+        left = np.flatnonzero(slot < 0)
+        if len(left) and self.old.count:
+            there = self.old.find(hashes[left])
+            left, there = left[there >= 0], there[there >= 0]
+            _, one = np.unique(hashes[left], return_index=True)
+            spot = there[one]
+            if self.young.count + len(spot) <= self.young.mask // 2:
+                sizes = self.old.sizes[spot].astype(np.int64)
+                self.young.put(hashes[left[one]], sizes, self.old.pool[spread(self.old.starts[spot].astype(np.int64), sizes)], self.old.leads[spot])
+                slot[left] = self.young.find(hashes[left])
+        return slot
+
+    def complete(self, hashes: np.ndarray, make) -> np.ndarray:
+        """Slots of all hashes in the young table. make(rows) gives, for rows with the distinct new hashes, an order of them and in this order their sizes, numbers and leads."""
+        slot = self.find(hashes)
+        left = np.flatnonzero(slot < 0)
+        if not len(left):
+            return slot
+        fresh, one = np.unique(hashes[left], return_index=True)
+        if self.young.count + len(fresh) > self.room:
+            self.young, self.old = PoolTable(max(self.room, len(hashes)), self.kind), self.young
+            self.find(hashes)
+            left = np.flatnonzero(self.young.find(hashes) < 0)
+            fresh, one = np.unique(hashes[left], return_index=True)
+        if len(fresh):
+            order, sizes, numbers, leads = make(left[one])
+            self.young.put(fresh[order], sizes, numbers, None if leads is None else leads)
+        return self.young.find(hashes)

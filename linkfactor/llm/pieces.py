@@ -2,43 +2,52 @@
 
 Encoding follows an agenda: of all adjacent pairs whose union is a piece, the best-scored
 (leftmost of equals) is merged, until none is left. With dropout a candidate is skipped for
-good if a hash of (seed, variant, left piece, right piece, place) falls below the rate, so a
-text has as many segmentations as there are seeds and variants, each of them repeatable on
-any machine. A document's variant is a hash of the seed and its key.
+good if a hash of (seed, document key, place of the part in the text, left piece, right
+piece, place in the part) falls below the rate: every occurrence draws for itself, and
+draws the same again on any machine.
 
 No piece holds a space after another character, so texts are cut before runs of spaces and
-the parts' ids joined. Parts are encoded once per worker and variant: many at a time by
-array rounds that make each part's best merge, very long ones by a heap; both give the
-agenda's result. Spaces are written as the model's space mark behind a leading one; a
-literal mark and characters without a piece become byte pieces, so decoding is lossless.
+the parts' ids joined. A worker keeps, for a part and a set of skipped candidates, the ids
+and the merges made. An occurrence looks its part up without skips and draws for the merges
+that were made there; where one is skipped it goes on with that set, until no merge made is
+a skipped one, which is the agenda's own result. New entries are made by array rounds over
+many parts, each round making the best merge of every part; very long parts go through a heap.
+Spaces are written as the model's space mark behind a leading one; a literal mark and
+characters without a piece become byte pieces, so decoding is lossless.
 
 Defined results: null and empty texts have no ids and decode to the empty text; repeated
-rows get equal ids; null keys share one variant; an empty table gives an empty result;
-extra columns aren't read.
+rows get equal ids; null keys draw alike; an empty table gives an empty result; extra
+columns aren't read. Decoding writes U+FFFD for ids that aren't in the vocabulary and for
+bytes that are no UTF-8 (as in a list cut inside a character).
 """
 
 from __future__ import annotations
 
 import heapq
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import mix
+from .kernels import Block, Generations, blocks, mix, spread
 
 U64 = np.uint64
-RATE, SEED, VARIANTS = 0.1, 20_240_601, 4
-#: Parts of more characters than this go through the heap.
-LONG = 48
-#: Parts that a worker keeps the ids of for each variant.
-CACHE_PARTS = 250_000
+RATE, SEED = 0.1, 20_240_601
+#: Parts of so many bytes go through the heap.
+LONG = 64
+#: Entries in each of the two generations that a worker keeps, and bytes of text that are encoded at a time.
+CACHE_PARTS, SLICE_BYTES = 600_000, 2 << 20
 MARK = "▁"
 _SPACES = re.compile(r" *[^ ]+| +")
+UNEVEN = r"  |\A | \z"
+_SPACE = np.zeros(256, dtype=bool)
+_SPACE[32] = True
+_PLACE, _OFFSET, _SKIP = U64(0xD6E8FEB86659FD93), U64(0x9E3779B97F4A7C15), U64(0xA24BAED4963EE407)
 _MASK = (1 << 64) - 1
 _NONE = np.int64(1) << 60
 
@@ -129,45 +138,54 @@ class PieceCoder:
             self.bytes_of[i] = bytes([b])
         self.key, self.limit = _mix_int(seed), int(rate * (1 << 64))
         self.kind = np.dtype("<u2" if n <= 1 << 16 else "<u4")
-        self.kept: dict[int, dict[str, bytes]] = {}
-
-    def skipped(self, variant: int, left: np.ndarray, right: np.ndarray, place: np.ndarray) -> np.ndarray:
-        if not self.limit:
-            return np.zeros(len(left), dtype=bool)
-        salt = U64(_mix_int(self.key ^ variant))
-        return mix(mix(left.astype(U64) << U64(32) | right.astype(U64)) ^ salt ^ place.astype(U64) * U64(0xD6E8FEB86659FD93)) < U64(min(self.limit, _MASK))
-
-    def _final(self, symbols: list[int], chars: str) -> bytes:
-        """Ids of a part's last symbols (below 0: a character without one)."""
-        out: list[int] = []
-        for s in symbols:
-            if 0 <= s < self.last_piece:
-                out.append(s)
-            else:
-                c = self.characters[s] if s >= 0 else chr(-s - 2)
-                out += self.byte_ids[list(c.encode())].tolist()
-        return np.array(out, dtype=self.kind).tobytes()
+        self.known = Generations(CACHE_PARTS, np.dtype(np.uint64))
+        self.piece_bytes = pa.array(self.bytes_of, type=pa.binary())
+        self.piece_sizes = np.array([len(x) for x in self.bytes_of])
+
+    def salts(self, doc_salt: np.ndarray, offset: np.ndarray) -> np.ndarray:
+        """What each part's draws go by: the seed, its document, and where it begins."""
+        return mix(mix(doc_salt.view(U64) ^ U64(self.key)) ^ offset.astype(U64) * _OFFSET)
+
+    @staticmethod
+    def codes(left: np.ndarray, right: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """A number for each candidate of a part."""
+        return mix(left.astype(U64) << U64(32) | right.astype(U64)) ^ place.astype(U64) * _PLACE
+
+    def drawn(self, codes: np.ndarray, salts: np.ndarray) -> np.ndarray:
+        """Which candidates are skipped."""
+        return mix(codes ^ salts) < U64(min(self.limit, _MASK)) if self.limit else np.zeros(len(codes), dtype=bool)
+
+    def _final(self, symbols: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of parts' last symbols (below 0 or from last_piece on: a character without a piece, which becomes its bytes), and the part of each."""
+        odd = np.flatnonzero((symbols < 0) | (symbols >= self.last_piece))
+        if not len(odd):
+            return symbols, owner
+        bytes_of = [list((self.characters[s] if s >= 0 else chr(-s - 2)).encode()) for s in symbols[odd].tolist()]
+        sizes = np.ones(len(symbols), dtype=np.int64)
+        sizes[odd] = [len(x) for x in bytes_of]
+        out = np.repeat(symbols, sizes)
+        out[spread((np.cumsum(sizes) - sizes)[odd], sizes[odd])] = self.byte_ids[np.array([b for x in bytes_of for b in x], dtype=np.int64)]
+        return out, np.repeat(owner, sizes)
 
     def _symbols(self, text: str) -> np.ndarray:
         codes = np.frombuffer(text.encode("utf-32-le"), dtype="<u4").astype(np.int64)
         found = self.of_char[codes]
         return np.where(found >= 0, found, -codes - 2)
 
-    def by_heap(self, part: str, variant: int) -> bytes:
-        """One part (with its leading spaces) by a heap of candidates."""
+    def by_heap(self, part: str, salt: int) -> np.ndarray:
+        """Ids of one part (with its leading spaces) by a heap of candidates."""
         symbols = self._symbols(part).tolist()
         n = len(symbols)
         after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
         agenda: list[tuple[int, int, int, int, int]] = []
-        salt = _mix_int(self.key ^ variant)
 
         def add(i: int, j: int) -> None:
             a, b = symbols[i], symbols[j]
             merged = self.lookup.get((a, b), -1)
             if merged < 0:
                 return
-            h = _mix_int(_mix_int((a & _MASK) << 32 & _MASK | b) ^ salt ^ i * 0xD6E8FEB86659FD93 & _MASK) if self.limit else 1
-            if h >= self.limit:
+            code = _mix_int((a & _MASK) << 32 & _MASK | b) ^ i * int(_PLACE) & _MASK
+            if not self.limit or _mix_int(code ^ salt) >= self.limit:
                 heapq.heappush(agenda, (int(self.rank[merged]), i, a, b, merged))
 
         for i in range(n - 1):
@@ -183,15 +201,19 @@ class PieceCoder:
                 add(i, after[i])
             if before[i] >= 0:
                 add(before[i], i)
-        return self._final([s for s, ok in zip(symbols, alive, strict=True) if ok], part)
+        last = np.array([s for s, ok in zip(symbols, alive, strict=True) if ok], dtype=np.int64)
+        return self._final(last, np.zeros(len(last), dtype=np.int64))[0]
 
-    def by_rounds(self, parts: list[str], variant: int) -> list[bytes]:
-        """Many parts at once: a round makes the best merge of each that has one."""
+    def by_rounds(self, parts: list[str], skips: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Many short parts at once: a round makes the best merge of each that has one.
+
+        skips(codes, parts) tells the skipped candidates. Returns the ids, their number for each part, the codes of the merges made, and their number for each part.
+        """
         sizes = np.array([len(p) for p in parts])
         symbols, own = self._symbols("".join(parts)), np.repeat(np.arange(len(parts)), sizes)
         place = np.arange(len(symbols)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-        done_symbols, done_own = [], []
-        merged = np.full(len(symbols), -1, dtype=np.int64)
+        done_symbols, done_own, made_codes, made_own = [], [], [np.zeros(0, dtype=U64)], [np.zeros(0, dtype=np.int64)]
+        merged, code = np.full(len(symbols), -1, dtype=np.int64), np.zeros(len(symbols), dtype=U64)
         fresh = np.arange(len(symbols))
         while len(symbols):
             # Look only the pairs up that the last round made.
@@ -201,7 +223,8 @@ class PieceCoder:
             made = self.pairs.get(symbols[fresh], symbols[fresh + 1])
             some = made >= 0
             fresh, made = fresh[some], made[some]
-            merged[fresh] = np.where(self.skipped(variant, symbols[fresh], symbols[fresh + 1], place[fresh]), -1, made)
+            code[fresh] = self.codes(symbols[fresh], symbols[fresh + 1], place[fresh])
+            merged[fresh] = np.where(skips(code[fresh], own[fresh]), -1, made)
             merged[-1] = -1
             cost = np.where(merged >= 0, self.rank[merged] << 8 | place, _NONE)
             head = np.concatenate([[True], own[1:] != own[:-1]])
@@ -212,11 +235,13 @@ class PieceCoder:
                 stays = np.repeat(going, np.diff(np.append(starts, len(symbols))))
                 done_symbols.append(symbols[~stays])
                 done_own.append(own[~stays])
-                symbols, own, place, merged, cost, head = (x[stays] for x in (symbols, own, place, merged, cost, head))
+                symbols, own, place, merged, code, cost, head = (x[stays] for x in (symbols, own, place, merged, code, cost, head))
                 best = best[going]
             if not len(symbols):
                 break
             at = np.flatnonzero(cost == best[np.cumsum(head) - 1])
+            made_codes.append(code[at])
+            made_own.append(own[at])
             symbols[at] = merged[at]
             keep = np.ones(len(symbols), dtype=bool)
             keep[at + 1] = False
@@ -224,47 +249,136 @@ class PieceCoder:
             spots = new[at]
             fresh = np.concatenate([spots, spots[spots > 0] - 1])
             # The pair that began at the swallowed symbol now begins at the merged one.
-            symbols, own, place, merged = symbols[keep], own[keep], place[keep], merged[keep]
+            symbols, own, place, merged, code = symbols[keep], own[keep], place[keep], merged[keep], code[keep]
         every, owner = np.concatenate(done_symbols), np.concatenate(done_own)
         order = np.argsort(owner, kind="stable")
-        every, owner = every[order], owner[order]
-        bounds = np.searchsorted(owner, np.arange(len(parts) + 1))
-        odd = np.zeros(len(parts), dtype=bool)
-        odd[owner[(every < 0) | (every >= self.last_piece)]] = True
-        raw, width, cuts = every.astype(self.kind).tobytes(), self.kind.itemsize, bounds.tolist()
-        return [self._final(every[a:b].tolist(), p) if o else raw[a * width : b * width] for p, o, a, b in zip(parts, odd.tolist(), cuts[:-1], cuts[1:], strict=True)]
-
-    def _fetch(self, parts: list[str], variant: int) -> list[bytes]:
-        kept = self.kept.setdefault(variant, {})
-        found = list(map(kept.get, parts))
-        gaps = [i for i, x in enumerate(found) if x is None]
-        if gaps:
-            wanted = list({parts[i] for i in gaps})
-            short = [p for p in wanted if len(p) < LONG]
-            learnt = {p: self.by_heap(" " + p, variant) for p in wanted if len(p) >= LONG}
-            for at in range(0, len(short), 20_000):
-                some = short[at : at + 20_000]
-                learnt.update(zip(some, self.by_rounds([" " + p for p in some], variant), strict=True))
-            for i in gaps:
-                found[i] = learnt[parts[i]]
-            if len(kept) + len(learnt) <= CACHE_PARTS:
-                kept.update((p, x) for p, x in learnt.items() if len(p) < LONG)
-        return found
-
-    def encode(self, texts: list[str], variant: int) -> list[np.ndarray]:
-        split = []
-        for t in texts:
-            parts = t.split(" ") if t else []
-            # Each part stands for itself behind one space; runs of spaces keep the rest of them.
-            split.append([u[1:] for u in _SPACES.findall(" " + t)] if "" in parts else parts)
-        ids, out, at = self._fetch([p for x in split for p in x], variant), [], 0
-        for x in split:
-            out.append(np.frombuffer(b"".join(ids[at : at + len(x)]), dtype=self.kind))
-            at += len(x)
-        return out
+        ids, owner = self._final(every[order], owner[order])
+        codes, made_by = np.concatenate(made_codes), np.concatenate(made_own)
+        order = np.argsort(made_by, kind="stable")
+        return ids, np.bincount(owner, minlength=len(parts)), codes[order], np.bincount(made_by, minlength=len(parts))
+
+    def _even(self, block: Block, doc_salt: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of texts with single spaces between words only, and their number for each text."""
+        lo, hi, firsts = block.spans(_SPACE)
+        raw = block.data.tobytes()
+        owner = np.repeat(np.arange(block.n), np.diff(firsts))
+        salts = self.salts(doc_salt[owner], lo - block.bounds[owner])
+        found_of, found_sizes, found_ids = [], [], []
+        for i in np.flatnonzero(hi - lo >= LONG).tolist():
+            ids = self.by_heap(" " + raw[lo[i] : hi[i]].decode(), int(salts[i]))
+            found_of.append(np.array([i]))
+            found_sizes.append(np.array([len(ids)]))
+            found_ids.append(ids)
+        todo = np.flatnonzero(hi - lo < LONG)
+        key, skipped = block.span_hashes(lo[todo], hi[todo]), []
+        while len(todo):
+
+            def make(rows: np.ndarray) -> tuple:
+                words = [" " + raw[a:b].decode() for a, b in zip(lo[todo[rows]].tolist(), hi[todo[rows]].tolist(), strict=True)]
+                own_skips = [column[rows] for column in skipped]
+
+                def skips(codes: np.ndarray, parts: np.ndarray) -> np.ndarray:
+                    hit = np.zeros(len(codes), dtype=bool)
+                    for column in own_skips:
+                        hit |= column[parts] == codes
+                    return hit
+
+                ids, sizes, codes, leads = self.by_rounds(words, skips)
+                # Codes first, then ids, part by part.
+                both = np.empty(len(ids) + len(codes), dtype=U64)
+                begin = np.cumsum(sizes + leads) - sizes - leads
+                both[spread(begin, leads)] = codes
+                both[spread(begin + leads, sizes)] = ids.astype(U64)
+                return np.arange(len(rows)), sizes + leads, both, leads
+
+            slot = self.known.complete(key, make)
+            table = self.known.young
+            starts, leads, sizes = (x[slot].astype(np.int64) for x in (table.starts, table.leads, table.sizes))
+            of = np.repeat(np.arange(len(todo)), leads)
+            codes = table.pool[spread(starts, leads)]
+            hit = self.drawn(codes, salts[todo][of])
+            codes, of = codes[hit], of[hit]
+            more = np.bincount(of, minlength=len(todo))
+            done = more == 0
+            found_of.append(todo[done])
+            found_sizes.append((sizes - leads)[done])
+            found_ids.append(table.pool[spread((starts + leads)[done], (sizes - leads)[done])].astype(np.int64))
+            rest = np.flatnonzero(~done)
+            # The sets of skipped candidates grow, and the keys with them.
+            turn = np.arange(len(of)) - np.repeat(np.cumsum(more[rest]) - more[rest], more[rest])
+            place = np.cumsum(~done)[of] - 1
+            skipped = [column[rest] for column in skipped]
+            for k in range(int(more.max(initial=0))):
+                column = np.zeros(len(rest), dtype=U64)
+                column[place[turn == k]] = codes[turn == k]
+                skipped.append(column)
+            key = key[rest]
+            if len(rest):
+                key = key ^ np.bitwise_xor.reduceat(mix(codes ^ _SKIP), np.cumsum(more[rest]) - more[rest])
+            todo = todo[rest]
+        of, sizes = (np.concatenate([np.zeros(0, dtype=np.int64), *x]) for x in (found_of, found_sizes))
+        pool = np.concatenate([np.zeros(0, dtype=np.int64), *found_ids])
+        starts, counts = np.empty(len(lo), dtype=np.int64), np.empty(len(lo), dtype=np.int64)
+        starts[of], counts[of] = np.cumsum(sizes) - sizes, sizes
+        return pool[spread(starts, counts)], np.diff(np.concatenate([[0], np.cumsum(counts)])[firsts])
+
+    def _uneven(self, texts: list[str], doc_salt: np.ndarray) -> list[np.ndarray]:
+        """Ids of texts with runs of spaces, part by part: those short enough in rounds, the others by the heap."""
+        parts, of, offset = [], [], []
+        for i, text in enumerate(texts):
+            at = 0
+            for part in _SPACES.findall(" " + text):
+                parts.append(part)
+                of.append(i)
+                offset.append(at)
+                at += len(part.encode())
+        salts = self.salts(doc_salt[of], np.array(offset, dtype=np.int64)) if parts else np.zeros(0, dtype=U64)
+        ids: list[np.ndarray] = [np.zeros(0, dtype=np.int64)] * len(parts)
+        short = [i for i, p in enumerate(parts) if len(p) < LONG]
+        if short:
+            own = salts[short]
+            flat, sizes, _, _ = self.by_rounds([parts[i] for i in short], lambda codes, which: self.drawn(codes, own[which]))
+            for i, x in zip(short, np.split(flat, np.cumsum(sizes)[:-1]), strict=True):
+                ids[i] = x
+        for i, p in enumerate(parts):
+            if len(p) >= LONG:
+                ids[i] = self.by_heap(p, int(salts[i]))
+        bounds = np.searchsorted(np.array(of, dtype=np.int64), np.arange(len(texts) + 1)).tolist()
+        return [np.concatenate([np.zeros(0, dtype=np.int64), *ids[a:b]]) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+
+    def encode(self, texts: pa.Array, doc_salt: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """All ids, and the number of ids of each text; texts: strings without nulls, doc_salt: a long for each."""
+        slow = pc.match_substring_regex(texts, UNEVEN).to_numpy(zero_copy_only=False)
+        fast = texts if not slow.any() else texts.filter(pa.array(~slow))
+        salt = doc_salt[~slow]
+        found = [self._even(block, salt[block.first : block.first + block.n]) for block in blocks(fast, 2 * SLICE_BYTES)]
+        ids, sizes = (np.concatenate([np.zeros(0, dtype=np.int64), *[f[k] for f in found]]) for k in (0, 1))
+        if not slow.any():
+            return ids, sizes
+        rest = self._uneven(texts.filter(pa.array(slow)).to_pylist(), doc_salt[slow])
+        every, starts = np.empty(len(texts), dtype=np.int64), np.empty(len(texts), dtype=np.int64)
+        every[~slow], every[slow] = sizes, [len(x) for x in rest]
+        starts[~slow] = np.cumsum(sizes) - sizes
+        starts[slow] = len(ids) + np.cumsum(every[slow]) - every[slow]
+        return np.concatenate([ids, *rest])[spread(starts, every)], every
 
     def decode(self, ids: np.ndarray) -> str:
-        return b"".join(map(self.bytes_of.__getitem__, ids.tolist())).decode()[1:]
+        known = [self.bytes_of[i] if 0 <= i < self.last_piece else "\ufffd".encode() for i in ids.tolist()]
+        return b"".join(known).decode(errors="replace")[1:]
+
+    def is_text(self, ids: np.ndarray, sizes: np.ndarray, texts: pa.Array) -> np.ndarray:
+        """Whether each text's ids decode to it, all bytes of it being compared."""
+        lengths = np.concatenate([[0], np.cumsum(self.piece_sizes[ids])])
+        bounds = np.concatenate([[0], np.cumsum(sizes)])
+        spelled = lengths[bounds]
+        raw = [b" " + t if t else b"" for t in texts.cast(pa.large_binary()).to_numpy(zero_copy_only=False).tolist()]
+        same = np.diff(spelled) == [len(x) for x in raw]
+        if not same.all():
+            return np.array([self.decode(ids[a:b]) == t for a, b, t in zip(bounds[:-1], bounds[1:], texts.to_pylist(), strict=True)], dtype=bool)
+        data = self.piece_bytes.take(pa.array(ids)).buffers()[2]
+        made = np.frombuffer(data, dtype=np.uint8)[: spelled[-1]] if data is not None else np.zeros(0, dtype=np.uint8)
+        wrong = np.concatenate([[0], np.cumsum(made != np.frombuffer(b"".join(raw), dtype=np.uint8))])[spelled]
+        return np.diff(wrong) == 0
 
 
 @cache
@@ -272,28 +386,27 @@ def _coder(model_file: str, seed: int, rate: float) -> PieceCoder:
     return PieceCoder(model_file, seed, rate)
 
 
-def encode_pieces(docs: DataFrame, model_file: str, key: str = "doc_id", text: str = "text", seed: int = SEED, rate: float = RATE, variants: int = VARIANTS) -> DataFrame:
-    """key, variant, ids, n_tokens and lossless (the ids decode to the text) of every text."""
-    named = docs.select(F.col(key).alias("key"), F.pmod(F.xxhash64(F.lit(seed), F.coalesce(F.col(key).cast("string"), F.lit(""))), F.lit(variants)).cast("int").alias("variant"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+def encode_pieces(docs: DataFrame, model_file: str, key: str = "doc_id", text: str = "text", seed: int = SEED, rate: float = RATE) -> DataFrame:
+    """key, ids, n_tokens and lossless (the ids decode to the text) of every text."""
+    salt = F.xxhash64(F.lit("dropout"), F.coalesce(F.col(key).cast("string"), F.lit("")))
+    named = docs.select(F.col(key).alias("key"), salt.alias("salt"), F.coalesce(F.col(text), F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = _coder(model_file, seed, rate)
         for whole in batches:
-            for first in range(0, whole.num_rows, 1000):
-                batch = whole.slice(first, 1000)
-                texts, variant = batch.column("text").to_pylist(), batch.column("variant").to_numpy()
-                ids: list = [None] * len(texts)
-                for v in np.unique(variant).tolist():
-                    rows = np.flatnonzero(variant == v).tolist()
-                    for i, x in zip(rows, coder.encode([texts[i] for i in rows], v), strict=True):
-                        ids[i] = x
-                bounds = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
-                flat = pa.array(np.concatenate(ids).astype(np.int32) if ids else np.zeros(0, dtype=np.int32))
-                same = pa.array([coder.decode(x) == t for x, t in zip(ids, texts, strict=True)], type=pa.bool_())
-                yield pa.RecordBatch.from_arrays([batch.column("key"), batch.column("variant"), pa.ListArray.from_arrays(pa.array(bounds), flat), pa.array(np.diff(bounds).astype(np.int64)), same], names=["key", "variant", "ids", "n_tokens", "lossless"])
+            sizes = np.cumsum(pc.binary_length(whole.column("text")).to_numpy().astype(np.int64))
+            at = 0
+            while at < whole.num_rows:
+                until = max(at + 1, int(np.searchsorted(sizes, (sizes[at - 1] if at else 0) + SLICE_BYTES, "right")))
+                batch = whole.slice(at, until - at)
+                texts, at = pa.concat_arrays([batch.column("text")]), until
+                ids, counts = coder.encode(texts, batch.column("salt").to_numpy())
+                bounds = np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)
+                lists = pa.ListArray.from_arrays(pa.array(bounds), pa.array(ids.astype(np.int32)))
+                yield pa.RecordBatch.from_arrays([batch.column("key"), lists, pa.array(counts), pa.array(coder.is_text(ids, counts, texts))], names=["key", "ids", "n_tokens", "lossless"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return named.mapInArrow(run, f"key {kind}, variant int, ids array<int>, n_tokens long, lossless boolean").withColumnRenamed("key", key)
+    return named.mapInArrow(run, f"key {kind}, ids array<int>, n_tokens long, lossless boolean").withColumnRenamed("key", key)
 
 
 def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: str = "text") -> DataFrame:

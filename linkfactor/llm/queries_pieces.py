@@ -17,7 +17,7 @@ def model_path() -> str:
 
 
 def op2_sentencepiece(spark: SparkSession, sf_dir: str, model_file: str | None = None) -> DataFrame:
-    """All documents with merge-dropout, decoded again: doc_id, variant, ids, n_tokens and lossless."""
+    """All documents with merge-dropout, decoded again: doc_id, ids, n_tokens and lossless."""
     return pieces.encode_pieces(table(spark, sf_dir, "documents").select("doc_id", "text"), model_file or model_path())
 
 

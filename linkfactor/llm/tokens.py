@@ -35,7 +35,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import Block, blocks, mix
+from .kernels import Block, Generations, blocks, mix, spread
 
 U64 = np.uint64
 MAGIC = 0x31485052
@@ -44,7 +44,7 @@ END_ID = 2
 CACHE_PIECES = 1_000_000
 NULL_KEY = -(1 << 63)
 #: Bytes of text that are encoded at a time (a longer text stands alone).
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 3 << 20
 
 #: Any white space but single blanks and newlines between words.
 UNEVEN = r"[\t\x0b-\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{180e}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]|[ \n][ \n]|\A[ \n]|[ \n]\z"
@@ -70,51 +70,6 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(odd) if b != 32}
 
 
-class IdTable:
-    """Ids of pieces by the pieces' 64-bit hashes: open addressing over one pool of ids."""
-
-    def __init__(self, room: int, kind: np.dtype) -> None:
-        self.mask = (1 << int(2 * room - 1).bit_length()) - 1
-        self.keys, self.starts, self.sizes = np.zeros(self.mask + 1, dtype=U64), np.zeros(self.mask + 1, dtype=np.int32), np.full(self.mask + 1, -1, dtype=np.int32)
-        self.pool, self.used, self.count = np.zeros(1 << 16, dtype=kind), 0, 0
-
-    def find(self, hashes: np.ndarray) -> np.ndarray:
-        """The slot of each hash, -1 where it isn't there."""
-        at, todo, out = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes)), np.full(len(hashes), -1, dtype=np.int64)
-        while len(todo):
-            spot = at[todo]
-            filled = self.sizes[spot] >= 0
-            hit = filled & (self.keys[spot] == hashes[todo])
-            out[todo[hit]] = spot[hit]
-            todo = todo[filled & ~hit]
-            at[todo] = at[todo] + 1 & self.mask
-        return out
-
-    def put(self, hashes: np.ndarray, sizes: np.ndarray, ids: np.ndarray) -> None:
-        """Distinct hashes that aren't there, the number of ids of each, and all ids."""
-        while self.used + len(ids) > len(self.pool):
-            self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
-        self.pool[self.used : self.used + len(ids)] = ids
-        starts = self.used + np.cumsum(sizes) - sizes
-        self.used, self.count = self.used + len(ids), self.count + len(hashes)
-        at, todo = (hashes >> U64(20)).astype(np.int64) & self.mask, np.arange(len(hashes))
-        while len(todo):
-            free = todo[self.sizes[at[todo]] < 0]
-            # Of several for one slot the last one written gets it.
-            self.keys[at[free]] = hashes[free]
-            won = free[self.keys[at[free]] == hashes[free]]
-            self.starts[at[won]], self.sizes[at[won]] = starts[won], sizes[won]
-            left = np.ones(len(hashes), dtype=bool)
-            left[won] = False
-            todo = todo[left[todo]]
-            at[todo] = at[todo] + 1 & self.mask
-
-
-def spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """The numbers from each start on, as many as its size, one run after the other."""
-    return np.arange(int(sizes.sum())) + np.repeat(starts - (np.cumsum(sizes) - sizes), sizes)
-
-
 class PieceEncoder:
     """The tokenizer's ids by pieces between safe cuts; pieces that a worker knows aren't encoded again.
 
@@ -148,7 +103,7 @@ class PieceEncoder:
         (self.newline,) = self._single(["\n"])
         self.stops = np.zeros(256, dtype=self.kind)
         self.stops[list(STOPS)] = [x[0] for x in self._single([chr(c) for c in STOPS])]
-        self.young, self.old = IdTable(CACHE_PIECES, self.kind), IdTable(1, self.kind)
+        self.known = Generations(CACHE_PIECES, self.kind)
 
     def _single(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, dtype=self.kind) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -182,19 +137,6 @@ class PieceEncoder:
         counts.append(np.array([len(x) for x in rest], dtype=np.int64))
         return np.concatenate(order), np.concatenate(counts), np.concatenate([*ids, *rest]) if rest else np.concatenate(ids)
 
-    def _known(self, hashes: np.ndarray) -> np.ndarray:
-        """Slots of the young table, where pieces that only the old one holds are put first; -1 for others."""
-        slot = self.young.find(hashes)
-        left = np.flatnonzero(slot < 0)
-        if len(left) and self.old.count:
-            there = self.old.find(hashes[left])
-            left, there = left[there >= 0], there[there >= 0]
-            _, one = np.unique(hashes[left], return_index=True)
-            sizes = self.old.sizes[there[one]].astype(np.int64)
-            self.young.put(hashes[left[one]], sizes, self.old.pool[spread(self.old.starts[there[one]].astype(np.int64), sizes)])
-            slot[left] = self.young.find(hashes[left])
-        return slot
-
     def _even(self, block: Block) -> tuple[np.ndarray, np.ndarray]:
         """Ids of a block of texts of single blanks and newlines, each followed by the end id, and their number for each text."""
         data, bounds = block.data, block.bounds
@@ -207,31 +149,20 @@ class PieceEncoder:
         stopped = (hi - lo > 1) & (odd[hi] - odd[lo] == 1) & _STOP[data[hi - 1]] if len(data) else first
         cut = hi - stopped
         hashes = block.span_hashes(lo, cut) ^ front * _FRONT
-        if self.young.count + len(hashes) > CACHE_PIECES and self.young.count:
-            # So many new ones may come that the table would be full: the young one becomes the old one first.
-            known = self.young.find(hashes) >= 0
-            if self.young.count + len(np.unique(hashes[~known])) > CACHE_PIECES:
-                self.young, self.old = IdTable(max(CACHE_PIECES, len(hashes)), self.kind), self.young
-        slot = self._known(hashes)
-        left = np.flatnonzero(slot < 0)
-        if len(left):
-            fresh, one = np.unique(hashes[left], return_index=True)
-            rows, raw = left[one], data.tobytes()
-            order, sizes, ids = self._fresh([raw[a:b].decode() for a, b in zip(lo[rows].tolist(), cut[rows].tolist(), strict=True)], front[rows])
-            if self.young.count + len(fresh) > (self.young.mask + 1) // 2:
-                self.young, self.old = IdTable(max(CACHE_PIECES, len(hashes)), self.kind), self.young
-                self.young.put(fresh[order], sizes, ids)
-                slot = self._known(hashes)
-            else:
-                self.young.put(fresh[order], sizes, ids)
-                slot[left] = self.young.find(hashes[left])
-        sizes, starts = self.young.sizes[slot].astype(np.int64), self.young.starts[slot].astype(np.int64)
+        raw = data.tobytes()
+
+        def make(rows: np.ndarray) -> tuple:
+            return *self._fresh([raw[a:b].decode() for a, b in zip(lo[rows].tolist(), cut[rows].tolist(), strict=True)], front[rows]), None
+
+        slot = self.known.complete(hashes, make)
+        table = self.known.young
+        sizes, starts = table.sizes[slot].astype(np.int64), table.starts[slot].astype(np.int64)
         # Each piece with a newline's id before and a stop's behind, where it has them; an end id behind each text.
         whole = sizes + newline + stopped
         owner = np.repeat(np.arange(block.n), np.diff(firsts))
         at = np.cumsum(whole) - whole + owner
         out = np.empty(int(whole.sum()) + block.n, dtype=self.kind)
-        out[spread(at + newline, sizes)] = self.young.pool[spread(starts, sizes)]
+        out[spread(at + newline, sizes)] = table.pool[spread(starts, sizes)]
         out[at[newline]] = self.newline[0]
         out[(at + whole - 1)[stopped]] = self.stops[data[hi[stopped] - 1]]
         total = np.concatenate([[0], np.cumsum(whole)])[firsts]

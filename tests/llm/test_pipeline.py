@@ -3,14 +3,16 @@
 import math
 from hashlib import md5
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
 from linkfactor.llm import mixing
 from linkfactor.llm.cluster import table
-from linkfactor.llm.pieces import PieceCoder
-from linkfactor.llm.queries_pieces import model_path
+from linkfactor.llm.pieces import RATE, SEED
 
 from .test_lines import plain_dedup
 from .test_near import plain_components
+from .test_pieces import Agenda
 
 MID = "/root/testdata/sf0.01"
 
@@ -60,10 +62,11 @@ def test_pipeline_on_its_own_stages(spark):
     assert mixed.columns == docs.columns
 
     coded = corpus_pipeline.encode_pieces(spark, mixed, MID).collect()
-    coder = PieceCoder(model_path())
     assert len(coded) == sum(counts.values())
-    for r in coded[:200]:
-        assert r.lossless and r.ids == coder.encode([rows[r.doc_id].text], r.variant)[0].tolist()
+    agenda = Agenda(SEED, RATE)
+    salt = {r.doc_id: r.salt for r in mixed.select("doc_id", F.xxhash64(F.lit("dropout"), F.col("doc_id").cast("string")).alias("salt")).distinct().collect()}
+    for r in coded[:20]:
+        assert r.lossless and r.ids == agenda.text(rows[r.doc_id].text, salt[r.doc_id])
 
 
 def test_run(spark):
