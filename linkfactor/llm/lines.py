@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from .bloom import prefilter, split
 from .cluster import settle, settle_table
-from .kernels import Block, blocks, distinct, mix, one_permutation, pack_rows, sorted_sets
+from .kernels import Block, blocks, distinct, frugal, mix, one_permutation, pack_rows, sorted_sets
 from .near import components, fixed_filter
 from .near_docs import band_hashes, list_array, sketch_longs
 
@@ -109,7 +109,7 @@ def line_table(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
                 yield pa.RecordBatch.from_arrays([keys.take(pa.array(owner[place] + block.first)), pa.array(number[place].astype(np.int32)), pa.array(ids[place].view(np.int64)), bands], names=["key", "number", "id", "bands"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"key {kind}, number int, id long, bands binary")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(frugal(run), f"key {kind}, number int, id long, bands binary")
 
 
 def line_texts(docs: DataFrame, wanted: DataFrame, text: str = "text") -> DataFrame:
@@ -125,7 +125,7 @@ def line_texts(docs: DataFrame, wanted: DataFrame, text: str = "text") -> DataFr
                 raw, one = block.data.tobytes(), some[one]
                 yield pa.RecordBatch.from_arrays([pa.array(ids.view(np.int64)), pa.array([raw[a:b] for a, b in zip(lo[one].tolist(), hi[one].tolist(), strict=True)], type=pa.binary())], names=["id", "line"])
 
-    return docs.select(F.col(text).alias("text")).mapInArrow(run, "id long, line binary")
+    return docs.select(F.col(text).alias("text")).mapInArrow(frugal(run), "id long, line binary")
 
 
 def line_sketches(lines: DataFrame) -> DataFrame:
@@ -138,7 +138,7 @@ def line_sketches(lines: DataFrame) -> DataFrame:
                 sketch = list_array(sketch_longs(one_permutation(values, bounds, SLOTS).astype(U64)))
                 yield pa.RecordBatch.from_arrays([batch.column("id").slice(block.first, block.n), pa.array(np.diff(bounds)), sketch], names=["id", "size", "sketch"])
 
-    return lines.select("id", "line").mapInArrow(run, "id long, size long, sketch array<long>")
+    return lines.select("id", "line").mapInArrow(frugal(run), "id long, size long, sketch array<long>")
 
 
 def line_roots(docs: DataFrame, table: DataFrame, key: str, text: str) -> DataFrame:
@@ -239,4 +239,4 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 
     spec = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in wide.schema.fields) + ", lines_lost long"
     untouched = whole.select(*[F.col("row")[c].alias(c) for c in names], F.lit(0).cast("bigint").alias("lines_lost"))
-    return joined.mapInArrow(run, spec).union(untouched)
+    return joined.mapInArrow(frugal(run), spec).union(untouched)

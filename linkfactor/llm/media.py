@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .kernels import frugal
+
 RATE = 8000
 UNIT = 192
 UNKNOWN = "application/octet-stream"
@@ -349,7 +351,7 @@ def sniff_media(frame: DataFrame, media: str = "media", declared: str = "declare
 
     frame = frame.drop(*fresh.names)
     spec = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in frame.schema.fields] + [SNIFF_TYPE])
-    return frame.mapInArrow(run, spec)
+    return frame.mapInArrow(frugal(run), spec)
 
 
 def store_texts(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -364,7 +366,7 @@ def store_texts(docs: DataFrame, text: str = "text") -> DataFrame:
             at = batch.schema.get_field_index("media")
             yield batch.set_column(at, "media", pa.array([wav_bytes(x.as_py()) for x in batch.column(at)], type=pa.binary()))
 
-    return padded.mapInArrow(run, padded.schema)
+    return padded.mapInArrow(frugal(run), padded.schema)
 
 
 def media_digests(stored: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -388,4 +390,4 @@ def media_digests(stored: DataFrame, key: str = "doc_id") -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(key), batch.column("n_bytes"), *columns], names=[key, "n_bytes", *names, "detected", "corrected", "carved"])
 
     kind = stored.schema[key].dataType.simpleString()
-    return stored.mapInArrow(run, f"`{key}` {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, detected string, corrected boolean, carved string")
+    return stored.mapInArrow(frugal(run), f"`{key}` {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, detected string, corrected boolean, carved string")

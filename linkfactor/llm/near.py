@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .cluster import settle
-from .kernels import Block, Overlap, blocks, distinct, mix, shared_by_pair, similar, unpack_rows
+from .kernels import Block, Overlap, blocks, distinct, frugal, mix, shared_by_pair, similar, unpack_rows
 
 U64 = np.uint64
 #: Bits (as a power of two) of the filters that travel to every task: 2 MB, whatever the input.
@@ -87,7 +87,7 @@ def fixed_filter(frame: DataFrame, column: str) -> FixedFilter:
             bits = np.bitwise_or.reduceat(U64(1) << (spot & 63).astype(U64), first) if len(first) else np.zeros(0, dtype=U64)
             yield pa.RecordBatch.from_arrays([pa.array(word), pa.array(bits.view(np.int64))], names=["word", "bits"])
 
-    marks = frame.select(column).mapInArrow(mark, "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()
+    marks = frame.select(column).mapInArrow(frugal(mark), "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()
     words = np.zeros(1 << (FILTER_POWER - 6), dtype=U64)
     words[marks.column("word").to_numpy()] = marks.column("bits").to_numpy().view(U64)
     return FixedFilter(frame.sparkSession.sparkContext.broadcast(words))
@@ -149,8 +149,8 @@ def shared_bands(items: DataFrame) -> DataFrame:
         band = distinct(np.concatenate(held)) >> U64(16)
         return pa.RecordBatch.from_arrays([pa.array(distinct(band[1:][band[1:] == band[:-1]]).view(np.int64))], names=["band"])
 
-    sent = items.select("id", "bands").mapInArrow(send, "part int, packed binary")
-    return sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(decide, "band long")
+    sent = items.select("id", "bands").mapInArrow(frugal(send), "part int, packed binary")
+    return sent.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(frugal(decide), "band long")
 
 
 def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
@@ -166,7 +166,7 @@ def band_members(items: DataFrame, shared: DataFrame) -> DataFrame:
             _, one = np.unique(mix(band) ^ item.view(U64), return_index=True)
             yield pa.RecordBatch.from_arrays([pa.array(band[one].view(np.int64)), pa.array(item[one])], names=["band", "id"])
 
-    some = items.select("id", "bands").mapInArrow(explode, "band long, id long")
+    some = items.select("id", "bands").mapInArrow(frugal(explode), "band long, id long")
     # An item may come from many tasks.
     return some.join(shared.withColumnRenamed("band", "key"), F.col("band") == F.col("key"), "left_semi").distinct()
 
@@ -315,7 +315,7 @@ def compare_cells(cells: DataFrame, texts_of: Callable[[DataFrame], DataFrame],
             if len(i):
                 yield from table.take(pa.array(np.unique(np.concatenate([i, j])))).combine_chunks().select(names).to_batches()
 
-    some = settle(flat.repartition("cell").sortWithinPartitions(*order).mapInArrow(thin, shape))
+    some = settle(flat.repartition("cell").sortWithinPartitions(*order).mapInArrow(frugal(thin), shape))
 
     def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         overlap = Overlap()
@@ -350,7 +350,7 @@ def compare_cells(cells: DataFrame, texts_of: Callable[[DataFrame], DataFrame],
 
     texts = texts_of(some.select("id").distinct())
     full = some.join(texts.select(F.col("id").alias("text_id"), "item"), F.col("id") == F.col("text_id")).select(*names, "item")
-    return full.repartition("cell").sortWithinPartitions(*order).mapInArrow(links, "a long, b long")
+    return full.repartition("cell").sortWithinPartitions(*order).mapInArrow(frugal(links), "a long, b long")
 
 
 def components(items: DataFrame, texts_of: Callable[[DataFrame], DataFrame], sets: Sets, sketch_longs: int, sketch_bits: int, sketch_limit: int, percent: int = 80, describe: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
@@ -382,7 +382,7 @@ def components(items: DataFrame, texts_of: Callable[[DataFrame], DataFrame], set
     texts = texts_of(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct())
     one = pairs.join(texts.select(F.col("id").alias("one"), F.col("item").alias("item_a")), F.col("a") == F.col("one"))
     two = one.join(texts.select(F.col("id").alias("two"), F.col("item").alias("item_b")), F.col("b") == F.col("two")).select("a", "b", "item_a", "item_b")
-    links = settle(two.mapInArrow(_similar(sets, percent), "a long, b long"))
+    links = settle(two.mapInArrow(frugal(_similar(sets, percent)), "a long, b long"))
     roots = connected(links)
 
     placed = settle(members.join(roots, F.col("id") == F.col("node"), "left").select("band", "id", F.coalesce("root", "id").alias("root")))

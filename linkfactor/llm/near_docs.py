@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .bloom import prefilter, split
 from .cluster import settle, settle_table
-from .kernels import Block, blocks, mix, pack_rows, set_prints, sorted_sets, windows
+from .kernels import Block, blocks, frugal, mix, pack_rows, set_prints, sorted_sets, windows
 from .near import components
 
 U64 = np.uint64
@@ -104,7 +104,7 @@ def signatures(docs: DataFrame, key: str, text: str, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(columns, names=["key", "size", "print1", "print2", "sketch", "bands"])
 
     named = docs.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text"))
-    return named.mapInArrow(run, "key long, size long, print1 long, print2 long, sketch array<long>, bands binary")
+    return named.mapInArrow(frugal(run), "key long, size long, print1 long, print2 long, sketch array<long>, bands binary")
 
 
 def near_components(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5) -> DataFrame:

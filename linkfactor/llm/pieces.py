@@ -34,14 +34,14 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import Block, Generations, blocks, mix, spread
+from .kernels import Block, Generations, blocks, frugal, mix, spread
 
 U64 = np.uint64
 RATE, SEED = 0.1, 20_240_601
 #: Parts of so many bytes go through the heap.
 LONG = 64
 #: Entries in each of the two generations that a worker keeps, and bytes of text that are encoded at a time.
-CACHE_PARTS, SLICE_BYTES = 600_000, 2 << 20
+CACHE_PARTS, SLICE_BYTES = 260_000, 1 << 20
 MARK = "▁"
 _SPACES = re.compile(r" *[^ ]+| +")
 UNEVEN = r"  |\A | \z"
@@ -126,7 +126,6 @@ class PieceCoder:
         self.rank[order] = np.arange(len(order))
         splits = [(known[p[:k]], known[p[k:]], i) for p, i in symbols.items() if len(p) > 1 for k in range(1, len(p)) if p[:k] in known and p[k:] in known]
         self.pairs = PairTable(*(np.array([s[j] for s in splits], dtype=np.int64) for j in range(3)))
-        self.lookup = {(a, b): m for a, b, m in splits}
         self.of_char = np.full(0x110000, -1, dtype=np.int64)
         for c, i in known.items():
             if len(c) == 1 and c != MARK:
@@ -179,17 +178,22 @@ class PieceCoder:
         after, before, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n
         agenda: list[tuple[int, int, int, int, int]] = []
 
-        def add(i: int, j: int) -> None:
-            a, b = symbols[i], symbols[j]
-            merged = self.lookup.get((a, b), -1)
+        def add(i: int, a: int, b: int, merged: int) -> None:
             if merged < 0:
                 return
             code = _mix_int((a & _MASK) << 32 & _MASK | b) ^ i * int(_PLACE) & _MASK
             if not self.limit or _mix_int(code ^ salt) >= self.limit:
                 heapq.heappush(agenda, (int(self.rank[merged]), i, a, b, merged))
 
-        for i in range(n - 1):
-            add(i, i + 1)
+        def look(i: int, j: int) -> None:
+            a, b = symbols[i], symbols[j]
+            if a >= 0 and b >= 0:
+                add(i, a, b, int(self.pairs.get(np.array([a]), np.array([b]))[0]))
+
+        every = np.array(symbols, dtype=np.int64)
+        known = np.flatnonzero((every[:-1] >= 0) & (every[1:] >= 0))
+        for i, merged in zip(known.tolist(), self.pairs.get(every[known], every[known + 1]).tolist(), strict=True):
+            add(i, symbols[i], symbols[i + 1], merged)
         while agenda:
             _, i, a, b, merged = heapq.heappop(agenda)
             j = after[i]
@@ -198,9 +202,9 @@ class PieceCoder:
             symbols[i], alive[j], after[i] = merged, False, after[j]
             if after[i] < n:
                 before[after[i]] = i
-                add(i, after[i])
+                look(i, after[i])
             if before[i] >= 0:
-                add(before[i], i)
+                look(before[i], i)
         last = np.array([s for s, ok in zip(symbols, alive, strict=True) if ok], dtype=np.int64)
         return self._final(last, np.zeros(len(last), dtype=np.int64))[0]
 
@@ -351,7 +355,7 @@ class PieceCoder:
         slow = pc.match_substring_regex(texts, UNEVEN).to_numpy(zero_copy_only=False)
         fast = texts if not slow.any() else texts.filter(pa.array(~slow))
         salt = doc_salt[~slow]
-        found = [self._even(block, salt[block.first : block.first + block.n]) for block in blocks(fast, 2 * SLICE_BYTES)]
+        found = [self._even(block, salt[block.first : block.first + block.n]) for block in blocks(fast, SLICE_BYTES)]
         ids, sizes = (np.concatenate([np.zeros(0, dtype=np.int64), *[f[k] for f in found]]) for k in (0, 1))
         if not slow.any():
             return ids, sizes
@@ -406,7 +410,7 @@ def encode_pieces(docs: DataFrame, model_file: str, key: str = "doc_id", text: s
                 yield pa.RecordBatch.from_arrays([batch.column("key"), lists, pa.array(counts), pa.array(coder.is_text(ids, counts, texts))], names=["key", "ids", "n_tokens", "lossless"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return named.mapInArrow(run, f"key {kind}, ids array<int>, n_tokens long, lossless boolean").withColumnRenamed("key", key)
+    return named.mapInArrow(frugal(run), f"key {kind}, ids array<int>, n_tokens long, lossless boolean").withColumnRenamed("key", key)
 
 
 def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: str = "text") -> DataFrame:
@@ -420,4 +424,4 @@ def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: s
 
     frame = encoded.drop(text)
     spec = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in frame.schema.fields) + f", `{text}` string"
-    return frame.mapInArrow(run, spec)
+    return frame.mapInArrow(frugal(run), spec)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import IS_SPACE, Block, blocks, mix, windows
+from .kernels import IS_SPACE, Block, blocks, frugal, mix, windows
 from .labelled import fit_logistic, labelled_texts, sigmoid
 
 U64 = np.uint64
@@ -149,7 +149,7 @@ def train_sparse(places: list[np.ndarray], shares: list[np.ndarray], labels: np.
 
 def fit_quality(docs: DataFrame, labels: DataFrame, rows: int = LABEL_ROWS) -> QualityModel:
     """Fit on at most about ``rows`` labelled rows; the driver gets their bucket shares, not their texts."""
-    got = labelled_texts(docs, labels, "quality", rows).mapInArrow(_sparse, "label int, fold int, place binary, share binary").toArrow().to_pydict()
+    got = labelled_texts(docs, labels, "quality", rows).mapInArrow(frugal(_sparse), "label int, fold int, place binary, share binary").toArrow().to_pydict()
     label, fold = np.array(got["label"], dtype=np.int64), np.array(got["fold"], dtype=np.int64)
     place = [np.frombuffer(x, "<i4") for x in got["place"]]
     share = [np.frombuffer(x, "<f4") for x in got["share"]]
@@ -184,4 +184,4 @@ def judge_quality(docs: DataFrame, model: QualityModel, key: str = "doc_id", tex
 
     kind = docs.schema[key].dataType.simpleString()
     spec = f"`{key}` {kind}, " + ", ".join(f"{k} long" for k in COUNTS) + ", base_failed boolean, kept boolean, probability double"
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, spec)
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(frugal(run), spec)

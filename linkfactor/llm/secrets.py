@@ -22,6 +22,8 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .kernels import frugal
+
 RULE_VERSION = "3"
 LEDGER_SCHEMA = "blob binary, rule_version string, spans array<string>"
 
@@ -57,7 +59,7 @@ def scan_blobs(blobs: DataFrame) -> DataFrame:
             spans = [[f"{k}:{a}:{b}" for a, b, k in find_secrets(x.as_py())] for x in batch.column("text")]
             yield pa.RecordBatch.from_arrays([batch.column("blob"), pa.array([RULE_VERSION] * len(spans), type=pa.string()), pa.array(spans, type=pa.list_(pa.string()))], names=["blob", "rule_version", "spans"])
 
-    return blobs.select("blob", "text").mapInArrow(run, LEDGER_SCHEMA)
+    return blobs.select("blob", "text").mapInArrow(frugal(run), LEDGER_SCHEMA)
 
 
 def blob_of(text: str = "text"):

@@ -35,7 +35,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import Block, Generations, blocks, mix, spread
+from .kernels import Block, Generations, blocks, frugal, mix, spread
 
 U64 = np.uint64
 MAGIC = 0x31485052
@@ -44,7 +44,7 @@ END_ID = 2
 CACHE_PIECES = 1_000_000
 NULL_KEY = -(1 << 63)
 #: Bytes of text that are encoded at a time (a longer text stands alone).
-SLICE_BYTES = 3 << 20
+SLICE_BYTES = 2 << 20
 
 #: Any white space but single blanks and newlines between words.
 UNEVEN = r"[\t\x0b-\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{180e}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]|[ \n][ \n]|\A[ \n]|[ \n]\z"
@@ -184,7 +184,7 @@ class PieceEncoder:
         """All ids (each text's followed by the end id), and the number of ids of each text; texts: strings without nulls."""
         slow = pc.match_substring_regex(texts, UNEVEN).to_numpy(zero_copy_only=False)
         fast = texts if not slow.any() else texts.filter(pa.array(~slow))
-        found = [self._even(block) for block in blocks(fast, 2 * SLICE_BYTES)]
+        found = [self._even(block) for block in blocks(fast, SLICE_BYTES)]
         ids, sizes = (np.concatenate([f[k] for f in found]) if found else np.zeros(0, dtype=(self.kind, np.int64)[k]) for k in (0, 1))
         if not slow.any():
             return ids, sizes
@@ -352,7 +352,7 @@ def write_shards(docs: DataFrame, folder: str, vocabulary: str, key: str = "doc_
     # Documents without a key, or with the same one, may fill several shards.
     dealt = named.withColumn("tie", F.xxhash64("text"))
     ordered = dealt.repartitionByRange(F.col("key"), F.col("tie")).sortWithinPartitions("key", "tie").select("key", "text")
-    return ordered.mapInArrow(run, "shard long, n_docs long, n_ids long, low long, high long")
+    return ordered.mapInArrow(frugal(run), "shard long, n_docs long, n_ids long, low long, high long")
 
 
 def read_shards(manifest: DataFrame, folder: str) -> DataFrame:
@@ -383,7 +383,7 @@ def read_shards(manifest: DataFrame, folder: str) -> DataFrame:
                 keys = pa.array(index.keys, mask=index.keys == NULL_KEY)
                 yield pa.RecordBatch.from_arrays([keys, pa.array(starts + base), pa.array(lengths), pa.array(sums)], names=["key", "start", "n_tokens", "ids_crc32"])
 
-    return dealt.mapInArrow(run, "key long, start long, n_tokens long, ids_crc32 long")
+    return dealt.mapInArrow(frugal(run), "key long, start long, n_tokens long, ids_crc32 long")
 
 
 def lookup(keys: DataFrame, manifest: DataFrame, folder: str, key: str = "doc_id") -> DataFrame:
@@ -425,4 +425,4 @@ def lookup(keys: DataFrame, manifest: DataFrame, folder: str, key: str = "doc_id
             yield pa.RecordBatch.from_pydict(out, schema=pa.schema([("key", pa.int64()), ("copy", pa.int32()), ("ids", pa.list_(pa.int64()))]))
 
     named = keys.select(F.coalesce(F.col(key).cast("bigint"), F.lit(NULL_KEY)).alias("key")).repartitionByRange("key").sortWithinPartitions("key")
-    return named.mapInArrow(run, "key long, copy int, ids array<long>")
+    return named.mapInArrow(frugal(run), "key long, copy int, ids array<long>")

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .kernels import Block, blocks, mix
+from .kernels import Block, blocks, frugal, mix
 from .labelled import fit_logistic, labelled_texts, sigmoid
 
 U64 = np.uint64
@@ -189,7 +189,7 @@ def _class_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def word_odds(texts: DataFrame) -> DataFrame:
     """word (hash), its counts and its shrunken log-odds, for labelled texts."""
-    counts = texts.mapInArrow(_class_counts, "word long, n_toxic long, n_clean long").groupBy("word").agg(F.sum("n_toxic").alias("t"), F.sum("n_clean").alias("c"))
+    counts = texts.mapInArrow(frugal(_class_counts), "word long, n_toxic long, n_clean long").groupBy("word").agg(F.sum("n_toxic").alias("t"), F.sum("n_clean").alias("c"))
     sums = counts.agg(F.sum("t").alias("all_t"), F.sum("c").alias("all_c")).first()
     all_t, all_c = float(sums["all_t"] or 0), float(sums["all_c"] or 0)
     prior = F.lit(0.5) + F.lit(PRIOR) * (F.col("t") + F.col("c")) / F.lit(max(1.0, all_t + all_c))
@@ -209,7 +209,7 @@ def _clean_mean(texts: DataFrame, model: ToxicModel) -> float:
                 score, _ = sent.value.word_scores(block)
                 yield pa.RecordBatch.from_pydict({"total": [float(score.sum())], "n": [len(score)]})
 
-    got = texts.where("label = 0").mapInArrow(run, "total double, n long").agg(F.sum("total"), F.sum("n")).first()
+    got = texts.where("label = 0").mapInArrow(frugal(run), "total double, n long").agg(F.sum("total"), F.sum("n")).first()
     return (got[0] or 0.0) / max(1, got[1] or 0)
 
 
@@ -233,7 +233,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, rows: int = LABEL_ROWS) ->
                 sizes += n.tolist()
             yield pa.RecordBatch.from_arrays([batch.column("label"), batch.column("fold"), pa.array(sizes, type=pa.int64()), pa.array(rows, type=pa.list_(pa.float64()))], names=["label", "fold", "n", "scores"])
 
-    got = texts.mapInArrow(best, "label int, fold int, n long, scores array<double>").toPandas()
+    got = texts.mapInArrow(frugal(best), "label int, fold int, n long, scores array<double>").toPandas()
     clean = got[(got["label"] == 0) & (got["scores"].map(len) > 0)]
     reduced = np.array([max(s) - np.log(max(n, 1)) for s, n in zip(clean["scores"], clean["n"], strict=True)])
     width = max(0.25, float(reduced.std() * np.sqrt(6) / np.pi)) if len(reduced) > 10 else 1.0
@@ -276,7 +276,7 @@ def score_toxicity(docs: DataFrame, model: ToxicModel, key: str = "doc_id", text
             yield pa.RecordBatch.from_arrays([batch.column("key"), pa.array(scores, type=pa.float64()), pa.array(bests, type=pa.float64()), pa.array(passages, type=passage)], names=[key, "score", "best", "passages"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(run, f"`{key}` {kind}, score double, best double, passages {PASSAGES}")
+    return docs.select(F.col(key).alias("key"), F.col(text).alias("text")).mapInArrow(frugal(run), f"`{key}` {kind}, score double, best double, passages {PASSAGES}")
 
 
 def drop_toxic(docs: DataFrame, model: ToxicModel, text: str = "text", reject_at: float = 0.5) -> DataFrame:
@@ -293,4 +293,4 @@ def drop_toxic(docs: DataFrame, model: ToxicModel, text: str = "text", reject_at
             scores = toxic.score(np.array(features, dtype=float).reshape(-1, 2))
             yield batch.filter(pa.array(scores < reject_at))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(frugal(run), docs.schema)
