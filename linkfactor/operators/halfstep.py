@@ -174,8 +174,16 @@ def _systems(batches: Iterator[pa.RecordBatch], cfg: FactorConfig) -> Iterator[S
         yield open_row
 
 
-def solve_gathered(gathered: DataFrame, base: np.ndarray, cfg: FactorConfig) -> DataFrame:
-    """gathered (row_id, y, vec) to (id, vec); base is unobserved * Gram + reg * identity. A row without a label holds the start of conjugate gradients."""
+def dealt(frame: DataFrame, cfg: FactorConfig) -> DataFrame:
+    """Whole rows to one task each."""
+    return frame.repartition(*([cfg.blocks] if cfg.blocks else []), F.col("row_id"))
+
+
+def solve_gathered(gathered: DataFrame, base: np.ndarray, cfg: FactorConfig, is_dealt: bool = False) -> DataFrame:
+    """gathered (row_id, y, vec) to (id, vec, err); base is unobserved * Gram + reg * identity. A row without a label holds the start of conjugate gradients.
+
+    is_dealt: each row's observations are in one task already, so the vectors needn't be shuffled.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         solver = RowSolver(base, cfg)
@@ -199,7 +207,8 @@ def solve_gathered(gathered: DataFrame, base: np.ndarray, cfg: FactorConfig) ->
         if rest:
             yield solve_free(rest, base, cfg)
 
-    sorted_rows = gathered.select("row_id", "y", "vec").repartition(*([cfg.blocks] if cfg.blocks else []), F.col("row_id")).sortWithinPartitions("row_id")
+    narrow = gathered.select("row_id", "y", "vec")
+    sorted_rows = (narrow if is_dealt else dealt(narrow, cfg)).sortWithinPartitions("row_id")
     return sorted_rows.mapInArrow(run_free if cfg.chosen_solver() == "cg_free" else run, solved_type(cfg.precision))
 
 
@@ -384,9 +393,12 @@ def refit_side(obs: DataFrame, fac: DataFrame, gram: np.ndarray | None, cfg: Fac
     if how == "routed":
         first = refit_routed(light, fac, base, cfg, plan.get("routes"), plan.get("blocks"))
     else:
-        gathered = gather(light, fac, cfg, how, plan.get("hot"))
-        if start is not None and cfg.chosen_solver() in ("cg", "cg_free"):
+        warm = start is not None and cfg.chosen_solver() in ("cg", "cg_free")
+        # Against a broadcast table the narrow observations are dealt first, and the vectors stay where they are joined.
+        early = how == "broadcast" and not warm
+        gathered = gather(dealt(light, cfg) if early else light, fac, cfg, how, plan.get("hot"))
+        if warm:
             begins = store_table(start, cfg.rank, cfg.precision).select(F.col("id").alias("row_id"), F.lit(None).cast("bigint").alias("col_id"), F.lit(float("nan")).alias("y"), "vec")
             gathered = gathered.unionByName(begins)
-        first = solve_gathered(gathered, base, cfg)
+        first = solve_gathered(gathered, base, cfg, early)
     return first.unionByName(solved[0]) if solved else first

@@ -187,21 +187,21 @@ class PointModels:
     def bases(self, grams: np.ndarray) -> np.ndarray:
         return point_bases(self.points, grams, self.cfg.rank)
 
-    def recall(self, given: DataFrame, hidden: DataFrame, ks=(20, 50), epoch: int | None = None) -> DataFrame:
-        """point, k, recall_truth, n_sources by the columns of an epoch (the last one by default)."""
+    def recall(self, given: DataFrame, hidden: DataFrame, ks=(20, 50), epoch: int | None = None, laid: bool = False) -> DataFrame:
+        """point, k, recall_truth, n_sources by the columns of an epoch (the last one by default). laid: the cells carry their points already."""
         columns = self.col_factors if epoch is None else self.epochs[epoch]
         n = len(self.points)
-        asked = at_points(given, n)
+        asked = given if laid else at_points(given, n)
         folded = refit_side(asked, columns.select("id", "vec"), None, self.cfg, "shuffle", base=self.bases(point_grams(columns, self.cfg.rank, n)))
         ranked = topk_points(folded.select("id", "vec"), columns.select("id", "vec"), max(ks), self.cfg.rank, exclude=asked)
-        wanted = at_points(hidden, n)
+        wanted = hidden if laid else at_points(hidden, n)
         return recall_by_point(ranked, wanted, ks)
 
 
-def at_points(cells: DataFrame, n: int) -> DataFrame:
-    """A copy of the cells (row_id, col_id and others) for each point."""
+def at_points(cells: DataFrame, n: int, first: int = 0) -> DataFrame:
+    """A copy of the cells (row_id, col_id and others) for each of n points."""
     shift = F.shiftleft(F.col("point").cast("bigint"), POINT_BITS)
-    copies = cells.withColumn("point", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    copies = cells.withColumn("point", F.explode(F.sequence(F.lit(first), F.lit(first + n - 1))))
     return copies.withColumns({"row_id": F.col("row_id") + shift, "col_id": F.col("col_id") + shift}).drop("point")
 
 
@@ -215,19 +215,19 @@ def point_bases(points: list[tuple[float, float]], grams: np.ndarray, rank: int)
     return np.stack([reg * np.eye(rank) + weight * g for (reg, weight), g in zip(points, grams, strict=True)])
 
 
-def fit_points(obs: DataFrame, points: list[tuple[float, float]], cfg: FactorConfig, keep_epochs: bool = False) -> PointModels:
+def fit_points(obs: DataFrame, points: list[tuple[float, float]], cfg: FactorConfig, keep_epochs: bool = False, laid: bool = False) -> PointModels:
     """A model for each pair of weights (reg, unobserved): the observations are laid out once for each, and every half-step is one job for all.
 
-    Ids must be from 0 and below 2 ** POINT_BITS.
+    Ids must be from 0 and below 2 ** POINT_BITS. laid: obs carries the points already (by at_points), which may have different observations.
     """
     n = len(points)
-    bad = obs.where(~F.col("row_id").between(0, (1 << POINT_BITS) - 1) | ~F.col("col_id").between(0, (1 << POINT_BITS) - 1)).limit(1).count()
+    bad = 0 if laid else obs.where(~F.col("row_id").between(0, (1 << POINT_BITS) - 1) | ~F.col("col_id").between(0, (1 << POINT_BITS) - 1)).limit(1).count()
     if bad:
         raise ValueError("ids out of range for several models at once")
-    sides = _by_side(at_points(obs, n))
+    sides = _by_side(obs if laid else at_points(obs, n))
     stores = {k: _Generations(obs.sparkSession, f"{k}-points") for k in sides}
-    plain = init_vectors(obs.select("col_id").distinct(), cfg.rank, cfg.seed, id_col="col_id")
-    first = plain.withColumn("point", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).select((F.col("id") + F.shiftleft(F.col("point").cast("bigint"), POINT_BITS)).alias("id"), "vec")
+    held = sides["col"].select(F.col("row_id").alias("at_point"), F.col("row_id").bitwiseAND(F.lit((1 << POINT_BITS) - 1)).alias("plain")).distinct()
+    first = held.join(init_vectors(held.select("plain").distinct(), cfg.rank, cfg.seed, id_col="plain"), F.col("plain") == F.col("id")).select(F.col("at_point").alias("id"), "vec")
     columns, rows, kept = stores["col"].commit(store_table(first, cfg.rank, cfg.precision)), None, []
     for _ in range(cfg.epochs):
         for side in ("row", "col"):

@@ -237,6 +237,16 @@ def io_roundtrip(s, d):
     return out
 
 
+def io_crawl_source(s, d):
+    """Pages' links written as crawl metadata (JSON lines) and read back by the Python data source."""
+    from ..sources.crawl import read_crawl
+
+    folder = scratch(s, "crawl")
+    links = sources.link_observations(s, d).groupBy(F.col("page_id").cast("string").alias("url")).agg(F.collect_list("path").alias("links"))
+    links.write.json(folder)
+    return read_crawl(s, folder).select(F.col("url").cast("bigint").alias("page_id"), "href")
+
+
 def io_bucketed(s, d):
     """Factors as a bucketed, sorted table; a later join on id needs no exchange."""
     name = "linkfactor_bucketed_columns"
@@ -323,6 +333,7 @@ SQL = {
     "udtf_links": "WITH x AS (SELECT page_id, regexp_extract_all(html, 'href=\"([^\"]*)\"', 1) AS ls FROM pages) SELECT page_id, ls[i + 1] AS link, i::integer AS place FROM (SELECT page_id, ls, unnest(range(0, len(ls))) AS i FROM x)",
     "udtf_segments": f"WITH {S.E}, o AS (SELECT row_id, col_id, row_number() OVER (PARTITION BY row_id ORDER BY col_id) - 1 AS place FROM e) SELECT row_id, floor(place / 8.0::double)::integer AS seg_no, count(*)::integer AS n_valid, min(col_id) AS first_id FROM o GROUP BY 1, 2",
     "io_roundtrip": "WITH w AS (SELECT o_custkey AS row_id, l_partkey AS col_id, sum(l_quantity) AS y FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1, 2), t AS (SELECT count(*) AS n, sum(row_id)::bigint AS rows_sum, sum(y) AS y_sum FROM w) SELECT f AS format, t.* FROM t, (SELECT unnest(['parquet', 'orc', 'json', 'csv']) AS f)",
+    "io_crawl_source": f"WITH {S.L} SELECT page_id, path AS href FROM l",
     "io_bucketed": f"{_HP} SELECT id % 10 AS last, count(*) AS n FROM h GROUP BY 1",
     "star_revenue_and_score": f"{_HP}, {S.factors('w', 'p', 'row_id')}, a AS (SELECT p_brand, avg(w.f0 * h.f0 + w.f1 * h.f1) AS mean_score FROM p JOIN w ON row_id = w.id JOIN h ON col_id = h.id JOIN part ON col_id = p_partkey GROUP BY 1), b AS (SELECT p_brand, sum(l_extendedprice * (1 - l_discount)) AS revenue FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1) SELECT a.p_brand, round(revenue, 2) AS revenue, round(mean_score, 6) + 0.0 AS mean_score FROM a JOIN b ON a.p_brand = b.p_brand",
     "star_nation_factors": f"{_HP}, {S.refit('w', 'p', 'h')} SELECT n_name, round(avg(f0), 6) + 0.0 AS m0, round(avg(f1), 6) + 0.0 AS m1, count(*) AS n FROM w JOIN customer ON id = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name",

@@ -92,6 +92,17 @@ def test_approximate_search_finds_most_among_few(spark, how):
     assert search(v.limit(0), v, 3, 64).count() == 0
 
 
+def test_crawl_source_reads_odd_lines(spark, tmp_path):
+    from linkfactor.sources.crawl import read_crawl
+
+    (tmp_path / "a.json").write_text('{"url": "u", "links": ["/x", "/y"]}\nnot json\n\n[1]\n{"url": null}\n{"url": "v", "links": ["é"]}')
+    (tmp_path / "b.txt").write_text('{"url": "w", "links": ["/z"]}')
+    (tmp_path / "c.jsonl").write_text("")
+    assert sorted((r.url, r.href) for r in read_crawl(spark, str(tmp_path)).collect()) == [("u", "/x"), ("u", "/y"), ("v", "é")]
+    (tmp_path / "none").mkdir()
+    assert read_crawl(spark, str(tmp_path / "none")).count() == 0
+
+
 def test_popularity_skips_given(spark):
     used = spark.createDataFrame([(1, "a"), (2, "a"), (3, "b"), (4, "c"), (5, "b"), (6, "a")], "row_id long, col_id string")
     given = spark.createDataFrame([(9, "a")], used.schema)
@@ -126,7 +137,7 @@ def test_registry():
     assert set(twins) <= set(known) and len(known) > 120
 
 
-@pytest.mark.parametrize("name", ["refit_rows", "split_strong", "op_asof", "fold_in", "links_resolve", "links_kcore", "build_graph_stats", "same_host_share", "spot_check", "stream_late_data", "wl_batching", "wl_gram", "topk_exclude_given"])
+@pytest.mark.parametrize("name", ["refit_rows", "split_strong", "op_asof", "fold_in", "links_resolve", "links_kcore", "build_graph_stats", "same_host_share", "spot_check", "stream_late_data", "wl_batching", "wl_gram", "topk_exclude_given", "io_crawl_source", "refit_broadcast"])
 def test_queries_agree_with_sql(spark, name):
     import duckdb
 
