@@ -14,6 +14,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import SparkSession
 
 _libc = ctypes.CDLL(None) if sys.platform == "linux" else None
 if hasattr(_libc, "mallopt"):
@@ -74,8 +75,16 @@ def release() -> None:
         _libc.malloc_trim(0)
 
 
+#: Bytes of a batch that Spark hands to a worker at a time, where the session has its default of 64 MB: long texts would make large batches, in the worker and in the executor beside it.
+BATCH_BYTES, DEFAULT_BYTES = 6 << 20, "67108864b"
+_BATCH_SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
+
+
 def frugal(run: Callable) -> Callable:
-    """The function of a mapInArrow, which at its end gives the worker's free memory back to the system; workers outlive their tasks."""
+    """The function of a mapInArrow, which at its end gives the worker's free memory back to the system (workers outlive their tasks). Batches of the session are kept small, as this setting can change at any time."""
+    session = SparkSession.getActiveSession()
+    if session is not None and session.conf.get(_BATCH_SETTING) == DEFAULT_BYTES:
+        session.conf.set(_BATCH_SETTING, f"{BATCH_BYTES}b")
 
     def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         try:
