@@ -20,6 +20,7 @@ ids of a model's rows and columns then carry its number above POINT_BITS.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import suppress
 from dataclasses import dataclass
 from math import ceil
 
@@ -93,12 +94,26 @@ class RowSolver:
         right = b
         if self.cfg.precision == "bf16_all":
             whole, right = bf16_round(whole), bf16_round(b)
-        x = solve_batch(whole.astype(self.kind), right.astype(self.kind), self.cfg.chosen_solver(), self.cfg.iterations(), self.cfg.cg_tol, start.astype(self.kind))
+        x = self.solve(whole.astype(self.kind), right.astype(self.kind), start.astype(self.kind))
         self.held, self.count = [], 0
         kept = rounded_to(x, self.cfg.precision).astype(np.float64)
         err = yy - 2 * np.einsum("nd,nd->n", kept, b) + np.einsum("nd,nde,ne->n", kept, a, kept, optimize=True)
         return solved_batch(names, kept, err, self.cfg.precision)
 
+    def solve(self, a: np.ndarray, b: np.ndarray, start: np.ndarray) -> np.ndarray:
+        """Solutions of a group. Rounding to 16 bits can make a system singular; with ``bf16_all`` its row then has no numbers, which is the collapse that this mode is there to show."""
+        kind, steps, tol = self.cfg.chosen_solver(), self.cfg.iterations(), self.cfg.cg_tol
+        try:
+            return solve_batch(a, b, kind, steps, tol, start)
+        except np.linalg.LinAlgError:
+            if self.cfg.precision != "bf16_all":
+                raise
+        x = np.full_like(b, np.nan)
+        for i in range(len(a)):
+            with suppress(np.linalg.LinAlgError):
+                x[i] = solve_batch(a[i : i + 1], b[i : i + 1], kind, steps, tol, start[i : i + 1])[0]
+        return x
+
     def rest(self) -> Iterator[pa.RecordBatch]:
         if self.count:
             yield self.drain()

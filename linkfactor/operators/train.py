@@ -5,6 +5,7 @@ from __future__ import annotations
 import json
 import time
 from dataclasses import asdict, dataclass
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -183,18 +184,28 @@ class PointModels:
     col_factors: DataFrame
     cfg: FactorConfig
     epochs: list[DataFrame]
+    grams: list[np.ndarray]
 
     def bases(self, grams: np.ndarray) -> np.ndarray:
         return point_bases(self.points, grams, self.cfg.rank)
 
-    def recall(self, given: DataFrame, hidden: DataFrame, ks=(20, 50), epoch: int | None = None, laid: bool = False) -> DataFrame:
-        """point, k, recall_truth, n_sources by the columns of an epoch (the last one by default). laid: the cells carry their points already."""
-        columns = self.col_factors if epoch is None else self.epochs[epoch]
+    def recall(self, given: DataFrame, hidden: DataFrame, ks=(20, 50), laid: bool = False) -> DataFrame:
+        """point, k, recall_truth, n_sources by the last columns. laid: the cells carry their points already."""
         n = len(self.points)
-        asked = given if laid else at_points(given, n)
-        folded = refit_side(asked, columns.select("id", "vec"), None, self.cfg, "shuffle", base=self.bases(point_grams(columns, self.cfg.rank, n)))
-        ranked = topk_points(folded.select("id", "vec"), columns.select("id", "vec"), max(ks), self.cfg.rank, exclude=asked)
-        wanted = hidden if laid else at_points(hidden, n)
+        asked, wanted = (given, hidden) if laid else (at_points(given, n), at_points(hidden, n))
+        return self._recall(self.col_factors.select("id", "vec"), self.bases(self.grams[-1]), asked, wanted, ks)
+
+    def recall_by_epoch(self, given: DataFrame, hidden: DataFrame, ks=(20, 50)) -> DataFrame:
+        """epoch (from 1), point, k, recall_truth, n_sources of all epochs, which are judged together like so many more points."""
+        n = len(self.points)
+        shifted = [c.select((F.col("id") + F.lit(e * n << POINT_BITS)).alias("id"), "vec") for e, c in enumerate(self.epochs)]
+        bases = np.concatenate([self.bases(g) for g in self.grams])
+        found = self._recall(reduce(DataFrame.unionByName, shifted), bases, at_points(given, n * len(shifted)), at_points(hidden, n * len(shifted)), ks)
+        return found.withColumns({"epoch": F.floor(F.col("point") / F.lit(n)).cast("int") + 1, "point": F.col("point") % F.lit(n)})
+
+    def _recall(self, columns: DataFrame, bases: np.ndarray, asked: DataFrame, wanted: DataFrame, ks) -> DataFrame:
+        folded = refit_side(asked, columns, None, self.cfg, "shuffle", base=bases)
+        ranked = topk_points(folded.select("id", "vec"), columns, max(ks), self.cfg.rank, exclude=asked)
         return recall_by_point(ranked, wanted, ks)
 
 
@@ -228,18 +239,15 @@ def fit_points(obs: DataFrame, points: list[tuple[float, float]], cfg: FactorCon
     stores = {k: _Generations(obs.sparkSession, f"{k}-points") for k in sides}
     held = sides["col"].select(F.col("row_id").alias("at_point"), F.col("row_id").bitwiseAND(F.lit((1 << POINT_BITS) - 1)).alias("plain")).distinct()
     first = held.join(init_vectors(held.select("plain").distinct(), cfg.rank, cfg.seed, id_col="plain"), F.col("plain") == F.col("id")).select(F.col("at_point").alias("id"), "vec")
-    columns, rows, kept = stores["col"].commit(store_table(first, cfg.rank, cfg.precision)), None, []
+    columns, rows, kept, grams = stores["col"].commit(store_table(first, cfg.rank, cfg.precision)), None, [], []
+    column_grams = point_grams(columns, cfg.rank, n)
     for _ in range(cfg.epochs):
-        for side in ("row", "col"):
-            frozen = columns if side == "row" else rows
-            base = point_bases(points, point_grams(frozen, cfg.rank, n), cfg.rank)
-            done = refit_side(sides[side], frozen.select("id", "vec"), None, cfg, "shuffle", base=base)
-            if side == "row":
-                rows = stores["row"].commit(done)
-            else:
-                columns = generation(done, "col-points") if keep_epochs else stores["col"].commit(done)
-        kept.append(columns)
-    return PointModels(points, rows, columns, cfg, kept if keep_epochs else [])
+        rows = stores["row"].commit(refit_side(sides["row"], columns.select("id", "vec"), None, cfg, "shuffle", base=point_bases(points, column_grams, cfg.rank)))
+        done = refit_side(sides["col"], rows.select("id", "vec"), None, cfg, "shuffle", base=point_bases(points, point_grams(rows, cfg.rank, n), cfg.rank))
+        columns = generation(done, "col-points") if keep_epochs else stores["col"].commit(done)
+        column_grams = point_grams(columns, cfg.rank, n)
+        kept, grams = ([*kept, columns], [*grams, column_grams]) if keep_epochs else ([], [column_grams])
+    return PointModels(points, rows, columns, cfg, kept, grams)
 
 
 def with_empty_rows(model: FactorModel, ids: DataFrame) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
 from functools import reduce
 
@@ -89,24 +90,30 @@ def wl_recall_purchases(s, d):
 
 def wl_popularity_check(s, d):
     """By how much the factors beat popularity on three matrices at 20."""
-    out = []
-    for which in ("pages", "documents", "events"):
-        r = recall_against_popularity(s, d, which).where("k = 20").groupBy().pivot("method", ["factors", "popularity"]).agg(F.first("recall_truth"))
-        out.append(r.select(F.lit(which).alias("matrix"), "factors", "popularity", (F.col("factors") - F.col("popularity")).alias("gain")))
-    return rounded(stacked(out))
+    names = ("pages", "documents", "events")
+
+    def run(which: str) -> DataFrame:
+        r = generation(recall_against_popularity(s, d, which), "gain").where("k = 20").groupBy().pivot("method", ["factors", "popularity"]).agg(F.first("recall_truth"))
+        return r.select(F.lit(which).alias("matrix"), "factors", "popularity", (F.col("factors") - F.col("popularity")).alias("gain"))
+
+    with ThreadPoolExecutor(len(names)) as pool:
+        return rounded(stacked(list(pool.map(run, names))))
 
 
 def wl_density(s, d):
     """Recall by the least count of links (or words) on both sides, on pages and documents, with the cells and sources that are left."""
-    out = []
-    for which, leasts in (("pages", (1, 2, 5)), ("documents", (5, 10, 20))):
-        for least in leasts:
-            obs = matrix(s, d, which, least)
-            r, e, reg, weight = SETTINGS[which]
-            found = recall_of(obs, FactorConfig(rank=r, epochs=e, reg=reg, unobserved=weight), with_baseline=False)
-            cells = obs.agg(F.count(F.lit(1)).alias("cells"), F.countDistinct("row_id").alias("sources"))
-            out.append(generation(found.crossJoin(cells).select(F.lit(which).alias("matrix"), F.lit(least).alias("least"), "cells", "sources", "k", "recall_truth", "n_sources"), "density"))
-    return rounded(stacked(out))
+    cases = [("pages", n) for n in (1, 2, 5)] + [("documents", n) for n in (5, 10, 20)]
+
+    def run(case: tuple[str, int]) -> DataFrame:
+        which, least = case
+        obs = matrix(s, d, which, least)
+        r, e, reg, weight = SETTINGS[which]
+        found = recall_of(obs, FactorConfig(rank=r, epochs=e, reg=reg, unobserved=weight), with_baseline=False)
+        cells = obs.agg(F.count(F.lit(1)).alias("cells"), F.countDistinct("row_id").alias("sources"))
+        return generation(found.crossJoin(cells).select(F.lit(which).alias("matrix"), F.lit(least).alias("least"), "cells", "sources", "k", "recall_truth", "n_sources"), "density")
+
+    with ThreadPoolExecutor(3) as pool:
+        return rounded(stacked(list(pool.map(run, cases))))
 
 
 def wl_domain_affinity(s, d):
@@ -127,25 +134,22 @@ PRECISIONS = ("float64", "float32", "mixed", "bf16_all")
 def wl_precision(s, d):
     """Recall at 20 on pages by precision, regularization and epoch, beside the stored and the shuffled bytes of a vector.
 
-    All regularizations of a precision are trained together; a precision whose systems become singular ends there (epoch 0, no recall).
+    All regularizations of a precision are trained together. Where 16-bit solves become singular, vectors hold no numbers and recall falls to nothing.
     """
     known, given, hidden = split_parts(matrix(s, d, "pages"))
     points = [(reg, 1e-3) for reg in REGS]
     named = s.createDataFrame([(i, reg) for i, (reg, _) in enumerate(points)], "point int, reg double")
     moved = {r["mode"]: r for r in precision_bytes(s, d).collect()}
-    out = []
-    for mode in PRECISIONS:
+
+    def run(mode: str) -> DataFrame:
         size = [F.lit(float(moved[mode][c])).alias(c) for c in ("stored_bytes", "shuffled_bytes")]
-        try:
-            models = train.fit_points(known, points, FactorConfig(rank=8, epochs=16, precision=mode), keep_epochs=True)
-        except Exception as failed:  # a singular rounded system ends the run: that is the collapse
-            if "Singular" not in str(failed):
-                raise
-            out.append(named.select(F.lit(mode).alias("mode"), "reg", F.lit(0).alias("epoch"), F.lit(None).cast("double").alias("recall_truth"), *size))
-            continue
-        every = stacked([models.recall(given, hidden, (20,), e).withColumn("epoch", F.lit(e + 1)) for e in range(16)])
-        out.append(generation(every.join(F.broadcast(named), "point").select(F.lit(mode).alias("mode"), "reg", "epoch", "recall_truth", *size), "precision"))
-    return rounded(stacked(out), but=("reg",))
+        models = train.fit_points(known, points, FactorConfig(rank=8, epochs=16, precision=mode), keep_epochs=True)
+        found = models.recall_by_epoch(given, hidden, (20,)).join(F.broadcast(named), "point")
+        return generation(found.select(F.lit(mode).alias("mode"), "reg", "epoch", "recall_truth", *size), "precision")
+
+    # Small matrices leave cores idle, so the four trainings run side by side.
+    with ThreadPoolExecutor(len(PRECISIONS)) as pool:
+        return rounded(stacked(list(pool.map(run, PRECISIONS))), but=("reg",))
 
 
 def precision_bytes(s, d):

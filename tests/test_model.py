@@ -223,6 +223,10 @@ def test_models_of_several_weights_in_one_job(spark):
         alone = as_dict(wide(train.fit(obs, FactorConfig(rank=3, epochs=2, reg=reg, unobserved=weight), track_loss=False).col_factors, 3))
         assert all(got[(i << 40) + k] == pytest.approx(alone[k], abs=1e-9) for k in alone)
     assert len(together.epochs) == 2 and len(got) == 3 * len(alone)
+    given, hidden = obs.where("row_id < 9 and col_id % 2 = 0"), obs.where("row_id < 9 and col_id % 2 = 1")
+    by_epoch = {(r.epoch, r.point, r.k): r.recall_truth for r in together.recall_by_epoch(given, hidden, (5,)).collect()}
+    last = {(2, r.point, r.k): r.recall_truth for r in together.recall(given, hidden, (5,)).collect()}
+    assert len(by_epoch) == 6 and all(by_epoch[k] == pytest.approx(v) for k, v in last.items())
     with pytest.raises(ValueError, match="range"):
         train.fit_points(obs.withColumn("row_id", F.lit(-1)), points, cfg)
 
