@@ -4,10 +4,10 @@ Words are runs of letters (ASCII letters in lower case, and all bytes above 127)
 a whole word or one of its leading parts (PREFIXES, in bytes), which stand in for inflected
 and compound forms. Log-odds of tokens between toxic and clean labelled rows, counted at
 most CAP times a row, carry a Dirichlet prior of half a count and PRIOR counts in proportion
-to the tokens' shares in both together, and are shrunk towards zero by their variance (a
-normal prior of variance SPREAD on the log-odds). Every word scores the log-odds, of either
-sign, of its longest token seen MIN_COUNT times, and zero without one; all words pay a toll
-such that clean text loses DRIFT a word on average. A linear-time scan then lists all
+to the tokens' shares in both together, and are shrunk towards zero by their own evidence
+(by z**4 / (z**4 + HALF_Z**4) of their z-values z). Every word scores the log-odds, of either sign, of its
+strongest token seen MIN_COUNT times (the longest of equals), and zero without one; all words
+pay a toll such that clean text loses DRIFT a word on average. A linear-time scan then lists all
 maximal segments of a text with a positive score, its passages.
 
 With a negative drift the best segment of clean texts follows an extreme-value law whose place
@@ -40,8 +40,8 @@ MIN_COUNT = 3
 CAP = 4
 PREFIXES = (4, 6, 8)
 PRIOR = 500.0
-SPREAD = 0.5
-DRIFT = 0.1
+HALF_Z = 4.0
+DRIFT = 0.05
 #: Chance at which a segment of a clean text counts as significant.
 ALPHA = 0.01
 
@@ -123,7 +123,8 @@ class ToxicModel:
         score = np.zeros(len(starts))
         for hashes, of in _tokens(block, starts, ends) if self.tokens is not None else ():
             at, found = self.tokens.get(hashes)
-            score[of[at]] = found
+            place = of[at]
+            score[place] = np.where(np.abs(found) >= np.abs(score[place]), found, score[place])
         return score, spans
 
     def segments(self, block: Block) -> tuple[list[list[tuple[int, int, float]]], np.ndarray, tuple]:
@@ -195,7 +196,8 @@ def word_odds(texts: DataFrame) -> DataFrame:
     prior = F.lit(0.5) + F.lit(PRIOR) * (F.col("t") + F.col("c")) / F.lit(max(1.0, all_t + all_c))
     t, c = F.col("t") + prior, F.col("c") + prior
     odds = F.log(t / (F.lit(all_t + PRIOR) - t)) - F.log(c / (F.lit(all_c + PRIOR) - c))
-    shrink = F.lit(SPREAD) / (F.lit(SPREAD) + 1 / t + 1 / c)
+    square = odds * odds / (1 / t + 1 / c) / F.lit(HALF_Z**2)  # of the z-value, in units of HALF_Z
+    shrink = square * square / (square * square + 1)
     return counts.where(F.col("t") + F.col("c") >= MIN_COUNT).select("word", "t", "c", (odds * shrink).alias("odds"))
 
 

@@ -141,11 +141,12 @@ def test_word_scores_and_passages_are_the_plain_ones(spark):
             prior = 0.5 + toxicity.PRIOR * (t + c) / sum(sums)
             t, c = t + prior, c + prior
             raw = math.log(t / (sums[1] + toxicity.PRIOR - t)) - math.log(c / (sums[0] + toxicity.PRIOR - c))
-            odds[token] = raw * toxicity.SPREAD / (toxicity.SPREAD + 1 / t + 1 / c)
+            fourth = (raw / math.sqrt(1 / t + 1 / c) / toxicity.HALF_Z) ** 4
+            odds[token] = raw * fourth / (fourth + 1)
     assert any(v < 0 for v in odds.values()) and any(v > 0 for v in odds.values())
 
     def score(word):
-        return next((odds[t] for t in reversed(plain_tokens(word)) if t in odds), 0.0)
+        return max((odds.get(t, 0.0) for t in reversed(plain_tokens(word))), key=abs)
 
     texts = [*(r[1] for r in rows[:40]), "", None, "Unseen walkers VILEMUCKING tree", " ".join(rng.choices(vocabulary, k=30000))]
     for text in texts:
