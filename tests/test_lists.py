@@ -50,6 +50,7 @@ def test_held_search_is_the_exact_one(spark):
         got = topk.topk_held(some, table[1], 7, 64, "float64", exclude)
         want = topk.topk_exact(some, table[0], 7, 64, exclude)
         assert {(r.row_id, r.rank): r.col_id for r in got.collect()} == {(r.row_id, r.rank): r.col_id for r in want.collect()}
+        assert got.rdd.getNumPartitions() >= 2 * spark.sparkContext.defaultParallelism
         assert "cogroup" not in got._jdf.queryExecution().toString().lower()
     finally:
         topk.HELD_COLUMNS = before
