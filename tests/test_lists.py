@@ -72,3 +72,26 @@ def test_documents_matrix_matches_the_flat_one(spark):
     there = set(folder.iterdir())
     assert experiments.wl_recall_pages(spark, SMALL).count() == 4
     assert set(folder.iterdir()) <= there
+
+
+def test_models_of_parts_solve_equal_rows_once(spark):
+    """Models of two parts of the observations over classes of equal rows are those of all rows, with recall and losses of all sources."""
+    obs = sources.link_observations(spark, SMALL).where("page_id < 40")
+    cells = obs.select(F.col("page_id").alias("row_id"), (F.pmod(F.xxhash64("path"), F.lit(1 << 20))).alias("col_id"), (F.lit(1.0) + F.pmod(F.length("path"), F.lit(2))).alias("y"))
+    cells = cells.unionByName(cells.where("row_id < 25").withColumn("row_id", F.col("row_id") + 50))
+    few = cells.where("row_id % 2 = 0 and col_id % 3 > 0")
+    at = F.lit(1 << halfstep.POINT_BITS)
+    both = cells.unionByName(few.withColumns({c: F.col(c) + at for c in ("row_id", "col_id")}))
+    points, part = [(0.1, 0.01), (0.5, 0.1), (0.2, 0.05)], [0, 1, 1]
+    given, hidden = both.where("row_id % 10 < 5 and col_id % 4 > 0"), both.where("row_id % 10 < 5 and col_id % 4 = 0")
+    classes = train.row_classes(both)[0]
+    assert classes.count() < both.select("row_id").distinct().count()
+    got = []
+    for limit in (FactorConfig.broadcast_limit, 0):
+        models = train.fit_points(both, points, FactorConfig(rank=3, epochs=2, broadcast_limit=limit), keep_epochs=True, part=part)
+        vectors = {r.id: r.vec for r in models.row_factors.collect()} | {-1 - r.id: r.vec for r in models.col_factors.collect()}
+        got.append((vectors, {(r.epoch, r.point, r.k): (r.recall_truth, r.n_sources) for r in models.recall_by_epoch(given, hidden, (1, 5)).collect()}))
+    assert got[0][0].keys() == got[1][0].keys() and max(abs(a - b) for k, v in got[0][0].items() for a, b in zip(v, got[1][0][k], strict=True)) < 1e-8
+    assert len(got[0][1]) == 12 and all(v == pytest.approx(got[1][1][k]) for k, v in got[0][1].items())
+    truth = hidden.where(F.col("row_id") < at).select("row_id").distinct().count()
+    assert got[0][1][(1, 0, 5)][1] == truth
