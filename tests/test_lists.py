@@ -136,3 +136,16 @@ def test_broadcast_goes_in_parts_and_routes_stream(spark, monkeypatch):
         got = {r.id: r.vec for r in found[how].collect()}
         assert got.keys() == want.keys() and all(v == pytest.approx(want[k]) for k, v in got.items())
         assert node not in found[how]._jdf.queryExecution().toString().lower()
+
+
+def test_scaling_counts_lists_and_leaves_no_tables(spark):
+    """Counts of rows with lists are those of their cells, and the trainings' tables go with the result."""
+    from linkfactor.plans import planner
+
+    lists = experiments.matrix_lists(spark, SMALL, "purchases")
+    assert planner.observe(lists, 4, FactorConfig(rank=2, hot_columns=5)) == planner.observe(experiments.flat(lists), 4, FactorConfig(rank=2, hot_columns=5))
+    folder = Path(shared_folder(spark).removeprefix("file://"))
+    there = set(folder.iterdir())
+    found = experiments.wl_scaling(spark, SMALL).collect()
+    assert [(r.matrix, r.share, r.partitions) for r in found] == [(m, x, n) for m in ("purchases", "documents") for x, n in ((0.25, 8), (0.5, 8), (1.0, 2), (1.0, 8))]
+    assert found[3].cells == experiments.flat(lists).count() and set(folder.iterdir()) <= there
